@@ -54,6 +54,6 @@ def held_out(doc_id="doc_id"):
 
 def words_sql(text: str) -> str:
     """SQL for the array of maximal runs of non-space characters of a string expression (no words: empty array)."""
-    space = "' \\t\\n\\u000b\\f\\r'"
+    space = "' \\t\\n\\u000b\\u000c\\r'"
     trimmed = f"trim(BOTH {space} FROM {text})"
     return f"filter(split({trimmed}, '[ \\\\t\\\\n\\\\x0B\\\\f\\\\r]+'), x -> x != '')"

@@ -70,7 +70,7 @@ def _repeat_words_sql() -> str:
 
 def measure(docs: DataFrame) -> DataFrame:
     """doc_id and the measures of every whole text; one narrow projection, no shuffle."""
-    space = "' \\t\\n\\u000b\\f\\r'"
+    space = "' \\t\\n\\u000b\\u000c\\r'"
     by_words = (
         f"transform(array({words_sql('body')}), w -> named_struct('n_words', bigint(size(w)), "
         f"'word_chars', bigint(length(array_join(w, ''))), 'n_repeat_words', {_repeat_words_sql()}))[0]"
