@@ -1,7 +1,7 @@
 """Queries and oracle SQL of the training-data operators."""
 
-from . import licenses, quality, shards, simhash
+from . import bpe, licenses, quality, shards, simhash
 
-MODULES = (quality, simhash, licenses, shards)
+MODULES = (quality, bpe, simhash, licenses, shards)
 QUERIES = {k: f for m in MODULES for k, f in m.QUERIES.items()}
 SQL = {k: s for m in MODULES for k, s in m.SQL.items()}
