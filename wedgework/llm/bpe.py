@@ -27,7 +27,7 @@ from .common import load
 
 LONG_WORD = 400
 #: Entries of a worker's cache; beyond that it starts anew.
-CACHE = 600_000
+CACHE = 900_000
 
 _ROUNDS = """
 WITH RECURSIVE s(word, toks, live) AS (
@@ -89,7 +89,8 @@ class Codec:
         # a space next to other white space: its match reaches over the space
         self.crosses = re.compile(r" \s|\s ").search
         self.single = np.array([self.ranks[bytes([b])] for b in range(256)], dtype=np.int32)
-        self.known: dict[str, tuple[bytes, bytes]] = {}
+        self.plain: dict[str, tuple[bytes, bytes]] = {}
+        self.spaced: dict[str, tuple[bytes, bytes]] = {}
         self.db = duckdb.connect(":memory:", config={"threads": 1, "memory_limit": "300MB"})
         pairs = [(a, b, rank) for t, rank in self.ranks.items() for k in range(1, len(t)) if (a := self.ranks.get(t[:k])) is not None and (b := self.ranks.get(t[k:])) is not None]
         given = pd.DataFrame(pairs, columns=["l", "r", "rank"]).astype("int64")
@@ -127,25 +128,28 @@ class Codec:
                 out[chosen[word]] = (np.array(ids, dtype="<u4").tobytes(), bytes.fromhex(hx))
         return out
 
-    def learn(self, chunks: set[str]) -> None:
-        """Put the chunks into the cache, each as the concatenation of its pre-tokens."""
-        split = {c: self.split(c) for c in chunks}
-        words = list({w for ws in split.values() for w in ws}.difference(self.known))
-        coded = dict(zip(words, self.contract([w.encode() for w in words]), strict=True))
+    def learn(self, known: dict[str, tuple[bytes, bytes]], chunks: set[str], lead: str) -> None:
+        """Put ``lead`` + chunk for each chunk into the cache, as the concatenation of its pre-tokens."""
+        split = {c: self.split(lead + c) for c in chunks}
+        words = list({w for ws in split.values() for w in ws}.difference(self.plain))
+        self.plain.update(zip(words, self.contract([w.encode() for w in words]), strict=True))
         for c, ws in split.items():
-            found = [coded.get(w) or self.known[w] for w in ws]
-            self.known[c] = found[0] if len(found) == 1 else (b"".join([x[0] for x in found]), b"".join([x[1] for x in found]))
+            found = [self.plain[w] for w in ws]
+            known[c] = found[0] if len(found) == 1 else (b"".join([x[0] for x in found]), b"".join([x[1] for x in found]))
 
-    def chunks(self, text: str) -> list[str]:
-        """Pieces that no match crosses: split before each space, unless other white space stands beside one."""
+    def chunks(self, text: str) -> tuple[list[str], list[str]]:
+        """(pre-tokens or strings to be looked up as they are, pieces that stand after a space).
+
+        No match crosses the start of a space that has no other white space beside it, so the text may be cut there.
+        """
         if self.crosses(text):
-            return self.split(text)
+            return self.split(text), []
         first, *rest = text.split(" ")
-        return [first, *map(" ".__add__, rest)]
+        return [first], rest
 
     def encode(self, texts: list[str]) -> Iterator[tuple[bytes, bytes]]:
         """(ids, decoded bytes) of every text; texts go through in groups of a few million characters."""
-        group: list[list[str]] = []
+        group: list[tuple[list[str], list[str]]] = []
         size = 0
         for t in texts:
             group.append(self.chunks(t))
@@ -155,14 +159,15 @@ class Codec:
                 group, size = [], 0
         yield from self._coded(group)
 
-    def _coded(self, group: list[list[str]]) -> Iterator[tuple[bytes, bytes]]:
-        fresh = set().union(*group).difference(self.known)
-        if len(self.known) + len(fresh) > CACHE:
-            self.known.clear()
-            fresh = set().union(*group)
-        self.learn(fresh)
-        for cs in group:
-            coded = list(map(self.known.__getitem__, cs))
+    def _coded(self, group: list[tuple[list[str], list[str]]]) -> Iterator[tuple[bytes, bytes]]:
+        if len(self.spaced) + len(self.plain) > CACHE:
+            self.spaced.clear()
+            self.plain.clear()
+        whole: dict[str, tuple[bytes, bytes]] = {}
+        self.learn(whole, set().union(*(a for a, _ in group)), "")
+        self.learn(self.spaced, set().union(*(b for _, b in group)).difference(self.spaced), " ")
+        for first, rest in group:
+            coded = [*map(whole.__getitem__, first), *map(self.spaced.__getitem__, rest)]
             yield b"".join([x[0] for x in coded]), b"".join([x[1] for x in coded])
 
 
