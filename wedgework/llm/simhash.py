@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import load, words_sql
+from .common import load, materialise, words_sql
 
 SHINGLE = 5
 LOWEST = -(1 << 63)
@@ -85,18 +85,19 @@ def next_ids(ids: DataFrame, rows_a_bucket: int = 20_000, most_buckets: int = 40
 
 def edited_pairs(docs: DataFrame) -> DataFrame:
     """Each document with its edited text. Whole texts are shuffled once (both joins read the same exchange); only prefixes move a second time."""
-    base = docs.select("doc_id", F.coalesce("doc_id", F.lit(LOWEST)).alias("k"), F.coalesce("text", F.lit("")).alias("body"))
-    base = base.withColumn("n_chars", F.length("body").cast("long"))
-    after = next_ids(base)
-    asked = base.select("k", "n_chars").distinct().join(after, "k").withColumnRenamed("k", "of")
+    base = docs.select(F.coalesce("doc_id", F.lit(LOWEST)).alias("k"), F.coalesce("text", F.lit("")).alias("body"))
+    sizes = base.select("k", F.length("body").cast("long").alias("n")).distinct()
+    asked = sizes.join(next_ids(base), "k").select(F.col("k").alias("of"), "nk", "n")
     given = (
-        asked.join(base.select(F.col("k").alias("nk"), "body"), "nk")
-        .select("of", "nk", F.col("n_chars").alias("n"), F.expr("substring(body, 1, int(n_chars div 3))").alias("piece"))
+        asked.join(base, F.col("nk") == F.col("k"))
+        .select("of", "nk", "n", F.expr("substring(body, 1, int(n div 3))").alias("piece"))
         .groupBy("of", "nk", "n")
         .agg(F.min("piece").alias("piece"))
     )
-    return base.join(given, (base.k == given.of) & (base.n_chars <= given.n) & (base.n_chars >= given.n)).select(
-        "doc_id", "k", "nk", "n_chars", "body", F.expr("concat(substring(body, 1, int(n_chars - n_chars div 3)), piece)").alias("edited")
+    # the two bounds say that the sizes are equal, but leave k alone as the key by which both sides are dealt
+    n = F.length("body").cast("long")
+    return base.join(given, (F.col("k") == F.col("of")) & (n <= F.col("n")) & (n >= F.col("n"))).select(
+        F.when(F.col("k") != LOWEST, F.col("k")).alias("doc_id"), "k", "nk", F.col("n").alias("n_chars"), "body", F.expr("concat(substring(body, 1, int(n - n div 3)), piece)").alias("edited")
     )
 
 
@@ -107,6 +108,7 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     both = keyed.select(*keys, F.explode(F.array(F.struct(F.lit(0).alias("which"), F.col("body")), F.struct(F.lit(1).alias("which"), F.col("edited").alias("body")))).alias("t"))
     fps = fingerprints(both.select(*keys, "t.which", "t.body"), [*keys, "which"])
     own = fps.groupBy(*keys).agg(F.max(F.when(F.col("which") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("which") == 1, F.col("fp"))).alias("edited_fp"))
+    own = materialise(own, "fingerprints")  # read twice below; the texts are not
     nexts = own.groupBy(F.col("k").alias("nk")).agg(F.min("fp").alias("next_fp"))
     return own.join(nexts, "nk").select(
         "doc_id", "n_chars", "edited_sha256", as_text("fp").alias("fingerprint"), as_text("edited_fp").alias("edited_fingerprint"),
