@@ -1,7 +1,7 @@
 """Queries and oracle SQL of the training-data operators."""
 
-from . import bpe, licenses, packing, quality, shards, simhash
+from . import bpe, langid, licenses, packing, quality, shards, simhash, toxicity
 
-MODULES = (quality, bpe, packing, simhash, licenses, shards)
+MODULES = (quality, langid, bpe, toxicity, packing, simhash, licenses, shards)
 QUERIES = {k: f for m in MODULES for k, f in m.QUERIES.items()}
 SQL = {k: s for m in MODULES for k, s in m.SQL.items()}
