@@ -1,7 +1,57 @@
-"""Stub until its operators exist."""
-STAGES = []
+"""A training-corpus pipeline: each stage reads what its predecessor kept and returns what it keeps itself.
+
+STAGES lists (name, function); a function takes (spark, docs, sf_dir) and returns a DataFrame. All but the last return the columns
+of ``docs``. ``run`` applies them to the documents table, writing and rereading what each stage kept.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from wedgework.llm import jaccard, langid, packing, toxicity
+from wedgework.llm.common import load, materialise
+
+#: Rejected ids (8 bytes each) that are broadcast at most; beyond it the anti join is left to Spark.
+BROADCAST_ROWS = 4_000_000
+
+
+def _without(docs: DataFrame, rejected: DataFrame) -> DataFrame:
+    """The documents whose id isn't rejected; a null id is never rejected."""
+    gone = materialise(rejected.select("doc_id").where("doc_id IS NOT NULL").distinct(), "rejected")
+    small = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    return docs.join(F.broadcast(gone) if small else gone, "doc_id", "left_anti").select(docs.columns)
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    found = toxicity.detect(docs, load(spark, sf_dir, "labels"))
+    return _without(docs, found.where("predicted = 1"))
+
+
+def drop_unknown_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return _without(docs, langid.identify(docs).where("rejected"))
+
+
+def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return jaccard.one_of_each(docs).select(docs.columns)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(docs)
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("language_id", drop_unknown_language),
+    ("ngram_jaccard_join", drop_copies),
+    ("packing", pack),
+]
+#: Language models, shingle components and tokens can't be written in DuckDB SQL; tests compare with brute-force versions.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = materialise(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)
