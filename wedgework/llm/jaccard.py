@@ -3,8 +3,8 @@
 Sets are distinct 64-bit hashes of word shingles; documents with equal sets form a class, and classes are joined. Two sets of similarity t
 or more share a token among their first ``n - ceil(t n) + 1`` tokens under any global order of all tokens, so:
 
-1. Order 1 is rare tokens first (by counts of all tokens in hash buckets, over all documents). Prefix tokens are shuffled once; tokens
-   that only one class has are dropped there, and so is every class without a shared token.
+1. Order 1 is rare tokens first: by the number of tokens, over all documents, in a token's hash bucket, then by hash. Prefix tokens are shuffled once; tokens
+   that only one class has are dropped there, then rows of classes that share too few prefix tokens for any partner of their list.
 2. Within a token's list, pivots are compared with all others in rounds, and a pivot leaves the list when it has met everybody it
    isn't yet connected with. A group of near copies thus costs about one comparison a member, not one for each pair, and the
    rounds end when every list holds one component: no possible link is left out, whatever a list's size.
@@ -23,13 +23,15 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import discard, load, materialise
 
-#: Buckets of the token counts that make order 1.
-BUCKETS = 1 << 17
+#: Buckets of the token counts that make order 1, and of one row of a partition's counts.
+BUCKETS = 1 << 20
+ROW = 1 << 12
 #: Pivots of each list in the first and in later rounds.
 PIVOTS = (2, 24, 96, 384)
 #: Bits of the filter of candidate classes at most (64 MB): beyond it more sets are sent, none is missed.
@@ -84,38 +86,51 @@ def least_size(percent: int) -> int:
     return n
 
 
+def bucket_of(tokens: np.ndarray) -> np.ndarray:
+    return ((tokens >> np.uint64(32)) & np.uint64(BUCKETS - 1)).astype(np.int64)
+
+
 def sets_pass(docs: DataFrame, k: int) -> DataFrame:
-    """doc_id, n, cls of each document, and (where bucket isn't null) the partition's token counts by bucket."""
+    """doc_id, n, cls of each document, and (where block isn't null) rows of the partition's token counts by bucket."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        counts = np.zeros(BUCKETS, dtype=np.int64)
+        counts = np.zeros(BUCKETS, dtype="<u4")
         for b in batches:
             n, cls = [], []
             for t in b["text"]:
                 s = token_set(t, k)
                 n.append(len(s))
                 cls.append(class_of(s) if len(s) else None)
-                np.add.at(counts, (s >> np.uint64(40)).astype(np.int64) % BUCKETS, 1)
-            yield pd.DataFrame({"doc_id": b["doc_id"], "n": n, "cls": pd.Series(cls, dtype="Int64"), "bucket": pd.Series([None] * len(b), dtype="Int32"), "c": pd.Series([None] * len(b), dtype="Int64")})
-        used = np.flatnonzero(counts)
-        yield pd.DataFrame({"doc_id": pd.Series([None] * len(used), dtype="Int64"), "n": 0, "cls": pd.Series([None] * len(used), dtype="Int64"), "bucket": pd.Series(used, dtype="Int32"), "c": pd.Series(counts[used], dtype="Int64")})
+                np.add.at(counts, bucket_of(s), 1)
+            yield pd.DataFrame({"doc_id": b["doc_id"], "n": n, "cls": pd.Series(cls, dtype="Int64"), "block": pd.Series([None] * len(b), dtype="Int32"), "salt": 0, "counts": None})
+        used = [i for i in range(BUCKETS // ROW) if counts[i * ROW : (i + 1) * ROW].any()]
+        salt = TaskContext.get().partitionId() % 256
+        none = pd.Series([None] * len(used), dtype="Int64")
+        yield pd.DataFrame({"doc_id": none, "n": 0, "cls": none, "block": pd.Series(used, dtype="Int32"), "salt": salt, "counts": [counts[i * ROW : (i + 1) * ROW].tobytes() for i in used]})
+
+    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n long, cls long, block int, salt int, counts binary")
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n long, cls long, bucket int, c long")
 
+def bucket_counts(first: DataFrame) -> np.ndarray:
+    """Tokens of each bucket over all documents: rows of counts are added up in two steps; the driver gets one row for each block."""
 
-def rarity(first: DataFrame) -> np.ndarray:
-    """Frequency step of each bucket: 0 for usual ones, then one for each factor of the square root of two."""
-    counts = np.zeros(BUCKETS)
-    for bucket, c in first.where("bucket IS NOT NULL").groupBy("bucket").agg(F.sum("c")).collect():  # BUCKETS rows at most
-        counts[bucket] = c
-    used = counts[counts > 0]
-    usual = np.median(used) if len(used) else 1.0
-    return np.clip(np.floor(2 * np.log2(np.maximum(counts, 1) / usual)), 0, 60).astype(np.uint8)
+    def add(rows: pd.DataFrame) -> pd.DataFrame:
+        total = np.zeros(ROW, dtype="<u8")
+        for c in rows["counts"]:
+            total += np.frombuffer(c, dtype="<u4")
+        return pd.DataFrame({"block": rows["block"].iloc[:1], "counts": [np.minimum(total, 0xFFFFFFFF).astype("<u4").tobytes()]})
 
+    rows = first.where("block IS NOT NULL").select("block", "salt", "counts")
+    once = rows.groupBy("block", "salt").applyInPandas(add, "block int, counts binary")
+    counts = np.zeros(BUCKETS, dtype=np.uint32)
+    for r in once.groupBy("block").applyInPandas(add, "block int, counts binary").collect():  # BUCKETS / ROW rows
+        counts[r.block * ROW : (r.block + 1) * ROW] = np.frombuffer(r.counts, dtype="<u4")
+    return counts
 
-def prefixes(docs: DataFrame, steps: np.ndarray, k: int, percent: int) -> DataFrame:
+
+def prefixes(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataFrame:
     """(token, cls, n) for the prefix of each set under order 1; a class is sent once for each partition."""
-    sent = docs.sparkSession.sparkContext.broadcast(steps)
+    sent = docs.sparkSession.sparkContext.broadcast(counts)
     least = least_size(percent)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -129,9 +144,7 @@ def prefixes(docs: DataFrame, steps: np.ndarray, k: int, percent: int) -> DataFr
                     continue
                 if len(seen) < 500_000:
                     seen.add(c)
-                step = sent.value[(s >> np.uint64(40)).astype(np.int64) % BUCKETS]
-                p = prefix_size(n, percent)
-                tokens.append(s[np.argsort(step, kind="stable")[:p]] if step.any() else s[:p])
+                tokens.append(s[np.argsort(sent.value[bucket_of(s)], kind="stable")[: prefix_size(n, percent)]])
                 cls.append(c)
                 size.append(n)
             many = list(map(len, tokens))
@@ -165,6 +178,59 @@ def shared_tokens(entries: DataFrame) -> DataFrame:
     return entries.repartition("token").sortWithinPartitions("token", "cls").mapInPandas(run, "token long, cls long, n long")
 
 
+def possible(na, nb, shared, percent: int):
+    """Can sets of these sizes be similar enough if their prefixes have at most ``shared`` tokens in common?
+
+    Whichever prefix ends first under the order, its tokens in the other set all lie in the other prefix; so the overlap is at most the
+    common prefix tokens and the rest of that set.
+    """
+    large, small = np.maximum(na, nb), np.minimum(na, nb)
+    overlap = -(-percent * (na + nb) // (100 + percent))
+    return (100 * small >= percent * large) & (shared >= overlap - -(-percent * large // 100) + 1)
+
+
+def prune_lists(shared: DataFrame, percent: int, most: int = 256) -> DataFrame:
+    """The list rows (token, cls, n, s) whose class has a possible partner in that list; s is the class's number of rows.
+
+    Lists longer than ``most`` pass whole; they are left to the pivots.
+    """
+    counted = shared.join(shared.groupBy("cls").agg(F.count(F.lit(1)).alias("s")), "cls").select("token", "cls", "n", "s")
+
+    def kept(n: np.ndarray, s: np.ndarray) -> np.ndarray:
+        ok = possible(n[:, None], n[None, :], np.minimum(s[:, None], s[None, :]), percent)
+        np.fill_diagonal(ok, False)
+        return ok.any(axis=1)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: pd.DataFrame | None = None  # the rows of the last list
+        passing = None  # the long list that is passing whole
+        for b in batches:
+            b = b if held is None else pd.concat([held, b], ignore_index=True)
+            held = None
+            t, n, s = (b[x].to_numpy(np.int64) for x in ("token", "n", "s"))
+            if not len(t):
+                continue
+            starts = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]]))
+            ends = np.append(starts[1:], len(t))
+            keep = np.zeros(len(t), dtype=bool)
+            last = starts[-1]
+            two = np.flatnonzero(ends - starts == 2)
+            two = starts[two[starts[two] != last]]
+            keep[two] = keep[two + 1] = possible(n[two], n[two + 1], np.minimum(s[two], s[two + 1]), percent)
+            for i, e in zip(starts, ends, strict=True):
+                if t[i] == passing or e - i > most:
+                    keep[i:e], passing = True, t[i]
+                elif i == last:
+                    held = b.iloc[i:]
+                elif e - i > 2:
+                    keep[i:e] = kept(n[i:e], s[i:e])
+            yield b[keep]
+        if held is not None and len(held) > 1:
+            yield held[kept(held["n"].to_numpy(np.int64), held["s"].to_numpy(np.int64))]
+
+    return counted.repartition("token").sortWithinPartitions("token", "cls").mapInPandas(run, "token long, cls long, n long, s long")
+
+
 def candidate_filter(shared: DataFrame) -> np.ndarray:
     """A Bloom filter of the classes with shared tokens, as 64-bit words; built from distributed ORs."""
     classes = shared.select("cls").distinct()
@@ -206,15 +272,15 @@ def candidate_sets(docs: DataFrame, words: np.ndarray, k: int, percent: int) ->
 def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(pairs of each list's first members with all later ones of other components, what is left of the lists).
 
-    ``lists`` has token, cls, n, label. Rows come sorted, so only a list's pivots are held.
+    ``lists`` has token, cls, n, s, label. Rows come sorted, so only a list's pivots are held.
     """
     ordered = lists.repartition("token").sortWithinPartitions("token", "cls")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         token, held = None, 0
-        pc, pn, pl = (np.zeros(pivots, dtype=np.int64) for _ in range(3))
+        held_rows = tuple(np.zeros(pivots, dtype=np.int64) for _ in range(4))
         for b in batches:
-            t, c, n, g = (b[x].to_numpy(np.int64) for x in ("token", "cls", "n", "label"))
+            t, *own = (b[x].to_numpy(np.int64) for x in ("token", "cls", "n", "s", "label"))
             starts = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]])) if len(t) else []
             out_a, out_b = [], []
             for s, e in zip(starts, [*starts[1:], len(t)], strict=True):
@@ -222,11 +288,12 @@ def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame,
                     token, held = t[s], 0
                 i = s
                 while i < e and held < pivots:  # a pivot meets the pivots before it, then joins them
-                    _meet(pc, pn, pl, held, c[i : i + 1], n[i : i + 1], g[i : i + 1], percent, out_a, out_b)
-                    pc[held], pn[held], pl[held] = c[i], n[i], g[i]
+                    _meet(held_rows, held, [x[i : i + 1] for x in own], percent, out_a, out_b)
+                    for x, y in zip(held_rows, own, strict=True):
+                        x[held] = y[i]
                     held, i = held + 1, i + 1
                 if i < e:
-                    _meet(pc, pn, pl, held, c[i:e], n[i:e], g[i:e], percent, out_a, out_b)
+                    _meet(held_rows, held, [x[i:e] for x in own], percent, out_a, out_b)
             if out_a:
                 yield pd.DataFrame({"a": np.concatenate(out_a), "b": np.concatenate(out_b)}).drop_duplicates()
 
@@ -242,16 +309,18 @@ def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame,
             start = np.maximum.accumulate(np.where(first, np.arange(len(t)), 0))
             rank = np.arange(len(t)) - start + np.where((start == 0) & (t == token), met, 0)
             token, met = t[-1], int(rank[-1]) + 1
-            yield b[rank >= pivots][["token", "cls", "n"]]
+            yield b[rank >= pivots][["token", "cls", "n", "s"]]
 
-    return pairs, ordered.mapInPandas(rest, "token long, cls long, n long")
+    return pairs, ordered.mapInPandas(rest, "token long, cls long, n long, s long")
 
 
-def _meet(pc, pn, pl, held, c, n, g, percent, out_a, out_b) -> None:
+def _meet(pivots, held, rows, percent, out_a, out_b) -> None:
+    c, n, s, g = rows
     for j in range(held):
-        fit = (g != pl[j]) & (100 * np.minimum(n, pn[j]) >= percent * np.maximum(n, pn[j]))
+        pc, pn, ps, pg = (x[j] for x in pivots)
+        fit = (g != pg) & possible(n, pn, np.minimum(s, ps), percent)
         if fit.any():
-            out_a.append(np.full(int(fit.sum()), pc[j]))
+            out_a.append(np.full(int(fit.sum()), pc))
             out_b.append(c[fit])
 
 
@@ -293,7 +362,10 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
 def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id of every document."""
     first = materialise(sets_pass(docs, k), "sets")
-    shared = materialise(shared_tokens(prefixes(docs, rarity(first), k, percent)), "shared")
+    shared = materialise(shared_tokens(prefixes(docs, bucket_counts(first), k, percent)), "shared")
+    for _ in range(2):  # fewer rows of a class leave it fewer possible partners
+        older, shared = shared, materialise(prune_lists(shared.select("token", "cls", "n"), percent), "shared")
+        discard(older)
     sets = materialise(candidate_sets(docs, candidate_filter(shared), k, percent), "candidates")
     lists = shared.withColumn("label", F.col("cls"))
     links, labels, r = None, None, 0
@@ -306,7 +378,7 @@ def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame
         open_ = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open")).where("open").select("token")
         lists = materialise(known.join(open_, "token", "left_semi"), "lists")
         r += 1
-    rows = first.where("bucket IS NULL").select("doc_id", F.col("n").alias("n_shingles"), "cls")
+    rows = first.where("block IS NULL").select("doc_id", F.col("n").alias("n_shingles"), "cls")
     least = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("low"))
     if labels is None:
         named = least.withColumnRenamed("low", "component_id")
