@@ -21,6 +21,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import materialise
+
 BEGIN, FINISH = "\x02", "\x03"
 #: Longest word, in characters, that is taken as one unit; longer ones are cut into units of this size.
 UNIT = 64
@@ -56,9 +58,8 @@ def gram_hashes(points: np.ndarray, order: int) -> list[np.ndarray]:
     return out
 
 
-def gram_rows(counts: dict[int, Counter], order: int, free: int) -> pd.DataFrame:
+def gram_rows(counts: dict[int, Counter], order: int, free: int) -> Iterator[pd.DataFrame]:
     """(n, gram, suffix, context, first, k, c): gram counts of each class from its word counts. Above ``free``, only word-initial grams."""
-    found = []
     for k, words in counts.items():
         names = list(words)
         if not names:
@@ -71,34 +72,31 @@ def gram_rows(counts: dict[int, Counter], order: int, free: int) -> pd.DataFrame
             g, where, back = np.unique(hashes[n - 1][at], return_index=True, return_inverse=True)
             c = np.bincount(back, weights=weight[owner[at]], minlength=len(g)).astype(np.int64)
             one = at[where]
-            found.append(
-                pd.DataFrame({
-                    "n": np.int32(n), "gram": g.view(np.int64),
-                    "suffix": hashes[min(n - 1, free) - 1][one].view(np.int64) if n > 1 else np.int64(0),
-                    "context": hashes[n - 2][one - 1].view(np.int64) if n > 1 else np.int64(0),
-                    "first": place[one] == n - 1, "k": np.int32(k), "c": c,
-                })
-            )
-    return pd.concat(found) if found else pd.DataFrame(columns=["n", "gram", "suffix", "context", "first", "k", "c"])
-
-
-def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 250_000, once: bool = False) -> DataFrame:
+            yield pd.DataFrame({
+                "n": np.int32(n), "gram": g.view(np.int64),
+                "suffix": hashes[min(n - 1, free) - 1][one].view(np.int64) if n > 1 else np.int64(0),
+                "context": hashes[n - 2][one - 1].view(np.int64) if n > 1 else np.int64(0),
+                "first": place[one] == n - 1, "k": np.int32(k), "c": c,
+            })
+
+
+def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 120_000, once: bool = False) -> DataFrame:
     """Gram counts of (text, k) rows. Words are counted within the partition first, so that each distinct one is cut up once.
 
     ``once``: a text counts each of its words once, so that repeated lines don't make an expression look common.
     """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        _TABLES.clear()  # a new model is being made
         raw: dict[int, Counter] = {}
         for b in batches:
             for k, texts in b.groupby("k")["text"]:
-                known = raw.setdefault(int(k), Counter())
                 for t in texts:
+                    known = raw.setdefault(int(k), Counter())
                     known.update(set(t.split()) if once else t.split())
-            if sum(map(len, raw.values())) > most_words:
-                yield gram_rows(_cleaned(raw, split), order, free)
-                raw = {}
-        yield gram_rows(_cleaned(raw, split), order, free)
+                    if len(known) > most_words:
+                        yield from gram_rows(_cleaned({int(k): raw.pop(int(k))}, split), order, free)
+        yield from gram_rows(_cleaned(raw, split), order, free)
 
     schema = "n int, gram long, suffix long, context long, first boolean, k int, c long"
     return rows.select("text", "k").where("text IS NOT NULL AND k IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
@@ -108,7 +106,8 @@ def _cleaned(raw: dict[int, Counter], split: Callable[[str], list[str]]) -> dict
     out: dict[int, Counter] = {}
     for k, words in raw.items():
         own = out[k] = Counter()
-        for w, c in words.items():
+        while words:
+            w, c = words.popitem()
             for x in split(w):
                 own[x] += c
     return out
@@ -163,7 +162,7 @@ def build(counted: DataFrame, order: int, free: int, classes: int, shared: bool,
     """The model from gram counts; the driver gets at most ``MOST_GRAMS`` distinct grams, those with the largest counts."""
     wide = counted.groupBy("n", "gram", "suffix", "context", "first").agg(*(F.sum(F.when(F.col("k") == k, F.col("c")).otherwise(0)).alias(f"c{k}") for k in range(classes)))
     total = sum((F.col(f"c{k}") for k in range(1, classes)), F.col("c0"))
-    wide = wide.withColumn("total", total)
+    wide = materialise(wide.withColumn("total", total), "grams")  # read twice; the texts are not
     if least > 1:
         wide = wide.where((F.col("total") >= least) | (F.col("n") <= 2))
     limit, sizes = least, wide.groupBy(F.least("total", F.lit(1000)).alias("t")).agg(F.count(F.lit(1)).alias("m")).collect()
@@ -232,17 +231,17 @@ def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool)
 class WordTable:
     """Scores of the white-space pieces that a worker has met, as rows of one array; beyond a bound it starts anew."""
 
-    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 1_000_000):
+    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 500_000):
         self.model, self.split, self.most = model, split, most
         self.clear()
 
     def clear(self) -> None:
         self.index: dict[str, int] = {}
-        self.rows = np.zeros((1024, self.model.classes + 1), dtype=np.float64)
+        self.rows = np.zeros((1024, self.model.classes + 1), dtype=np.float32)
 
     def learn(self, pieces: list[str]) -> None:
-        for at in range(0, len(pieces), 100_000):
-            self._learn(pieces[at : at + 100_000])
+        for at in range(0, len(pieces), 50_000):
+            self._learn(pieces[at : at + 50_000])
 
     def _learn(self, pieces: list[str]) -> None:
         parts = [self.split(p) for p in pieces]

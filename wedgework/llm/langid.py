@@ -60,7 +60,7 @@ def score(docs: DataFrame, langs: list[str], model) -> DataFrame:
         for b in batches:
             pred, conf, ce, size = [], [], [], []
             for r in table.texts([t or "" for t in b["text"]]):
-                sums = r.sum(axis=0)
+                sums = r.sum(axis=0, dtype=np.float64)
                 n = sums[-1]
                 if n <= 0:
                     pred.append("und"), conf.append(0.0), ce.append(None), size.append(0)

@@ -71,7 +71,7 @@ def evidence(docs: DataFrame, model) -> DataFrame:
                 d, n = r[:, 1] - r[:, 0], r[:, 2]
                 if not n.any():
                     continue
-                out[i, 0] = d.sum() / n.sum()
+                out[i, 0] = d.sum(dtype=np.float64) / n.sum(dtype=np.float64)
                 out[i, 4] = np.log1p(len(d))
                 top = np.partition(np.concatenate([d, np.zeros(3)]), -3)[-3:]
                 out[i, 3], out[i, 2], out[i, 1] = np.clip(np.sort(top), 0, CLIP)
