@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, release
 
 BEGIN, FINISH = "\x02", "\x03"
 #: Longest word, in characters, that is taken as one unit; longer ones are cut into units of this size.
@@ -80,7 +80,7 @@ def gram_rows(counts: dict[int, Counter], order: int, free: int) -> Iterator[pd.
             })
 
 
-def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 120_000, once: bool = False) -> DataFrame:
+def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 80_000, once: bool = False) -> DataFrame:
     """Gram counts of (text, k) rows. Words are counted within the partition first, so that each distinct one is cut up once.
 
     ``once``: a text counts each of its words once, so that repeated lines don't make an expression look common.
@@ -97,6 +97,7 @@ def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], l
                     if len(known) > most_words:
                         yield from gram_rows(_cleaned({int(k): raw.pop(int(k))}, split), order, free)
         yield from gram_rows(_cleaned(raw, split), order, free)
+        release()
 
     schema = "n int, gram long, suffix long, context long, first boolean, k int, c long"
     return rows.select("text", "k").where("text IS NOT NULL AND k IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
@@ -231,7 +232,7 @@ def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool)
 class WordTable:
     """Scores of the white-space pieces that a worker has met, as rows of one array; beyond a bound it starts anew."""
 
-    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 500_000):
+    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 300_000):
         self.model, self.split, self.most = model, split, most
         self.clear()
 

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import shutil
 import tempfile
 import uuid
@@ -57,3 +59,15 @@ def words_sql(text: str) -> str:
     space = "' \\t\\n\\u000b\\u000c\\r'"
     trimmed = f"trim(BOTH {space} FROM {text})"
     return f"filter(split({trimmed}, '[ \\\\t\\\\n\\\\x0B\\\\f\\\\r]+'), x -> x != '')"
+
+
+def release() -> None:
+    """Give memory that a worker's last batch needed back to the machine: Python workers are reused and would keep it."""
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another libc
+        pass

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .charlm import build, count_grams, table_for
-from .common import held_out, load, materialise
+from .common import held_out, load, materialise, release
 
 ORDER = 5
 #: Deviations above a language's usual cross-entropy that a text may have.
@@ -72,6 +72,7 @@ def score(docs: DataFrame, langs: list[str], model) -> DataFrame:
                 ce.append(float(h[i]))
                 size.append(int(n))
             yield pd.DataFrame({"doc_id": b["doc_id"], "held_out": b["held_out"], "lang": b["lang"], "lang_pred": pred, "score": conf, "cross_entropy": pd.Series(ce, dtype="float64"), "n_letters": size})
+        release()
 
     return rows.mapInPandas(run, SCORED)
 

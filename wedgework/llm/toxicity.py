@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .charlm import build, count_grams, table_for
-from .common import load, materialise
+from .common import load, materialise, release
 from .langid import letters
 
 #: Characters of word-initial grams, which are the classes' own, and of the shared grams inside words.
@@ -76,6 +76,7 @@ def evidence(docs: DataFrame, model) -> DataFrame:
                 top = np.partition(np.concatenate([d, np.zeros(3)]), -3)[-3:]
                 out[i, 3], out[i, 2], out[i, 1] = np.clip(np.sort(top), 0, CLIP)
             yield pd.DataFrame({"doc_id": b["doc_id"], "held_out": b["held_out"]}).assign(**{f: out[:, j] for j, f in enumerate(FEATURES)})
+        release()
 
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
     return docs.select("doc_id", "text", held.alias("held_out")).mapInPandas(run, "doc_id long, held_out boolean, " + ", ".join(f"{f} double" for f in FEATURES))
