@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult, OrderingColumn, PartitioningColumn
 
 from ..schema import CacheConfig
@@ -13,24 +14,24 @@ from .replay import ReadCache
 
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def common_count(a: pd.Series, b: pd.Series) -> pd.Series:
     """Size of the intersection of two ascending lists."""
     return pd.Series([len(np.intersect1d(x, y, assume_unique=True)) if x is not None and y is not None else 0 for x, y in zip(a, b, strict=True)])
 
 
-@F.pandas_udf("struct<median double, low double, high double>")
-def median_ci(values: pd.Series) -> dict:
-    """Median with its 95 % bootstrap interval."""
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def median_ci(values: pd.Series) -> list:
+    """[median, low, high]: the median with its 95 % bootstrap interval."""
     v = values.dropna().to_numpy(float)
     if not len(v):
-        return {"median": None, "low": None, "high": None}
+        return []
     rng = np.random.default_rng(0)
     lo, hi = np.percentile(np.median(rng.choice(v, (500, len(v))), axis=1), [2.5, 97.5])
-    return {"median": float(np.median(v)), "low": float(lo), "high": float(hi)}
+    return [float(np.median(v)), float(lo), float(hi)]
 
 
-@F.udtf(returnType="src: long, dst: long")
+@F.udtf(returnType=T.StructType([T.StructField(x, T.LongType()) for x in ("src", "dst")]))
 class RmatEdges:
     """rmat_edges(scale, edge_factor, slice, slices): the draws of one slice of the recursive-matrix generator."""
 
