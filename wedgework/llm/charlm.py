@@ -27,7 +27,7 @@ BEGIN, FINISH = "\x02", "\x03"
 #: Longest word, in characters, that is taken as one unit; longer ones are cut into units of this size.
 UNIT = 64
 #: Rows of the model: beyond it, the rarest grams of the highest orders are left out (a bound of the model, not of the corpus).
-MOST_GRAMS = 3_000_000
+MOST_GRAMS = 800_000
 _RNG = np.random.default_rng(20240229)
 _FACTORS = (_RNG.integers(1 << 62, size=16, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
 
@@ -226,7 +226,7 @@ def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool)
             weights.append((named, np.log(np.maximum(lam, 1e-12))))
         if n == 1:
             unknown = lam[0] / letters if n_groups and len(c) else unknown
-    return Model(order, free, classes, [x["h"] for x in by], [np.log(np.maximum(p, 1e-300)) for p in probs], [w[0] for w in weights], [w[1] for w in weights], np.log(unknown))
+    return Model(order, free, classes, [x["h"] for x in by], [np.log(np.maximum(p, 1e-300)).astype(np.float32) for p in probs], [w[0] for w in weights], [w[1].astype(np.float32) for w in weights], np.log(unknown))
 
 
 class WordTable:
