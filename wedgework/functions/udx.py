@@ -56,9 +56,7 @@ class CacheReplay:
 
     @staticmethod
     def analyze(table: AnalyzeArgument, capacity: AnalyzeArgument, score: AnalyzeArgument) -> AnalyzeResult:
-        from pyspark.sql.types import LongType, StringType, StructType
-
-        schema = StructType().add("part", "int").add("seq", LongType()).add("outcome", StringType()).add("evicted", "int")
+        schema = T.StructType().add("part", T.IntegerType()).add("seq", T.LongType()).add("outcome", T.StringType()).add("evicted", T.IntegerType())
         return AnalyzeResult(schema, partitionBy=[PartitioningColumn("part")], orderBy=[OrderingColumn("seq")])
 
     def eval(self, row, capacity: int, score: str):
