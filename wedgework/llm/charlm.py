@@ -80,8 +80,8 @@ def gram_rows(counts: dict[int, Counter], order: int, free: int) -> Iterator[pd.
             })
 
 
-def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 80_000, once: bool = False) -> DataFrame:
-    """Gram counts of (text, k) rows. Words are counted within the partition first, so that each distinct one is cut up once.
+def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 80_000, once: bool = False, labels=None) -> DataFrame:
+    """Gram counts of (text, k) rows; with ``labels``, a broadcast pair of sorted ids and their classes, of (text, doc_id) rows. Words are counted within the partition first, so that each distinct one is cut up once.
 
     ``once``: a text counts each of its words once, so that repeated lines don't make an expression look common.
     """
@@ -90,7 +90,9 @@ def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], l
         _TABLES.clear()  # a new model is being made
         raw: dict[int, Counter] = {}
         for b in batches:
-            for k, texts in b.groupby("k")["text"]:
+            if labels is not None:
+                b = b.assign(k=classes_of(b["doc_id"], labels.value))
+            for k, texts in b.where(b["k"] >= 0).dropna(subset=["k"]).groupby("k")["text"]:
                 for t in texts:
                     known = raw.setdefault(int(k), Counter())
                     known.update(set(t.split()) if once else t.split())
@@ -100,7 +102,18 @@ def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], l
         release()
 
     schema = "n int, gram long, suffix long, context long, first boolean, k int, c long"
-    return rows.select("text", "k").where("text IS NOT NULL AND k IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
+    key = "k" if labels is None else "doc_id"
+    return rows.select("text", key).where(f"text IS NOT NULL AND {key} IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
+
+
+def classes_of(doc_id: pd.Series, labels: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The class of each id, -1 where it has none."""
+    ids, classes = labels
+    if not len(ids):
+        return np.full(len(doc_id), -1)
+    own = doc_id.fillna(ids[0] - 1).to_numpy(np.int64)
+    i = np.minimum(np.searchsorted(ids, own), len(ids) - 1)
+    return np.where(ids[i] == own, classes[i], -1)
 
 
 def _cleaned(raw: dict[int, Counter], split: Callable[[str], list[str]]) -> dict[int, Counter]:
@@ -232,7 +245,7 @@ def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool)
 class WordTable:
     """Scores of the white-space pieces that a worker has met, as rows of one array; beyond a bound it starts anew."""
 
-    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 300_000):
+    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 200_000):
         self.model, self.split, self.most = model, split, most
         self.clear()
 

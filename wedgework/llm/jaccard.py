@@ -107,6 +107,7 @@ def sets_pass(docs: DataFrame, k: int) -> DataFrame:
         salt = TaskContext.get().partitionId() % 256
         none = pd.Series([None] * len(used), dtype="Int64")
         yield pd.DataFrame({"doc_id": none, "n": 0, "cls": none, "block": pd.Series(used, dtype="Int32"), "salt": salt, "counts": [counts[i * ROW : (i + 1) * ROW].tobytes() for i in used]})
+        _WORDS.clear()
         release()
 
     return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n long, cls long, block int, salt int, counts binary")
@@ -150,6 +151,7 @@ def prefixes(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataF
                 size.append(n)
             many = list(map(len, tokens))
             yield pd.DataFrame({"token": np.concatenate(tokens or [np.zeros(0, dtype=np.uint64)]).view(np.int64), "cls": np.repeat(np.array(cls, dtype=np.int64), many), "n": np.repeat(np.array(size, dtype=np.int64), many)})
+        _WORDS.clear()
         release()
 
     return docs.select("text").mapInPandas(run, "token long, cls long, n long")
@@ -266,6 +268,7 @@ def candidate_sets(docs: DataFrame, words: np.ndarray, k: int, percent: int) ->
                     seen.add(c)
                 rows.append((c, len(s), s.view(np.int64)))
             yield pd.DataFrame(rows, columns=["cls", "n", "tokens"])
+        _WORDS.clear()
         release()
 
     found = docs.select("text").mapInPandas(run, "cls long, n long, tokens array<long>")

@@ -19,7 +19,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .charlm import build, count_grams, table_for
+from .charlm import build, classes_of, count_grams, table_for
 from .common import load, materialise, release
 from .langid import letters
 
@@ -42,21 +42,22 @@ def labelled(labels: DataFrame, most: int = MOST_LABELS) -> pd.DataFrame:
     return rows.toArrow().to_pandas().sort_values("doc_id", ignore_index=True)
 
 
-def with_label(docs: DataFrame, known: pd.DataFrame, folds: tuple[int, ...], name: str = "k") -> DataFrame:
-    """Adds the label of the rows in these folds (null: none), looked up in a broadcast sorted array."""
+def send(docs: DataFrame, known: pd.DataFrame, folds: tuple[int, ...]):
+    """Broadcast (sorted ids, labels) of the labelled rows of these folds."""
     part = known[known["fold"].isin(folds)]
-    sent = docs.sparkSession.sparkContext.broadcast((part["doc_id"].to_numpy(np.int64), part["toxic"].to_numpy(np.int32)))
+    return docs.sparkSession.sparkContext.broadcast((part["doc_id"].to_numpy(np.int64), part["toxic"].to_numpy(np.int64)))
 
-    @F.pandas_udf("int")
-    def look_up(doc_id: pd.Series) -> pd.Series:
-        ids, toxic = sent.value
-        own = doc_id.fillna(-1).to_numpy(np.int64)
-        if not len(ids):
-            return pd.Series(np.full(len(own), None), dtype="Int32")
-        i = np.minimum(np.searchsorted(ids, own), len(ids) - 1)
-        return pd.Series(toxic[i], dtype="Int32").where(pd.Series((ids[i] == own) & doc_id.notna().to_numpy()))
 
-    return docs.withColumn(name, look_up("doc_id"))
+def labelled_rows(found: DataFrame, known: pd.DataFrame, folds: tuple[int, ...]) -> pd.DataFrame:
+    """k and FEATURES of the labelled rows of these folds; the bound of ``labelled`` holds for them, too."""
+    sent = send(found, known, folds)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            k = classes_of(b["doc_id"], sent.value)
+            yield b.assign(k=k)[k >= 0][["k", *FEATURES]]
+
+    return found.select("doc_id", *FEATURES).where("doc_id IS NOT NULL").mapInPandas(run, "k long, " + ", ".join(f"{f} double" for f in FEATURES)).toArrow().to_pandas()
 
 
 def evidence(docs: DataFrame, model) -> DataFrame:
@@ -103,13 +104,12 @@ def detect(docs: DataFrame, labels: DataFrame, order: int = ORDER) -> DataFrame:
         share = float(known["toxic"].mean()) if len(known) else 0.0
         held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
         return docs.select("doc_id", held.alias("held_out"), F.lit(share).alias("score"), F.lit(int(share >= 0.5)).alias("predicted"))
-    rows = with_label(docs.select("doc_id", "text"), known, (1, 2, 3)).where("k IS NOT NULL")
-    model = build(count_grams(rows, order, FREE, letters), order, FREE, 2, shared=True)
+    grams = count_grams(docs, order, FREE, letters, labels=send(docs, known, (1, 2, 3)))
+    model = build(grams, order, FREE, 2, shared=True)
     found = materialise(evidence(docs, model), "toxicity")
-    # the bound of `labelled` holds for these rows, too
-    fitted = with_label(found, known, (4,)).where("k IS NOT NULL").select("k", *FEATURES).toArrow().to_pandas()
+    fitted = labelled_rows(found, known, (4,))
     if fitted["k"].nunique() < 2:
-        fitted = with_label(found, known, (1, 2, 3, 4)).where("k IS NOT NULL").select("k", *FEATURES).toArrow().to_pandas()
+        fitted = labelled_rows(found, known, (1, 2, 3, 4))
     x = fitted[list(FEATURES)].to_numpy(float)
     scale = np.maximum(x.std(axis=0), 1e-9)
     w = logistic(x / scale, fitted["k"].to_numpy(float))
