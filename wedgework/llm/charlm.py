@@ -49,9 +49,8 @@ def gram_hashes(points: np.ndarray, order: int) -> list[np.ndarray]:
     """For n = 1..order: the hash of the n characters that end at each place (meaningless where fewer stand before)."""
     out, total = [], np.zeros(len(points), dtype=np.uint64)
     for n in range(order):
-        shifted = np.empty_like(points)
-        shifted[n:] = points[: len(points) - n]
-        shifted[:n] = 0
+        shifted = np.zeros_like(points)
+        shifted[n:] = points[: max(len(points) - n, 0)]
         total = total + (shifted + np.uint64(1)) * _FACTORS[n]
         mixed = total ^ (total >> np.uint64(29))
         out.append(mixed * np.uint64(0x9E3779B97F4A7C15) + np.uint64(n))
