@@ -39,23 +39,63 @@ FILTER_BITS = 29
 _K = np.uint64(0x9E3779B97F4A7C15)
 
 
-class _Words(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 250_000:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-_WORDS = _Words()
+#: Base of the rolling sums over bytes (odd, so that it has an inverse modulo 2^64), and how many of its powers are kept.
+_BASE = 0x5851F42D4C957F2D
+_PIECE = 1 << 18
+
+
+def _powers(base: int) -> np.ndarray:
+    out = np.empty(_PIECE, dtype=np.uint64)
+    out[0] = 1
+    at = 1
+    while at < _PIECE:  # doubling: the powers so far times base^at
+        n = min(at, _PIECE - at)
+        out[at : at + n] = out[:n] * np.uint64(pow(base, at, 1 << 64))
+        at += n
+    return out
+
+
+_UP, _DOWN = _powers(_BASE), _powers(pow(_BASE, -1, 1 << 64))
+_BYTES = np.random.default_rng(71).integers(1 << 63, size=256, dtype=np.uint64)
+_IS_SPACE = np.zeros(256, dtype=bool)
+_IS_SPACE[[9, 10, 11, 12, 13, 32]] = True
+
+
+def word_hashes(text: bytes) -> np.ndarray:
+    """64-bit hashes of the words of a byte string: sums of byte values times powers, from one running sum."""
+    out = []
+    at = 0
+    while at < len(text):
+        end = min(at + _PIECE, len(text))
+        if end < len(text):  # cut after the last space of the piece; a word longer than a piece is hashed whole
+            cut = max(text.rfind(bytes([c]), at, end) for c in (9, 10, 11, 12, 13, 32))
+            end = cut + 1 if cut >= at else next((i for i in range(end, len(text)) if _IS_SPACE[text[i]]), len(text))
+        b = np.frombuffer(text, dtype=np.uint8, count=end - at, offset=at)
+        at = end
+        if len(b) > _PIECE:
+            out.append(np.array([xxhash.xxh3_64_intdigest(b.tobytes())], dtype=np.uint64))
+            continue
+        word = np.zeros(len(b) + 2, dtype=bool)
+        np.logical_not(_IS_SPACE[b], out=word[1:-1])
+        edge = np.flatnonzero(word[1:] != word[:-1])
+        first, last = edge[::2], edge[1::2]
+        if not len(first):
+            continue
+        run = np.zeros(len(b) + 1, dtype=np.uint64)
+        np.cumsum(_BYTES[b] * _UP[: len(b)], out=run[1:])
+        h = (run[last] - run[first]) * _DOWN[first] + (last - first).astype(np.uint64)
+        h ^= h >> np.uint64(31)
+        h *= np.uint64(0x94D049BB133111EB)
+        h ^= h >> np.uint64(30)
+        out.append(h)
+    return out[0] if len(out) == 1 else np.concatenate([np.zeros(0, dtype=np.uint64), *out])
 
 
 def token_set(text: str | None, k: int) -> np.ndarray:
     """Sorted distinct shingle hashes."""
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()  # bytes: A-Z and ASCII white space only
-    if not words:
-        return np.zeros(0, dtype=np.uint64)
-    h = np.fromiter(map(_WORDS.__getitem__, words), dtype=np.uint64, count=len(words))
+    h = word_hashes((text or "").encode("utf-8", "surrogatepass").lower())  # bytes: A-Z and ASCII white space only
+    if not len(h):
+        return h
     if len(h) < k:
         return np.array([xxhash.xxh3_64_intdigest(h.tobytes(), seed=len(h))], dtype=np.uint64)
     x = h[: len(h) - k + 1].copy()
@@ -96,18 +136,23 @@ def sets_pass(docs: DataFrame, k: int) -> DataFrame:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         counts = np.zeros(BUCKETS, dtype="<u4")
         for b in batches:
-            n, cls = [], []
+            n, cls, found, size = [], [], [], 0
             for t in b["text"]:
                 s = token_set(t, k)
                 n.append(len(s))
                 cls.append(class_of(s) if len(s) else None)
-                np.add.at(counts, bucket_of(s), 1)
+                found.append(bucket_of(s).astype(np.int32))
+                size += len(s)
+                if size > 2_000_000:
+                    counts += np.bincount(np.concatenate(found), minlength=BUCKETS).astype("<u4")
+                    found, size = [], 0
+            if found:
+                counts += np.bincount(np.concatenate(found), minlength=BUCKETS).astype("<u4")
             yield pd.DataFrame({"doc_id": b["doc_id"], "n": n, "cls": pd.Series(cls, dtype="Int64"), "block": pd.Series([None] * len(b), dtype="Int32"), "salt": 0, "counts": None})
         used = [i for i in range(BUCKETS // ROW) if counts[i * ROW : (i + 1) * ROW].any()]
         salt = TaskContext.get().partitionId() % 256
         none = pd.Series([None] * len(used), dtype="Int64")
         yield pd.DataFrame({"doc_id": none, "n": 0, "cls": none, "block": pd.Series(used, dtype="Int32"), "salt": salt, "counts": [counts[i * ROW : (i + 1) * ROW].tobytes() for i in used]})
-        _WORDS.clear()
         release()
 
     return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n long, cls long, block int, salt int, counts binary")
@@ -151,7 +196,6 @@ def prefixes(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataF
                 size.append(n)
             many = list(map(len, tokens))
             yield pd.DataFrame({"token": np.concatenate(tokens or [np.zeros(0, dtype=np.uint64)]).view(np.int64), "cls": np.repeat(np.array(cls, dtype=np.int64), many), "n": np.repeat(np.array(size, dtype=np.int64), many)})
-        _WORDS.clear()
         release()
 
     return docs.select("text").mapInPandas(run, "token long, cls long, n long")
@@ -268,7 +312,6 @@ def candidate_sets(docs: DataFrame, words: np.ndarray, k: int, percent: int) ->
                     seen.add(c)
                 rows.append((c, len(s), s.view(np.int64)))
             yield pd.DataFrame(rows, columns=["cls", "n", "tokens"])
-        _WORDS.clear()
         release()
 
     found = docs.select("text").mapInPandas(run, "cls long, n long, tokens array<long>")
