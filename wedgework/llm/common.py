@@ -9,6 +9,7 @@ import shutil
 import tempfile
 import uuid
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -40,6 +41,19 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def keep(df: DataFrame, *older: DataFrame) -> DataFrame:
+    """Persist a frame of a loop on the executors' disks, all of it, then let its predecessors go.
+
+    For small frames between the rounds of a loop: a lost executor's part is computed anew from what the loop started with, and
+    no round leaves files behind. What is costly to compute anew is written instead (``materialise``).
+    """
+    df = df.persist(StorageLevel.DISK_ONLY)
+    df.count()
+    for x in older:
+        x.unpersist()
+    return df
+
+
 def discard(df: DataFrame) -> None:
     """Delete the files behind a materialised frame that no pending plan needs any more."""
     jvm = df.sparkSession._jvm

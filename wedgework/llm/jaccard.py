@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import discard, load, materialise, release
+from .common import keep, load, materialise, release
 
 #: Buckets of the token counts that make order 1, and of one row of a partition's counts.
 BUCKETS = 1 << 20
@@ -387,45 +387,42 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     """node, label (the smallest node reachable) for every node of the edges (a, b): each round sends every node to its smallest neighbour and contracts."""
-    edges = materialise(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct(), "edges")
-    labels = None
-    for _ in range(most_rounds):
+    edges = keep(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct())
+    labels = edges.select(F.col("a").alias("node"), F.col("b").alias("label")).limit(0)
+    parents: list[DataFrame] = []
+    for r in range(most_rounds):
         if edges.isEmpty():
             break
         ends = edges.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("a").alias("m")), F.struct(F.col("b").alias("node"), F.col("a").alias("m")))).alias("e")).select("e.*")
-        parent = materialise(ends.groupBy("node").agg(F.min("m").alias("up")), "parents")
-        if labels is None:
+        parent = keep(ends.groupBy("node").agg(F.min("m").alias("up")))
+        if r == 0:
             labels = parent.select("node", F.col("up").alias("label"))
         else:
-            older = labels
-            labels = materialise(labels.join(parent.select(F.col("node").alias("label"), "up"), "label", "left").select("node", F.coalesce("up", "label").alias("label")), "labels")
-            discard(older)
+            up = parent.select(F.col("node").alias("label"), "up")
+            labels = labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label"))
+        parents.append(parent)
         moved = edges.join(parent.select(F.col("node").alias("a"), F.col("up").alias("pa")), "a").join(parent.select(F.col("node").alias("b"), F.col("up").alias("pb")), "b")
-        older, edges = edges, materialise(moved.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct(), "edges")
-        discard(older)
-    if labels is None:
-        return edges.select(F.col("a").alias("node"), F.col("b").alias("label"))
-    return labels
+        edges = keep(moved.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct(), edges)
+    return keep(labels, edges, *parents)
 
 
 def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id of every document."""
     first = materialise(sets_pass(docs, k), "sets")
-    shared = materialise(shared_tokens(prefixes(docs, bucket_counts(first), k, percent)), "shared")
-    for _ in range(2):  # fewer rows of a class leave it fewer possible partners
-        older, shared = shared, materialise(prune_lists(shared.select("token", "cls", "n"), percent), "shared")
-        discard(older)
-    sets = materialise(candidate_sets(docs, candidate_filter(shared), k, percent), "candidates")
-    lists = shared.withColumn("label", F.col("cls"))
-    links, labels, r = None, None, 0
+    shared = keep(shared_tokens(prefixes(docs, bucket_counts(first), k, percent)))
+    lists = keep(prune_lists(shared, percent), shared)
+    sets = materialise(candidate_sets(docs, candidate_filter(lists), k, percent), "candidates")
+    lists = lists.withColumn("label", F.col("cls"))
+    links = labels = None
+    r = 0
     while not lists.isEmpty():
         pairs, left = pivot_pairs(lists, PIVOTS[min(r, len(PIVOTS) - 1)], percent)
-        found = materialise(verified(pairs, sets, percent).select("a", "b"), "links")
-        links = found if links is None else links.unionByName(found)
-        labels = components(links)
+        found = verified(pairs, sets, percent).select("a", "b")
+        links = keep(found if links is None else links.unionByName(found), *([links] if links is not None else []))
+        labels, older = components(links), labels
         known = left.join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
         open_ = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open")).where("open").select("token")
-        lists = materialise(known.join(open_, "token", "left_semi"), "lists")
+        lists = keep(known.join(open_, "token", "left_semi"), lists, *([older] if older is not None else []))
         r += 1
     rows = first.where("block IS NULL").select("doc_id", F.col("n").alias("n_shingles"), "cls")
     least = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("low"))
@@ -435,6 +432,8 @@ def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame
         of = least.join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
         of = materialise(of, "classes")
         named = of.join(of.groupBy("label").agg(F.min("low").alias("component_id")), "label").select("cls", "component_id")
+        for x in (links, labels, lists):
+            x.unpersist()
     return rows.join(named, "cls", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
