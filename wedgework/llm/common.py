@@ -16,6 +16,8 @@ from pyspark.sql import functions as F
 #: Characters that separate words: space and \x09-\x0D.
 WORD_SPACE = "\t\n\x0b\x0c\r "
 _OWN: list[str] = []
+#: Rows of one file of a loop's frame.
+KEEP_ROWS = 250_000
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -42,16 +44,17 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
 
 
 def keep(df: DataFrame, *older: DataFrame) -> DataFrame:
-    """Persist a frame of a loop on the executors' disks, all of it, then let its predecessors go.
+    """Write a frame of a loop into the shared folder, in as few files as its rows need, and delete the frames it replaces.
 
-    For small frames between the rounds of a loop: a lost executor's part is computed anew from what the loop started with, and
-    no round leaves files behind. What is costly to compute anew is written instead (``materialise``).
+    Each round starts from written rows, so plans don't grow with the rounds and a lost executor costs no earlier round.
     """
     df = df.persist(StorageLevel.DISK_ONLY)
-    df.count()
+    n = df.count()
+    written = materialise(df.coalesce(max(1, -(-n // KEEP_ROWS))), "round")
+    df.unpersist()
     for x in older:
-        x.unpersist()
-    return df
+        discard(x)
+    return written
 
 
 def discard(df: DataFrame) -> None:

@@ -5,9 +5,10 @@ or more share a token among their first ``n - ceil(t n) + 1`` tokens under any g
 
 1. Order 1 is rare tokens first: by the number of tokens, over all documents, in a token's hash bucket, then by hash. Prefix tokens are shuffled once; tokens
    that only one class has are dropped there, then rows of classes that share too few prefix tokens for any partner of their list.
-2. Within a token's list, pivots are compared with all others in rounds, and a pivot leaves the list when it has met everybody it
-   isn't yet connected with. A group of near copies thus costs about one comparison a member, not one for each pair, and the
-   rounds end when every list holds one component: no possible link is left out, whatever a list's size.
+2. In two first rounds each class meets one pivot of its lists, which connects most of a group of near copies at one comparison a
+   member. Then pivots of every list that still holds several components meet all other members that they aren't connected with
+   (in the first list that both share), and leave the list. The rounds end when every list holds one component: no possible link
+   is left out, whatever a list's size.
 3. Before a pair is verified it must also share prefix tokens under orders 2 and 3 (hash ascending and descending). Then the
    intersection is counted exactly.
 4. Components come from contraction rounds over the links.
@@ -27,13 +28,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import keep, load, materialise, release
+from .common import discard, keep, load, materialise, release
 
 #: Buckets of the token counts that make order 1, and of one row of a partition's counts.
 BUCKETS = 1 << 20
 ROW = 1 << 12
-#: Pivots of each list in the first and in later rounds.
-PIVOTS = (2, 24, 96, 384)
+#: Rounds in which a class meets one pivot only, and pivots of each list in the rounds after them.
+STARS = 2
+PIVOTS = (24, 96, 384)
 #: Bits of the filter of candidate classes at most (64 MB): beyond it more sets are sent, none is missed.
 FILTER_BITS = 29
 _K = np.uint64(0x9E3779B97F4A7C15)
@@ -318,18 +320,35 @@ def candidate_sets(docs: DataFrame, words: np.ndarray, k: int, percent: int) ->
     return found.groupBy("cls").agg(F.first("n").alias("n"), F.first("tokens").alias("tokens"))
 
 
+def star_pairs(lists: DataFrame, r: int, percent: int) -> DataFrame:
+    """One pair (a, b) for each class b at most: with the pivot that most of its lists have. Pivots are the lists' first classes by a hash of the round."""
+    order = F.xxhash64("cls", F.lit(r))
+    pivot = lists.groupBy("token").agg(F.min_by(F.struct("cls", "n", "s", "label"), order).alias("p"), (F.min("label") != F.max("label")).alias("open")).where("open").select("token", "p.*")
+    pivot = pivot.select("token", *(F.col(c).alias(f"p{c}") for c in ("cls", "n", "s", "label")))
+    overlap = f"ceil({percent} * (n + pn) / {100 + percent}) - ceil({percent} * greatest(n, pn) / 100) + 1"
+    met = lists.join(pivot, "token").where(f"label != plabel AND 100 * least(n, pn) >= {percent} * greatest(n, pn) AND least(s, ps) >= {overlap}")
+    return met.groupBy("cls", "pcls").agg(F.count(F.lit(1)).alias("c")).groupBy("cls").agg(F.max_by("pcls", "c").alias("a")).select("a", F.col("cls").alias("b"))
+
+
+def with_tokens(lists: DataFrame) -> DataFrame:
+    """Adds the class's tokens, ascending: a pair is made in the first list that both are in, and nowhere else."""
+    own = lists.groupBy("cls").agg(F.sort_array(F.collect_list("token")).alias("own"))
+    return lists.join(own, "cls")
+
+
 def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(pairs of each list's first members with all later ones of other components, what is left of the lists).
 
-    ``lists`` has token, cls, n, s, label. Rows come sorted, so only a list's pivots are held.
+    ``lists`` has token, cls, n, s, label, own. Rows come sorted, so only a list's pivots are held.
     """
     ordered = lists.repartition("token").sortWithinPartitions("token", "cls")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         token, held = None, 0
-        held_rows = tuple(np.zeros(pivots, dtype=np.int64) for _ in range(4))
+        held_rows = [np.zeros(pivots, dtype=np.int64) for _ in range(4)] + [[None] * pivots]
         for b in batches:
             t, *own = (b[x].to_numpy(np.int64) for x in ("token", "cls", "n", "s", "label"))
+            own.append(b["own"].to_numpy())
             starts = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]])) if len(t) else []
             out_a, out_b = [], []
             for s, e in zip(starts, [*starts[1:], len(t)], strict=True):
@@ -337,16 +356,16 @@ def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame,
                     token, held = t[s], 0
                 i = s
                 while i < e and held < pivots:  # a pivot meets the pivots before it, then joins them
-                    _meet(held_rows, held, [x[i : i + 1] for x in own], percent, out_a, out_b)
+                    _meet(token, held_rows, held, [x[i : i + 1] for x in own], percent, out_a, out_b)
                     for x, y in zip(held_rows, own, strict=True):
                         x[held] = y[i]
                     held, i = held + 1, i + 1
                 if i < e:
-                    _meet(held_rows, held, [x[i:e] for x in own], percent, out_a, out_b)
+                    _meet(token, held_rows, held, [x[i:e] for x in own], percent, out_a, out_b)
             if out_a:
-                yield pd.DataFrame({"a": np.concatenate(out_a), "b": np.concatenate(out_b)}).drop_duplicates()
+                yield pd.DataFrame({"a": out_a, "b": out_b})
 
-    pairs = ordered.mapInPandas(run, "a long, b long").distinct()
+    pairs = ordered.mapInPandas(run, "a long, b long")
 
     def rest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         token, met = None, 0
@@ -358,19 +377,23 @@ def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame,
             start = np.maximum.accumulate(np.where(first, np.arange(len(t)), 0))
             rank = np.arange(len(t)) - start + np.where((start == 0) & (t == token), met, 0)
             token, met = t[-1], int(rank[-1]) + 1
-            yield b[rank >= pivots][["token", "cls", "n", "s"]]
+            yield b[rank >= pivots][["token", "cls", "n", "s", "own"]]
 
-    return pairs, ordered.mapInPandas(rest, "token long, cls long, n long, s long")
+    return pairs, ordered.mapInPandas(rest, "token long, cls long, n long, s long, own array<long>")
 
 
-def _meet(pivots, held, rows, percent, out_a, out_b) -> None:
-    c, n, s, g = rows
+def _meet(token, pivots, held, rows, percent, out_a, out_b) -> None:
+    c, n, s, g, own = rows
+    sets: dict[int, set[int]] = {}
     for j in range(held):
-        pc, pn, ps, pg = (x[j] for x in pivots)
-        fit = (g != pg) & possible(n, pn, np.minimum(s, ps), percent)
-        if fit.any():
-            out_a.append(np.full(int(fit.sum()), pc))
-            out_b.append(c[fit])
+        pc, pn, ps, pg, mine = (x[j] for x in pivots)
+        for i in np.flatnonzero((g != pg) & possible(n, pn, np.minimum(s, ps), percent)):
+            theirs = sets.get(i)
+            if theirs is None:
+                theirs = sets[i] = set(own[i].tolist())
+            if next(t for t in mine.tolist() if t in theirs) == token:
+                out_a.append(pc)
+                out_b.append(c[i])
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -388,22 +411,20 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     """node, label (the smallest node reachable) for every node of the edges (a, b): each round sends every node to its smallest neighbour and contracts."""
     edges = keep(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct())
-    labels = edges.select(F.col("a").alias("node"), F.col("b").alias("label")).limit(0)
-    parents: list[DataFrame] = []
-    for r in range(most_rounds):
+    labels = None
+    for _ in range(most_rounds):
         if edges.isEmpty():
             break
         ends = edges.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("a").alias("m")), F.struct(F.col("b").alias("node"), F.col("a").alias("m")))).alias("e")).select("e.*")
         parent = keep(ends.groupBy("node").agg(F.min("m").alias("up")))
-        if r == 0:
+        moved = edges.join(parent.select(F.col("node").alias("a"), F.col("up").alias("pa")), "a").join(parent.select(F.col("node").alias("b"), F.col("up").alias("pb")), "b")
+        edges = keep(moved.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct(), edges)
+        if labels is None:
             labels = parent.select("node", F.col("up").alias("label"))
         else:
             up = parent.select(F.col("node").alias("label"), "up")
-            labels = labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label"))
-        parents.append(parent)
-        moved = edges.join(parent.select(F.col("node").alias("a"), F.col("up").alias("pa")), "a").join(parent.select(F.col("node").alias("b"), F.col("up").alias("pb")), "b")
-        edges = keep(moved.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct(), edges)
-    return keep(labels, edges, *parents)
+            labels = keep(labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label")), labels, parent)
+    return edges.select(F.col("a").alias("node"), F.col("b").alias("label")) if labels is None else labels
 
 
 def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
@@ -412,11 +433,16 @@ def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame
     shared = keep(shared_tokens(prefixes(docs, bucket_counts(first), k, percent)))
     lists = keep(prune_lists(shared, percent), shared)
     sets = materialise(candidate_sets(docs, candidate_filter(lists), k, percent), "candidates")
-    lists = lists.withColumn("label", F.col("cls"))
+    lists = keep(lists.withColumn("label", F.col("cls")), lists)
     links = labels = None
     r = 0
     while not lists.isEmpty():
-        pairs, left = pivot_pairs(lists, PIVOTS[min(r, len(PIVOTS) - 1)], percent)
+        if r < STARS:
+            pairs, left = star_pairs(lists, r, percent), lists.drop("label")
+        else:
+            if r == STARS:
+                lists = keep(with_tokens(lists), lists)
+            pairs, left = pivot_pairs(lists, PIVOTS[min(r - STARS, len(PIVOTS) - 1)], percent)
         found = verified(pairs, sets, percent).select("a", "b")
         links = keep(found if links is None else links.unionByName(found), *([links] if links is not None else []))
         labels, older = components(links), labels
@@ -433,7 +459,7 @@ def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame
         of = materialise(of, "classes")
         named = of.join(of.groupBy("label").agg(F.min("low").alias("component_id")), "label").select("cls", "component_id")
         for x in (links, labels, lists):
-            x.unpersist()
+            discard(x)
     return rows.join(named, "cls", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
