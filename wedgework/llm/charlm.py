@@ -244,33 +244,44 @@ def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool)
 class WordTable:
     """Scores of the white-space pieces that a worker has met, as rows of one array; beyond a bound it starts anew."""
 
-    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 200_000):
+    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 700_000):
         self.model, self.split, self.most = model, split, most
         self.clear()
 
     def clear(self) -> None:
         self.index: dict[str, int] = {}
         self.rows = np.zeros((1024, self.model.classes + 1), dtype=np.float32)
+        self.used = 0
 
     def learn(self, pieces: list[str]) -> None:
         for at in range(0, len(pieces), 50_000):
             self._learn(pieces[at : at + 50_000])
 
     def _learn(self, pieces: list[str]) -> None:
+        """Rows for the words that are new; a piece of one word shares its row, other pieces get the sum of their words."""
+        index = self.index
         parts = [self.split(p) for p in pieces]
-        words = list({w for ws in parts for w in ws})
-        sums, chars = self.model.words(words) if words else (np.zeros((0, self.model.classes)), np.zeros(0))
-        own = np.concatenate([sums, chars[:, None]], axis=1)
-        where = {w: i for i, w in enumerate(words)}
-        flat = np.fromiter((where[w] for ws in parts for w in ws), dtype=np.int64)
-        sizes = np.fromiter(map(len, parts), dtype=np.int64, count=len(parts))
-        back = np.repeat(np.arange(len(parts)), sizes)
-        first = len(self.index)
-        while first + len(pieces) > len(self.rows):
+        words = list({w for ws in parts for w in ws}.difference(index))
+        if words:
+            sums, chars = self.model.words(words)
+            self._add(words, np.concatenate([sums, chars[:, None]], axis=1))
+        others = [(p, ws) for p, ws in zip(pieces, parts, strict=True) if len(ws) != 1]
+        index.update((p, index[ws[0]]) for p, ws in zip(pieces, parts, strict=True) if len(ws) == 1)
+        if others:
+            flat = np.fromiter((index[w] for _, ws in others for w in ws), dtype=np.int64)
+            back = np.repeat(np.arange(len(others)), np.fromiter((len(ws) for _, ws in others), dtype=np.int64, count=len(others)))
+            own = np.zeros((len(others), self.rows.shape[1]))
+            for j in range(own.shape[1]):
+                own[:, j] = np.bincount(back, weights=self.rows[flat, j], minlength=len(others))
+            self._add([p for p, _ in others], own)
+
+    def _add(self, names: list[str], own: np.ndarray) -> None:
+        first = self.used
+        self.used += len(names)
+        while self.used > len(self.rows):
             self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
-        for j in range(self.model.classes + 1):
-            self.rows[first : first + len(pieces), j] = np.bincount(back, weights=own[flat, j], minlength=len(parts)) if len(flat) else 0.0
-        self.index.update(zip(pieces, range(first, first + len(pieces)), strict=True))
+        self.rows[first : self.used] = own
+        self.index.update(zip(names, range(first, self.used), strict=True))
 
     def texts(self, texts: list[str], most_chars: int = 4_000_000) -> Iterator[np.ndarray]:
         """For each text, the rows of its pieces in order: a column for each class, then predicted characters."""
