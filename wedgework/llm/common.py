@@ -57,6 +57,12 @@ def keep(df: DataFrame, *older: DataFrame) -> DataFrame:
     return written
 
 
+def tidy(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of finished rounds now: it does so when the driver's garbage is collected."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def discard(df: DataFrame) -> None:
     """Delete the files behind a materialised frame that no pending plan needs any more."""
     jvm = df.sparkSession._jvm

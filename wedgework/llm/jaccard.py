@@ -28,7 +28,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import discard, keep, load, materialise, release
+from .common import discard, keep, load, materialise, release, tidy
 
 #: Buckets of the token counts that make order 1, and of one row of a partition's counts.
 BUCKETS = 1 << 20
@@ -36,6 +36,8 @@ ROW = 1 << 12
 #: Rounds in which a class meets one pivot only, and pivots of each list in the rounds after them.
 STARS = 2
 PIVOTS = (24, 96, 384)
+#: Tokens of a class that tell in which of its lists a pair is made.
+FIRST = 6
 #: Bits of the filter of candidate classes at most (64 MB): beyond it more sets are sent, none is missed.
 FILTER_BITS = 29
 _K = np.uint64(0x9E3779B97F4A7C15)
@@ -331,8 +333,8 @@ def star_pairs(lists: DataFrame, r: int, percent: int) -> DataFrame:
 
 
 def with_tokens(lists: DataFrame) -> DataFrame:
-    """Adds the class's tokens, ascending: a pair is made in the first list that both are in, and nowhere else."""
-    own = lists.groupBy("cls").agg(F.sort_array(F.collect_list("token")).alias("own"))
+    """Adds the class's first tokens, ascending: where two classes have some of these in common, their pair is made in the first such list only."""
+    own = lists.groupBy("cls").agg(F.slice(F.sort_array(F.collect_list("token")), 1, FIRST).alias("own"))
     return lists.join(own, "cls")
 
 
@@ -365,7 +367,7 @@ def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame,
             if out_a:
                 yield pd.DataFrame({"a": out_a, "b": out_b})
 
-    pairs = ordered.mapInPandas(run, "a long, b long")
+    pairs = ordered.mapInPandas(run, "a long, b long").distinct()
 
     def rest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         token, met = None, 0
@@ -391,7 +393,7 @@ def _meet(token, pivots, held, rows, percent, out_a, out_b) -> None:
             theirs = sets.get(i)
             if theirs is None:
                 theirs = sets[i] = set(own[i].tolist())
-            if next(t for t in mine.tolist() if t in theirs) == token:
+            if next((t for t in mine.tolist() if t in theirs), token) == token:
                 out_a.append(pc)
                 out_b.append(c[i])
 
@@ -432,6 +434,7 @@ def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame
     first = materialise(sets_pass(docs, k), "sets")
     shared = keep(shared_tokens(prefixes(docs, bucket_counts(first), k, percent)))
     lists = keep(prune_lists(shared, percent), shared)
+    tidy(docs.sparkSession)
     sets = materialise(candidate_sets(docs, candidate_filter(lists), k, percent), "candidates")
     lists = keep(lists.withColumn("label", F.col("cls")), lists)
     links = labels = None
@@ -449,6 +452,7 @@ def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame
         known = left.join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
         open_ = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open")).where("open").select("token")
         lists = keep(known.join(open_, "token", "left_semi"), lists, *([older] if older is not None else []))
+        tidy(docs.sparkSession)
         r += 1
     rows = first.where("block IS NULL").select("doc_id", F.col("n").alias("n_shingles"), "cls")
     least = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("low"))
