@@ -54,6 +54,7 @@ def keep(df: DataFrame, *older: DataFrame) -> DataFrame:
     df.unpersist()
     for x in older:
         discard(x)
+    tidy(df.sparkSession)
     return written
 
 
