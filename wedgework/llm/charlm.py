@@ -5,6 +5,11 @@ their counts, all others the number of distinct characters before them. Every gr
 interpolated log probability under each class; contexts have rows with the back-off weights. Gram hashes are sorted, so a batch of
 words is scored by binary search, longest gram first, with back-off weights where a gram is unknown.
 
+``scored`` never holds a model in one place. Texts are cut into words once and kept as codes; the distinct words make the grams, whose
+counts, continuation counts and context sums are plain aggregates over all grams, without a bound. Batches of distinct words ask for
+the rows of their own grams and get their probabilities from these by the recursion; chunks of texts ask for the scores of their own
+words. Only discounts and totals (one row for each order) reach the driver. ``build`` is the same model in memory, for small corpora.
+
 With ``shared=True`` only word-initial grams are counted for each class (up to ``order`` characters, so they hold whole stems); grams
 inside words, up to ``free`` characters, are estimated from all classes together. An expression that a class hardly knows then backs off
 to the same probability under each, and only what a class really prefers tells them apart.
@@ -18,16 +23,20 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, release
+from .common import discard, materialise, release, tidy
 
 BEGIN, FINISH = "\x02", "\x03"
 #: Longest word, in characters, that is taken as one unit; longer ones are cut into units of this size.
 UNIT = 64
-#: Rows of the model: beyond it, the rarest grams of the highest orders are left out (a bound of the model, not of the corpus).
-MOST_GRAMS = 800_000
+#: Characters of texts that share one list of words, characters that are cut up at a time, and distinct words that are scored at a time.
+CHUNK = 16_000_000
+SLICE = 4_000_000
+BATCH = 20_000
 _RNG = np.random.default_rng(20240229)
 _FACTORS = (_RNG.integers(1 << 62, size=16, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
 
@@ -79,30 +88,23 @@ def gram_rows(counts: dict[int, Counter], order: int, free: int) -> Iterator[pd.
             })
 
 
-def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 80_000, once: bool = False, labels=None) -> DataFrame:
-    """Gram counts of (text, k) rows; with ``labels``, a broadcast pair of sorted ids and their classes, of (text, doc_id) rows. Words are counted within the partition first, so that each distinct one is cut up once.
-
-    ``once``: a text counts each of its words once, so that repeated lines don't make an expression look common.
-    """
+def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 80_000) -> DataFrame:
+    """Gram counts of (text, k) rows. Words are counted within the partition first, so that each distinct one is cut up once."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        _TABLES.clear()  # a new model is being made
         raw: dict[int, Counter] = {}
         for b in batches:
-            if labels is not None:
-                b = b.assign(k=classes_of(b["doc_id"], labels.value))
-            for k, texts in b.where(b["k"] >= 0).dropna(subset=["k"]).groupby("k")["text"]:
+            for k, texts in b.groupby("k")["text"]:
                 for t in texts:
                     known = raw.setdefault(int(k), Counter())
-                    known.update(set(t.split()) if once else t.split())
+                    known.update(t.split())
                     if len(known) > most_words:
                         yield from gram_rows(_cleaned({int(k): raw.pop(int(k))}, split), order, free)
         yield from gram_rows(_cleaned(raw, split), order, free)
         release()
 
     schema = "n int, gram long, suffix long, context long, first boolean, k int, c long"
-    key = "k" if labels is None else "doc_id"
-    return rows.select("text", key).where(f"text IS NOT NULL AND {key} IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
+    return rows.select("text", "k").where("text IS NOT NULL AND k IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
 
 
 def classes_of(doc_id: pd.Series, labels: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
@@ -171,23 +173,13 @@ def _look(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return table[i] == keys, i
 
 
-def build(counted: DataFrame, order: int, free: int, classes: int, shared: bool, least: int = 1) -> Model:
-    """The model from gram counts; the driver gets at most ``MOST_GRAMS`` distinct grams, those with the largest counts."""
-    wide = counted.groupBy("n", "gram", "suffix", "context", "first").agg(*(F.sum(F.when(F.col("k") == k, F.col("c")).otherwise(0)).alias(f"c{k}") for k in range(classes)))
-    total = sum((F.col(f"c{k}") for k in range(1, classes)), F.col("c0"))
-    wide = materialise(wide.withColumn("total", total), "grams")  # read twice; the texts are not
-    if least > 1:
-        wide = wide.where((F.col("total") >= least) | (F.col("n") <= 2))
-    limit, sizes = least, wide.groupBy(F.least("total", F.lit(1000)).alias("t")).agg(F.count(F.lit(1)).alias("m")).collect()
-    rows = sum(r.m for r in sizes)
-    for r in sorted(sizes, key=lambda r: r.t):
-        if rows <= MOST_GRAMS:
-            break
-        rows, limit = rows - r.m, r.t + 1
-    if limit > least:
-        wide = wide.where((F.col("total") >= limit) | (F.col("n") <= 2))
-    table = wide.drop("total").toArrow().to_pandas()
-    return fit(table, order, free, classes, shared)
+def build(counted: DataFrame, order: int, free: int, classes: int, shared: bool) -> Model:
+    """The model from gram counts, all of which the driver gets: for corpora whose grams fit into memory."""
+    return fit(_wide(counted, classes).toArrow().to_pandas(), order, free, classes, shared)
+
+
+def _wide(counted: DataFrame, classes: int) -> DataFrame:
+    return counted.groupBy("n", "gram", "suffix", "context", "first").agg(*(F.sum(F.when(F.col("k") == k, F.col("c")).otherwise(0)).alias(f"c{k}") for k in range(classes)))
 
 
 def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool) -> Model:
@@ -241,76 +233,231 @@ def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool)
     return Model(order, free, classes, [x["h"] for x in by], [np.log(np.maximum(p, 1e-300)).astype(np.float32) for p in probs], [w[0] for w in weights], [w[1].astype(np.float32) for w in weights], np.log(unknown))
 
 
-class WordTable:
-    """Scores of the white-space pieces that a worker has met, as rows of one array; beyond a bound it starts anew."""
-
-    def __init__(self, model: Model, split: Callable[[str], list[str]], most: int = 700_000):
-        self.model, self.split, self.most = model, split, most
-        self.clear()
-
-    def clear(self) -> None:
-        self.index: dict[str, int] = {}
-        self.rows = np.zeros((1024, self.model.classes + 1), dtype=np.float32)
-        self.used = 0
-
-    def learn(self, pieces: list[str]) -> None:
-        for at in range(0, len(pieces), 50_000):
-            self._learn(pieces[at : at + 50_000])
-
-    def _learn(self, pieces: list[str]) -> None:
-        """Rows for the words that are new; a piece of one word shares its row, other pieces get the sum of their words."""
-        index = self.index
-        parts = [self.split(p) for p in pieces]
-        words = list({w for ws in parts for w in ws}.difference(index))
-        if words:
-            sums, chars = self.model.words(words)
-            self._add(words, np.concatenate([sums, chars[:, None]], axis=1))
-        others = [(p, ws) for p, ws in zip(pieces, parts, strict=True) if len(ws) != 1]
-        index.update((p, index[ws[0]]) for p, ws in zip(pieces, parts, strict=True) if len(ws) == 1)
-        if others:
-            flat = np.fromiter((index[w] for _, ws in others for w in ws), dtype=np.int64)
-            back = np.repeat(np.arange(len(others)), np.fromiter((len(ws) for _, ws in others), dtype=np.int64, count=len(others)))
-            own = np.zeros((len(others), self.rows.shape[1]))
-            for j in range(own.shape[1]):
-                own[:, j] = np.bincount(back, weights=self.rows[flat, j], minlength=len(others))
-            self._add([p for p, _ in others], own)
-
-    def _add(self, names: list[str], own: np.ndarray) -> None:
-        first = self.used
-        self.used += len(names)
-        while self.used > len(self.rows):
-            self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
-        self.rows[first : self.used] = own
-        self.index.update(zip(names, range(first, self.used), strict=True))
-
-    def texts(self, texts: list[str], most_chars: int = 4_000_000) -> Iterator[np.ndarray]:
-        """For each text, the rows of its pieces in order: a column for each class, then predicted characters."""
-        group: list[list[str]] = []
-        size = 0
-        for t in texts:
-            group.append(t.split())
-            size += len(t)
-            if size > most_chars:
-                yield from self._group(group)
-                group, size = [], 0
-        yield from self._group(group)
-
-    def _group(self, group: list[list[str]]) -> Iterator[np.ndarray]:
-        fresh = set().union(*group).difference(self.index)
-        if len(self.index) + len(fresh) > self.most:
-            self.clear()
-            fresh = set().union(*group)
-        self.learn(list(fresh))
-        for g in group:
-            yield self.rows[np.fromiter(map(self.index.__getitem__, g), dtype=np.int64, count=len(g))]
-
-
-_TABLES: dict[int, tuple[object, WordTable]] = {}
-
-
-def table_for(sent, split: Callable[[str], list[str]]) -> WordTable:
-    """The worker's table for a broadcast model; the tables of earlier models go."""
-    if sent.id not in _TABLES if hasattr(sent, "id") else True:
-        _TABLES.clear()
-        _TABLES[getattr(sent, "id", 0)] = (sent, WordTable(sent.value, split))
-    return next(iter(_TABLES.values()))[1]
+def encode(rows: DataFrame, carried: list[str], classes: int, split: Callable[[str], list[str]], labels=None) -> DataFrame:
+    """Texts as codes of words, in chunks: rows (chunk, carried columns, codes) and, for each distinct word of the chunk, rows (chunk, key, code, c0..).
+
+    A white-space piece counts as the words that ``split`` finds in it, joined by blanks. ``c``: how often texts of each class have the
+    key; the class is the column k (null: none) or, with ``labels``, a broadcast pair of sorted ids and their classes.
+    """
+    schema = ", ".join(["chunk long", *(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried), "codes binary", "key string", "code int", *(f"c{k} long" for k in range(classes))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        chunk, size = TaskContext.get().partitionId() << 24, 0
+        index: dict[str, int] = {}  # piece to code
+        keys: dict[str, int] = {}
+        counts = np.zeros((classes, 0), dtype=np.int64)
+
+        def batch(m: int, own: dict, like: pa.RecordBatch) -> pa.RecordBatch:
+            names = ["chunk", *carried, "codes", "key", "code", *(f"c{k}" for k in range(classes))]
+            kinds = [pa.int64(), *(like.schema.field(c).type for c in carried), pa.binary(), pa.string(), pa.int32(), *[pa.int64()] * classes]
+            own["chunk"] = pa.array(np.full(m, chunk))
+            return pa.RecordBatch.from_arrays([own[x] if x in own else pa.nulls(m, t) for x, t in zip(names, kinds, strict=True)], names=names)
+
+        def ended(like: pa.RecordBatch) -> pa.RecordBatch:
+            own = {"key": pa.array(list(keys), pa.string()), "code": pa.array(np.arange(len(keys), dtype=np.int32))}
+            return batch(len(keys), own | {f"c{k}": pa.array(counts[k]) for k in range(classes)}, like)
+
+        b = None
+        for b in batches:
+            if labels is None:
+                of = np.array([-1 if k is None else k for k in b.column("k").to_pylist()], dtype=np.int64)
+            else:
+                of = np.array([class_of(i, labels.value) for i in b.column("doc_id").to_pylist()], dtype=np.int64)
+            texts = b.column("text")
+            at = 0
+            while at < len(b):
+                first, chars, pieces = at, 0, []
+                while at < len(b) and chars < SLICE:
+                    t = texts[at].as_py() or ""
+                    pieces.append(t.split())
+                    chars, at = chars + len(t), at + 1
+                for p in set().union(*pieces).difference(index):
+                    index[p] = keys.setdefault(" ".join(split(p)), len(keys))
+                codes = [np.fromiter(map(index.__getitem__, g), dtype=np.int32, count=len(g)) for g in pieces]
+                counts = np.pad(counts, ((0, 0), (0, len(keys) - counts.shape[1])))
+                for k in range(classes):
+                    taught = [c for c, x in zip(codes, of[first:at], strict=True) if x == k]
+                    if taught:
+                        counts[k] += np.bincount(np.concatenate(taught), minlength=len(keys))
+                own = {c: b.column(c).slice(first, at - first) for c in carried}
+                yield batch(at - first, own | {"codes": pa.array([c.tobytes() for c in codes], pa.binary())}, b)
+                size += chars
+                if size > CHUNK:
+                    yield ended(b)
+                    index, keys, counts = {}, {}, np.zeros((classes, 0), dtype=np.int64)
+                    chunk, size = chunk + 1, 0
+        if b is not None and keys:
+            yield ended(b)
+        release()
+
+    return materialise(rows.mapInArrow(run, schema), "codes")
+
+
+def class_of(doc_id: int | None, labels: tuple[np.ndarray, np.ndarray]) -> int:
+    ids, classes = labels
+    i = -1 if doc_id is None else int(np.searchsorted(ids, doc_id))
+    return int(classes[i]) if 0 <= i < len(ids) and ids[i] == doc_id else -1
+
+
+def word_batches(coded: DataFrame, classes: int) -> DataFrame:
+    """key, c0.., batch of every distinct key of the corpus; a batch holds neighbours in alphabetical order, which share their first grams."""
+    names = [f"c{k}" for k in range(classes)]
+    words = materialise(coded.where("key IS NOT NULL").groupBy("key").agg(*(F.sum(c).alias(c) for c in names)), "words")
+    n = max(1, -(-words.count() // BATCH))
+    return _instead(words.repartitionByRange(n, "key").withColumn("batch", F.spark_partition_id()), "batches", words)
+
+
+def _instead(df: DataFrame, label: str, *older: DataFrame) -> DataFrame:
+    """Write a frame, then delete those that it replaces and the shuffle files of finished steps."""
+    written = materialise(df, label)
+    del df
+    for x in older:
+        discard(x)
+    tidy(written.sparkSession)
+    return written
+
+
+def gram_table(words: DataFrame, order: int, free: int, classes: int, shared: bool) -> tuple[DataFrame, list[tuple]]:
+    """Rows (gram, c0.., t0.., m0..) of all grams: what counts for the gram, and the sum and number of the counts that follow it as a context; and (letters, discounts, sum, number) of each order."""
+    cs, ks = [f"c{k}" for k in range(classes)], range(classes)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            counts: dict[int, Counter] = {}
+            for k in ks:
+                own = counts[k] = Counter()
+                taught = b[b[f"c{k}"] > 0]
+                for key, c in zip(taught["key"], taught[f"c{k}"], strict=True):
+                    for w in key.split(" ") if key else ():
+                        own[w] += c
+            yield from gram_rows(counts, order, free)
+        release()
+
+    grams = _instead(_wide(words.mapInPandas(run, "n int, gram long, suffix long, context long, first boolean, k int, c long"), classes), "grams")
+    # each gram and, below the highest free order, the grams that it ends: how many are known to each class
+    own = grams.select("n", "gram", "context", "first", *cs, *(F.lit(0).cast("long").alias(f"b{k}") for k in ks))
+    ends = grams.where((F.col("n") > 1) & (F.col("n") <= free)).select((F.col("n") - 1).alias("n"), F.col("suffix").alias("gram"), F.lit(None).cast("long").alias("context"), F.lit(False).alias("first"), *(F.lit(0).cast("long").alias(c) for c in cs), *((F.col(c) > 0).cast("long").alias(f"b{k}") for k, c in enumerate(cs)))
+    both = own.unionByName(ends).groupBy("n", "gram").agg(F.max("context").alias("context"), F.max("first").alias("first"), *(F.sum(x).alias(x) for k in ks for x in (f"c{k}", f"b{k}")))
+    counting = {k: F.when((F.col("n") >= free) | F.col("first"), F.col(f"c{k}")).otherwise(F.col(f"b{k}")) for k in ks}
+    if shared:
+        every = sum((counting[k] for k in range(1, classes)), counting[0])
+        counting = {k: F.when(F.col("first"), counting[k]).otherwise(every) for k in ks}
+    both = both.select("n", "gram", "context", *(counting[k].alias(f"c{k}") for k in ks))
+    counted = materialise(both, "counted")
+    del own, ends, both
+    discard(grams)
+    tidy(words.sparkSession)
+    sums = counted.groupBy("n").agg(F.count(F.lit(1)).alias("rows"), *(f(c).alias(f"{x}{k}") for k, c in enumerate(cs) for x, f in (("one", lambda c: F.count_if(F.col(c) == 1)), ("two", lambda c: F.count_if(F.col(c) == 2)), ("sum", F.sum), ("kinds", lambda c: F.count_if(F.col(c) > 0)))))
+    by = {r.n: r for r in sums.collect()}  # one row for each order
+    orders = []
+    for n in range(1, order + 1):
+        one, two, total, kinds = (np.array([by[n][f"{x}{k}"] if n in by else 0 for k in ks], dtype=float) for x in ("one", "two", "sum", "kinds"))
+        d = np.clip(np.where(one > 0, one / np.maximum(one + 2 * two, 1), 0.5), 0.1, 0.95)
+        orders.append(((by[n].rows if n in by else 0) + 1, d, total, kinds))
+    zeros = [F.lit(0).cast("long").alias(f"{x}{k}") for x in "tm" for k in ks]
+    follow = counted.where("n > 1").select(F.col("context").alias("gram"), *(F.lit(0).cast("long").alias(c) for c in cs), *(F.col(c).alias(f"t{k}") for k, c in enumerate(cs)), *((F.col(c) > 0).cast("long").alias(f"m{k}") for k, c in enumerate(cs)))
+    table = counted.select("gram", *cs, *zeros).unionByName(follow).groupBy("gram").agg(*(F.sum(f"{x}{k}").alias(f"{x}{k}") for x in "ctm" for k in ks))
+    del follow
+    return _instead(table, "model", counted), orders
+
+
+def _places(place: np.ndarray, n: int, free: int) -> np.ndarray:
+    return np.flatnonzero(place >= max(n - 1, 1) if n <= free else place == n - 1)
+
+
+def asked(words: DataFrame, order: int, free: int) -> DataFrame:
+    """(batch, gram): the grams that a batch of words needs, once each."""
+
+    def needed(i: int, keys: list[str]) -> pd.DataFrame:
+        points, _, place = units([w for key in keys for w in key.split(" ")])
+        hashes = gram_hashes(points, order)
+        # contexts are grams of the place before; only the opening mark isn't among them
+        need = np.unique(np.concatenate([hashes[0][place == 0], *(hashes[n - 1][_places(place, n, free)] for n in range(1, order + 1))]))
+        return pd.DataFrame({"batch": np.int32(i), "gram": need.view(np.int64)})
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: tuple[int, list[str]] | None = None
+        for b in batches:
+            for i, own in b.groupby("batch"):
+                if held and held[0] != i:
+                    yield needed(*held)
+                    held = None
+                held = held or (i, [])
+                held[1].extend(own["key"])
+        if held:
+            yield needed(*held)
+        release()
+
+    return words.select("batch", "key").sortWithinPartitions("batch").mapInPandas(run, "batch int, gram long")
+
+
+def log_probabilities(points: np.ndarray, place: np.ndarray, table: np.ndarray, rows: np.ndarray, orders: list[tuple], free: int) -> np.ndarray:
+    """Log probability of each character under each class (0 for opening marks), from rows (c, t, m) of sorted gram hashes."""
+    order, classes = len(orders), len(orders[0][1])
+    hashes = gram_hashes(points, order)
+    p = np.full((len(points), classes), 1.0 / max(orders[0][0], 2))
+    none = np.zeros((1, 3 * classes))
+    rows = np.concatenate([rows, none])  # the last row stands for unknown grams
+    for n in range(1, order + 1):
+        at = _places(place, n, free)
+        found, i = _look(table, hashes[n - 1][at])
+        c = rows[np.where(found, i, -1), :classes]
+        d, total, kinds = orders[n - 1][1:]
+        if n > 1:
+            found, i = _look(table, hashes[n - 2][at - 1])
+            before = rows[np.where(found, i, -1), classes:]
+            total, kinds = before[:, :classes], before[:, classes:]
+        some = np.maximum(total, 1)
+        p[at] = np.where(total > 0, np.maximum(c - d, 0) / some + d * kinds / some * p[at], p[at])
+    return np.where(place[:, None] >= 1, np.log(np.maximum(p, 1e-300)), 0.0)
+
+
+def word_scores(words: DataFrame, table: DataFrame, orders: list[tuple], free: int) -> DataFrame:
+    """key, s0.. (summed log probabilities under each class), chars (predicted characters)."""
+    order, classes = len(orders), len(orders[0][1])
+    answers = asked(words, order, free).join(table, "gram").withColumnRenamed("batch", "of")  # cogroup takes no name twice
+
+    def run(own: pa.Table, known: pa.Table) -> pa.Table:
+        keys = own["key"].to_pylist()
+        parts = [key.split(" ") if key else [] for key in keys]
+        sums, chars = np.zeros((len(keys), classes)), np.zeros(len(keys), dtype=np.int64)
+        flat = [w for ws in parts for w in ws]
+        if flat:
+            points, owner, place = units(flat)
+            owner = np.repeat(np.arange(len(keys)), list(map(len, parts)))[owner]
+            grams = known["gram"].to_numpy().view(np.uint64)
+            sort = np.argsort(grams)
+            rows = np.stack([known[f"{x}{k}"].to_numpy() for x in "ctm" for k in range(classes)], axis=1)[sort].astype(float)
+            p = log_probabilities(points, place, grams[sort], rows, orders, free)
+            for k in range(classes):
+                sums[:, k] = np.bincount(owner, weights=p[:, k], minlength=len(keys))
+            chars = np.bincount(owner[place >= 1], minlength=len(keys))
+        return pa.table({"key": pa.array(keys, pa.string())} | {f"s{k}": sums[:, k] for k in range(classes)} | {"chars": pa.array(chars, pa.int64())})
+
+    schema = ", ".join(["key string", *(f"s{k} double" for k in range(classes)), "chars long"])
+    return words.select("batch", "key").groupBy("batch").cogroup(answers.groupBy("of")).applyInArrow(run, schema)
+
+
+def scored(rows: DataFrame, carried: list[str], order: int, free: int, classes: int, shared: bool, split: Callable[[str], list[str]], measure: Callable[[list[np.ndarray]], pa.Table], schema: str, labels=None) -> DataFrame:
+    """The carried columns of (text, carried, k or doc_id) rows and what ``measure`` returns for their texts under the model of the labelled ones.
+
+    ``measure`` gets, for each text, the rows of its pieces in order: a log probability for each class, then predicted characters.
+    """
+    coded = encode(rows, carried, classes, split, labels)
+    words = word_batches(coded, classes)
+    table, orders = gram_table(words, order, free, classes, shared)
+    scores = _instead(word_scores(words, table, orders, free), "scores", table, words)
+    names = [*(f"s{k}" for k in range(classes)), "chars"]
+    own = coded.where("key IS NOT NULL").select("chunk", "key", "code").join(scores, "key").select(F.col("chunk").alias("of"), "code", *names)
+    texts = coded.where("key IS NULL").select("chunk", *carried, "codes")
+
+    def run(docs: pa.Table, known: pa.Table) -> pa.Table:
+        table = np.zeros((len(known), classes + 1), dtype=np.float32)
+        table[known["code"].to_numpy()] = np.stack([known[x].to_numpy() for x in names], axis=1)
+        found = measure(table[np.frombuffer(c.as_py(), dtype=np.int32)] for c in docs["codes"])
+        for i, c in enumerate(carried):
+            found = found.add_column(i, docs.schema.field(c), docs[c])
+        return found
+
+    head = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried)
+    return texts.groupBy("chunk").cogroup(own.groupBy("of")).applyInArrow(run, f"{head}, {schema}")

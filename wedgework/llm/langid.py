@@ -14,12 +14,12 @@ import re
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .charlm import build, count_grams, table_for
-from .common import held_out, load, materialise, release
+from .charlm import scored
+from .common import held_out, load, materialise
 
 ORDER = 5
 #: Deviations above a language's usual cross-entropy that a text may have.
@@ -27,7 +27,7 @@ Z = 8.0
 #: Characters of evidence at most behind ``score``; it would be 1.0 for nearly every long text otherwise.
 EVIDENCE = 60
 _RUNS = re.compile(r"[^\W\d_]+").findall
-SCORED = "doc_id long, held_out boolean, lang string, lang_pred string, score double, cross_entropy double, n_letters long"
+SCORED = "lang_pred string, score double, cross_entropy double, n_letters long"
 
 
 def letters(piece: str) -> list[str]:
@@ -38,56 +38,45 @@ def letters(piece: str) -> list[str]:
     return [w for r in _RUNS(low) for w in ([r] if r.isalpha() else "".join(c if c.isalpha() else " " for c in r).split())]
 
 
-def train(docs: DataFrame, order: int = ORDER):
-    """(languages, model) from the rows that aren't held out."""
-    known = docs.where(~held_out() & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    langs = sorted(r.lang for r in known.select("lang").distinct().collect())  # one row for each language
-    if not langs:
-        return langs, None
-    rows = known.select("text", (F.array_position(F.array(*map(F.lit, langs)), F.col("lang")) - 1).cast("int").alias("k"))
-    return langs, build(count_grams(rows, order, order, letters), order, order, len(langs), shared=False)
-
-
-def score(docs: DataFrame, langs: list[str], model) -> DataFrame:
-    """One narrow pass; ``lang`` is only carried along for the calibration."""
+def score(docs: DataFrame, order: int = ORDER) -> DataFrame:
+    """Models from the rows that have a language and aren't held out, and every row under them; ``lang`` is carried along for the calibration."""
     rows = docs.select("doc_id", "text", "lang", held_out().alias("held_out"))
+    known = rows.where("NOT held_out AND lang IS NOT NULL AND text IS NOT NULL")
+    langs = sorted(r.lang for r in known.select("lang").distinct().collect())  # one row for each language
     if not langs:
         return rows.select("doc_id", "held_out", "lang", F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"), F.lit(None).cast("double").alias("cross_entropy"), F.lit(0).cast("long").alias("n_letters"))
-    sent = docs.sparkSession.sparkContext.broadcast(model)
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        table = table_for(sent, letters)
-        for b in batches:
-            pred, conf, ce, size = [], [], [], []
-            for r in table.texts([t or "" for t in b["text"]]):
-                sums = r.sum(axis=0, dtype=np.float64)
-                n = sums[-1]
-                if n <= 0:
-                    pred.append("und"), conf.append(0.0), ce.append(None), size.append(0)
-                    continue
-                h = -sums[:-1] / n
-                i = int(np.argmin(h))
-                pred.append(langs[i])
-                conf.append(float(1 / np.exp((h[i] - h) * min(n, EVIDENCE)).sum()))
-                ce.append(float(h[i]))
-                size.append(int(n))
-            yield pd.DataFrame({"doc_id": b["doc_id"], "held_out": b["held_out"], "lang": b["lang"], "lang_pred": pred, "score": conf, "cross_entropy": pd.Series(ce, dtype="float64"), "n_letters": size})
-        release()
-
-    return rows.mapInPandas(run, SCORED)
+    k = F.when(~F.col("held_out") & F.col("lang").isNotNull(), F.array_position(F.array(*map(F.lit, langs)), F.col("lang")) - 1).cast("int")
+
+    def measure(texts: Iterator[np.ndarray]) -> pa.Table:
+        pred, conf, ce, size = [], [], [], []
+        for r in texts:
+            sums = r.sum(axis=0, dtype=np.float64)
+            n = sums[-1]
+            if n <= 0:
+                pred.append("und"), conf.append(0.0), ce.append(None), size.append(0)
+                continue
+            h = -sums[:-1] / n
+            i = int(np.argmin(h))
+            pred.append(langs[i])
+            conf.append(float(1 / np.exp((h[i] - h) * min(n, EVIDENCE)).sum()))
+            ce.append(float(h[i]))
+            size.append(int(n))
+        return pa.table({"lang_pred": pa.array(pred, pa.string()), "score": pa.array(conf, pa.float64()), "cross_entropy": pa.array(ce, pa.float64()), "n_letters": pa.array(size, pa.int64())})
+
+    return scored(rows.withColumn("k", k), ["doc_id", "held_out", "lang"], order, order, len(langs), False, letters, measure, SCORED)
 
 
 def identify(docs: DataFrame, order: int = ORDER, z: float = Z) -> DataFrame:
     """doc_id, held_out, lang_pred, score, cross_entropy, n_letters, rejected."""
-    scored = materialise(score(docs, *train(docs, order)), "languages")
+    found = materialise(score(docs, order), "languages")
     usual = (
-        scored.where(~F.col("held_out") & (F.col("lang") == F.col("lang_pred")))
+        found.where(~F.col("held_out") & (F.col("lang") == F.col("lang_pred")))
         .groupBy(F.col("lang").alias("own"))
         .agg(F.avg("cross_entropy").alias("mean"), F.coalesce(F.stddev_pop("cross_entropy"), F.lit(0.0)).alias("sd"))
     )
     limit = F.col("mean") + F.lit(z) * (F.col("sd") + F.lit(1.5) / F.sqrt(F.greatest("n_letters", F.lit(1))))
     # one row for each language
-    return scored.join(F.broadcast(usual), F.col("own") == F.col("lang_pred"), "left").select(
+    return found.join(F.broadcast(usual), F.col("own") == F.col("lang_pred"), "left").select(
         "doc_id", "held_out", "lang_pred", "score", "cross_entropy", "n_letters", ((F.col("lang_pred") == "und") | F.coalesce(F.col("cross_entropy") > limit, F.lit(False))).alias("rejected")
     )
 

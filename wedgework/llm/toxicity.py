@@ -16,11 +16,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .charlm import build, classes_of, count_grams, table_for
-from .common import load, materialise, release
+from .charlm import classes_of, scored
+from .common import load, materialise
 from .langid import letters
 
 #: Characters of word-initial grams, which are the classes' own, and of the shared grams inside words.
@@ -60,27 +61,26 @@ def labelled_rows(found: DataFrame, known: pd.DataFrame, folds: tuple[int, ...])
     return found.select("doc_id", *FEATURES).where("doc_id IS NOT NULL").mapInPandas(run, "k long, " + ", ".join(f"{f} double" for f in FEATURES)).toArrow().to_pandas()
 
 
-def evidence(docs: DataFrame, model) -> DataFrame:
-    """doc_id, held_out and FEATURES of every whole text; one narrow pass."""
-    sent = docs.sparkSession.sparkContext.broadcast(model)
+def evidence(docs: DataFrame, order: int, labels) -> DataFrame:
+    """doc_id, held_out and FEATURES of every whole text, under the models of the labelled ones."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        table = table_for(sent, letters)
-        for b in batches:
-            out = np.zeros((len(b), len(FEATURES)))
-            for i, r in enumerate(table.texts([t or "" for t in b["text"]])):
-                d, n = r[:, 1] - r[:, 0], r[:, 2]
-                if not n.any():
-                    continue
-                out[i, 0] = d.sum(dtype=np.float64) / n.sum(dtype=np.float64)
-                out[i, 4] = np.log1p(len(d))
-                top = np.partition(np.concatenate([d, np.zeros(3)]), -3)[-3:]
-                out[i, 3], out[i, 2], out[i, 1] = np.clip(np.sort(top), 0, CLIP)
-            yield pd.DataFrame({"doc_id": b["doc_id"], "held_out": b["held_out"]}).assign(**{f: out[:, j] for j, f in enumerate(FEATURES)})
-        release()
-
-    held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
-    return docs.select("doc_id", "text", held.alias("held_out")).mapInPandas(run, "doc_id long, held_out boolean, " + ", ".join(f"{f} double" for f in FEATURES))
+    def measure(texts: Iterator[np.ndarray]) -> pa.Table:
+        out = []
+        for r in texts:
+            own = np.zeros(len(FEATURES))
+            out.append(own)
+            d, n = r[:, 1] - r[:, 0], r[:, 2]
+            if not n.any():
+                continue
+            own[0] = d.sum(dtype=np.float64) / n.sum(dtype=np.float64)
+            own[4] = np.log1p(len(d))
+            top = np.partition(np.concatenate([d, np.zeros(3)]), -3)[-3:]
+            own[3], own[2], own[1] = np.clip(np.sort(top), 0, CLIP)
+        rows = np.array(out).reshape(-1, len(FEATURES))
+        return pa.table({f: rows[:, j] for j, f in enumerate(FEATURES)})
+
+    rows = docs.select("doc_id", "text", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False)).alias("held_out"))
+    return scored(rows, ["doc_id", "held_out"], order, FREE, 2, True, letters, measure, ", ".join(f"{f} double" for f in FEATURES), labels)
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 50) -> np.ndarray:
@@ -104,9 +104,7 @@ def detect(docs: DataFrame, labels: DataFrame, order: int = ORDER) -> DataFrame:
         share = float(known["toxic"].mean()) if len(known) else 0.0
         held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
         return docs.select("doc_id", held.alias("held_out"), F.lit(share).alias("score"), F.lit(int(share >= 0.5)).alias("predicted"))
-    grams = count_grams(docs, order, FREE, letters, labels=send(docs, known, (1, 2, 3)))
-    model = build(grams, order, FREE, 2, shared=True)
-    found = materialise(evidence(docs, model), "toxicity")
+    found = materialise(evidence(docs, order, send(docs, known, (1, 2, 3))), "toxicity")
     fitted = labelled_rows(found, known, (4,))
     if fitted["k"].nunique() < 2:
         fitted = labelled_rows(found, known, (1, 2, 3, 4))
