@@ -14,6 +14,8 @@ from wedgework.llm.common import load, materialise
 
 #: Rejected ids (8 bytes each) that are broadcast at most; beyond it the anti join is left to Spark.
 BROADCAST_ROWS = 4_000_000
+#: Words of a shingle and least similarity, in per cent, of near copies (op7_ngram_jaccard_join has a contract of its own).
+SHINGLE, PERCENT = 5, 80
 
 
 def _without(docs: DataFrame, rejected: DataFrame) -> DataFrame:
@@ -33,7 +35,7 @@ def drop_unknown_language(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return jaccard.one_of_each(docs).select(docs.columns)
+    return jaccard.one_of_each(docs, k=SHINGLE, percent=PERCENT).select(docs.columns)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
