@@ -7,8 +7,9 @@ host's pages, its content importance the entropy of the texts it holds there; bo
 
 Entropy alone can't see what is generated anew for every page (a menu of related words, a footer with a changing line), so nodes
 whose element or class names say that they are navigation, header, footer, sidebar, notice, advert, form, comments, script or style
-have importance 0 from the start. Where a page has an ``article`` or ``main`` element, nothing outside it is content, and its own
-paragraphs are exempt from the entropy rule: copies of an article on one host don't remove it.
+have importance 0 from the start. An ``article`` or ``main`` element is only a prior, for nodes that a host hasn't shown on enough pages:
+those inside count, and those outside count where the page has more text there than inside. Elsewhere importance decides, inside and
+outside. Pages of equal text count as one page, so copies of an article on one host don't remove it.
 
 Statistics are sums by (host, path, text), aggregated before they are shuffled; a host with a third of all pages is thus no hot group.
 Defined results: a null html is empty, an empty page has empty text; a page without url belongs to the host ''; repeated rows give
@@ -121,20 +122,21 @@ def blocks(page: str) -> list[tuple[str, str, bool, bool]]:
 
 
 def style_tree(pages: DataFrame) -> DataFrame:
-    """host, path, presentation, content, pages: the importance of every node that statistics may remove."""
+    """host, path, presentation, content, pages: the importance of every node that statistics may remove; pages of equal text are one."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             rows = []
             for url, page in zip(b["url"], b["html"], strict=True):
                 host, nodes = host_of(url), {}
-                for path, text, noise, content in blocks(page or ""):
-                    if not noise and not content:
+                for path, text, noise, _ in blocks(page or ""):
+                    if not noise:
                         nodes.setdefault(path, []).append(text)
-                rows += [(host, path, hash_of("\n".join(texts)), len(texts)) for path, texts in nodes.items()]
-            yield pd.DataFrame(rows, columns=["host", "path", "text", "layout"])
+                whole = hash_of("\n".join(t for texts in nodes.values() for t in texts))
+                rows += [(host, path, hash_of("\n".join(texts)), len(texts), whole) for path, texts in nodes.items()]
+            yield pd.DataFrame(rows, columns=["host", "path", "text", "layout", "whole"])
 
-    seen = pages.select("url", "html").mapInPandas(run, "host string, path string, text long, layout int")
+    seen = pages.select("url", "html").mapInPandas(run, "host string, path string, text long, layout int, whole long").distinct()
     texts = seen.groupBy("host", "path", "text").agg(F.count(F.lit(1)).alias("c"), F.max("layout").alias("layout"))
     layouts = texts.groupBy("host", "path", "layout").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.log("c")).alias("clogc"))
     nodes = layouts.groupBy("host", "path").agg(F.sum("c").alias("pages"), F.sum("clogc").alias("t"), F.sum(F.col("c") * F.log("c")).alias("l"))
@@ -153,23 +155,25 @@ def hash_of(text: str) -> int:
 
 def extract(pages: DataFrame, importance: float = IMPORTANCE, least_pages: int = PAGES, broadcast_rows: int = 100_000) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
-    low = style_tree(pages).where((F.col("pages") >= least_pages) & (F.greatest("presentation", "content") < importance)).groupBy("host").agg(F.collect_set("path").alias("low"))
+    known = style_tree(pages).where(F.col("pages") >= least_pages).withColumn("low", F.greatest("presentation", "content") < importance)
+    low = known.groupBy("host").agg(*(F.collect_set(F.when(F.col("low") == v, F.col("path"))).alias(name) for v, name in ((True, "low"), (False, "high"))))
     host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^\s*(?:[a-zA-Z][\w+.-]*:)?//(?:[^/?#@]*@)?([^/?#:]*)", 1))
-    # hosts with such branches are few; beyond the bound the join is left to Spark, which splits large hosts
+    # hosts are few beside pages; beyond the bound the join is left to Spark, which splits large hosts
     small = low.limit(broadcast_rows + 1).count() <= broadcast_rows
     rows = pages.select("page_id", "url", "html", host.alias("host")).join(F.broadcast(low) if small else low, "host", "left")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             texts = []
-            for page, paths in zip(b["html"], b["low"], strict=True):
-                own = blocks(page or "")
-                gone = set(paths) if paths is not None else ()
-                inside = any(c and not n for _, _, n, c in own)
-                texts.append(" ".join(t for p, t, n, c in own if not n and (c or not inside) and (c or p not in gone)))
+            for page, gone, sure in zip(b["html"], b["low"], b["high"], strict=True):
+                gone, sure = (set(x) if x is not None else set() for x in (gone, sure))
+                own = [(p, t, c) for p, t, n, c in blocks(page or "") if not n and p not in gone]
+                inside = sum(len(t) for _, t, c in own if c)
+                outside = sum(len(t) for p, t, c in own if not c)
+                texts.append(" ".join(t for p, t, c in own if c or p in sure or outside > inside))
             yield pd.DataFrame({"page_id": b["page_id"], "url": b["url"], "text": texts, "n_chars": list(map(len, texts))})
 
-    return rows.select("page_id", "url", "html", "low").mapInPandas(run, "page_id long, url string, text string, n_chars long")
+    return rows.select("page_id", "url", "html", "low", "high").mapInPandas(run, "page_id long, url string, text string, n_chars long")
 
 
 def op8_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
