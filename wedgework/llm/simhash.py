@@ -137,18 +137,17 @@ def within(fps: DataFrame, queries: DataFrame, radius: int = 3, blocks: int = 6)
 
 
 def simhash_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents whose id is divisible by 20, against all: the other fingerprints within three bits and how many documents have them."""
+    """Documents whose id is divisible by 20, against all: pairs of fingerprints within three bits, and the documents of these fingerprints.
+
+    Rows of kind ``pair`` have query_fp and fp, rows of kind ``member`` have fp and doc_id; many copies of a document thus make no products.
+    """
     docs = load(spark, sf_dir, "documents").select("doc_id", F.coalesce("text", F.lit("")).alias("body"))
-    fps = fingerprints(docs.withColumn("bh", F.xxhash64("body")), ["doc_id", "bh"])
-    sizes = fps.groupBy("fp").agg(F.count(F.lit(1)).alias("n_docs"))
-    asked = fps.where(F.col("doc_id") % 20 == 0)
-    return (
-        asked.select("doc_id", F.col("fp").alias("query_fp"))
-        .join(within(fps, asked), "query_fp")
-        .join(sizes, "fp")
-        .groupBy("doc_id")
-        .agg(F.count(F.lit(1)).alias("n_fingerprints"), (F.sum("n_docs")).alias("n_documents"))
-    )
+    fps = materialise(fingerprints(docs.withColumn("bh", F.xxhash64("body")), ["doc_id", "bh"]), "fingerprints")
+    pairs = materialise(within(fps, fps.where(F.col("doc_id") % 20 == 0)), "pairs")
+    met = pairs.select(F.explode(F.array("query_fp", "fp")).alias("fp")).distinct()
+    members = fps.select("fp", "doc_id").distinct().join(met, "fp", "left_semi")
+    none = F.lit(None).cast("long")
+    return pairs.select(F.lit("pair").alias("kind"), "query_fp", "fp", none.alias("doc_id")).unionByName(members.select(F.lit("member").alias("kind"), none.alias("query_fp"), "fp", "doc_id"))
 
 
 QUERIES = {"op4_simhash": op4_simhash, "simhash_neighbours": simhash_neighbours}
