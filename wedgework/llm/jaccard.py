@@ -410,13 +410,11 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.select("a", "b", "na", "nb", F.size(F.array_intersect("ta", "tb")).cast("long").alias("common")).where(f"100 * common >= {percent} * (na + nb - common)")
 
 
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """node, label (the smallest node reachable) for every node of the edges (a, b): each round sends every node to its smallest neighbour and contracts."""
     edges = keep(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct())
     labels = None
-    for _ in range(most_rounds):
-        if edges.isEmpty():
-            break
+    while not edges.isEmpty():  # each round removes a node at least, so it ends
         ends = edges.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("a").alias("m")), F.struct(F.col("b").alias("node"), F.col("a").alias("m")))).alias("e")).select("e.*")
         parent = keep(ends.groupBy("node").agg(F.min("m").alias("up")))
         moved = edges.join(parent.select(F.col("node").alias("a"), F.col("up").alias("pa")), "a").join(parent.select(F.col("node").alias("b"), F.col("up").alias("pb")), "b")
