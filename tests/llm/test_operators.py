@@ -287,7 +287,7 @@ def test_jaccard_join(spark, docs, texts, empty):
 
 
 def test_jaccard_join_chains_and_hot_groups(spark, monkeypatch):
-    """Chains whose ends aren't similar, and lists longer than the pivots of several rounds."""
+    """Chains whose ends aren't similar, and lists of several blocks."""
     rng = random.Random(6)
     base = [f"w{i}" for i in range(60)]
     rows = []
@@ -301,7 +301,8 @@ def test_jaccard_join_chains_and_hot_groups(spark, monkeypatch):
             w[rng.randrange(50)] = f"e{step}"
         rows.append(" ".join(w))
     rows += [rows[3]] * 5
-    monkeypatch.setattr(jaccard, "PIVOTS", (1, 2))
+    monkeypatch.setattr(jaccard, "SMALL", 3)
+    monkeypatch.setattr(jaccard, "BLOCK", 7)
     want = brute_components(list(enumerate(rows)))
     got = {tuple(r) for r in jaccard.link_components(table(spark, [(i, t, None) for i, t in enumerate(rows)]).repartition(3)).collect()}
     assert got == set(want.values())

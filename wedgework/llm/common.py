@@ -73,6 +73,25 @@ def discard(df: DataFrame) -> None:
         path.getFileSystem(conf).delete(path, True)
 
 
+def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """The rows with a number of their own, written so that it is the same in every reading, and that column's name."""
+    key = "row"
+    while key in docs.columns:
+        key += "_"
+    return materialise(docs.withColumn(key, F.monotonically_increasing_id()), "numbered"), key
+
+
+#: Keys (8 bytes each) that are broadcast at most; beyond it the anti join is left to Spark.
+BROADCAST_ROWS = 4_000_000
+
+
+def without(docs: DataFrame, key: str, gone: DataFrame) -> DataFrame:
+    """The rows whose key isn't among ``gone`` (a column of that name)."""
+    gone = materialise(gone.select(key), "gone")
+    small = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    return docs.join(F.broadcast(gone) if small else gone, key, "left_anti")
+
+
 def held_out(doc_id="doc_id"):
     """True for the rows that no model learns from: crc32 of the id as text, modulo 5, is 0."""
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % 5 == 0, F.lit(False))

@@ -3,18 +3,20 @@
 Sets are distinct 64-bit hashes of word shingles; documents with equal sets form a class, and classes are joined. Two sets of similarity t
 or more share a token among their first ``n - ceil(t n) + 1`` tokens under any global order of all tokens, so:
 
-1. Order 1 is rare tokens first: by the number of tokens, over all documents, in a token's hash bucket, then by hash. Prefix tokens are shuffled once; tokens
-   that only one class has are dropped there, then rows of classes that share too few prefix tokens for any partner of their list.
-2. In two first rounds each class meets one pivot of its lists, which connects most of a group of near copies at one comparison a
-   member. Then pivots of every list that still holds several components meet all other members that they aren't connected with
-   (in the first list that both share), and leave the list. The rounds end when every list holds one component: no possible link
-   is left out, whatever a list's size.
-3. Before a pair is verified it must also share prefix tokens under orders 2 and 3 (hash ascending and descending). Then the
-   intersection is counted exactly.
+1. Order 1 is rare tokens first: by the number of tokens, over all documents, in a token's hash bucket, then by hash. Prefix tokens are
+   shuffled once and sorted; a token's rows are its list.
+2. Lists of at most ``SMALL`` classes give their pairs, which are counted: the number of prefix tokens that a pair shares must do for the
+   similarity. Longer lists are cut into blocks of bounded size, ordered by set size, and blocks that can hold similar sets meet in one
+   group each. A group emits a spanning forest of the links that it finds instead of pairs, so a large group of near copies makes rows in
+   proportion to its members, and no group grows with a list.
+3. The pairs of both ways must also share enough prefix tokens under orders 2 and 3 (hash ascending and descending), before whole sets
+   meet. Then the intersection is counted exactly.
 4. Components come from contraction rounds over the links.
 
+Nothing is capped: every pair of a list is either counted or lies in exactly one pair of blocks of that list.
+
 Defined results: a text without words (or null) has the empty set and is linked with nothing; texts of fewer words than a shingle are one
-shingle; repeated rows are copies; other columns are ignored. The hashes are 64 bits wide.
+shingle; repeated rows are copies; a row without id gets the least id of its component (null, if none has one); other columns are ignored. The hashes are 64 bits wide.
 """
 
 from __future__ import annotations
@@ -23,21 +25,20 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import discard, keep, load, materialise, release, tidy
+from .common import discard, load, materialise, numbered, release, without
 
 #: Buckets of the token counts that make order 1, and of one row of a partition's counts.
 BUCKETS = 1 << 20
 ROW = 1 << 12
-#: Rounds in which a class meets one pivot only, and pivots of each list in the rounds after them.
-STARS = 2
-PIVOTS = (24, 96, 384)
-#: Tokens of a class that tell in which of its lists a pair is made.
-FIRST = 6
+#: Classes of a list that gives pairs, and classes and tokens of a block of a longer one (a set of more tokens is a block of its own).
+SMALL = 48
+BLOCK, BLOCK_TOKENS = 512, 1 << 18
 #: Bits of the filter of candidate classes at most (64 MB): beyond it more sets are sent, none is missed.
 FILTER_BITS = 29
 _K = np.uint64(0x9E3779B97F4A7C15)
@@ -134,15 +135,17 @@ def bucket_of(tokens: np.ndarray) -> np.ndarray:
     return ((tokens >> np.uint64(32)) & np.uint64(BUCKETS - 1)).astype(np.int64)
 
 
-def sets_pass(docs: DataFrame, k: int) -> DataFrame:
-    """doc_id, n, cls of each document, and (where block isn't null) rows of the partition's token counts by bucket."""
+def sets_pass(docs: DataFrame, k: int, carried: list[str]) -> DataFrame:
+    """The carried columns, n and cls of each document, and (where block isn't null) rows of the partition's token counts by bucket."""
+    head = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in carried)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(BUCKETS, dtype="<u4")
+        like = None
         for b in batches:
             n, cls, found, size = [], [], [], 0
-            for t in b["text"]:
-                s = token_set(t, k)
+            for t in b.column("text"):
+                s = token_set(t.as_py(), k)
                 n.append(len(s))
                 cls.append(class_of(s) if len(s) else None)
                 found.append(bucket_of(s).astype(np.int32))
@@ -152,14 +155,20 @@ def sets_pass(docs: DataFrame, k: int) -> DataFrame:
                     found, size = [], 0
             if found:
                 counts += np.bincount(np.concatenate(found), minlength=BUCKETS).astype("<u4")
-            yield pd.DataFrame({"doc_id": b["doc_id"], "n": n, "cls": pd.Series(cls, dtype="Int64"), "block": pd.Series([None] * len(b), dtype="Int32"), "salt": 0, "counts": None})
+            like = [b.schema.field(c).type for c in carried]
+            yield row(len(b), [b.column(c) for c in carried], {"n": pa.array(n, pa.int64()), "cls": pa.array(cls, pa.int64())}, like)
         used = [i for i in range(BUCKETS // ROW) if counts[i * ROW : (i + 1) * ROW].any()]
-        salt = TaskContext.get().partitionId() % 256
-        none = pd.Series([None] * len(used), dtype="Int64")
-        yield pd.DataFrame({"doc_id": none, "n": 0, "cls": none, "block": pd.Series(used, dtype="Int32"), "salt": salt, "counts": [counts[i * ROW : (i + 1) * ROW].tobytes() for i in used]})
+        if used:
+            m, salt = len(used), TaskContext.get().partitionId() % 256
+            yield row(m, [pa.nulls(m, t) for t in like], {"block": pa.array(used, pa.int32()), "salt": pa.array([salt] * m, pa.int32()), "counts": pa.array([counts[i * ROW : (i + 1) * ROW].tobytes() for i in used], pa.binary())}, like)
         release()
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n long, cls long, block int, salt int, counts binary")
+    rest = {"n": pa.int64(), "cls": pa.int64(), "block": pa.int32(), "salt": pa.int32(), "counts": pa.binary()}
+
+    def row(m: int, first: list, own: dict, like: list) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([*first, *(own.get(x, pa.nulls(m, t)) for x, t in rest.items())], names=[*carried, *rest])
+
+    return docs.select(*carried, "text").mapInArrow(run, f"{head}, n long, cls long, block int, salt int, counts binary")
 
 
 def bucket_counts(first: DataFrame) -> np.ndarray:
@@ -179,9 +188,8 @@ def bucket_counts(first: DataFrame) -> np.ndarray:
     return counts
 
 
-def prefixes(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataFrame:
-    """(token, cls, n) for the prefix of each set under order 1; a class is sent once for each partition."""
-    sent = docs.sparkSession.sparkContext.broadcast(counts)
+def prefixes(docs: DataFrame, sent, k: int, percent: int) -> DataFrame:
+    """(token, n, cls) for the prefix of each set under order 1; a class is sent once for each partition."""
     least = least_size(percent)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -193,41 +201,16 @@ def prefixes(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataF
                 n = len(s)
                 if n < least or (c := class_of(s)) in seen:
                     continue
-                if len(seen) < 500_000:
+                if len(seen) < 500_000:  # beyond it a class may be sent again, which changes nothing
                     seen.add(c)
                 tokens.append(s[np.argsort(sent.value[bucket_of(s)], kind="stable")[: prefix_size(n, percent)]])
                 cls.append(c)
                 size.append(n)
             many = list(map(len, tokens))
-            yield pd.DataFrame({"token": np.concatenate(tokens or [np.zeros(0, dtype=np.uint64)]).view(np.int64), "cls": np.repeat(np.array(cls, dtype=np.int64), many), "n": np.repeat(np.array(size, dtype=np.int64), many)})
+            yield pd.DataFrame({"token": np.concatenate(tokens or [np.zeros(0, dtype=np.uint64)]).view(np.int64), "n": np.repeat(np.array(size, dtype=np.int32), many), "cls": np.repeat(np.array(cls, dtype=np.int64), many)})
         release()
 
-    return docs.select("text").mapInPandas(run, "token long, cls long, n long")
-
-
-def shared_tokens(entries: DataFrame) -> DataFrame:
-    """The rows of tokens that two or more classes have; streams over sorted rows, so a frequent token needs no memory."""
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        last = None  # the row whose successor isn't known yet, and whether its token had a row before
-        before = False
-        for b in batches:
-            t, c, n = (b[x].to_numpy(np.int64) for x in ("token", "cls", "n"))
-            if last is not None:
-                t, c, n = (np.concatenate([[x], y]) for x, y in zip(last, (t, c, n), strict=True))
-            if not len(t):
-                continue
-            new = np.concatenate([[True], (t[1:] != t[:-1]) | (c[1:] != c[:-1])])
-            t, c, n = t[new], c[new], n[new]
-            same = t[1:] == t[:-1]
-            multi = np.concatenate([[before], same])
-            multi[:-1] |= same
-            last, before = (t[-1], c[-1], n[-1]), bool(multi[-1])
-            yield pd.DataFrame({"token": t[:-1], "cls": c[:-1], "n": n[:-1]})[multi[:-1]]
-        if last is not None and before:
-            yield pd.DataFrame({"token": [last[0]], "cls": [last[1]], "n": [last[2]]})
-
-    return entries.repartition("token").sortWithinPartitions("token", "cls").mapInPandas(run, "token long, cls long, n long")
+    return docs.select("text").mapInPandas(run, "token long, n int, cls long")
 
 
 def possible(na, nb, shared, percent: int):
@@ -241,64 +224,96 @@ def possible(na, nb, shared, percent: int):
     return (100 * small >= percent * large) & (shared >= overlap - -(-percent * large // 100) + 1)
 
 
-def prune_lists(shared: DataFrame, percent: int, most: int = 256) -> DataFrame:
-    """The list rows (token, cls, n, s) whose class has a possible partner in that list; s is the class's number of rows.
+def possible_sql(shared: str, percent: int) -> str:
+    """``possible`` over columns na, nb; in integers, as a quotient of doubles could round up."""
+    return f"100 * least(na, nb) >= {percent} * greatest(na, nb) AND {shared} >= ({percent} * (na + nb) + {99 + percent}) DIV {100 + percent} - ({percent} * greatest(na, nb) + 99) DIV 100 + 1"
+
+
+def list_pass(entries: DataFrame, percent: int) -> DataFrame:
+    """Rows of two kinds: pairs (a, b, na, nb) of the short lists, once for each list; rows (token, block, a, na) of the long ones.
 
-    Lists longer than ``most`` pass whole; they are left to the pivots.
+    Lists come sorted, so at most ``SMALL`` rows of a list are held.
     """
-    counted = shared.join(shared.groupBy("cls").agg(F.count(F.lit(1)).alias("s")), "cls").select("token", "cls", "n", "s")
+    schema = "token long, block int, a long, b long, na int, nb int"
 
-    def kept(n: np.ndarray, s: np.ndarray) -> np.ndarray:
-        ok = possible(n[:, None], n[None, :], np.minimum(s[:, None], s[None, :]), percent)
-        np.fill_diagonal(ok, False)
-        return ok.any(axis=1)
+    def pairs(n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
+        for m in np.unique(sizes):
+            if m < 2:
+                continue
+            x, y = np.triu_indices(m, 1)
+            own = starts[sizes == m]
+            step = max(1, 500_000 // len(x))
+            for at in range(0, len(own), step):
+                i, j = ((own[at : at + step, None] + z[None, :]).ravel() for z in (x, y))
+                ok = 100 * n[i].astype(np.int64) >= percent * n[j].astype(np.int64)  # a list ascends by n
+                i, j = i[ok], j[ok]
+                yield pd.DataFrame({"token": pd.Series([None] * len(i), dtype="Int64"), "block": pd.Series([None] * len(i), dtype="Int32"), "a": c[i], "b": c[j], "na": n[i], "nb": n[j]})
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: pd.DataFrame | None = None  # the rows of the last list
-        passing = None  # the long list that is passing whole
+        held = None  # the rows of the last list
+        long, block, rows, size = None, 0, 0, 0  # the long list that is passing, its block, and what that holds
+
+        def cut(token: int, n: np.ndarray, c: np.ndarray) -> pd.DataFrame:
+            nonlocal long, block, rows, size
+            if token != long:
+                long, block, rows, size = token, 0, 0, 0
+            of = np.empty(len(n), dtype=np.int32)
+            for i, x in enumerate(n.tolist()):
+                if rows and (rows == BLOCK or size + x > BLOCK_TOKENS):
+                    block, rows, size = block + 1, 0, 0
+                rows, size, of[i] = rows + 1, size + x, block
+            none = pd.Series([None] * len(n), dtype="Int64")
+            return pd.DataFrame({"token": token, "block": of, "a": c, "b": none, "na": n, "nb": none.astype("Int32")})
+
+        def lists(t: np.ndarray, n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
+            large = (sizes > SMALL) | (t[starts] == long if long is not None else False)
+            yield from pairs(n, c, starts[~large], sizes[~large])
+            for s, m in zip(starts[large], sizes[large], strict=True):
+                yield cut(int(t[s]), n[s : s + m], c[s : s + m])
+
         for b in batches:
-            b = b if held is None else pd.concat([held, b], ignore_index=True)
-            held = None
-            t, n, s = (b[x].to_numpy(np.int64) for x in ("token", "n", "s"))
+            t, n, c = b["token"].to_numpy(np.int64), b["n"].to_numpy(np.int32), b["cls"].to_numpy(np.int64)
+            if held is not None:
+                t, n, c = (np.concatenate([x, y]) for x, y in zip(held, (t, n, c), strict=True))
             if not len(t):
                 continue
+            new = np.concatenate([[True], (t[1:] != t[:-1]) | (c[1:] != c[:-1])])
+            t, n, c = t[new], n[new], c[new]
             starts = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]]))
-            ends = np.append(starts[1:], len(t))
-            keep = np.zeros(len(t), dtype=bool)
+            sizes = np.diff(np.append(starts, len(t)))
             last = starts[-1]
-            two = np.flatnonzero(ends - starts == 2)
-            two = starts[two[starts[two] != last]]
-            keep[two] = keep[two + 1] = possible(n[two], n[two + 1], np.minimum(s[two], s[two + 1]), percent)
-            for i, e in zip(starts, ends, strict=True):
-                if t[i] == passing or e - i > most:
-                    keep[i:e], passing = True, t[i]
-                elif i == last:
-                    held = b.iloc[i:]
-                elif e - i > 2:
-                    keep[i:e] = kept(n[i:e], s[i:e])
-            yield b[keep]
-        if held is not None and len(held) > 1:
-            yield held[kept(held["n"].to_numpy(np.int64), held["s"].to_numpy(np.int64))]
-
-    return counted.repartition("token").sortWithinPartitions("token", "cls").mapInPandas(run, "token long, cls long, n long, s long")
-
-
-def candidate_filter(shared: DataFrame) -> np.ndarray:
-    """A Bloom filter of the classes with shared tokens, as 64-bit words; built from distributed ORs."""
-    classes = shared.select("cls").distinct()
-    bits = min(FILTER_BITS, max(10, (16 * classes.count()).bit_length()))
+            yield from lists(t, n, c, starts[:-1], sizes[:-1])
+            if sizes[-1] > SMALL + 1 or t[last] == long:  # all but its last row pass; that one tells repeated rows
+                yield cut(int(t[last]), n[last:-1], c[last:-1])
+                last = len(t) - 1
+            held = (t[last:], n[last:], c[last:])
+        if held is not None and len(held[0]):
+            yield from lists(*held, np.array([0]), np.array([len(held[0])]))
+
+    return entries.repartition("token").sortWithinPartitions("token", "n", "cls").mapInPandas(run, schema)
+
+
+def candidate_filter(classes: DataFrame) -> np.ndarray:
+    """A Bloom filter of the classes as 64-bit words; built in pieces, the driver gets one row for each."""
+    bits = min(FILTER_BITS, max(18, (16 * classes.count()).bit_length()))
+    words = np.zeros(1 << (bits - 6), dtype=np.uint64)
+
+    def fill(rows: pd.DataFrame) -> pd.DataFrame:
+        own = np.zeros(ROW, dtype=np.uint64)
+        x = rows["x"].to_numpy(np.int64) & (ROW * 64 - 1)
+        np.bitwise_or.at(own, x >> 6, np.uint64(1) << (x & 63).astype(np.uint64))
+        return pd.DataFrame({"piece": rows["piece"].iloc[:1], "words": [own.tobytes()]})
+
     at = F.explode(F.array(F.col("cls").bitwiseAND(F.lit((1 << bits) - 1)), F.shiftrightunsigned("cls", 64 - bits)))
-    words = np.zeros(1 << (bits - 6), dtype=np.int64)
-    placed = classes.select(at.alias("x")).select((F.shiftright("x", 6)).alias("w"), F.expr("shiftleft(1L, int(x & 63))").alias("m"))
-    for w, m in placed.groupBy("w").agg(F.bit_or("m")).collect():  # bounded by the filter's size
-        words[w] = m
+    placed = classes.select(at.alias("x")).select("x", F.shiftright("x", 18).alias("piece")).distinct()
+    for r in placed.groupBy("piece").applyInPandas(fill, "piece long, words binary").collect():
+        words[r.piece * ROW : (r.piece + 1) * ROW] = np.frombuffer(r.words, dtype=np.uint64)
     return words
 
 
-def candidate_sets(docs: DataFrame, words: np.ndarray, k: int, percent: int) -> DataFrame:
-    """cls, n, tokens of the classes that pass the filter, one row each."""
-    sent = docs.sparkSession.sparkContext.broadcast(words)
-    least, bits = least_size(percent), int(len(words)).bit_length() - 1 + 6
+def candidate_sets(docs: DataFrame, sent, k: int, percent: int) -> DataFrame:
+    """cls, n, tokens (sorted) of the classes that pass the filter, one row each."""
+    least, bits = least_size(percent), int(len(sent.value)).bit_length() - 1 + 6
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known, seen = sent.value, set()
@@ -318,158 +333,198 @@ def candidate_sets(docs: DataFrame, words: np.ndarray, k: int, percent: int) ->
             yield pd.DataFrame(rows, columns=["cls", "n", "tokens"])
         release()
 
-    found = docs.select("text").mapInPandas(run, "cls long, n long, tokens array<long>")
+    found = docs.select("text").mapInPandas(run, "cls long, n int, tokens array<long>")
     return found.groupBy("cls").agg(F.first("n").alias("n"), F.first("tokens").alias("tokens"))
 
 
-def star_pairs(lists: DataFrame, r: int, percent: int) -> DataFrame:
-    """One pair (a, b) for each class b at most: with the pivot that most of its lists have. Pivots are the lists' first classes by a hash of the round."""
-    order = F.xxhash64("cls", F.lit(r))
-    pivot = lists.groupBy("token").agg(F.min_by(F.struct("cls", "n", "s", "label"), order).alias("p"), (F.min("label") != F.max("label")).alias("open")).where("open").select("token", "p.*")
-    pivot = pivot.select("token", *(F.col(c).alias(f"p{c}") for c in ("cls", "n", "s", "label")))
-    overlap = f"ceil({percent} * (n + pn) / {100 + percent}) - ceil({percent} * greatest(n, pn) / 100) + 1"
-    met = lists.join(pivot, "token").where(f"label != plabel AND 100 * least(n, pn) >= {percent} * greatest(n, pn) AND least(s, ps) >= {overlap}")
-    return met.groupBy("cls", "pcls").agg(F.count(F.lit(1)).alias("c")).groupBy("cls").agg(F.max_by("pcls", "c").alias("a")).select("a", F.col("cls").alias("b"))
-
-
-def with_tokens(lists: DataFrame) -> DataFrame:
-    """Adds the class's first tokens, ascending: where two classes have some of these in common, their pair is made in the first such list only."""
-    own = lists.groupBy("cls").agg(F.slice(F.sort_array(F.collect_list("token")), 1, FIRST).alias("own"))
-    return lists.join(own, "cls")
-
-
-def pivot_pairs(lists: DataFrame, pivots: int, percent: int) -> tuple[DataFrame, DataFrame]:
-    """(pairs of each list's first members with all later ones of other components, what is left of the lists).
-
-    ``lists`` has token, cls, n, s, label, own. Rows come sorted, so only a list's pivots are held.
+def small_links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b, na, nb) whose sets are similar enough: prefixes of orders 2 and 3 meet first, then whole sets."""
+    size = f"int(n - ({percent} * n + 99) DIV 100 + 1)"
+    short = sets.select("cls", F.expr(f"slice(tokens, 1, {size})").alias("p"), F.expr(f"slice(tokens, -{size}, {size})").alias("q"))
+    a, b = (short.select(F.col("cls").alias(x), F.col("p").alias(f"p{x}"), F.col("q").alias(f"q{x}")) for x in "ab")
+    share = possible_sql("least(size(array_intersect(pa, pb)), size(array_intersect(qa, qb)))", percent)
+    near = pairs.join(a, "a").join(b, "b").where(share).select("a", "b", "na", "nb")
+    a, b = (sets.select(F.col("cls").alias(x), F.col("tokens").alias(f"t{x}")) for x in "ab")
+    whole = near.join(a, "a").join(b, "b").select("a", "b", "na", "nb", F.size(F.array_intersect("ta", "tb")).cast("long").alias("common"))
+    return whole.where(f"100 * common >= {percent} * (na + nb - common)").select("a", "b")
+
+
+def overlaps(a: list[np.ndarray], b: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """Common elements of each array of a with each of b (distinct elements each), by products of 0/1 matrices of bounded width."""
+    out = np.zeros((len(a), len(b)), dtype=np.float32)
+    sides = [(np.concatenate([*x, np.zeros(0, dtype=np.int64)]), np.repeat(np.arange(len(x)), list(map(len, x)))) for x in (a, b)]
+    keys = np.intersect1d(np.unique(sides[0][0]), np.unique(sides[1][0]), assume_unique=True)
+    if not len(keys):
+        return out.astype(np.int64)
+    placed = []
+    for v, row in sides:
+        at = np.minimum(np.searchsorted(keys, v), len(keys) - 1)
+        ok = keys[at] == v
+        sort = np.argsort(at[ok], kind="stable")
+        placed.append((at[ok][sort], row[ok][sort]))
+    for first in range(0, len(keys), width):
+        m = []
+        for (at, row), x in zip(placed, (a, b), strict=True):
+            lo, hi = np.searchsorted(at, (first, first + width))
+            own = np.zeros((len(x), min(width, len(keys) - first)), dtype=np.float32)
+            own[row[lo:hi], at[lo:hi] - first] = 1
+            m.append(own)
+        out += m[0] @ m[1].T
+    return np.rint(out).astype(np.int64)
+
+
+def forest(x: np.ndarray, y: np.ndarray, linked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(a, b): stars over the components of the links between the classes x (rows) and y (columns)."""
+    rows, cols = np.arange(len(x)), np.arange(len(y)) + len(x)
+    far = len(x) + len(y)
+    while True:
+        up = np.minimum(rows, np.where(linked, cols[None, :], far).min(axis=1, initial=far))
+        left = np.minimum(cols, np.where(linked, up[:, None], far).min(axis=0, initial=far))
+        if (up == rows).all() and (left == cols).all():
+            break
+        rows, cols = up, left
+    every = np.concatenate([x, y])
+    root = every[np.concatenate([rows, cols])]
+    out = root != every
+    return root[out], every[out]
+
+
+def block_links(a: list, b: list | None, token: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Links between two blocks of a list (b is None: within one); a block is (classes, sizes, sets, long lists of each class).
+
+    A pair that an earlier long list holds too is left to that one.
     """
-    ordered = lists.repartition("token").sortWithinPartitions("token", "cls")
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        token, held = None, 0
-        held_rows = [np.zeros(pivots, dtype=np.int64) for _ in range(4)] + [[None] * pivots]
-        for b in batches:
-            t, *own = (b[x].to_numpy(np.int64) for x in ("token", "cls", "n", "s", "label"))
-            own.append(b["own"].to_numpy())
-            starts = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]])) if len(t) else []
-            out_a, out_b = [], []
-            for s, e in zip(starts, [*starts[1:], len(t)], strict=True):
-                if t[s] != token:
-                    token, held = t[s], 0
-                i = s
-                while i < e and held < pivots:  # a pivot meets the pivots before it, then joins them
-                    _meet(token, held_rows, held, [x[i : i + 1] for x in own], percent, out_a, out_b)
-                    for x, y in zip(held_rows, own, strict=True):
-                        x[held] = y[i]
-                    held, i = held + 1, i + 1
-                if i < e:
-                    _meet(token, held_rows, held, [x[i:e] for x in own], percent, out_a, out_b)
-            if out_a:
-                yield pd.DataFrame({"a": out_a, "b": out_b})
-
-    pairs = ordered.mapInPandas(run, "a long, b long").distinct()
-
-    def rest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        token, met = None, 0
-        for b in batches:
-            t = b["token"].to_numpy(np.int64)
-            if not len(t):
-                continue
-            first = np.concatenate([[True], t[1:] != t[:-1]])
-            start = np.maximum.accumulate(np.where(first, np.arange(len(t)), 0))
-            rank = np.arange(len(t)) - start + np.where((start == 0) & (t == token), met, 0)
-            token, met = t[-1], int(rank[-1]) + 1
-            yield b[rank >= pivots][["token", "cls", "n", "s", "own"]]
-
-    return pairs, ordered.mapInPandas(rest, "token long, cls long, n long, s long, own array<long>")
-
-
-def _meet(token, pivots, held, rows, percent, out_a, out_b) -> None:
-    c, n, s, g, own = rows
-    sets: dict[int, set[int]] = {}
-    for j in range(held):
-        pc, pn, ps, pg, mine = (x[j] for x in pivots)
-        for i in np.flatnonzero((g != pg) & possible(n, pn, np.minimum(s, ps), percent)):
-            theirs = sets.get(i)
-            if theirs is None:
-                theirs = sets[i] = set(own[i].tolist())
-            if next((t for t in mine.tolist() if t in theirs), token) == token:
-                out_a.append(pc)
-                out_b.append(c[i])
-
-
-def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs whose sets are similar enough, after the filters of orders 2 and 3."""
-    a = sets.select(F.col("cls").alias("a"), F.col("n").alias("na"), F.col("tokens").alias("ta"))
-    b = sets.select(F.col("cls").alias("b"), F.col("n").alias("nb"), F.col("tokens").alias("tb"))
-    size = f"int({{n}} - ceil({percent} * {{n}} / 100) + 1)"
-    pa, pb = size.format(n="na"), size.format(n="nb")
-    both = pairs.join(b, "b").join(a, "a").where(
-        f"arrays_overlap(slice(ta, 1, {pa}), slice(tb, 1, {pb})) AND arrays_overlap(slice(ta, -{pa}, {pa}), slice(tb, -{pb}, {pb}))"
-    )
-    return both.select("a", "b", "na", "nb", F.size(F.array_intersect("ta", "tb")).cast("long").alias("common")).where(f"100 * common >= {percent} * (na + nb - common)")
+    b = a if b is None else b
+    (ca, na, sa, la), (cb, nb, sb, lb) = a, b
+    na, nb = na[:, None], nb[None, :]
+    pa_, pb_ = prefix_size(na, percent), prefix_size(nb, percent)
+    rest = np.minimum(pa_ - np.array(list(map(len, la)))[:, None], pb_ - np.array(list(map(len, lb)))[None, :])
+    todo = possible(na, nb, overlaps(la, lb) + rest, percent) & (ca[:, None] != cb[None, :])
+    todo &= overlaps([x[x < token] for x in la], [x[x < token] for x in lb]) == 0
+    for part in (lambda s, p: s[:p], lambda s, p: s[len(s) - p :], lambda s, p: s):  # orders 2 and 3, then whole sets
+        i, j = np.flatnonzero(todo.any(axis=1)), np.flatnonzero(todo.any(axis=0))
+        if not len(i):
+            break
+        n, m = na[i], nb[:, j]
+        shared = overlaps([part(sa[x], pa_[x, 0]) for x in i], [part(sb[x], pb_[0, x]) for x in j])
+        whole = part(sa[i[0]], pa_[i[0], 0]) is sa[i[0]]
+        ok = 100 * shared >= percent * (n + m - shared) if whole else possible(n, m, shared, percent)
+        todo[np.ix_(i, j)] &= ok
+    return forest(ca, cb, todo)
+
+
+def large_links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(a, b): stars over what is linked in each pair of blocks of the long lists; rows has (token, block, cls, n)."""
+    blocks = rows.groupBy("token", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
+    other = blocks.select("token", F.col("block").alias("j"), F.col("low").alias("least"))
+    met = blocks.join(other, "token").where(f"block <= j AND 100 * high >= {percent} * least").select("token", F.col("block").alias("i"), "j")
+    sides = met.select("token", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
+    of = rows.groupBy("cls").agg(F.sort_array(F.collect_list("token")).alias("long"))  # at most a class's prefix
+    wide = sides.join(rows.select("token", "block", "cls"), ["token", "block"]).join(of, "cls").join(sets, "cls")
+    n = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def run(found: pa.Table) -> pa.Table:
+        found = found.combine_chunks()
+        token, i, j = (found[x][0].as_py() for x in ("token", "i", "j"))
+        block, cls, size = (found[x].to_numpy() for x in ("block", "cls", "n"))
+        lists = []
+        for x in ("tokens", "long"):
+            c = found[x].chunk(0)
+            ends = c.offsets.to_numpy()
+            flat = c.values.to_numpy()
+            lists.append([flat[s:e] for s, e in zip(ends[:-1], ends[1:], strict=True)])
+        sides = []
+        for k in dict.fromkeys((i, j)):
+            at = np.flatnonzero(block == k)
+            sides.append((cls[at], size[at].astype(np.int64), [lists[0][x] for x in at], [lists[1][x] for x in at]))
+        a, b = block_links(sides[0], sides[1] if len(sides) > 1 else None, token, percent)
+        return pa.table({"a": a, "b": b})
+
+    # each group is much work for few bytes, so tasks are not joined by bytes
+    return wide.repartition(n, "token", "i", "j").groupBy("token", "i", "j").applyInArrow(run, "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """node, label (the smallest node reachable) for every node of the edges (a, b): each round sends every node to its smallest neighbour and contracts."""
-    edges = keep(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct())
-    labels = None
-    while not edges.isEmpty():  # each round removes a node at least, so it ends
-        ends = edges.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("a").alias("m")), F.struct(F.col("b").alias("node"), F.col("a").alias("m")))).alias("e")).select("e.*")
-        parent = keep(ends.groupBy("node").agg(F.min("m").alias("up")))
-        moved = edges.join(parent.select(F.col("node").alias("a"), F.col("up").alias("pa")), "a").join(parent.select(F.col("node").alias("b"), F.col("up").alias("pb")), "b")
-        edges = keep(moved.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct(), edges)
+    """node, label (the smallest node reachable) for every node of the edges (a, b).
+
+    In each round every node goes to its neighbour of least priority, if that is less than its own, and edges are contracted; priorities
+    are hashes that change with the round, so any graph, a rising path too, loses a share of its nodes in each. The rounds end when no
+    edge is left.
+    """
+    edges = materialise(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct(), "edges")
+    labels, r = None, 0
+    while not edges.isEmpty():
+        ends = edges.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("b").alias("to")), F.struct(F.col("b").alias("node"), F.col("a").alias("to")))).alias("e")).select("e.*")
+        first, own = (F.struct(F.xxhash64(c, F.lit(r)).alias("h"), F.col(c).alias("x")) for c in ("to", "node"))
+        parent = materialise(ends.groupBy("node").agg(F.min(first).alias("m")).select("node", F.least("m", own)["x"].alias("up")), "parent")
+        at = lambda c: parent.select(F.col("node").alias(c), F.col("up").alias(f"p{c}"))
+        moved = edges.join(at("a"), "a").join(at("b"), "b").select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct()
+        edges, older = materialise(moved, "edges"), edges
+        discard(older)
         if labels is None:
-            labels = parent.select("node", F.col("up").alias("label"))
+            labels = parent.withColumnRenamed("up", "label")
         else:
-            up = parent.select(F.col("node").alias("label"), "up")
-            labels = keep(labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label")), labels, parent)
-    return edges.select(F.col("a").alias("node"), F.col("b").alias("label")) if labels is None else labels
+            up = parent.withColumnRenamed("node", "label")
+            labels, older = materialise(labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label")), "labels"), labels
+            discard(older)
+            discard(parent)
+        r += 1
+    if labels is None:
+        return edges.select(F.col("a").alias("node"), F.col("b").alias("label"))
+    least = labels.groupBy("label").agg(F.min("node").alias("low"))
+    return labels.join(least, "label").select("node", F.col("low").alias("label"))
+
+
+def links_of(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataFrame:
+    """(a, b): links of classes that connect all that are similar enough."""
+    context = docs.sparkSession.sparkContext
+    sent = context.broadcast(counts)
+    lists = materialise(list_pass(prefixes(docs, sent, k, percent), percent), "lists")
+    sent.destroy()
+    long = lists.where("token IS NOT NULL").select("token", "block", F.col("a").alias("cls"), F.col("na").alias("n"))
+    pairs = lists.where("token IS NULL").groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.count(F.lit(1)).alias("c"))
+    many = long.groupBy("cls").agg(F.count(F.lit(1)).alias("m"))
+    ma, mb = (many.select(F.col("cls").alias(x), F.col("m").alias(f"m{x}")) for x in "ab")
+    near = pairs.join(ma, "a", "left").join(mb, "b", "left").where(possible_sql("c + least(coalesce(ma, 0), coalesce(mb, 0))", percent)).select("a", "b", "na", "nb")
+    near = materialise(near, "pairs")
+    classes = near.select(F.col("a").alias("cls")).union(near.select("b")).union(long.select("cls")).distinct()
+    sent = context.broadcast(candidate_filter(classes))
+    sets = materialise(candidate_sets(docs, sent, k, percent), "candidates")
+    sent.destroy()
+    found = materialise(small_links(near, sets, percent).unionByName(large_links(long, sets, percent)).distinct(), "links")
+    for x in (lists, near, sets):
+        discard(x)
+    return found
+
+
+def linked(docs: DataFrame, k: int, percent: int, carried: list[str]) -> DataFrame:
+    """The carried columns (doc_id among them), n and label of every document; documents of one label are one component, null is alone."""
+    first = materialise(sets_pass(docs, k, carried), "sets")
+    links = links_of(docs, bucket_counts(first), k, percent)
+    labels = components(links)
+    rows = first.where("block IS NULL").select(*carried, "n", "cls")
+    return rows.join(labels.withColumnRenamed("node", "cls"), "cls", "left").select(*carried, "n", F.coalesce("label", "cls").alias("label"))
 
 
 def link_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id of every document."""
-    first = materialise(sets_pass(docs, k), "sets")
-    shared = keep(shared_tokens(prefixes(docs, bucket_counts(first), k, percent)))
-    lists = keep(prune_lists(shared, percent), shared)
-    tidy(docs.sparkSession)
-    sets = materialise(candidate_sets(docs, candidate_filter(lists), k, percent), "candidates")
-    lists = keep(lists.withColumn("label", F.col("cls")), lists)
-    links = labels = None
-    r = 0
-    while not lists.isEmpty():
-        if r < STARS:
-            pairs, left = star_pairs(lists, r, percent), lists.drop("label")
-        else:
-            if r == STARS:
-                lists = keep(with_tokens(lists), lists)
-            pairs, left = pivot_pairs(lists, PIVOTS[min(r - STARS, len(PIVOTS) - 1)], percent)
-        found = verified(pairs, sets, percent).select("a", "b")
-        links = keep(found if links is None else links.unionByName(found), *([links] if links is not None else []))
-        labels, older = components(links), labels
-        known = left.join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
-        open_ = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open")).where("open").select("token")
-        lists = keep(known.join(open_, "token", "left_semi"), lists, *([older] if older is not None else []))
-        tidy(docs.sparkSession)
-        r += 1
-    rows = first.where("block IS NULL").select("doc_id", F.col("n").alias("n_shingles"), "cls")
-    least = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("low"))
-    if labels is None:
-        named = least.withColumnRenamed("low", "component_id")
-    else:
-        of = least.join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
-        of = materialise(of, "classes")
-        named = of.join(of.groupBy("label").agg(F.min("low").alias("component_id")), "label").select("cls", "component_id")
-        for x in (links, labels, lists):
-            discard(x)
-    return rows.join(named, "cls", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
-
-
-def one_of_each(docs: DataFrame, k: int = 4, percent: int = 85, broadcast_rows: int = 4_000_000) -> DataFrame:
-    """The documents without those that another of their component stands for; all columns stay."""
-    gone = materialise(link_components(docs, k, percent).where("doc_id != component_id").select("doc_id").distinct(), "copies")
-    small = gone.limit(broadcast_rows + 1).count() <= broadcast_rows  # 8 bytes a row
-    return docs.join(F.broadcast(gone) if small else gone, "doc_id", "left_anti")
+    rows = materialise(linked(docs, k, percent, ["doc_id"]), "labelled")
+    least = rows.where("label IS NOT NULL").groupBy("label").agg(F.min("doc_id").alias("low"))
+    return rows.join(least, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("low", "doc_id").alias("component_id"))
+
+
+def copies(docs: DataFrame, key: str, k: int = 4, percent: int = 85) -> DataFrame:
+    """The keys of the rows that another of their component stands for: the one of least doc_id (null last), then of least key."""
+    rows = materialise(linked(docs, k, percent, [key, "doc_id"]), "labelled").where("label IS NOT NULL")
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id"), F.col(key))
+    least = rows.groupBy("label").agg(F.min(order)[key].alias("first"))
+    return rows.join(least, "label").where(F.col(key) != F.col("first")).select(key)
+
+
+def one_of_each(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
+    """The rows without those that another of their component stands for; decisions go by row, so repeated and null ids are no matter."""
+    rows, key = numbered(docs)
+    return without(rows, key, copies(rows, key, k, percent)).select(docs.columns)
 
 
 def op7_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
