@@ -2,36 +2,32 @@
 
 STAGES lists (name, function); a function takes (spark, docs, sf_dir) and returns a DataFrame. All but the last return the columns
 of ``docs``. ``run`` applies them to the documents table, writing and rereading what each stage kept.
+
+Decisions go by row, not by doc_id. Defined results: a row without id is judged by its text like any other (and sorts last among its
+copies); rows of one id are judged one by one, and repeated rows are copies, of which one stays; null and empty texts have no toxic
+evidence, are of no language and so go in the second stage; empty tables give empty tables; other columns are passed on as they are.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from wedgework.llm import jaccard, langid, packing, toxicity
-from wedgework.llm.common import load, materialise
+from wedgework.llm.common import load, materialise, numbered, without
 
-#: Rejected ids (8 bytes each) that are broadcast at most; beyond it the anti join is left to Spark.
-BROADCAST_ROWS = 4_000_000
 #: Words of a shingle and least similarity, in per cent, of near copies (op7_ngram_jaccard_join has a contract of its own).
 SHINGLE, PERCENT = 5, 80
 
 
-def _without(docs: DataFrame, rejected: DataFrame) -> DataFrame:
-    """The documents whose id isn't rejected; a null id is never rejected."""
-    gone = materialise(rejected.select("doc_id").where("doc_id IS NOT NULL").distinct(), "rejected")
-    small = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    return docs.join(F.broadcast(gone) if small else gone, "doc_id", "left_anti").select(docs.columns)
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = toxicity.detect(docs, load(spark, sf_dir, "labels"))
-    return _without(docs, found.where("predicted = 1"))
+    rows, key = numbered(docs)
+    found = toxicity.detect(rows, load(spark, sf_dir, "labels"), carried=(key,))
+    return without(rows, key, found.where("predicted = 1")).select(docs.columns)
 
 
 def drop_unknown_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _without(docs, langid.identify(docs).where("rejected"))
+    rows, key = numbered(docs)
+    return without(rows, key, langid.identify(rows, carried=(key,)).where("rejected")).select(docs.columns)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,14 +1,12 @@
 """Interpolated Kneser-Ney character models, one for each class, over shared sorted hash arrays.
 
 Words are the unit: a gram is a run of characters of ``<word>`` with its two boundary marks. Highest-order (and word-initial) grams have
-their counts, all others the number of distinct characters before them. Every gram seen in some class has a row with the
-interpolated log probability under each class; contexts have rows with the back-off weights. Gram hashes are sorted, so a batch of
-words is scored by binary search, longest gram first, with back-off weights where a gram is unknown.
+their counts, all others the number of distinct characters before them. Counts, continuation counts, discounts and context sums are plain
+aggregates over all grams, without a bound; probabilities come from them by the recursion, lowest order first.
 
-``scored`` never holds a model in one place. Texts are cut into words once and kept as codes; the distinct words make the grams, whose
-counts, continuation counts and context sums are plain aggregates over all grams, without a bound. Batches of distinct words ask for
-the rows of their own grams and get their probabilities from these by the recursion; chunks of texts ask for the scores of their own
-words. Only discounts and totals (one row for each order) reach the driver. ``build`` is the same model in memory, for small corpora.
+Two ways of scoring give the same results. A model of at most ``MODEL_BYTES`` is sent to the workers as sorted arrays of gram hashes and
+counts, and each scores its texts by binary search. A larger one stays distributed: texts are cut into words once and kept as codes,
+batches of the distinct words ask for the rows of their own grams, and chunks of texts ask for the scores of their own words.
 
 With ``shared=True`` only word-initial grams are counted for each class (up to ``order`` characters, so they hold whole stems); grams
 inside words, up to ``free`` characters, are estimated from all classes together. An expression that a class hardly knows then backs off
@@ -19,7 +17,6 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Callable, Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -28,11 +25,15 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import discard, materialise, release, tidy
+from .common import discard, materialise, release
 
 BEGIN, FINISH = "\x02", "\x03"
 #: Longest word, in characters, that is taken as one unit; longer ones are cut into units of this size.
 UNIT = 64
+#: Bytes of a model that is sent to the workers at most: 8 for each gram's hash and 12 for each of its classes.
+MODEL_BYTES = 192 << 20
+#: Pieces of text whose scores a worker remembers at most; beyond it, it starts anew.
+REMEMBERED = 500_000
 #: Characters of texts that share one list of words, characters that are cut up at a time, and distinct words that are scored at a time.
 CHUNK = 16_000_000
 SLICE = 4_000_000
@@ -88,23 +89,29 @@ def gram_rows(counts: dict[int, Counter], order: int, free: int) -> Iterator[pd.
             })
 
 
-def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], most_words: int = 80_000) -> DataFrame:
-    """Gram counts of (text, k) rows. Words are counted within the partition first, so that each distinct one is cut up once."""
+def count_grams(rows: DataFrame, order: int, free: int, split: Callable[[str], list[str]], labels=None, most_words: int = 80_000) -> DataFrame:
+    """Gram counts of the texts of each class: the column k (null: none) or, with ``labels``, a broadcast pair of sorted doc_ids and their classes.
+
+    Words are counted within the partition first, so that each distinct one is cut up once.
+    """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         raw: dict[int, Counter] = {}
         for b in batches:
-            for k, texts in b.groupby("k")["text"]:
-                for t in texts:
-                    known = raw.setdefault(int(k), Counter())
-                    known.update(t.split())
-                    if len(known) > most_words:
-                        yield from gram_rows(_cleaned({int(k): raw.pop(int(k))}, split), order, free)
+            of = b["k"].to_numpy(np.int64) if labels is None else classes_of(b["doc_id"], labels.value)
+            for k, t in zip(of.tolist(), b["text"], strict=True):
+                if k < 0:
+                    continue
+                known = raw.setdefault(k, Counter())
+                known.update(t.split())
+                if len(known) > most_words:
+                    yield from gram_rows(_cleaned({k: raw.pop(k)}, split), order, free)
         yield from gram_rows(_cleaned(raw, split), order, free)
         release()
 
     schema = "n int, gram long, suffix long, context long, first boolean, k int, c long"
-    return rows.select("text", "k").where("text IS NOT NULL AND k IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
+    key = "k" if labels is None else "doc_id"
+    return rows.select("text", key).where(f"text IS NOT NULL AND {key} IS NOT NULL").mapInPandas(run, schema).groupBy("n", "gram", "suffix", "context", "first", "k").agg(F.sum("c").alias("c"))
 
 
 def classes_of(doc_id: pd.Series, labels: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
@@ -128,44 +135,6 @@ def _cleaned(raw: dict[int, Counter], split: Callable[[str], list[str]]) -> dict
     return out
 
 
-@dataclass
-class Model:
-    order: int
-    free: int
-    classes: int
-    grams: list[np.ndarray]  # for each order: sorted hashes
-    logp: list[np.ndarray]  # for each order: rows of log probabilities
-    contexts: list[np.ndarray]  # for each order above the first: sorted hashes of the contexts
-    backoff: list[np.ndarray]  # and their log back-off weights
-    unknown: np.ndarray  # log probability of a character that no class has seen
-
-    def positions(self, points: np.ndarray, place: np.ndarray) -> np.ndarray:
-        """Log probability of each character under each class (0 for opening marks)."""
-        hashes = gram_hashes(points, self.order)
-        out = np.zeros((len(points), self.classes))
-        open_ = np.flatnonzero(place >= 1)
-        for n in range(self.order, 0, -1):
-            fit = place[open_] >= n - 1 if n <= self.free else place[open_] == n - 1
-            at = open_[fit]
-            found, i = _look(self.grams[n - 1], hashes[n - 1][at])
-            out[at[found]] += self.logp[n - 1][i[found]]
-            missed = at[~found]
-            if n > 1 and len(missed):
-                known, j = _look(self.contexts[n - 2], hashes[n - 2][missed - 1])
-                out[missed[known]] += self.backoff[n - 2][j[known]]
-            elif n == 1:
-                out[missed] += self.unknown
-            open_ = np.concatenate([open_[~fit], missed])
-        return out
-
-    def words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Summed log probabilities of each word under each class, and its predicted characters."""
-        points, owner, place = units(words)
-        p = self.positions(points, place)
-        sums = np.stack([np.bincount(owner, weights=p[:, k], minlength=len(words)) for k in range(self.classes)], axis=1)
-        return sums, np.bincount(owner, weights=place >= 1, minlength=len(words))
-
-
 def _look(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     if not len(table):
         return np.zeros(len(keys), dtype=bool), np.zeros(len(keys), dtype=np.int64)
@@ -173,96 +142,163 @@ def _look(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return table[i] == keys, i
 
 
-def build(counted: DataFrame, order: int, free: int, classes: int, shared: bool) -> Model:
-    """The model from gram counts, all of which the driver gets: for corpora whose grams fit into memory."""
-    return fit(_wide(counted, classes).toArrow().to_pandas(), order, free, classes, shared)
-
-
 def _wide(counted: DataFrame, classes: int) -> DataFrame:
     return counted.groupBy("n", "gram", "suffix", "context", "first").agg(*(F.sum(F.when(F.col("k") == k, F.col("c")).otherwise(0)).alias(f"c{k}") for k in range(classes)))
 
 
-def fit(table: pd.DataFrame, order: int, free: int, classes: int, shared: bool) -> Model:
-    names = [f"c{k}" for k in range(classes)]
-    by = []
-    for n in range(1, order + 1):
-        t = table[table["n"] == n]
-        hashes = t["gram"].to_numpy(np.int64).view(np.uint64)
-        sort = np.argsort(hashes)
-        by.append({"h": hashes[sort], "suffix": t["suffix"].to_numpy(np.int64).view(np.uint64)[sort], "context": t["context"].to_numpy(np.int64).view(np.uint64)[sort], "first": t["first"].to_numpy(bool)[sort], "raw": t[names].to_numpy(np.float64)[sort]})
-    for n in range(1, order + 1):  # the counts that count: continuation counts below the highest order
-        own = by[n - 1]
-        if n >= free:
-            own["c"] = own["raw"].copy()
-            continue
-        up = by[n]
-        there, i = _look(own["h"], up["suffix"])
-        c = np.zeros_like(own["raw"])
-        np.add.at(c, i[there], (up["raw"][there] > 0).astype(float))
-        own["c"] = np.where(own["first"][:, None], own["raw"], c)
+def gram_table(counted: DataFrame, order: int, free: int, classes: int, shared: bool) -> tuple[DataFrame, list[tuple]]:
+    """Rows (gram, c0.., t0.., m0..) of all grams: what counts for the gram, and the sum and number of the counts that follow it as a context; and (letters, discounts, sum, number) of each order."""
+    cs, ks = [f"c{k}" for k in range(classes)], range(classes)
+    grams = materialise(_wide(counted, classes), "grams")
+    # each gram and, below the highest free order, the grams that it ends: how many are known to each class
+    own = grams.select("n", "gram", "context", "first", *cs, *(F.lit(0).cast("long").alias(f"b{k}") for k in ks))
+    ends = grams.where((F.col("n") > 1) & (F.col("n") <= free)).select((F.col("n") - 1).alias("n"), F.col("suffix").alias("gram"), F.lit(None).cast("long").alias("context"), F.lit(False).alias("first"), *(F.lit(0).cast("long").alias(c) for c in cs), *((F.col(c) > 0).cast("long").alias(f"b{k}") for k, c in enumerate(cs)))
+    both = own.unionByName(ends).groupBy("n", "gram").agg(F.max("context").alias("context"), F.max("first").alias("first"), *(F.sum(x).alias(x) for k in ks for x in (f"c{k}", f"b{k}")))
+    counting = {k: F.when((F.col("n") >= free) | F.col("first"), F.col(f"c{k}")).otherwise(F.col(f"b{k}")) for k in ks}
     if shared:
-        for own in by:
-            own["c"] = np.where(own["first"][:, None], own["c"], own["c"].sum(axis=1, keepdims=True))
-    letters = max(len(by[0]["h"]), 1) + 1
-    lower = np.full((1, classes), 1.0 / letters)
-    probs, weights, unknown = [], [], np.full(classes, 1.0 / letters)
+        every = sum((counting[k] for k in range(1, classes)), counting[0])
+        counting = {k: F.when(F.col("first"), counting[k]).otherwise(every) for k in ks}
+    counts = materialise(both.select("n", "gram", "context", *(counting[k].alias(f"c{k}") for k in ks)), "counted")
+    discard(grams)
+    sums = counts.groupBy("n").agg(F.count(F.lit(1)).alias("rows"), *(f(c).alias(f"{x}{k}") for k, c in enumerate(cs) for x, f in (("one", lambda c: F.count_if(F.col(c) == 1)), ("two", lambda c: F.count_if(F.col(c) == 2)), ("sum", F.sum), ("kinds", lambda c: F.count_if(F.col(c) > 0)))))
+    by = {r.n: r for r in sums.collect()}  # one row for each order
+    orders = []
     for n in range(1, order + 1):
-        own = by[n - 1]
-        c = own["c"]
-        ones, twos = (c == 1).sum(axis=0), (c == 2).sum(axis=0)
-        d = np.clip(np.where(ones > 0, ones / np.maximum(ones + 2 * twos, 1), 0.5), 0.1, 0.95)
-        if n == 1:
-            group, n_groups, named = np.zeros(len(c), dtype=np.int64), 1, None
-            below = np.repeat(lower, len(c), axis=0)
-        else:
-            named, group = np.unique(own["context"], return_inverse=True)
-            n_groups = len(named)
-            m = min(n - 1, free) - 1
-            there, i = _look(by[m]["h"], own["suffix"])
-            below = np.where(there[:, None], probs[m][i] if len(probs[m]) else 1.0 / letters, 1.0 / letters)
-        total, kinds = np.zeros((n_groups, classes)), np.zeros((n_groups, classes))
-        np.add.at(total, group, c)
-        np.add.at(kinds, group, (c > 0).astype(float))
-        lam = np.where(total > 0, d * kinds / np.maximum(total, 1), 1.0)
-        p = np.where(total[group] > 0, np.maximum(c - d, 0) / np.maximum(total[group], 1), 0.0) + lam[group] * below
-        probs.append(p)
-        if named is not None:
-            weights.append((named, np.log(np.maximum(lam, 1e-12))))
-        if n == 1:
-            unknown = lam[0] / letters if n_groups and len(c) else unknown
-    return Model(order, free, classes, [x["h"] for x in by], [np.log(np.maximum(p, 1e-300)).astype(np.float32) for p in probs], [w[0] for w in weights], [w[1].astype(np.float32) for w in weights], np.log(unknown))
-
-
-def encode(rows: DataFrame, carried: list[str], classes: int, split: Callable[[str], list[str]], labels=None) -> DataFrame:
-    """Texts as codes of words, in chunks: rows (chunk, carried columns, codes) and, for each distinct word of the chunk, rows (chunk, key, code, c0..).
-
-    A white-space piece counts as the words that ``split`` finds in it, joined by blanks. ``c``: how often texts of each class have the
-    key; the class is the column k (null: none) or, with ``labels``, a broadcast pair of sorted ids and their classes.
+        one, two, total, kinds = (np.array([by[n][f"{x}{k}"] if n in by else 0 for k in ks], dtype=float) for x in ("one", "two", "sum", "kinds"))
+        d = np.clip(np.where(one > 0, one / np.maximum(one + 2 * two, 1), 0.5), 0.1, 0.95)
+        orders.append(((by[n].rows if n in by else 0) + 1, d, total, kinds))
+    zeros = [F.lit(0).cast("long").alias(f"{x}{k}") for x in "tm" for k in ks]
+    follow = counts.where("n > 1").select(F.col("context").alias("gram"), *(F.lit(0).cast("long").alias(c) for c in cs), *(F.col(c).alias(f"t{k}") for k, c in enumerate(cs)), *((F.col(c) > 0).cast("long").alias(f"m{k}") for k, c in enumerate(cs)))
+    table = materialise(counts.select("gram", *cs, *zeros).unionByName(follow).groupBy("gram").agg(*(F.sum(f"{x}{k}").alias(f"{x}{k}") for x in "ctm" for k in ks)), "model")
+    discard(counts)
+    return table, orders
+
+
+def _places(place: np.ndarray, n: int, free: int) -> np.ndarray:
+    return np.flatnonzero(place >= max(n - 1, 1) if n <= free else place == n - 1)
+
+
+def log_probabilities(points: np.ndarray, place: np.ndarray, table: np.ndarray, rows: np.ndarray, orders: list[tuple], free: int) -> np.ndarray:
+    """Log probability of each character under each class (0 for opening marks), from rows (c, t, m) of sorted gram hashes."""
+    order, classes = len(orders), len(orders[0][1])
+    hashes = gram_hashes(points, order)
+    p = np.full((len(points), classes), 1.0 / max(orders[0][0], 2))
+    found, i = _look(table, hashes[0])
+    known = np.where(found, i, -1)  # the row of the gram of the order below that ends at each place
+    for n in range(1, order + 1):
+        at = _places(place, n, free)
+        d, total, kinds = orders[n - 1][1:]
+        if n > 1:
+            at = at[known[at - 1] >= 0]  # without its context, a gram is unknown and the order below holds
+            before = rows[known[at - 1], classes:]
+            total, kinds = before[:, :classes], before[:, classes:]
+            found, i = _look(table, hashes[n - 1][at])
+            known = np.full(len(points), -1)
+            known[at] = np.where(found, i, -1)
+        c = np.where(known[at, None] >= 0, rows[known[at], :classes], 0)
+        some = np.maximum(total, 1)
+        p[at] = np.where(total > 0, np.maximum(c - d, 0) / some + d * kinds / some * p[at], p[at])
+    return np.where(place[:, None] >= 1, np.log(np.maximum(p, 1e-300)), 0.0)
+
+
+def word_sums(words: list[str], table: np.ndarray, rows: np.ndarray, orders: list[tuple], free: int) -> np.ndarray:
+    """Summed log probabilities of each word under each class and, last, its predicted characters."""
+    points, owner, place = units(words)
+    p = log_probabilities(points, place, table, rows, orders, free)
+    return np.stack([*(np.bincount(owner, weights=p[:, k], minlength=len(words)) for k in range(p.shape[1])), np.bincount(owner, weights=place >= 1, minlength=len(words))], axis=1)
+
+
+def arrays_of(table: DataFrame, classes: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted gram hashes and their rows (c, t, m), of a table of bounded size; they reach the driver as a few packed rows."""
+    names = [f"{x}{k}" for x in "ctm" for k in range(classes)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = np.stack([b.column(x).to_numpy().astype(np.float32) for x in names], axis=1)
+            yield pa.RecordBatch.from_pydict({"g": [b.column("gram").to_numpy().tobytes()], "r": [rows.tobytes()]})
+
+    parts = [(np.frombuffer(r.g, dtype=np.uint64), np.frombuffer(r.r, dtype=np.float32).reshape(-1, len(names))) for r in table.mapInArrow(run, "g binary, r binary").toLocalIterator()]
+    grams = np.concatenate([np.zeros(0, dtype=np.uint64), *(g for g, _ in parts)])
+    sort = np.argsort(grams)
+    return grams[sort], np.concatenate([np.zeros((0, len(names)), dtype=np.float32), *(r for _, r in parts)])[sort]
+
+
+class Remembered:
+    """Rows of the white-space pieces that a worker has met: a log probability for each class, and predicted characters."""
+
+    def __init__(self, model: tuple, split: Callable[[str], list[str]]):
+        self.model, self.split = model, split
+        self.clear()
+
+    def clear(self) -> None:
+        self.index: dict[str, int] = {}
+        self.rows = np.zeros((1024, len(self.model[2][0][1]) + 1), dtype=np.float32)
+        self.used = 0
+
+    def learn(self, pieces: list[str]) -> None:
+        """A piece of one word shares its row, other pieces get the sum of their words."""
+        index = self.index
+        parts = [self.split(p) for p in pieces]
+        words = list({w for ws in parts for w in ws}.difference(index))
+        if words:
+            self._add(words, word_sums(words, *self.model))
+        others = [(p, ws) for p, ws in zip(pieces, parts, strict=True) if len(ws) != 1]
+        index.update((p, index[ws[0]]) for p, ws in zip(pieces, parts, strict=True) if len(ws) == 1)
+        if others:
+            flat = np.fromiter((index[w] for _, ws in others for w in ws), dtype=np.int64)
+            back = np.repeat(np.arange(len(others)), np.fromiter((len(ws) for _, ws in others), dtype=np.int64, count=len(others)))
+            self._add([p for p, _ in others], np.stack([np.bincount(back, weights=self.rows[flat, j], minlength=len(others)) for j in range(self.rows.shape[1])], axis=1))
+
+    def _add(self, names: list[str], own: np.ndarray) -> None:
+        first = self.used
+        while first + len(names) > len(self.rows):
+            self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
+        self.rows[first : first + len(names)] = own
+        self.used = first + len(names)
+        self.index.update(zip(names, range(first, self.used), strict=True))
+
+    def texts(self, texts: list[str]) -> Iterator[np.ndarray]:
+        """For each text, the rows of its pieces in order."""
+        at = 0
+        while at < len(texts):
+            group, size = [], 0
+            while at < len(texts) and size < SLICE:
+                group.append(texts[at].split())
+                size, at = size + len(texts[at]), at + 1
+            fresh = set().union(*group).difference(self.index)
+            if len(self.index) + len(fresh) > REMEMBERED:
+                self.clear()
+                fresh = set().union(*group)
+            fresh = list(fresh)
+            for i in range(0, len(fresh), BATCH):
+                self.learn(fresh[i : i + BATCH])
+            for g in group:
+                yield self.rows[np.fromiter(map(self.index.__getitem__, g), dtype=np.int64, count=len(g))]
+
+
+def encode(rows: DataFrame, carried: list[str], split: Callable[[str], list[str]]) -> DataFrame:
+    """Texts as codes of words, in chunks: rows (chunk, carried columns, codes) and, for each distinct word of the chunk, rows (chunk, key, code).
+
+    A white-space piece counts as the words that ``split`` finds in it, joined by blanks.
     """
-    schema = ", ".join(["chunk long", *(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried), "codes binary", "key string", "code int", *(f"c{k} long" for k in range(classes))])
+    names = ["chunk", *carried, "codes", "key", "code"]
+    schema = ", ".join(["chunk long", *(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried), "codes binary", "key string", "code int"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         chunk, size = TaskContext.get().partitionId() << 24, 0
         index: dict[str, int] = {}  # piece to code
         keys: dict[str, int] = {}
-        counts = np.zeros((classes, 0), dtype=np.int64)
 
         def batch(m: int, own: dict, like: pa.RecordBatch) -> pa.RecordBatch:
-            names = ["chunk", *carried, "codes", "key", "code", *(f"c{k}" for k in range(classes))]
-            kinds = [pa.int64(), *(like.schema.field(c).type for c in carried), pa.binary(), pa.string(), pa.int32(), *[pa.int64()] * classes]
+            kinds = [pa.int64(), *(like.schema.field(c).type for c in carried), pa.binary(), pa.string(), pa.int32()]
             own["chunk"] = pa.array(np.full(m, chunk))
             return pa.RecordBatch.from_arrays([own[x] if x in own else pa.nulls(m, t) for x, t in zip(names, kinds, strict=True)], names=names)
 
         def ended(like: pa.RecordBatch) -> pa.RecordBatch:
-            own = {"key": pa.array(list(keys), pa.string()), "code": pa.array(np.arange(len(keys), dtype=np.int32))}
-            return batch(len(keys), own | {f"c{k}": pa.array(counts[k]) for k in range(classes)}, like)
+            return batch(len(keys), {"key": pa.array(list(keys), pa.string()), "code": pa.array(np.arange(len(keys), dtype=np.int32))}, like)
 
         b = None
         for b in batches:
-            if labels is None:
-                of = np.array([-1 if k is None else k for k in b.column("k").to_pylist()], dtype=np.int64)
-            else:
-                of = np.array([class_of(i, labels.value) for i in b.column("doc_id").to_pylist()], dtype=np.int64)
             texts = b.column("text")
             at = 0
             while at < len(b):
@@ -274,95 +310,26 @@ def encode(rows: DataFrame, carried: list[str], classes: int, split: Callable[[s
                 for p in set().union(*pieces).difference(index):
                     index[p] = keys.setdefault(" ".join(split(p)), len(keys))
                 codes = [np.fromiter(map(index.__getitem__, g), dtype=np.int32, count=len(g)) for g in pieces]
-                counts = np.pad(counts, ((0, 0), (0, len(keys) - counts.shape[1])))
-                for k in range(classes):
-                    taught = [c for c, x in zip(codes, of[first:at], strict=True) if x == k]
-                    if taught:
-                        counts[k] += np.bincount(np.concatenate(taught), minlength=len(keys))
-                own = {c: b.column(c).slice(first, at - first) for c in carried}
-                yield batch(at - first, own | {"codes": pa.array([c.tobytes() for c in codes], pa.binary())}, b)
+                yield batch(at - first, {c: b.column(c).slice(first, at - first) for c in carried} | {"codes": pa.array([c.tobytes() for c in codes], pa.binary())}, b)
                 size += chars
                 if size > CHUNK:
                     yield ended(b)
-                    index, keys, counts = {}, {}, np.zeros((classes, 0), dtype=np.int64)
+                    index, keys = {}, {}
                     chunk, size = chunk + 1, 0
         if b is not None and keys:
             yield ended(b)
         release()
 
-    return materialise(rows.mapInArrow(run, schema), "codes")
+    return materialise(rows.select(*carried, "text").mapInArrow(run, schema), "codes")
 
 
-def class_of(doc_id: int | None, labels: tuple[np.ndarray, np.ndarray]) -> int:
-    ids, classes = labels
-    i = -1 if doc_id is None else int(np.searchsorted(ids, doc_id))
-    return int(classes[i]) if 0 <= i < len(ids) and ids[i] == doc_id else -1
-
-
-def word_batches(coded: DataFrame, classes: int) -> DataFrame:
-    """key, c0.., batch of every distinct key of the corpus; a batch holds neighbours in alphabetical order, which share their first grams."""
-    names = [f"c{k}" for k in range(classes)]
-    words = materialise(coded.where("key IS NOT NULL").groupBy("key").agg(*(F.sum(c).alias(c) for c in names)), "words")
+def word_batches(coded: DataFrame) -> DataFrame:
+    """key, batch of every distinct key of the corpus; a batch holds neighbours in alphabetical order, which share their first grams."""
+    words = materialise(coded.where("key IS NOT NULL").select("key").distinct(), "words")
     n = max(1, -(-words.count() // BATCH))
-    return _instead(words.repartitionByRange(n, "key").withColumn("batch", F.spark_partition_id()), "batches", words)
-
-
-def _instead(df: DataFrame, label: str, *older: DataFrame) -> DataFrame:
-    """Write a frame, then delete those that it replaces and the shuffle files of finished steps."""
-    written = materialise(df, label)
-    del df
-    for x in older:
-        discard(x)
-    tidy(written.sparkSession)
-    return written
-
-
-def gram_table(words: DataFrame, order: int, free: int, classes: int, shared: bool) -> tuple[DataFrame, list[tuple]]:
-    """Rows (gram, c0.., t0.., m0..) of all grams: what counts for the gram, and the sum and number of the counts that follow it as a context; and (letters, discounts, sum, number) of each order."""
-    cs, ks = [f"c{k}" for k in range(classes)], range(classes)
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            counts: dict[int, Counter] = {}
-            for k in ks:
-                own = counts[k] = Counter()
-                taught = b[b[f"c{k}"] > 0]
-                for key, c in zip(taught["key"], taught[f"c{k}"], strict=True):
-                    for w in key.split(" ") if key else ():
-                        own[w] += c
-            yield from gram_rows(counts, order, free)
-        release()
-
-    grams = _instead(_wide(words.mapInPandas(run, "n int, gram long, suffix long, context long, first boolean, k int, c long"), classes), "grams")
-    # each gram and, below the highest free order, the grams that it ends: how many are known to each class
-    own = grams.select("n", "gram", "context", "first", *cs, *(F.lit(0).cast("long").alias(f"b{k}") for k in ks))
-    ends = grams.where((F.col("n") > 1) & (F.col("n") <= free)).select((F.col("n") - 1).alias("n"), F.col("suffix").alias("gram"), F.lit(None).cast("long").alias("context"), F.lit(False).alias("first"), *(F.lit(0).cast("long").alias(c) for c in cs), *((F.col(c) > 0).cast("long").alias(f"b{k}") for k, c in enumerate(cs)))
-    both = own.unionByName(ends).groupBy("n", "gram").agg(F.max("context").alias("context"), F.max("first").alias("first"), *(F.sum(x).alias(x) for k in ks for x in (f"c{k}", f"b{k}")))
-    counting = {k: F.when((F.col("n") >= free) | F.col("first"), F.col(f"c{k}")).otherwise(F.col(f"b{k}")) for k in ks}
-    if shared:
-        every = sum((counting[k] for k in range(1, classes)), counting[0])
-        counting = {k: F.when(F.col("first"), counting[k]).otherwise(every) for k in ks}
-    both = both.select("n", "gram", "context", *(counting[k].alias(f"c{k}") for k in ks))
-    counted = materialise(both, "counted")
-    del own, ends, both
-    discard(grams)
-    tidy(words.sparkSession)
-    sums = counted.groupBy("n").agg(F.count(F.lit(1)).alias("rows"), *(f(c).alias(f"{x}{k}") for k, c in enumerate(cs) for x, f in (("one", lambda c: F.count_if(F.col(c) == 1)), ("two", lambda c: F.count_if(F.col(c) == 2)), ("sum", F.sum), ("kinds", lambda c: F.count_if(F.col(c) > 0)))))
-    by = {r.n: r for r in sums.collect()}  # one row for each order
-    orders = []
-    for n in range(1, order + 1):
-        one, two, total, kinds = (np.array([by[n][f"{x}{k}"] if n in by else 0 for k in ks], dtype=float) for x in ("one", "two", "sum", "kinds"))
-        d = np.clip(np.where(one > 0, one / np.maximum(one + 2 * two, 1), 0.5), 0.1, 0.95)
-        orders.append(((by[n].rows if n in by else 0) + 1, d, total, kinds))
-    zeros = [F.lit(0).cast("long").alias(f"{x}{k}") for x in "tm" for k in ks]
-    follow = counted.where("n > 1").select(F.col("context").alias("gram"), *(F.lit(0).cast("long").alias(c) for c in cs), *(F.col(c).alias(f"t{k}") for k, c in enumerate(cs)), *((F.col(c) > 0).cast("long").alias(f"m{k}") for k, c in enumerate(cs)))
-    table = counted.select("gram", *cs, *zeros).unionByName(follow).groupBy("gram").agg(*(F.sum(f"{x}{k}").alias(f"{x}{k}") for x in "ctm" for k in ks))
-    del follow
-    return _instead(table, "model", counted), orders
-
-
-def _places(place: np.ndarray, n: int, free: int) -> np.ndarray:
-    return np.flatnonzero(place >= max(n - 1, 1) if n <= free else place == n - 1)
+    batches = materialise(words.repartitionByRange(n, "key").withColumn("batch", F.spark_partition_id()), "batches")
+    discard(words)
+    return batches
 
 
 def asked(words: DataFrame, order: int, free: int) -> DataFrame:
@@ -391,27 +358,6 @@ def asked(words: DataFrame, order: int, free: int) -> DataFrame:
     return words.select("batch", "key").sortWithinPartitions("batch").mapInPandas(run, "batch int, gram long")
 
 
-def log_probabilities(points: np.ndarray, place: np.ndarray, table: np.ndarray, rows: np.ndarray, orders: list[tuple], free: int) -> np.ndarray:
-    """Log probability of each character under each class (0 for opening marks), from rows (c, t, m) of sorted gram hashes."""
-    order, classes = len(orders), len(orders[0][1])
-    hashes = gram_hashes(points, order)
-    p = np.full((len(points), classes), 1.0 / max(orders[0][0], 2))
-    none = np.zeros((1, 3 * classes))
-    rows = np.concatenate([rows, none])  # the last row stands for unknown grams
-    for n in range(1, order + 1):
-        at = _places(place, n, free)
-        found, i = _look(table, hashes[n - 1][at])
-        c = rows[np.where(found, i, -1), :classes]
-        d, total, kinds = orders[n - 1][1:]
-        if n > 1:
-            found, i = _look(table, hashes[n - 2][at - 1])
-            before = rows[np.where(found, i, -1), classes:]
-            total, kinds = before[:, :classes], before[:, classes:]
-        some = np.maximum(total, 1)
-        p[at] = np.where(total > 0, np.maximum(c - d, 0) / some + d * kinds / some * p[at], p[at])
-    return np.where(place[:, None] >= 1, np.log(np.maximum(p, 1e-300)), 0.0)
-
-
 def word_scores(words: DataFrame, table: DataFrame, orders: list[tuple], free: int) -> DataFrame:
     """key, s0.. (summed log probabilities under each class), chars (predicted characters)."""
     order, classes = len(orders), len(orders[0][1])
@@ -420,44 +366,52 @@ def word_scores(words: DataFrame, table: DataFrame, orders: list[tuple], free: i
     def run(own: pa.Table, known: pa.Table) -> pa.Table:
         keys = own["key"].to_pylist()
         parts = [key.split(" ") if key else [] for key in keys]
-        sums, chars = np.zeros((len(keys), classes)), np.zeros(len(keys), dtype=np.int64)
+        sums = np.zeros((len(keys), classes + 1))
         flat = [w for ws in parts for w in ws]
         if flat:
-            points, owner, place = units(flat)
-            owner = np.repeat(np.arange(len(keys)), list(map(len, parts)))[owner]
             grams = known["gram"].to_numpy().view(np.uint64)
             sort = np.argsort(grams)
             rows = np.stack([known[f"{x}{k}"].to_numpy() for x in "ctm" for k in range(classes)], axis=1)[sort].astype(float)
-            p = log_probabilities(points, place, grams[sort], rows, orders, free)
-            for k in range(classes):
-                sums[:, k] = np.bincount(owner, weights=p[:, k], minlength=len(keys))
-            chars = np.bincount(owner[place >= 1], minlength=len(keys))
-        return pa.table({"key": pa.array(keys, pa.string())} | {f"s{k}": sums[:, k] for k in range(classes)} | {"chars": pa.array(chars, pa.int64())})
+            back = np.repeat(np.arange(len(keys)), list(map(len, parts)))
+            each = word_sums(flat, grams[sort], rows, orders, free)
+            sums = np.stack([np.bincount(back, weights=each[:, j], minlength=len(keys)) for j in range(classes + 1)], axis=1)
+        return pa.table({"key": pa.array(keys, pa.string())} | {f"s{k}": sums[:, k] for k in range(classes)} | {"chars": pa.array(sums[:, -1].astype(np.int64), pa.int64())})
 
     schema = ", ".join(["key string", *(f"s{k} double" for k in range(classes)), "chars long"])
     return words.select("batch", "key").groupBy("batch").cogroup(answers.groupBy("of")).applyInArrow(run, schema)
 
 
-def scored(rows: DataFrame, carried: list[str], order: int, free: int, classes: int, shared: bool, split: Callable[[str], list[str]], measure: Callable[[list[np.ndarray]], pa.Table], schema: str, labels=None) -> DataFrame:
+def scored(rows: DataFrame, carried: list[str], order: int, free: int, classes: int, shared: bool, split: Callable[[str], list[str]], measure: Callable[[Iterator[np.ndarray]], pa.Table], schema: str, labels=None) -> DataFrame:
     """The carried columns of (text, carried, k or doc_id) rows and what ``measure`` returns for their texts under the model of the labelled ones.
 
     ``measure`` gets, for each text, the rows of its pieces in order: a log probability for each class, then predicted characters.
     """
-    coded = encode(rows, carried, classes, split, labels)
-    words = word_batches(coded, classes)
-    table, orders = gram_table(words, order, free, classes, shared)
-    scores = _instead(word_scores(words, table, orders, free), "scores", table, words)
+    table, orders = gram_table(count_grams(rows, order, free, split, labels), order, free, classes, shared)
+    head = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried)
+    schema = f"{head}, {schema}"
+    with_carried = lambda docs, found: pa.table({c: docs[c] for c in carried} | {c: found[c] for c in found.column_names})
+    if table.count() * (8 + 12 * classes) <= MODEL_BYTES:
+        sent = rows.sparkSession.sparkContext.broadcast((*arrays_of(table, classes), orders, free))
+
+        def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            known = Remembered(sent.value, split)
+            for b in batches:
+                found = measure(known.texts([t or "" for t in b.column("text").to_pylist()]))
+                yield from with_carried(pa.Table.from_batches([b]), found).combine_chunks().to_batches()
+            release()
+
+        return rows.select(*carried, "text").mapInArrow(whole, schema)
+    coded = encode(rows, carried, split)
+    words = word_batches(coded)
+    scores = materialise(word_scores(words, table, orders, free), "scores")
+    discard(words)
     names = [*(f"s{k}" for k in range(classes)), "chars"]
     own = coded.where("key IS NOT NULL").select("chunk", "key", "code").join(scores, "key").select(F.col("chunk").alias("of"), "code", *names)
     texts = coded.where("key IS NULL").select("chunk", *carried, "codes")
 
-    def run(docs: pa.Table, known: pa.Table) -> pa.Table:
+    def chunked(docs: pa.Table, known: pa.Table) -> pa.Table:
         table = np.zeros((len(known), classes + 1), dtype=np.float32)
         table[known["code"].to_numpy()] = np.stack([known[x].to_numpy() for x in names], axis=1)
-        found = measure(table[np.frombuffer(c.as_py(), dtype=np.int32)] for c in docs["codes"])
-        for i, c in enumerate(carried):
-            found = found.add_column(i, docs.schema.field(c), docs[c])
-        return found
+        return with_carried(docs, measure(table[np.frombuffer(c.as_py(), dtype=np.int32)] for c in docs["codes"]))
 
-    head = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried)
-    return texts.groupBy("chunk").cogroup(own.groupBy("of")).applyInArrow(run, f"{head}, {schema}")
+    return texts.groupBy("chunk").cogroup(own.groupBy("of")).applyInArrow(chunked, schema)

@@ -61,8 +61,8 @@ def labelled_rows(found: DataFrame, known: pd.DataFrame, folds: tuple[int, ...])
     return found.select("doc_id", *FEATURES).where("doc_id IS NOT NULL").mapInPandas(run, "k long, " + ", ".join(f"{f} double" for f in FEATURES)).toArrow().to_pandas()
 
 
-def evidence(docs: DataFrame, order: int, labels) -> DataFrame:
-    """doc_id, held_out and FEATURES of every whole text, under the models of the labelled ones."""
+def evidence(docs: DataFrame, order: int, labels, carried: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, the carried columns, held_out and FEATURES of every whole text, under the models of the labelled ones."""
 
     def measure(texts: Iterator[np.ndarray]) -> pa.Table:
         out = []
@@ -79,8 +79,8 @@ def evidence(docs: DataFrame, order: int, labels) -> DataFrame:
         rows = np.array(out).reshape(-1, len(FEATURES))
         return pa.table({f: rows[:, j] for j, f in enumerate(FEATURES)})
 
-    rows = docs.select("doc_id", "text", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False)).alias("held_out"))
-    return scored(rows, ["doc_id", "held_out"], order, FREE, 2, True, letters, measure, ", ".join(f"{f} double" for f in FEATURES), labels)
+    rows = docs.select("doc_id", *carried, "text", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False)).alias("held_out"))
+    return scored(rows, ["doc_id", *carried, "held_out"], order, FREE, 2, True, letters, measure, ", ".join(f"{f} double" for f in FEATURES), labels)
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 50) -> np.ndarray:
@@ -97,14 +97,14 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 50
     return w
 
 
-def detect(docs: DataFrame, labels: DataFrame, order: int = ORDER) -> DataFrame:
-    """doc_id, held_out, score, predicted and the evidence."""
+def detect(docs: DataFrame, labels: DataFrame, order: int = ORDER, carried: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, the carried columns, held_out, score, predicted and the evidence."""
     known = labelled(labels)
     if known["toxic"].nunique() < 2:
         share = float(known["toxic"].mean()) if len(known) else 0.0
         held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
-        return docs.select("doc_id", held.alias("held_out"), F.lit(share).alias("score"), F.lit(int(share >= 0.5)).alias("predicted"))
-    found = materialise(evidence(docs, order, send(docs, known, (1, 2, 3))), "toxicity")
+        return docs.select("doc_id", *carried, held.alias("held_out"), F.lit(share).alias("score"), F.lit(int(share >= 0.5)).alias("predicted"))
+    found = materialise(evidence(docs, order, send(docs, known, (1, 2, 3)), carried), "toxicity")
     fitted = labelled_rows(found, known, (4,))
     if fitted["k"].nunique() < 2:
         fitted = labelled_rows(found, known, (1, 2, 3, 4))
@@ -114,7 +114,7 @@ def detect(docs: DataFrame, labels: DataFrame, order: int = ORDER) -> DataFrame:
     logit = F.lit(float(w[-1]))
     for f, v in zip(FEATURES, w[:-1] / scale, strict=True):
         logit = logit + F.lit(float(v)) * F.col(f)
-    return found.withColumn("score", F.lit(1.0) / (F.lit(1.0) + F.exp(-logit))).select("doc_id", "held_out", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), *FEATURES)
+    return found.withColumn("score", F.lit(1.0) / (F.lit(1.0) + F.exp(-logit))).select("doc_id", *carried, "held_out", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), *FEATURES)
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
