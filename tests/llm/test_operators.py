@@ -171,6 +171,7 @@ def test_simhash_against_brute_force(spark, docs, texts, empty, monkeypatch):
         assert (got[i].fingerprint, got[i].edited_fingerprint, got[i].n_chars) == (f"{a:016x}", f"{b:016x}", len(t)), i
         assert got[i].edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
         assert got[i].near_edited == 1 - (a ^ b).bit_count() / 64 and got[i].near_next == 1 - (a ^ c).bit_count() / 64
+    assert simhash.op4_simhash(spark, "").count() == docs.count()
     monkeypatch.setattr(simhash, "load", lambda s, d, n: empty)
     assert simhash.op4_simhash(spark, "").count() == 0
 
@@ -198,12 +199,16 @@ def test_licenses(spark, empty):
     rows = [
         (0, None), (1, ""), (2, "Some prose.\nReleased under the MIT License.\nMore prose."), (3, "Text. Licensed under the Apache License, Version 2.0. Text goes on here."), (4, "licensed UNDER cc by-nc 4.0"),
         (5, "Copyright 2020 Somebody\n\n" + long), (6, "The license of a driver is not a licence under which we stand"), (7, "This work is licensed under the GNU General Public License, version 3."), (8, "License"), (8, "License"),
+        (9, (long + "\n") * 3), (10, "Notes on seven birds.\nThis work is licensed under the GNU General\nPublic License, version 3. More notes follow here, and they go on for long."),
+        (11, "Header\n\n" + long.replace("The above", "\n\nThe above").replace("THE SOFTWARE IS", "\n\nTHE SOFTWARE IS") + "\n\n" + "seven birds sing above old houses. " * 90),
+        (12, "Old birds sing. " * 30 + " ".join(f"{x} " + "\n" * (i % 9 == 8) for i, x in enumerate(long.split())) + " Old birds sing." * 30), (13, "under the river by the work " * 200),
     ]
     got = [(r.doc_id, r.license, round(r.dice, 3)) for r in licenses.scan(table(spark, [(i, t, None) for i, t in rows])).collect()]
     assert len(got) == len(rows)
     by = {i: (n, d) for i, n, d in got}
     assert by[0] == by[1] == by[6] == by[8] == (None, 0.0)
     assert [by[i][0] for i in (2, 3, 4, 5, 7)] == ["MIT", "Apache-2.0", "CC-BY-NC-4.0", "MIT", "GPL-3.0"] and by[2][1] == by[4][1] == 1.0
+    assert by[9][0] == "MIT" and by[9][1] > 0.98 and by[10] == ("GPL-3.0", 1.0) and by[11][0] == "MIT" and by[12][0] == "MIT" and by[13] == (None, 0.0)
     assert licenses.scan(empty).count() == 0
 
 
@@ -213,8 +218,8 @@ def test_packing(spark, texts, n, empty):
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(tokenizers.path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
     rows = [(i, (texts[i % len(texts)] or "") * (1 + i % 3) or None, None) for i in range(n)]
+    rows += [(n, "a <|endoftext|>b<|endoftext|><|endoftext|> c\n<|endoftext|>  <|endoftext| >", None), (n + 1, "<|endoftext|>", None)]
     got = packing.pack_documents(table(spark, rows).repartition(4)).collect()
     ids = {i: tok.encode(t or "", add_special_tokens=False).ids + [packing.END] for i, t, _ in rows}
     for i, want in ids.items():

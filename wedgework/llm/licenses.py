@@ -1,7 +1,11 @@
 """Licence scan: normalised text against licence templates by the Dice coefficient over word bigrams.
 
-A document is scanned as sentences, lines, blank-line paragraphs and as a whole, so that a notice is found wherever it stands. A unit is
-compared only with templates whose size lets the coefficient reach the threshold: 2 * min(a, b) >= t * (a + b).
+A document is scanned in units: lines, sentences (also those that run over lines), paragraphs, runs of consecutive sentences and of
+consecutive paragraphs, and as a whole, so that a notice is found wherever it stands, wrapped, in parts or more than once. A unit is
+compared only with templates whose size lets the coefficient reach the threshold: 2 * min(a, b) >= t * (a + b), in distinct bigrams.
+
+Before a text is cut up it must hold one of the ``keywords``: words that lie in so many bigrams of each template that a unit without any
+of them can't reach the threshold. So nearly all texts cost one regular expression, and none is lost.
 
 Defined results: null and empty texts match nothing (license null, dice 0.0); among equal coefficients the first template in the list
 wins; repeated rows give repeated rows; other columns are ignored. The scan is one narrow projection without a shuffle.
@@ -9,12 +13,18 @@ wins; repeated rows give repeated rows; other columns are ignored. The scan is o
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import load
 
 THRESHOLD = 0.8
+#: Consecutive sentences and paragraphs that are taken together at most; a whole text is one more unit.
+SENTENCES, PARAGRAPHS = 8, 4
+#: Words that are in most English texts and therefore poor keywords.
+COMMON = frozenset("a above all an and any are as at be but by can do following for from has have in is it may more must no not of on one only or other out see shall that the this to under use used which with without work you your".split())
 _PERMIT = "to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:"
 _AS_IS = 'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.'
 #: Public licence notices and texts.
@@ -49,34 +59,56 @@ def words_of(text: str) -> str:
     return f"filter(split({text}, '[^\\\\p{{L}}\\\\p{{N}}]+'), x -> x != '')"
 
 
+def keywords(templates: list[list[str]], threshold: float) -> list[str]:
+    """Words of the templates (as lists of bigrams) such that each unit that reaches the threshold with one of them holds a word.
+
+    Such a unit has t n / (2 - t) of the template's n bigrams at least, so words that lie in more than the rest of them will do.
+    """
+    chosen: set[str] = set()
+    for grams in templates:
+        pairs = [set(g.split(" ")) for g in grams]
+        spare = len(grams) - math.ceil(threshold * len(grams) / (2 - threshold) - 1e-9)
+        left = [p for p in pairs if not p & chosen]
+        while len(pairs) - len(left) <= spare:
+            words = {w for p in left for w in p}
+            best = max(sorted(words), key=lambda w: (w not in COMMON, sum(w in p for p in left), len(w)))
+            chosen.add(best)
+            left = [p for p in left if best not in p]
+    return sorted(chosen)
+
+
+def units_sql(low: str) -> str:
+    """SQL for the distinct units of a lower-cased string expression (a name, as it is used several times)."""
+    let = lambda x, name, body: f"transform(array({x}), {name} -> {body})[0]"
+    runs = lambda x, most: f"flatten(transform(sequence(2, {most}), m -> CASE WHEN size({x}) < m THEN array() ELSE transform(sequence(1, size({x}) - m + 1), i -> array_join(slice({x}, i, m), ' ')) END))"
+    lines = f"split({low}, '\\n'), split(regexp_replace({low}, '([.!?])[ \\t]+', '$1\\n'), '\\n')"
+    sentences = f"split(regexp_replace({low}, '([.!?])[ \\t\\r\\n]+|\\n[ \\t\\r]*\\n', '$1\u0001'), '\u0001')"
+    paragraphs = f"split({low}, '\\n[ \\t\\r]*\\n')"
+    body = f"array_distinct(concat({lines}, ss, {runs('ss', SENTENCES)}, pp, {runs('pp', PARAGRAPHS)}, array({low})))"
+    return let(sentences, "ss", let(paragraphs, "pp", body))
+
+
 def scan(docs: DataFrame, templates=TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, license, dice, template (its position), n_units (units compared with some template)."""
+    """doc_id, license, dice, template (its position)."""
     spark = docs.sparkSession
     known = spark.createDataFrame([(i, x) for i, (_, x) in enumerate(templates)], "i int, x string")
     sized = known.select("i", F.expr(f"transform(array({words_of('lower(x)')}), w -> {grams_sql('w')})[0]").alias("g")).orderBy("i").collect()  # constants: one row for each template
-    most = 1 + max(len(r.g) for r in sized) * (2 - threshold) / threshold
-    least = 1 + min(len(r.g) for r in sized) * threshold / (2 - threshold)
+    least = min(len(r.g) for r in sized) * threshold / (2 - threshold)
     literal = "array(" + ", ".join(f"named_struct('i', {-r.i}, 'n', {len(r.g)}, 'g', array({', '.join(map(_quoted, r.g))}))" for r in sized) + ")"
+    pattern = _quoted(r"(?<![\p{L}\p{N}])(?:" + "|".join(keywords([list(r.g) for r in sized], threshold)) + r")(?![\p{L}\p{N}])").replace("\\\\", "\\")
     dice = f"transform(filter(known, t -> 2 * least(t.n, size(g)) >= {threshold}D * (t.n + size(g))), t -> named_struct('d', 2.0D * size(array_intersect(t.g, g)) / (t.n + size(g)), 'i', t.i))"
-    of_unit = f"transform(array(words), w -> transform(array({grams_sql('w')}), g -> array_max({dice}))[0])[0]".replace("array(words)", "array(w0)")
-    low = docs.select("doc_id", F.lower(F.coalesce("text", F.lit(""))).alias("low"))
-    units = (
-        "array_distinct(concat(split(low, '\\n'), split(regexp_replace(low, '([.!?])[ \\\\t]+', '$1\\n'), '\\n'), split(low, '\\n[ \\\\t]*\\n'), array(low)))"
-    )
-    # a unit with fewer characters than words needs, or none of the letters, is cheap to leave out before it is split
-    chosen = f"filter(transform({units}, u -> {words_of('u')}), w -> size(w) BETWEEN {least} AND {int(most) + 1})"
-    # repeated words make fewer bigrams than words, so the whole document's upper bound holds for distinct bigrams only
-    best = f"transform(units, w0 -> {of_unit})"
+    of_unit = f"transform(array({words_of('u')}), w -> CASE WHEN size(w) <= {least} THEN NULL ELSE transform(array({grams_sql('w')}), g -> array_max({dice}))[0] END)[0]"
+    low = docs.select("doc_id", F.lower(F.coalesce("text", F.lit(""))).alias("low"), F.expr(literal).alias("known"))
+    units = f"CASE WHEN low RLIKE {pattern} THEN filter(transform(array(low), x -> {units_sql('x')})[0], u -> u RLIKE {pattern}) ELSE array() END"
+    best = f"array_max(transform({units}, u -> {of_unit}))"
     return (
-        low.select("doc_id", F.expr(chosen).alias("units"), F.expr(literal).alias("known"))
-        .select("doc_id", F.size("units").cast("long").alias("n_units"), F.expr(f"array_max({best})").alias("b"))
-        .select("doc_id", "n_units", F.when(F.col("b.d") >= threshold, F.col("b")).alias("b"))
+        low.select("doc_id", F.expr(best).alias("b"))
+        .select("doc_id", F.when(F.col("b.d") >= threshold, F.col("b")).alias("b"))
         .select(
             "doc_id",
             F.when(F.col("b").isNotNull(), F.get(F.array(*(F.lit(name) for name, _ in templates)), -F.col("b.i"))).alias("license"),
             F.coalesce("b.d", F.lit(0.0)).alias("dice"),
             (-F.col("b.i")).alias("template"),
-            "n_units",
         )
     )
 
@@ -88,19 +120,18 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _sql() -> str:
     rows = ", ".join(f"({i}, '{name}', '" + text.replace("'", "''") + "')" for i, (name, text) in enumerate(TEMPLATES))
     grams = "list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]))"
+    runs = lambda x, most: f"flatten(list_transform(range(2, {most + 1}), lambda m: list_transform(range(1, len({x}) - m + 2), lambda i: array_to_string({x}[i:i + m - 1], ' '))))"
     return rf"""
 WITH t AS (SELECT i, name, {grams} AS g FROM (SELECT i, name, regexp_extract_all(lower(x), '[\p{{L}}\p{{N}}]+') AS w FROM (VALUES {rows}) AS v(i, name, x))),
-d AS (SELECT row_number() OVER () AS rid, doc_id, lower(coalesce(text, '')) AS low FROM documents),
-u AS (SELECT rid, unnest(list_distinct(list_concat(list_concat(string_split(low, chr(10)), string_split(regexp_replace(low, '([.!?])[ \t]+', '\1' || chr(10), 'g'), chr(10))),
-  list_concat(regexp_split_to_array(low, '\n[ \t]*\n'), [low])))) AS x FROM d),
-uw AS (SELECT rid, regexp_extract_all(x, '[\p{{L}}\p{{N}}]+') AS w FROM u),
-lim AS (SELECT 1 + max(len(g)) * {2 - THRESHOLD} / {THRESHOLD} AS most, 1 + min(len(g)) * {THRESHOLD} / {2 - THRESHOLD} AS least FROM t),
-ug AS (SELECT rid, {grams} AS g FROM uw, lim WHERE len(w) BETWEEN least AND floor(most) + 1),
+d AS MATERIALIZED (SELECT row_number() OVER () AS rid, doc_id, lower(coalesce(text, '')) AS low FROM documents),
+cut AS MATERIALIZED (SELECT rid, low, string_split(regexp_replace(low, '([.!?])[ \t\r\n]+|\n[ \t\r]*\n', '\1' || chr(1), 'g'), chr(1)) AS ss, regexp_split_to_array(low, '\n[ \t\r]*\n') AS pp FROM d),
+u AS (SELECT DISTINCT rid, unnest(list_concat(list_concat(list_concat(string_split(low, chr(10)), string_split(regexp_replace(low, '([.!?])[ \t]+', '\1' || chr(10), 'g'), chr(10))),
+  list_concat(ss, {runs('ss', SENTENCES)})), list_concat(list_concat(pp, {runs('pp', PARAGRAPHS)}), [low]))) AS x FROM cut),
+ug AS MATERIALIZED (SELECT rid, {grams} AS g FROM (SELECT rid, regexp_extract_all(x, '[\p{{L}}\p{{N}}]+') AS w FROM u)),
 h AS (SELECT rid, t.i, 2.0::DOUBLE * len(list_intersect(t.g, ug.g)) / (len(t.g) + len(ug.g)) AS dice FROM ug, t WHERE 2 * least(len(t.g), len(ug.g)) >= {THRESHOLD} * (len(t.g) + len(ug.g))),
-b AS (SELECT rid, i, dice FROM h WHERE dice >= {THRESHOLD} QUALIFY row_number() OVER (PARTITION BY rid ORDER BY dice DESC, i) = 1),
-n AS (SELECT rid, count(*) AS n FROM ug GROUP BY rid)
-SELECT d.doc_id, t.name AS license, coalesce(b.dice, 0.0)::DOUBLE AS dice, b.i::INT AS template, coalesce(n.n, 0)::BIGINT AS n_units
-FROM d LEFT JOIN b USING (rid) LEFT JOIN t ON t.i = b.i LEFT JOIN n USING (rid)"""
+b AS (SELECT rid, i, dice FROM h WHERE dice >= {THRESHOLD} QUALIFY row_number() OVER (PARTITION BY rid ORDER BY dice DESC, i) = 1)
+SELECT d.doc_id, t.name AS license, coalesce(b.dice, 0.0)::DOUBLE AS dice, b.i::INT AS template
+FROM d LEFT JOIN b USING (rid) LEFT JOIN t ON t.i = b.i"""
 
 
 QUERIES = {"op5_license_scan": op5_license_scan}

@@ -45,15 +45,19 @@ def byte_alphabet() -> dict[str, int]:
 
 
 class Ids:
-    """Text to ids (little-endian unsigned 32-bit), as the tokenizer file has it, special tokens being ordinary text."""
+    """Text to ids (little-endian unsigned 32-bit), as the tokenizer file has it: the string of an added token is that token."""
 
     def __init__(self, path: str, pattern: str):
         import tiktoken
 
         letters = byte_alphabet()
         with open(path, encoding="utf-8") as f:
-            vocab = json.load(f)["model"]["vocab"]
-        ranks = {bytes(letters[c] for c in t): i for t, i in vocab.items() if all(c in letters for c in t) and not t.startswith("<|")}
+            file = json.load(f)
+        vocab = file["model"]["vocab"]
+        # longest first, as one may begin another
+        self.added = {t["content"]: np.array([t["id"]], dtype="<u4").tobytes() for t in sorted(file.get("added_tokens", []), key=lambda t: -len(t["content"]))}
+        self.cut = re.compile("(" + "|".join(map(re.escape, self.added)) + ")") if self.added else None
+        ranks = {bytes(letters[c] for c in t): i for t, i in vocab.items() if t not in self.added and all(c in letters for c in t)}
         self.encode = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
         self.crosses = re.compile(r" \s|\s ").search
         self.after_space: dict[str, bytes] = {}
@@ -62,6 +66,11 @@ class Ids:
         return np.array(self.encode(text), dtype="<u4").tobytes()
 
     def of(self, text: str) -> bytes:
+        if self.cut is None or not self.cut.search(text):
+            return self.between(text)
+        return b"".join(self.added[x] if i % 2 else self.between(x) for i, x in enumerate(self.cut.split(text)) if x)
+
+    def between(self, text: str) -> bytes:
         """A match never crosses the start of a space that has no other white space beside it, so such pieces are encoded once."""
         if self.crosses(text):
             return self.ids(text)

@@ -22,9 +22,12 @@ BITS = 60
 LIMIT = 1 << 20
 
 
+def key_hash():
+    return F.conv(F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))), 1, 15), 16, 10).cast("long")
+
+
 def hashed(docs: DataFrame) -> DataFrame:
-    h = F.conv(F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))), 1, 15), 16, 10).cast("long")
-    return docs.select("doc_id", h.alias("h"), F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"))
+    return docs.select("doc_id", key_hash().alias("h"), F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"))
 
 
 def _sums(rows: DataFrame, depth: int) -> pd.DataFrame:
@@ -67,12 +70,10 @@ def directory(rows: DataFrame, limit: int, first_depth: int = 8) -> pd.DataFrame
     return pd.DataFrame(sorted(leaves), columns=["start", "depth", "bytes", "rows"])
 
 
-def assign(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
-    """doc_id, n_bytes, shard_id (its hash prefix as bits; empty: the whole space), local_depth, shard_bytes, oversized."""
-    rows = hashed(docs)
-    leaves = directory(rows, limit)
+def _placer(spark: SparkSession, leaves: pd.DataFrame):
+    """A function from a column of hashes to a struct of shard_id, local_depth and shard_bytes."""
     names = np.array([format(s >> (BITS - d), f"0{d}b") if d else "" for s, d in zip(leaves["start"], leaves["depth"], strict=True)], dtype=object)
-    sent = rows.sparkSession.sparkContext.broadcast((leaves["start"].to_numpy(np.int64), leaves["depth"].to_numpy(np.int32), leaves["bytes"].to_numpy(np.int64), names))
+    sent = spark.sparkContext.broadcast((leaves["start"].to_numpy(np.int64), leaves["depth"].to_numpy(np.int32), leaves["bytes"].to_numpy(np.int64), names))
 
     @F.pandas_udf("shard_id string, local_depth int, shard_bytes long")
     def look_up(h: pd.Series) -> pd.DataFrame:
@@ -80,14 +81,22 @@ def assign(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
         i = np.searchsorted(start, h.to_numpy(), side="right") - 1
         return pd.DataFrame({"shard_id": name[i], "local_depth": depth[i], "shard_bytes": size[i]})
 
-    return rows.withColumn("s", look_up("h")).select("doc_id", "n_bytes", "s.shard_id", "s.local_depth", "s.shard_bytes", (F.col("s.shard_bytes") > limit).alias("oversized"))
+    return look_up
+
+
+def assign(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
+    """doc_id, n_bytes, shard_id (its hash prefix as bits; empty: the whole space), local_depth, shard_bytes, oversized."""
+    rows = hashed(docs)
+    placed = rows.withColumn("s", _placer(rows.sparkSession, directory(rows, limit))("h"))
+    return placed.select("doc_id", "n_bytes", "s.shard_id", "s.local_depth", "s.shard_bytes", (F.col("s.shard_bytes") > limit).alias("oversized"))
 
 
 def write_shards(docs: DataFrame, path: str, limit: int = LIMIT) -> DataFrame:
-    """Write the documents as one folder for each shard; returns the assignment."""
-    placed = assign(docs, limit)
-    docs.join(placed.select("doc_id", "shard_id").distinct(), "doc_id").repartition("shard_id").write.partitionBy("shard_id").parquet(path)
-    return placed
+    """Write the documents as one folder for each shard; returns the assignment. Rows are placed by their own hash, so a null id is no matter."""
+    rows = hashed(docs)
+    look_up = _placer(rows.sparkSession, directory(rows, limit))
+    docs.withColumn("shard_id", look_up(key_hash())["shard_id"]).repartition("shard_id").write.partitionBy("shard_id").parquet(path)
+    return assign(docs, limit)
 
 
 def op10_extendible_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,7 +5,7 @@ Votes are counted two bits at a time: lane i of a term's 64-bit hash is ``(hash
 of bits i and i + 32 in its two halves. Thus 32 plain sums replace 64, all inside generated code, and a document's terms meet in
 the map-side aggregate, so that only one row for each text is shuffled.
 
-Defined results: null text is empty and an empty text has fingerprint zero; repeated rows (same id and text) give one row; a null id
+Defined results: null text is empty and an empty text has fingerprint zero; repeated rows give repeated rows; a null id
 sorts below all others; where one id has several texts, the smallest prefix and fingerprint stand for "the next document".
 """
 
@@ -33,15 +33,15 @@ def term_hashes_sql(text: str, k: int = SHINGLE) -> str:
 
 
 def fingerprints(texts: DataFrame, keys: list[str], text: str = "body", weight: str | None = None) -> DataFrame:
-    """keys and ``fp`` (long) for each distinct key. ``weight`` is a column with an integer weight of all terms of a text."""
+    """keys, ``fp`` (long) and ``copies`` (rows that have them) for each distinct key. ``weight`` is a column with an integer weight of all terms of a text."""
     votes = [F.expr(f"shiftrightunsigned(h, {i}) & 4294967297L") for i in range(32)]
     one = F.when(F.col("h").isNotNull(), F.lit(1))
     if weight:
         votes, one = [v * F.col(weight) for v in votes], F.when(F.col("h").isNotNull(), F.col(weight))
-    terms = texts.select(*keys, *([weight] if weight else []), F.explode_outer(F.expr(term_hashes_sql(text))).alias("h"))
-    counted = terms.groupBy(*keys).agg(F.sum(one).alias("n"), *(F.sum(v).alias(f"s{i}") for i, v in enumerate(votes)))
+    terms = texts.select(*keys, *([weight] if weight else []), F.explode(F.concat(F.array(F.lit(None).cast("long")), F.expr(term_hashes_sql(text)))).alias("h"))  # the null tells the rows apart from their terms
+    counted = terms.groupBy(*keys).agg(F.count_if(F.col("h").isNull()).alias("copies"), F.sum(one).alias("n"), *(F.sum(v).alias(f"s{i}") for i, v in enumerate(votes)))
     bits = [f"shiftleft(bigint(2 * (s{i} & 4294967295L) > n), {i})" for i in range(32)] + [f"shiftleft(bigint(2 * shiftrightunsigned(s{i}, 32) > n), {i + 32})" for i in range(32)]
-    return counted.select(*keys, F.expr(f"coalesce({' | '.join(bits)}, 0L)").alias("fp"))
+    return counted.select(*keys, F.expr(f"coalesce({' | '.join(bits)}, 0L)").alias("fp"), "copies")
 
 
 def likeness(a, b):
@@ -107,10 +107,11 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     keys = ["doc_id", "k", "nk", "n_chars", "bh", "edited_sha256"]
     both = keyed.select(*keys, F.explode(F.array(F.struct(F.lit(0).alias("which"), F.col("body")), F.struct(F.lit(1).alias("which"), F.col("edited").alias("body")))).alias("t"))
     fps = fingerprints(both.select(*keys, "t.which", "t.body"), [*keys, "which"])
-    own = fps.groupBy(*keys).agg(F.max(F.when(F.col("which") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("which") == 1, F.col("fp"))).alias("edited_fp"))
+    own = fps.groupBy(*keys).agg(F.max(F.when(F.col("which") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("which") == 1, F.col("fp"))).alias("edited_fp"), F.max("copies").alias("copies"))
     own = materialise(own, "fingerprints")  # read twice below; the texts are not
     nexts = own.groupBy(F.col("k").alias("nk")).agg(F.min("fp").alias("next_fp"))
-    return own.join(nexts, "nk").select(
+    each = own.join(nexts, "nk").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
+    return each.select(
         "doc_id", "n_chars", "edited_sha256", as_text("fp").alias("fingerprint"), as_text("edited_fp").alias("edited_fingerprint"),
         likeness("fp", "edited_fp").alias("near_edited"), likeness("fp", "next_fp").alias("near_next"),
     )

@@ -100,14 +100,20 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 50
 def detect(docs: DataFrame, labels: DataFrame, order: int = ORDER, carried: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, the carried columns, held_out, score, predicted and the evidence."""
     known = labelled(labels)
-    if known["toxic"].nunique() < 2:
+    held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
+
+    def constant() -> DataFrame:
         share = float(known["toxic"].mean()) if len(known) else 0.0
-        held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
-        return docs.select("doc_id", *carried, held.alias("held_out"), F.lit(share).alias("score"), F.lit(int(share >= 0.5)).alias("predicted"))
+        return docs.select("doc_id", *carried, held.alias("held_out"), F.lit(share).alias("score"), F.lit(int(share >= 0.5)).alias("predicted"), *(F.lit(0.0).alias(f) for f in FEATURES))
+
+    if known["toxic"].nunique() < 2:
+        return constant()
     found = materialise(evidence(docs, order, send(docs, known, (1, 2, 3)), carried), "toxicity")
     fitted = labelled_rows(found, known, (4,))
     if fitted["k"].nunique() < 2:
         fitted = labelled_rows(found, known, (1, 2, 3, 4))
+    if fitted["k"].nunique() < 2:  # the labels are of other documents
+        return constant()
     x = fitted[list(FEATURES)].to_numpy(float)
     scale = np.maximum(x.std(axis=0), 1e-9)
     w = logistic(x / scale, fitted["k"].to_numpy(float))
