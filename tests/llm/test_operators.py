@@ -95,19 +95,19 @@ def test_language(spark, empty):
 
 
 def test_character_model_sums_to_one(spark):
-    from wedgework.llm.charlm import BEGIN, FINISH, arrays_of, count_grams, gram_table, log_probabilities
+    from wedgework.llm.charlm import BEGIN, FINISH, count_grams, fit, gram_table
 
     words = "banana bandana cabana ananas nab cab"
     for shared, order, free in ((False, 4, 4), (True, 6, 3)):
         rows = spark.createDataFrame([(words, 0), ("banana cab cab", 1)], "text string, k int")
         table, orders = gram_table(count_grams(rows, order, free, langid.letters), order, free, 2, shared)
-        arrays = arrays_of(table, 2)
+        model = fit(table, orders, free)
         letters = sorted(set(words) - {" "}) + [FINISH, "q"]  # one letter that nobody has seen
         for context in ("", "b", "ban", "cabana", "nnn", "zz"):
             total = np.zeros(2)
             for c in letters:
                 points = np.frombuffer((BEGIN + context + c).encode("utf-32-le"), dtype=np.uint32).astype(np.uint64)
-                total = total + np.exp(log_probabilities(points, np.arange(len(points)), *arrays, orders, free)[-1])
+                total = total + np.exp(model.positions(points, np.arange(len(points)))[-1])
             assert total == pytest.approx(1, abs=1e-6), (shared, context, total)
 
 

@@ -4,8 +4,9 @@ Words are the unit: a gram is a run of characters of ``<word>`` with its two bou
 their counts, all others the number of distinct characters before them. Counts, continuation counts, discounts and context sums are plain
 aggregates over all grams, without a bound; probabilities come from them by the recursion, lowest order first.
 
-Two ways of scoring give the same results. A model of at most ``MODEL_BYTES`` is sent to the workers as sorted arrays of gram hashes and
-counts, and each scores its texts by binary search. A larger one stays distributed: texts are cut into words once and kept as codes,
+Two ways of scoring give the same results. For a model of at most ``MODEL_BYTES`` one task works out the log probability of each gram and
+the back-off weight of each context; these are sent to the workers in sorted hash arrays, one pair for each order, and each worker scores its
+texts by binary search, longest gram first. A larger model stays distributed: texts are cut into words once and kept as codes,
 batches of the distinct words ask for the rows of their own grams, and chunks of texts ask for the scores of their own words.
 
 With ``shared=True`` only word-initial grams are counted for each class (up to ``order`` characters, so they hold whole stems); grams
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -30,7 +32,7 @@ from .common import discard, materialise, release
 BEGIN, FINISH = "\x02", "\x03"
 #: Longest word, in characters, that is taken as one unit; longer ones are cut into units of this size.
 UNIT = 64
-#: Bytes of a model that is sent to the workers at most: 8 for each gram's hash and 12 for each of its classes.
+#: Bytes of a model that is put into one place at most: 24 for the hashes of a gram and 12 for each class.
 MODEL_BYTES = 192 << 20
 #: Pieces of text whose scores a worker remembers at most; beyond it, it starts anew.
 REMEMBERED = 500_000
@@ -147,18 +149,21 @@ def _wide(counted: DataFrame, classes: int) -> DataFrame:
 
 
 def gram_table(counted: DataFrame, order: int, free: int, classes: int, shared: bool) -> tuple[DataFrame, list[tuple]]:
-    """Rows (gram, c0.., t0.., m0..) of all grams: what counts for the gram, and the sum and number of the counts that follow it as a context; and (letters, discounts, sum, number) of each order."""
+    """Rows (gram, n, suffix, context, c0.., t0.., m0..) of all grams, and (letters, discounts, sum, number) of each order.
+
+    c is what counts for the gram, t and m are the sum and the number of the counts that follow it as a context; n is null for the opening mark.
+    """
     cs, ks = [f"c{k}" for k in range(classes)], range(classes)
     grams = materialise(_wide(counted, classes), "grams")
     # each gram and, below the highest free order, the grams that it ends: how many are known to each class
-    own = grams.select("n", "gram", "context", "first", *cs, *(F.lit(0).cast("long").alias(f"b{k}") for k in ks))
-    ends = grams.where((F.col("n") > 1) & (F.col("n") <= free)).select((F.col("n") - 1).alias("n"), F.col("suffix").alias("gram"), F.lit(None).cast("long").alias("context"), F.lit(False).alias("first"), *(F.lit(0).cast("long").alias(c) for c in cs), *((F.col(c) > 0).cast("long").alias(f"b{k}") for k, c in enumerate(cs)))
-    both = own.unionByName(ends).groupBy("n", "gram").agg(F.max("context").alias("context"), F.max("first").alias("first"), *(F.sum(x).alias(x) for k in ks for x in (f"c{k}", f"b{k}")))
+    own = grams.select("n", "gram", "suffix", "context", "first", *cs, *(F.lit(0).cast("long").alias(f"b{k}") for k in ks))
+    ends = grams.where((F.col("n") > 1) & (F.col("n") <= free)).select((F.col("n") - 1).alias("n"), F.col("suffix").alias("gram"), F.lit(None).cast("long").alias("suffix"), F.lit(None).cast("long").alias("context"), F.lit(False).alias("first"), *(F.lit(0).cast("long").alias(c) for c in cs), *((F.col(c) > 0).cast("long").alias(f"b{k}") for k, c in enumerate(cs)))
+    both = own.unionByName(ends).groupBy("n", "gram").agg(F.max("suffix").alias("suffix"), F.max("context").alias("context"), F.max("first").alias("first"), *(F.sum(x).alias(x) for k in ks for x in (f"c{k}", f"b{k}")))
     counting = {k: F.when((F.col("n") >= free) | F.col("first"), F.col(f"c{k}")).otherwise(F.col(f"b{k}")) for k in ks}
     if shared:
         every = sum((counting[k] for k in range(1, classes)), counting[0])
         counting = {k: F.when(F.col("first"), counting[k]).otherwise(every) for k in ks}
-    counts = materialise(both.select("n", "gram", "context", *(counting[k].alias(f"c{k}") for k in ks)), "counted")
+    counts = materialise(both.select("n", "gram", "suffix", "context", *(counting[k].alias(f"c{k}") for k in ks)), "counted")
     discard(grams)
     sums = counts.groupBy("n").agg(F.count(F.lit(1)).alias("rows"), *(f(c).alias(f"{x}{k}") for k, c in enumerate(cs) for x, f in (("one", lambda c: F.count_if(F.col(c) == 1)), ("two", lambda c: F.count_if(F.col(c) == 2)), ("sum", F.sum), ("kinds", lambda c: F.count_if(F.col(c) > 0)))))
     by = {r.n: r for r in sums.collect()}  # one row for each order
@@ -168,8 +173,9 @@ def gram_table(counted: DataFrame, order: int, free: int, classes: int, shared:
         d = np.clip(np.where(one > 0, one / np.maximum(one + 2 * two, 1), 0.5), 0.1, 0.95)
         orders.append(((by[n].rows if n in by else 0) + 1, d, total, kinds))
     zeros = [F.lit(0).cast("long").alias(f"{x}{k}") for x in "tm" for k in ks]
-    follow = counts.where("n > 1").select(F.col("context").alias("gram"), *(F.lit(0).cast("long").alias(c) for c in cs), *(F.col(c).alias(f"t{k}") for k, c in enumerate(cs)), *((F.col(c) > 0).cast("long").alias(f"m{k}") for k, c in enumerate(cs)))
-    table = materialise(counts.select("gram", *cs, *zeros).unionByName(follow).groupBy("gram").agg(*(F.sum(f"{x}{k}").alias(f"{x}{k}") for x in "ctm" for k in ks)), "model")
+    none = (F.lit(None).cast("int").alias("n"), F.lit(None).cast("long").alias("suffix"), F.lit(None).cast("long").alias("context"))
+    follow = counts.where("n > 1").select(F.col("context").alias("gram"), *none, *(F.lit(0).cast("long").alias(c) for c in cs), *(F.col(c).alias(f"t{k}") for k, c in enumerate(cs)), *((F.col(c) > 0).cast("long").alias(f"m{k}") for k, c in enumerate(cs)))
+    table = materialise(counts.select("gram", "n", "suffix", "context", *cs, *zeros).unionByName(follow).groupBy("gram").agg(*(F.max(x).alias(x) for x in ("n", "suffix", "context")), *(F.sum(f"{x}{k}").alias(f"{x}{k}") for x in "ctm" for k in ks)), "model")
     discard(counts)
     return table, orders
 
@@ -208,31 +214,86 @@ def word_sums(words: list[str], table: np.ndarray, rows: np.ndarray, orders: lis
     return np.stack([*(np.bincount(owner, weights=p[:, k], minlength=len(words)) for k in range(p.shape[1])), np.bincount(owner, weights=place >= 1, minlength=len(words))], axis=1)
 
 
-def arrays_of(table: DataFrame, classes: int) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted gram hashes and their rows (c, t, m), of a table of bounded size; they reach the driver as a few packed rows."""
-    names = [f"{x}{k}" for x in "ctm" for k in range(classes)]
+@dataclass
+class Model:
+    free: int
+    grams: list[np.ndarray]  # for each order: sorted hashes
+    logp: list[np.ndarray]  # for each order: rows of log probabilities
+    contexts: list[np.ndarray]  # for each order: sorted hashes of its contexts
+    backoff: list[np.ndarray]  # and their log back-off weights
+    unknown: np.ndarray  # log probability of a character that no class has seen
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            rows = np.stack([b.column(x).to_numpy().astype(np.float32) for x in names], axis=1)
-            yield pa.RecordBatch.from_pydict({"g": [b.column("gram").to_numpy().tobytes()], "r": [rows.tobytes()]})
+    def positions(self, points: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """Log probability of each character under each class (0 for opening marks)."""
+        order = len(self.grams)
+        hashes = gram_hashes(points, order)
+        out = np.zeros((len(points), len(self.unknown)))
+        open_ = np.flatnonzero(place >= 1)
+        for n in range(order, 0, -1):
+            fit = place[open_] >= n - 1 if n <= self.free else place[open_] == n - 1
+            at = open_[fit]
+            found, i = _look(self.grams[n - 1], hashes[n - 1][at])
+            out[at[found]] += self.logp[n - 1][i[found]]
+            missed = at[~found]
+            if n > 1:
+                known, j = _look(self.contexts[n - 1], hashes[n - 2][missed - 1])
+                out[missed[known]] += self.backoff[n - 1][j[known]]
+            else:
+                out[missed] += self.unknown
+            open_ = np.concatenate([open_[~fit], missed])
+        return out
+
+    def words(self, words: list[str]) -> np.ndarray:
+        """Summed log probabilities of each word under each class and, last, its predicted characters."""
+        points, owner, place = units(words)
+        p = self.positions(points, place)
+        return np.stack([*(np.bincount(owner, weights=p[:, k], minlength=len(words)) for k in range(p.shape[1])), np.bincount(owner, weights=place >= 1, minlength=len(words))], axis=1)
+
+
+def fit(table: DataFrame, orders: list[tuple], free: int) -> Model:
+    """The model of a table of bounded size: one task works it out, the driver gets its arrays (a row for each order)."""
+    order, classes = len(orders), len(orders[0][1])
+    kinds = {x: np.float32 for x in (f"{x}{k}" for x in "ctm" for k in range(classes))}
 
-    parts = [(np.frombuffer(r.g, dtype=np.uint64), np.frombuffer(r.r, dtype=np.float32).reshape(-1, len(names))) for r in table.mapInArrow(run, "g binary, r binary").toLocalIterator()]
-    grams = np.concatenate([np.zeros(0, dtype=np.uint64), *(g for g, _ in parts)])
-    sort = np.argsort(grams)
-    return grams[sort], np.concatenate([np.zeros((0, len(names)), dtype=np.float32), *(r for _, r in parts)])[sort]
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [(b.column("gram").to_numpy(), b.column("n").fill_null(0).to_numpy(), b.column("suffix").fill_null(0).to_numpy(), b.column("context").fill_null(0).to_numpy(), np.stack([b.column(x).to_numpy().astype(t) for x, t in kinds.items()], axis=1)) for b in batches]
+        gram, n_of, suffix, context, rows = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (*[np.zeros(0, dtype=np.int64)] * 4, np.zeros((0, 3 * classes)))
+        gram, suffix, context = (x.view(np.uint64) for x in (gram, suffix, context))
+        sort = np.argsort(gram)
+        gram, n_of, suffix, context, rows = (x[sort] for x in (gram, n_of, suffix, context, rows))
+        p = np.zeros((len(gram), classes))
+        for n in range(1, order + 1):
+            at = np.flatnonzero(n_of == n)
+            letters, d, total, many = orders[n - 1]
+            below = 1.0 / max(orders[0][0], 2)
+            heads, weights = np.zeros(0, dtype=np.uint64), np.zeros((0, classes), dtype=np.float32)
+            if n > 1:
+                before = rows[np.searchsorted(gram, context[at]), classes:].astype(float)
+                total, many = before[:, :classes], before[:, classes:]
+                below = p[np.searchsorted(gram, suffix[at])]
+                heads, first = np.unique(context[at], return_index=True)
+                with np.errstate(divide="ignore"):
+                    weights = np.log(np.where(total[first] > 0, d * many[first] / np.maximum(total[first], 1), 1.0)).astype(np.float32)
+            p[at] = np.where(total > 0, np.maximum(rows[at, :classes] - d, 0) / np.maximum(total, 1) + d * many / np.maximum(total, 1) * below, below)
+            yield pa.RecordBatch.from_pydict({"n": pa.array([n], pa.int32()), "grams": [gram[at].tobytes()], "logp": [np.log(np.maximum(p[at], 1e-300)).astype(np.float32).tobytes()], "contexts": [heads.tobytes()], "backoff": [weights.tobytes()]})
+
+    found = sorted(table.coalesce(1).mapInArrow(run, "n int, grams binary, logp binary, contexts binary, backoff binary").collect())
+    letters, d, total, many = orders[0]
+    unknown = np.log(np.where(total > 0, d * many / np.maximum(total, 1), 1.0) / max(letters, 2))
+    hashes, values = (lambda x: np.frombuffer(x, dtype=np.uint64)), (lambda x: np.frombuffer(x, dtype=np.float32).reshape(-1, classes))
+    return Model(free, [hashes(r.grams) for r in found], [values(r.logp) for r in found], [hashes(r.contexts) for r in found], [values(r.backoff) for r in found], unknown)
 
 
 class Remembered:
     """Rows of the white-space pieces that a worker has met: a log probability for each class, and predicted characters."""
 
-    def __init__(self, model: tuple, split: Callable[[str], list[str]]):
+    def __init__(self, model: Model, split: Callable[[str], list[str]]):
         self.model, self.split = model, split
         self.clear()
 
     def clear(self) -> None:
         self.index: dict[str, int] = {}
-        self.rows = np.zeros((1024, len(self.model[2][0][1]) + 1), dtype=np.float32)
+        self.rows = np.zeros((1024, len(self.model.unknown) + 1), dtype=np.float32)
         self.used = 0
 
     def learn(self, pieces: list[str]) -> None:
@@ -241,7 +302,7 @@ class Remembered:
         parts = [self.split(p) for p in pieces]
         words = list({w for ws in parts for w in ws}.difference(index))
         if words:
-            self._add(words, word_sums(words, *self.model))
+            self._add(words, self.model.words(words))
         others = [(p, ws) for p, ws in zip(pieces, parts, strict=True) if len(ws) != 1]
         index.update((p, index[ws[0]]) for p, ws in zip(pieces, parts, strict=True) if len(ws) == 1)
         if others:
@@ -361,7 +422,7 @@ def asked(words: DataFrame, order: int, free: int) -> DataFrame:
 def word_scores(words: DataFrame, table: DataFrame, orders: list[tuple], free: int) -> DataFrame:
     """key, s0.. (summed log probabilities under each class), chars (predicted characters)."""
     order, classes = len(orders), len(orders[0][1])
-    answers = asked(words, order, free).join(table, "gram").withColumnRenamed("batch", "of")  # cogroup takes no name twice
+    answers = asked(words, order, free).join(table.drop("n", "suffix", "context"), "gram").withColumnRenamed("batch", "of")  # cogroup takes no name twice
 
     def run(own: pa.Table, known: pa.Table) -> pa.Table:
         keys = own["key"].to_pylist()
@@ -390,8 +451,9 @@ def scored(rows: DataFrame, carried: list[str], order: int, free: int, classes:
     head = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in carried)
     schema = f"{head}, {schema}"
     with_carried = lambda docs, found: pa.table({c: docs[c] for c in carried} | {c: found[c] for c in found.column_names})
-    if table.count() * (8 + 12 * classes) <= MODEL_BYTES:
-        sent = rows.sparkSession.sparkContext.broadcast((*arrays_of(table, classes), orders, free))
+    if table.count() * (24 + 12 * classes) <= MODEL_BYTES:
+        sent = rows.sparkSession.sparkContext.broadcast(fit(table, orders, free))
+        discard(table)
 
         def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             known = Remembered(sent.value, split)
