@@ -128,7 +128,7 @@ def test_all_plans_agree_with_brute_force(rmat):
     want = {v: t for v, t in brute(rmat).items() if t}
     parts = partition.block(rmat, 4)
     found = {
-        "relational": triangles.per_vertex(rmat), "lists": triangles.per_vertex(rmat, plan="lists"), "upper": triangles.per_vertex_lists(rmat), "wedges": baselines.wedge_mapreduce(rmat),
+        "relational": triangles.per_vertex(rmat, plan="relational"), "lists": triangles.per_vertex(rmat), "upper": triangles.per_vertex_lists(rmat), "wedges": baselines.wedge_mapreduce(rmat),
         "questions": baselines.query_response(rmat, parts), "bulk": baselines.bulk_synchronous(rmat), "shadow": baselines.shadow_count(rmat, parts),
     }
     for name, df in found.items():

@@ -1,7 +1,8 @@
 """Intersection kernels over Arrow list buffers: binary search, sorted merge and the hybrid of both; one numpy call sequence for a batch.
 
 Searching puts all longer lists of a batch into one ascending array (each list shifted into a range of its own), so that one
-``searchsorted`` answers all keys. Merging sorts the concatenation of both sides and counts equal neighbours.
+``searchsorted`` answers all keys. Merging lays both sides, each ascending as a whole, end to end; the stable sort finds the two runs and
+merges them in linear time, and equal neighbours are counted.
 """
 
 from __future__ import annotations
@@ -39,10 +40,11 @@ def search(va, ra, vb, rb, n: int) -> np.ndarray:
 
 
 def merge(va, ra, vb, rb, n: int) -> np.ndarray:
-    ka, kb = _keys(va, ra, vb, rb)
-    both = np.sort(np.concatenate([ka, kb]), kind="stable")
-    order = np.concatenate([ra, rb])[np.argsort(np.concatenate([ka, kb]), kind="stable")]
-    return np.bincount(order[1:][both[1:] == both[:-1]], minlength=n)
+    low = min(va.min(initial=0), vb.min(initial=0))
+    span = max(va.max(initial=0), vb.max(initial=0)) - low + 1
+    both = np.concatenate([ra * span + (va - low), rb * span + (vb - low)])
+    both.sort(kind="stable")
+    return np.bincount(both[1:][both[1:] == both[:-1]] // span, minlength=n)
 
 
 def use_merge(small: np.ndarray, large: np.ndarray) -> np.ndarray:

@@ -36,20 +36,26 @@ def arrow_common(rows: DataFrame, kernel: str, keys: tuple[str, ...] = ("src", "
     return rows.select(*keys, "a", "b").mapInArrow(run, ", ".join(f"{k} {kinds[k]}" for k in keys) + ", common long")
 
 
-def split_large(rows: DataFrame, cutoff: int, kernel: str = "hybrid") -> DataFrame:
-    """Pairs whose longer list exceeds the cut-off become chunks; below it, a pair is one unit.
+def split_lists(g: Graph, cutoff: int, kernel: str = "hybrid") -> DataFrame:
+    """src, dst, a, b of pairs and of pieces of pairs: those whose longer list exceeds the cut-off meet in chunks, the others are one unit.
 
-    For searching, the shorter list (the keys) is cut; for merging, the longer one, each chunk against the whole other list. Chunks
-    are dealt out anew and their counts are summed by the caller.
+    For searching, the shorter list (the keys) is cut; for merging, the longer one, each chunk against the whole other list. Lists
+    are cut before they are joined to arcs, so a hub's list is never beside each of its arcs as a whole when it is merged; arcs are
+    sorted into the ways by degrees alone. The pieces' counts are summed by the caller.
     """
-    sized = rows.select("*", F.size("a").alias("di"), F.size("b").alias("dj"))
-    ordered = sized.select("src", "dst", F.expr("CASE WHEN di <= dj THEN a ELSE b END").alias("s"), F.expr("CASE WHEN di <= dj THEN b ELSE a END").alias("l"), F.expr({"merge": "true", "search": "false"}.get(kernel, RULE)).alias("m"))
-    small = ordered.where(F.size("l") <= cutoff).select("src", "dst", F.col("s").alias("a"), F.col("l").alias("b"))
-    large = ordered.where(F.size("l") > cutoff)
-    chunk = lambda x: F.expr(f"explode(transform(sequence(0, (greatest(size({x}), 1) - 1) div {cutoff}), k -> slice({x}, int(k * {cutoff} + 1), {cutoff})))")
-    keys_cut = large.where("NOT m").select("src", "dst", chunk("s").alias("a"), F.col("l").alias("b"))
-    long_cut = large.where("m").select("src", "dst", F.col("s").alias("a"), chunk("l").alias("b"))
-    return small.unionByName(keys_cut.unionByName(long_cut).repartition("src", "dst", F.size("a"), F.element_at("b", 1)))
+    merged = F.expr({"merge": "least(di, dj) > 0", "search": "false"}.get(kernel, RULE))
+    arcs = _degree_pairs(g).select("src", "dst", "di", "dj", merged.alias("m"), F.greatest("di", "dj").alias("most"))
+    whole = adjacency(g).select("v", "nbrs")
+    pieces = adjacency(g, chunk=cutoff).select("v", "nbrs")
+    at = lambda lists, v, name: lists.select(F.col("v").alias(v), F.col("nbrs").alias(name))
+    none = F.array().cast(whole.schema["nbrs"].dataType)
+    small = arcs.where(F.col("most") <= cutoff).join(at(whole, "src", "a"), "src", "left").join(at(whole, "dst", "b"), "dst", "left")
+    small = small.select("src", "dst", F.coalesce("a", none).alias("a"), F.coalesce("b", none).alias("b"))
+    ends = arcs.where(F.col("most") > cutoff).select("src", "dst", "m", F.expr("CASE WHEN di <= dj THEN src ELSE dst END").alias("s"), F.expr("CASE WHEN di <= dj THEN dst ELSE src END").alias("l"))
+    keys_cut = ends.where("NOT m").join(at(pieces, "s", "a"), "s").join(at(whole, "l", "b"), "l")
+    long_cut = ends.where("m").join(at(whole, "s", "a"), "s").join(at(pieces, "l", "b"), "l")
+    long_cut = long_cut.where("b[0] <= element_at(a, -1) AND element_at(b, -1) >= a[0]")  # a chunk beside the other list's range has nothing in common with it
+    return small.unionByName(keys_cut.select("src", "dst", "a", "b")).unionByName(long_cut.select("src", "dst", "a", "b"))
 
 
 def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = None) -> DataFrame:
@@ -59,11 +65,12 @@ def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = No
         mine = g.arcs.select("src", F.col("dst").alias("w"))
         met = g.arcs.join(other, "dst").join(mine, ["src", "w"]).groupBy("src", "dst").agg(F.count(F.lit(1)).alias("common"))
         return g.arcs.join(met, ["src", "dst"], "left").select("src", "dst", F.coalesce("common", F.lit(0)).alias("common"))
+    if chunk_cutoff:
+        met = arrow_common(split_lists(g, chunk_cutoff, kernel), kernel).groupBy("src", "dst").agg(F.sum("common").alias("common"))
+        return g.arcs.join(met, ["src", "dst"], "left").select("src", "dst", F.coalesce("common", F.lit(0)).alias("common"))
     rows = arc_lists(g)
     if kernel == "builtin":
         return rows.select("src", "dst", F.size(F.array_intersect("a", "b")).cast("long").alias("common"))
-    if chunk_cutoff:
-        return arrow_common(split_large(rows, chunk_cutoff, kernel), kernel).groupBy("src", "dst").agg(F.sum("common").alias("common"))
     return arrow_common(rows, kernel)
 
 

@@ -95,16 +95,33 @@ def relabel(g: Graph, seed: str = "", how: str = "hash") -> Graph:
     return renamed(g, shuffled_index(vs, seed) if how == "hash" else dense_index(vs))
 
 
+def compact(g: Graph) -> tuple[Graph, DataFrame | None]:
+    """The graph with long ids, and its index (v, idx) where the vertices were something else: lists and joins then move 8 bytes a vertex."""
+    if dict(g.arcs.dtypes)["src"] in ("bigint", "int"):
+        return g, None
+    g = g.with_arcs(settle(g.arcs, "arcs"))
+    index = dense_index(vertices(g))
+    return renamed(g, index), index
+
+
+def named(rows: DataFrame, index: DataFrame | None, column: str = "v") -> DataFrame:
+    """Rows with the vertices' own names again."""
+    if index is None:
+        return rows
+    back = index.select(F.col("idx").alias(column), F.col("v").alias("name_"))
+    return rows.join(back, column).select(*(F.col("name_").alias(column) if c == column else c for c in rows.columns))
+
+
 def is_degree_ordered(g: Graph, threshold: float = 0.5) -> DataFrame:
     """One row: correlation of id and degree, and whether its size exceeds the threshold (then relabel)."""
     one = degrees(g).agg(F.round(F.coalesce(F.corr(F.col("v").cast("double"), F.col("deg_out").cast("double")), F.lit(0.0)), 6).alias("correlation"))
     return one.withColumn("degree_ordered", F.abs("correlation") > threshold)
 
 
-def orient(g: Graph) -> DataFrame:
-    """u, v for every edge, from the end of lower (degree, id) to the higher one: out-degrees are at most sqrt(2m)."""
+def orient(g: Graph, rank: bool = False) -> DataFrame:
+    """u, v (and d, the degree of v) for every edge, from the end of lower (degree, id) to the higher one: out-degrees are at most sqrt(2m)."""
     deg = neighbours(g)
     a = deg.select(F.col("v").alias("src"), F.col("deg").alias("ds"))
     b = deg.select(F.col("v").alias("dst"), F.col("deg").alias("dd"))
     arcs = symmetrize(g).arcs if g.directed else g.arcs
-    return arcs.join(a, "src").join(b, "dst").where("ds < dd OR (ds = dd AND src < dst)").select(F.col("src").alias("u"), F.col("dst").alias("v"))
+    return arcs.join(a, "src").join(b, "dst").where("ds < dd OR (ds = dd AND src < dst)").select(F.col("src").alias("u"), F.col("dst").alias("v"), *([F.col("dd").alias("d")] if rank else []))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..schema import Graph
 from .partition import arcs_with_parts
-from .prep import degrees
+from .prep import degrees, dense_index
 
 
 def remote(g: Graph, parts: DataFrame) -> DataFrame:
@@ -57,7 +57,7 @@ def top_share(g: Graph, parts: DataFrame, percent: int = 10) -> DataFrame:
     if edge is None:
         top = deg.select("v")
     else:
-        tied = deg.where(F.col("d") == edge).orderBy("v").limit(want).select("v")
+        tied = dense_index(deg.where(F.col("d") == edge)).where(F.col("idx") < want).select("v")
         top = deg.where(F.col("d") > edge).select("v").unionByName(tied)
     reads = remote(g, parts).join(top.select(F.col("v").alias("dst"), F.lit(1).alias("hit")), "dst", "left")
     return reads.agg(F.count(F.lit(1)).alias("n_remote"), F.coalesce(F.sum("hit"), F.lit(0)).cast("long").alias("n_top")).withColumn("share", F.round(F.col("n_top") / F.col("n_remote"), 6))

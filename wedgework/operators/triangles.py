@@ -1,7 +1,10 @@
 """Triangles: listing, counts for edges, vertices and the whole graph, directed closed pairs, triplets.
 
-The default plan orients every edge from lower to higher (degree, id), lists each triangle once and credits its ends; the plans that take
-each arc's two neighbour lists (the kernels and fetch plans) give the same numbers and exist to be compared with it.
+The default plan orients every edge from lower to higher (degree, id) and intersects the two out-lists of each oriented edge, which finds
+each triangle once and credits its ends. A list has at most sqrt(2m) entries (36 MB at 10^13 edges), so no row outgrows a task, and a wedge
+costs 16 bytes of shuffled list instead of a row. ``plan='relational'`` lists by three equi-joins that spill, for graphs beyond that. Vertices
+that aren't numbers get dense ids first. The plans that take each arc's two whole lists (the kernels and fetch plans) give the same
+numbers and exist to be compared with it.
 """
 
 from __future__ import annotations
@@ -10,33 +13,49 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..schema import Graph
+from ..sources.tables import settle
 from .csr import adjacency
-from .prep import orient
+from .prep import compact, named, orient
 
 
-def listing(g: Graph, plan: str = "relational") -> DataFrame:
-    """a < b < c of every triangle, once. 'relational': three equi-joins that spill; 'lists': oriented lists and built-in intersection."""
-    e = orient(g)
+def _corners(g: Graph) -> DataFrame:
+    """u, v, ws for every oriented edge: the far corners of the triangles that it is the lowest edge of."""
+    e = settle(orient(g), "oriented")  # read for the edges and twice for the lists
+    lists = e.groupBy("u").agg(F.collect_list("v").alias("n"))
+    found = e.join(lists.withColumnRenamed("n", "nu"), "u").join(lists.select(F.col("u").alias("v"), F.col("n").alias("nv")), "v")
+    return found.select("u", "v", F.array_intersect("nu", "nv").alias("ws"))
+
+
+def listing(g: Graph, plan: str = "lists") -> DataFrame:
+    """a < b < c of every triangle, once."""
     if plan == "lists":
-        lists = adjacency(Graph(e.select(F.col("u").alias("src"), F.col("v").alias("dst")), directed=True)).select("v", "nbrs")
-        found = e.join(lists.select(F.col("v").alias("u"), F.col("nbrs").alias("nu")), "u").join(lists.select("v", F.col("nbrs").alias("nv")), "v")
-        corners = found.select("u", "v", F.explode(F.array_intersect("nu", "nv")).alias("w"))
+        corners = _corners(g).select("u", "v", F.explode("ws").alias("w"))
     else:
-        wedges = e.join(e.select("u", F.col("v").alias("w")), "u").where("v != w")
+        e = orient(g, rank=True)
+        # the two far ends in the order of the orientation: only that arc can close the wedge
+        wedges = e.join(e.select("u", F.col("v").alias("w"), F.col("d").alias("dw")), "u").where("d < dw OR (d = dw AND v < w)").select("u", "v", "w")
         corners = wedges.join(e.select(F.col("u").alias("v"), F.col("v").alias("w")), ["v", "w"])
     s = F.array_sort(F.array("u", "v", "w"))
     return corners.select(s[0].alias("a"), s[1].alias("b"), s[2].alias("c"))
 
 
-def count(g: Graph, plan: str = "relational") -> DataFrame:
+def count(g: Graph, plan: str = "lists") -> DataFrame:
     """One row: triangles."""
+    g, _ = compact(g)
+    if plan == "lists":
+        return _corners(g).agg(F.coalesce(F.sum(F.size("ws").cast("long")), F.lit(0)).alias("triangles"))
     return listing(g, plan).agg(F.count(F.lit(1)).alias("triangles"))
 
 
-def per_vertex(g: Graph, offset: bool = True, plan: str = "relational") -> DataFrame:
+def per_vertex(g: Graph, offset: bool = True, plan: str = "lists") -> DataFrame:
     """v, triangles for vertices with any. ``offset=False`` counts both orders of the two other corners, as an enumeration without the upper-triangle rule does."""
-    credits = listing(g, plan).select(F.explode(F.array("a", "b", "c")).alias("v"))
-    return credits.groupBy("v").agg((F.count(F.lit(1)) * (1 if offset else 2)).alias("triangles"))
+    g, index = compact(g)
+    if plan == "lists":  # an edge's ends get its triangles at once
+        own = "concat(array(named_struct('v', u, 'n', bigint(size(ws))), named_struct('v', v, 'n', bigint(size(ws)))), transform(ws, w -> named_struct('v', w, 'n', 1L)))"
+        credits = _corners(g).where(F.size("ws") > 0).select(F.explode(F.expr(own)).alias("e")).select("e.v", "e.n")
+    else:
+        credits = listing(g, plan).select(F.explode(F.array("a", "b", "c")).alias("v"), F.lit(1).cast("long").alias("n"))
+    return named(credits.groupBy("v").agg((F.sum("n") * (1 if offset else 2)).alias("triangles")), index)
 
 
 def per_vertex_lists(g: Graph, offset: bool = True) -> DataFrame:
@@ -59,6 +78,7 @@ def edge_support(g: Graph) -> DataFrame:
 
 def closed_pairs(g: Graph) -> DataFrame:
     """v, closed_pairs of a directed graph: ordered pairs of out-neighbours joined by an arc. One undirected listing, then three direction masks."""
+    g, index = compact(g)
     masks = g.arcs.select(F.least("src", "dst").alias("x"), F.greatest("src", "dst").alias("y"), F.when(F.col("src") < F.col("dst"), 1).otherwise(2).alias("m")).groupBy("x", "y").agg(F.sum("m").cast("int").alias("m"))
 
     def side(t: DataFrame, x: str, y: str, name: str) -> DataFrame:
@@ -73,7 +93,7 @@ def closed_pairs(g: Graph) -> DataFrame:
         F.struct(F.col("b").alias("v"), (bwd("ab") * fwd("bc") * arcs_between["ac"]).alias("n")),
         F.struct(F.col("c").alias("v"), (bwd("ac") * bwd("bc") * arcs_between["ab"]).alias("n")),
     )
-    return t.select(F.explode(credit).alias("e")).where("e.n > 0").groupBy("e.v").agg(F.sum("e.n").alias("closed_pairs"))
+    return named(t.select(F.explode(credit).alias("e")).where("e.n > 0").groupBy("e.v").agg(F.sum("e.n").alias("closed_pairs")), index)
 
 
 def closed_pairs_joined(g: Graph) -> DataFrame:

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from ..operators.csr import adjacency
 from ..operators.intersect import edge_support as by_kernel
-from ..operators.partition import arcs_with_parts, block
+from ..operators.partition import SCHEMES, arcs_with_parts, block
 from ..operators.prep import degrees
 from ..operators.triangles import edge_support as by_listing
 from ..schema import Graph
@@ -43,13 +43,20 @@ def estimates(g: Graph, p: int) -> DataFrame:
 
 
 def hot_threshold(g: Graph, budget: int = HOT_BYTES, id_bytes: int = 8) -> tuple[int, int]:
-    """(degree, bytes): lists of at least this degree fit the budget; decided on the histogram of degrees."""
-    hist = sorted(((r.deg_out, r.c) for r in degrees(g).groupBy("deg_out").agg(F.count(F.lit(1)).alias("c")).collect()), reverse=True)
+    """(degree, bytes): lists of at least this degree fit the budget; decided on the histogram of degrees.
+
+    Ids that aren't numbers count with the bytes that they have, and a list with its 24 bytes of row.
+    """
+    if dict(g.arcs.dtypes)["dst"] == "string":
+        sizes = g.arcs.groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("deg_out"), (F.sum(F.octet_length("dst") + id_bytes) + 24).alias("b"))
+    else:
+        sizes = degrees(g).select("deg_out", (F.col("deg_out") * id_bytes).alias("b"))
+    hist = sorted(((r.deg_out, r.b) for r in sizes.where("deg_out > 0").groupBy("deg_out").agg(F.sum("b").alias("b")).collect()), reverse=True)
     used, edge = 0, (hist[0][0] + 1) if hist else 1
-    for d, c in hist:
-        if used + id_bytes * d * c > budget:
+    for d, b in hist:
+        if used + b > budget:
             break
-        used, edge = used + id_bytes * d * c, d
+        used, edge = used + b, d
     return max(edge, 1), used
 
 
@@ -108,6 +115,27 @@ def edge_support(g: Graph, fetch: str = "auto", kernel: str = "builtin", p: int
     return found
 
 
+def run(g: Graph, p: int = 8, plan_kind: str = "halo", scheme: str = "block", kernel: str = "builtin", budget: int = HOT_BYTES) -> DataFrame:
+    """part, v, deg, closed, lcc: each part works on its own vertices' arcs, with far lists fetched by the plan of that name.
+
+    An arc's common neighbours, summed over a vertex's arcs, are its closed ordered pairs (twice its triangles in an undirected graph).
+    """
+    parts = SCHEMES[scheme](g, p)
+    rows = attach(g, plan_kind, p, budget, parts) if plan_kind != "relational" else None
+    if rows is None:
+        found = edge_support(g, "relational")
+    elif kernel == "builtin":
+        found = rows.select("src", "dst", F.size(F.array_intersect("a", "b")).cast("long").alias("common"))
+    else:
+        from ..operators.intersect import arrow_common
+
+        found = arrow_common(rows, kernel)
+    deg = g.arcs.groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("deg"))
+    closed = found.groupBy(F.col("src").alias("v")).agg(F.sum("common").alias("closed"))
+    own = parts.select("v", "part").join(deg, "v").join(closed, "v", "left").withColumn("closed", F.coalesce("closed", F.lit(0)))
+    return own.select("part", "v", "deg", "closed", F.when(F.col("deg") >= 2, F.lit(1.0) * F.col("closed") / (F.col("deg") * (F.col("deg") - 1))).alias("lcc"))
+
+
 def shipped(g: Graph, p: int = 8, budget: int = 64 << 10) -> DataFrame:
     """plan, ids: list entries that each plan moves between parts (block scheme)."""
     parts = block(g, p)

@@ -70,12 +70,17 @@ for _g in ("copurchase", "succession_directed"):
 for _g in ("bigram", "rmat_s10_ef16"):
     add(f"degree_histogram_{_g}", on(_g)(prep.degree_histogram), f"{DEG} | SELECT d AS deg, count(*) AS n_vertices FROM deg GROUP BY d", _g)
 add("tail_slope_bigram", lambda s, d: prep.tail_slope(build(s, d, "bigram")).select(F.round("exponent", 6).alias("exponent")), f"{DEG} | SELECT round(1 + count(*) / sum(ln(d / 1.5)), 6) AS exponent FROM deg WHERE d >= 2", "bigram")
-_LOW = "lo AS (SELECT v FROM deg WHERE d < 2)"
+_HIGH = "hi AS MATERIALIZED (SELECT v FROM deg WHERE d >= 2)"
 add(
     "prune_bigram", lambda s, d: prep.prune(build(s, d, "bigram")).arcs.agg(F.count(F.lit(1)).alias("n_arcs"), F.countDistinct("src").alias("n")),
-    f"{DEG}, {_LOW} | SELECT count(*) AS n_arcs, count(DISTINCT src) AS n FROM arcs WHERE src NOT IN (SELECT v FROM lo) AND dst NOT IN (SELECT v FROM lo)", "bigram",
+    f"{DEG}, {_HIGH} | SELECT count(*) AS n_arcs, count(DISTINCT src) AS n FROM arcs SEMI JOIN hi ON hi.v = arcs.src SEMI JOIN hi h2 ON h2.v = arcs.dst", "bigram",
 )
-add("core2_bigram", lambda s, d: prep.prune(build(s, d, "bigram"), rounds=None).arcs.agg(F.count(F.lit(1)).alias("n_arcs"), F.countDistinct("src").alias("n")))
+add(
+    "core2_bigram", lambda s, d: prep.prune(build(s, d, "bigram"), rounds=None).arcs.agg(F.count(F.lit(1)).alias("n_arcs"), F.countDistinct("src").alias("n")),
+    "r AS (SELECT 0 AS i, src, dst FROM arcs UNION ALL SELECT i, src, dst FROM (WITH d AS (SELECT src AS v, count(*) AS c FROM r GROUP BY src) SELECT r.i + 1 AS i, r.src, r.dst FROM r JOIN d x ON x.v = r.src JOIN d y ON y.v = r.dst WHERE x.c >= 2 AND y.c >= 2 AND (SELECT min(c) FROM d) < 2)) "
+    "| SELECT count(*) AS n_arcs, count(DISTINCT src) AS n FROM r WHERE i = (SELECT max(i) FROM r)", "bigram",
+)
+SQL["core2_bigram"] = SQL["core2_bigram"].replace("WITH ", "WITH RECURSIVE ", 1)
 add("dense_index_bigram", lambda s, d: prep.dense_index(prep.vertices(build(s, d, "bigram"))), f"{INDEX} | SELECT v, idx FROM ix", "bigram")
 add("relabel_hash_rmat", lambda s, d: prep.shuffled_index(prep.vertices(build(s, d, "rmat_s8_ef8"))), f"{VERTICES} | SELECT v, row_number() OVER (ORDER BY md5(v::VARCHAR), v::VARCHAR) - 1 AS idx FROM vs", "rmat_s8_ef8")
 add("degree_ordered_rmat", on("rmat_s10_ef16")(prep.is_degree_ordered), f"{DEG} | SELECT round(corr(v::DOUBLE, d::DOUBLE), 6) AS correlation, abs(round(corr(v::DOUBLE, d::DOUBLE), 6)) > 0.5 AS degree_ordered FROM deg", "rmat_s10_ef16")
@@ -100,7 +105,7 @@ for _g in _UNDIRECTED:
     add(f"triangles_global_{_g}", on(_g)(triangles.count), f"{CORNERS} | SELECT count(*) AS triangles FROM tri", _g)
 for _g in ("copurchase", "coactive", "bigram", "rmat_s10_ef16"):
     add(f"triangles_vertex_{_g}", on(_g)(triangles.per_vertex), f"{PER_VERTEX} | SELECT v, t AS triangles FROM tv", _g)
-add("triangles_global_lists_bigram", lambda s, d: triangles.count(build(s, d, "bigram"), plan="lists"), f"{CORNERS} | SELECT count(*) AS triangles FROM tri", "bigram")
+add("triangles_global_relational_bigram", lambda s, d: triangles.count(build(s, d, "bigram"), plan="relational"), f"{CORNERS} | SELECT count(*) AS triangles FROM tri", "bigram")
 add("triangles_full_enumeration_coactive", lambda s, d: triangles.per_vertex(build(s, d, "coactive"), offset=False), f"{PER_VERTEX} | SELECT v, 2 * t AS triangles FROM tv", "coactive")
 add("triangles_upper_lists_coactive", lambda s, d: triangles.per_vertex_lists(build(s, d, "coactive")), f"{PER_VERTEX} | SELECT v, t AS triangles FROM tv", "coactive")
 add("triangles_all_lists_coactive", lambda s, d: triangles.per_vertex_lists(build(s, d, "coactive"), offset=False), f"{PER_VERTEX} | SELECT v, 2 * t AS triangles FROM tv", "coactive")
@@ -129,7 +134,7 @@ def _subset(g):
 
 
 add("lcc_subset_copurchase", on("copurchase")(_subset), _LCC + " WHERE deg.v % 10 = 3", "copurchase")
-_PRUNED = f"{DEG.replace('deg AS', 'd0 AS')}, lo AS (SELECT v FROM d0 WHERE d < 2), ar AS MATERIALIZED (SELECT * FROM arcs WHERE src NOT IN (SELECT v FROM lo) AND dst NOT IN (SELECT v FROM lo)), "
+_PRUNED = f"{DEG.replace('deg AS', 'd0 AS')}, ar AS MATERIALIZED (SELECT a.src, a.dst FROM arcs a JOIN d0 x ON x.v = a.src JOIN d0 y ON y.v = a.dst WHERE x.d >= 2 AND y.d >= 2), "
 add("lcc_pruned_bigram", lambda s, d: lcc.local_clustering(prep.prune(build(s, d, "bigram"))), _PRUNED + _LCC.replace("FROM arcs", "FROM ar"), "bigram")
 add("lcc_pruned_original_degrees_bigram", lambda s, d: (lambda g: lcc.local_clustering(prep.prune(g), degrees_of=g))(build(s, d, "bigram")), _LCC, "bigram")
 _SUMMARY = (
@@ -208,8 +213,12 @@ add("trace_p8_rmat_s8", lambda s, d: (lambda x: trace.build(x, partition.block(x
 # --- fetch plans -------------------------------------------------------------------------------------------------------------------------
 for _k in ("per_arc", "two_step", "halo", "hot", "relational", "auto"):
     add(f"fetch_{_k}_coactive", lambda s, d, k=_k: fetch.edge_support(build(s, d, "coactive"), k, budget=4096), _SUPPORT, "coactive")
-add("fetch_bytes_rmat", lambda s, d: fetch.shipped(build(s, d, "rmat_s10_ef16")).where("plan != 'hot'"),
-    f"{DEG}, {blocks(8)}, sz AS (SELECT part, dst, d FROM rd JOIN deg ON deg.v = rd.dst) | SELECT 'per_arc' AS plan, sum(d)::BIGINT AS ids FROM sz UNION ALL SELECT 'two_step', sum(d + 2)::BIGINT FROM sz UNION ALL SELECT 'halo', sum(d)::BIGINT FROM (SELECT DISTINCT * FROM sz)", "rmat_s10_ef16")
+add("fetch_bytes_rmat", lambda s, d: fetch.shipped(build(s, d, "rmat_s10_ef16")),
+    f"{DEG}, {blocks(8)}, sz AS (SELECT part, dst, d FROM rd JOIN deg ON deg.v = rd.dst), hb AS (SELECT d, sum(sum(8 * d)) OVER (ORDER BY d DESC) AS used FROM deg GROUP BY d), "
+    "he AS (SELECT min(d) AS edge, max(used) AS used FROM hb WHERE used <= 65536) | SELECT 'hot' AS plan, ((SELECT coalesce(sum(d), 0) FROM sz WHERE d < (SELECT coalesce(edge, 1 << 40) FROM he)) + coalesce((SELECT used FROM he), 0) // 8 * 8)::BIGINT AS ids UNION ALL SELECT 'per_arc' AS plan, sum(d)::BIGINT AS ids FROM sz UNION ALL SELECT 'two_step', sum(d + 2)::BIGINT FROM sz UNION ALL SELECT 'halo', sum(d)::BIGINT FROM (SELECT DISTINCT * FROM sz)", "rmat_s10_ef16")
+_RUN = f"{INDEX}, {part_sql(8)}, {{}} | SELECT part.part, l.v, l.deg, {{}}l.closed AS closed, l.lcc FROM l JOIN part ON part.v = l.v"
+for _g, _k, _kernel, _scheme in (("coactive", "halo", "builtin", "block"), ("rmat_s10_ef16", "hot", "builtin", "block"), ("rmat_s8_ef8", "two_step", "hybrid", "block"), ("rmat_s8_ef8", "per_arc", "search", "block"), ("succession_directed", "halo", "merge", "block")):
+    add(f"run_{_k}_{_g}", lambda s, d, g=_g, k=_k, n=_kernel: fetch.run(build(s, d, g), 8, k, kernel=n), (_RUN.format(_L, "2 * ") if not _g.endswith("directed") else _RUN.format(_LCC_D.replace(" | SELECT", ", l AS (SELECT") + ")", "")), _g)
 add("fetch_estimates_bigram", lambda s, d: fetch.estimates(build(s, d, "bigram"), 8), f"{DEG} | SELECT 8 * sum(d * d)::BIGINT AS per_arc_bytes, 8 * sum(least(8, d) * d)::BIGINT AS halo_bytes, sum(d)::BIGINT AS n_arcs, count(*) AS n FROM deg", "bigram")
 
 # --- caches and costs --------------------------------------------------------------------------------------------------------------------
