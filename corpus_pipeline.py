@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from wedgework.llm import jaccard, langid, packing, toxicity
-from wedgework.llm.common import load, materialise, numbered, without
+from wedgework.llm.common import discard, load, materialise, numbered, without
 
 #: Words of a shingle and least similarity, in per cent, of near copies (op7_ngram_jaccard_join has a contract of its own).
 SHINGLE, PERCENT = 5, 80
@@ -49,7 +49,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = load(spark, sf_dir, "documents")
+    docs, older = load(spark, sf_dir, "documents"), None
     for name, stage in STAGES[:-1]:
         docs = materialise(stage(spark, docs, sf_dir), name)
+        if older is not None:
+            discard(older)
+        older = docs
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -9,15 +9,12 @@ import shutil
 import tempfile
 import uuid
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Characters that separate words: space and \x09-\x0D.
 WORD_SPACE = "\t\n\x0b\x0c\r "
 _OWN: list[str] = []
-#: Rows of one file of a loop's frame.
-KEEP_ROWS = 250_000
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -43,27 +40,6 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def keep(df: DataFrame, *older: DataFrame) -> DataFrame:
-    """Write a frame of a loop into the shared folder, in as few files as its rows need, and delete the frames it replaces.
-
-    Each round starts from written rows, so plans don't grow with the rounds and a lost executor costs no earlier round.
-    """
-    df = df.persist(StorageLevel.DISK_ONLY)
-    n = df.count()
-    written = materialise(df.coalesce(max(1, -(-n // KEEP_ROWS))), "round")
-    df.unpersist()
-    for x in older:
-        discard(x)
-    tidy(df.sparkSession)
-    return written
-
-
-def tidy(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished rounds now: it does so when the driver's garbage is collected."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 def discard(df: DataFrame) -> None:
     """Delete the files behind a materialised frame that no pending plan needs any more."""
     jvm = df.sparkSession._jvm

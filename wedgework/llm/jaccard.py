@@ -6,14 +6,15 @@ or more share a token among their first ``n - ceil(t n) + 1`` tokens under any g
 1. Order 1 is rare tokens first: by the number of tokens, over all documents, in a token's hash bucket, then by hash. Prefix tokens are
    shuffled once and sorted; a token's rows are its list.
 2. Lists of at most ``SMALL`` classes give their pairs, which are counted: the number of prefix tokens that a pair shares must do for the
-   similarity. Longer lists are cut into blocks of bounded size, ordered by set size, and blocks that can hold similar sets meet in one
-   group each. A group emits a spanning forest of the links that it finds instead of pairs, so a large group of near copies makes rows in
-   proportion to its members, and no group grows with a list.
+   similarity. In longer lists each class first meets one pivot of its lists, twice, which connects most of a group of near copies at one
+   comparison a member. Lists that still hold several components are cut into blocks of bounded size, ordered by component and set size,
+   and blocks that can hold similar sets of different components meet in one group each. A group emits a spanning forest of the links
+   that it finds instead of pairs, so a large group of near copies makes rows in proportion to its members, and no group grows with a list.
 3. The pairs of both ways must also share enough prefix tokens under orders 2 and 3 (hash ascending and descending), before whole sets
    meet. Then the intersection is counted exactly.
 4. Components come from contraction rounds over the links.
 
-Nothing is capped: every pair of a list is either counted or lies in exactly one pair of blocks of that list.
+Nothing is capped: every pair of a list is counted, connected before, or lies in exactly one pair of blocks of that list.
 
 Defined results: a text without words (or null) has the empty set and is linked with nothing; texts of fewer words than a shingle are one
 shingle; repeated rows are copies; a row without id gets the least id of its component (null, if none has one); other columns are ignored. The hashes are 64 bits wide.
@@ -39,6 +40,8 @@ ROW = 1 << 12
 #: Classes of a list that gives pairs, and classes and tokens of a block of a longer one (a set of more tokens is a block of its own).
 SMALL = 48
 BLOCK, BLOCK_TOKENS = 512, 1 << 18
+#: Rounds in which each class meets one pivot of its long lists.
+STARS = 2
 #: Bits of the filter of candidate classes at most (64 MB): beyond it more sets are sent, none is missed.
 FILTER_BITS = 29
 _K = np.uint64(0x9E3779B97F4A7C15)
@@ -230,11 +233,10 @@ def possible_sql(shared: str, percent: int) -> str:
 
 
 def list_pass(entries: DataFrame, percent: int) -> DataFrame:
-    """Rows of two kinds: pairs (a, b, na, nb) of the short lists, once for each list; rows (token, block, a, na) of the long ones.
+    """Rows of two kinds: pairs (a, b, na, nb) of the short lists, once for each list; rows (token, a, na) of the long ones.
 
     Lists come sorted, so at most ``SMALL`` rows of a list are held.
     """
-    schema = "token long, block int, a long, b long, na int, nb int"
 
     def pairs(n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
         for m in np.unique(sizes):
@@ -247,29 +249,22 @@ def list_pass(entries: DataFrame, percent: int) -> DataFrame:
                 i, j = ((own[at : at + step, None] + z[None, :]).ravel() for z in (x, y))
                 ok = 100 * n[i].astype(np.int64) >= percent * n[j].astype(np.int64)  # a list ascends by n
                 i, j = i[ok], j[ok]
-                yield pd.DataFrame({"token": pd.Series([None] * len(i), dtype="Int64"), "block": pd.Series([None] * len(i), dtype="Int32"), "a": c[i], "b": c[j], "na": n[i], "nb": n[j]})
+                yield pd.DataFrame({"token": pd.Series([None] * len(i), dtype="Int64"), "a": c[i], "b": c[j], "na": n[i], "nb": n[j]})
+
+    def whole(t: np.ndarray, n: np.ndarray, c: np.ndarray) -> pd.DataFrame:
+        none = pd.Series([None] * len(n), dtype="Int64")
+        return pd.DataFrame({"token": t, "a": c, "b": none, "na": n, "nb": none.astype("Int32")})
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held = None  # the rows of the last list
-        long, block, rows, size = None, 0, 0, 0  # the long list that is passing, its block, and what that holds
-
-        def cut(token: int, n: np.ndarray, c: np.ndarray) -> pd.DataFrame:
-            nonlocal long, block, rows, size
-            if token != long:
-                long, block, rows, size = token, 0, 0, 0
-            of = np.empty(len(n), dtype=np.int32)
-            for i, x in enumerate(n.tolist()):
-                if rows and (rows == BLOCK or size + x > BLOCK_TOKENS):
-                    block, rows, size = block + 1, 0, 0
-                rows, size, of[i] = rows + 1, size + x, block
-            none = pd.Series([None] * len(n), dtype="Int64")
-            return pd.DataFrame({"token": token, "block": of, "a": c, "b": none, "na": n, "nb": none.astype("Int32")})
+        held, passing = None, None  # the rows of the last list, and the long list that is passing
 
         def lists(t: np.ndarray, n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
-            large = (sizes > SMALL) | (t[starts] == long if long is not None else False)
+            large = (sizes > SMALL) | (t[starts] == passing if passing is not None else False)
             yield from pairs(n, c, starts[~large], sizes[~large])
-            for s, m in zip(starts[large], sizes[large], strict=True):
-                yield cut(int(t[s]), n[s : s + m], c[s : s + m])
+            rows = np.repeat(large, sizes)
+            at = slice(starts[0], starts[-1] + sizes[-1]) if len(starts) else slice(0, 0)
+            if rows.any():
+                yield whole(t[at][rows], n[at][rows], c[at][rows])
 
         for b in batches:
             t, n, c = b["token"].to_numpy(np.int64), b["n"].to_numpy(np.int32), b["cls"].to_numpy(np.int64)
@@ -283,14 +278,40 @@ def list_pass(entries: DataFrame, percent: int) -> DataFrame:
             sizes = np.diff(np.append(starts, len(t)))
             last = starts[-1]
             yield from lists(t, n, c, starts[:-1], sizes[:-1])
-            if sizes[-1] > SMALL + 1 or t[last] == long:  # all but its last row pass; that one tells repeated rows
-                yield cut(int(t[last]), n[last:-1], c[last:-1])
-                last = len(t) - 1
+            if sizes[-1] > SMALL + 1 or t[last] == passing:  # all but its last row pass; that one tells repeated rows
+                yield whole(t[last:-1], n[last:-1], c[last:-1])
+                passing, last = t[last], len(t) - 1
             held = (t[last:], n[last:], c[last:])
         if held is not None and len(held[0]):
             yield from lists(*held, np.array([0]), np.array([len(held[0])]))
 
-    return entries.repartition("token").sortWithinPartitions("token", "n", "cls").mapInPandas(run, schema)
+    return entries.repartition("token").sortWithinPartitions("token", "n", "cls").mapInPandas(run, "token long, a long, b long, na int, nb int")
+
+
+def star_pairs(rows: DataFrame, r: int, percent: int) -> DataFrame:
+    """One pair (a, b, na, nb) for each class b at most: with the pivot that most of its lists have. Pivots are the lists' first classes by a hash of the round."""
+    pivot = rows.groupBy("token").agg(F.min_by(F.struct("cls", "n"), F.xxhash64("cls", F.lit(r))).alias("p")).select("token", F.col("p.cls").alias("a"), F.col("p.n").alias("na"))
+    met = rows.join(pivot, "token").where(f"cls != a AND 100 * least(n, na) >= {percent} * greatest(n, na)")
+    best = met.groupBy("cls", "n", "a", "na").agg(F.count(F.lit(1)).alias("c")).groupBy(F.col("cls").alias("b"), F.col("n").alias("nb")).agg(F.max_by(F.struct("a", "na"), "c").alias("p"))
+    return best.select(F.col("p.a").alias("a"), "b", F.col("p.na").alias("na"), "nb")
+
+
+def blocks_of(rows: DataFrame) -> DataFrame:
+    """Adds the block of each row (token, cls, n, label) in its list: runs of bounded size in the order of label and n, so most blocks have one label."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        token, block, many, size = None, 0, 0, 0
+        for b in batches:
+            of = np.empty(len(b), dtype=np.int32)
+            for i, (t, n) in enumerate(zip(b["token"].tolist(), b["n"].tolist(), strict=True)):
+                if t != token:
+                    token, block, many, size = t, 0, 0, 0
+                elif many == BLOCK or size + n > BLOCK_TOKENS:
+                    block, many, size = block + 1, 0, 0
+                many, size, of[i] = many + 1, size + n, block
+            yield b.assign(block=of)
+
+    return rows.select("token", "cls", "n", "label").repartition("token").sortWithinPartitions("token", "label", "n", "cls").mapInPandas(run, "token long, cls long, n int, label long, block int")
 
 
 def candidate_filter(classes: DataFrame) -> np.ndarray:
@@ -390,43 +411,46 @@ def forest(x: np.ndarray, y: np.ndarray, linked: np.ndarray) -> tuple[np.ndarray
 
 
 def block_links(a: list, b: list | None, token: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """Links between two blocks of a list (b is None: within one); a block is (classes, sizes, sets, long lists of each class).
+    """Links between two blocks of a list (b is None: within one); a block is (classes, sizes, labels, sets, long lists of each class).
 
-    A pair that an earlier long list holds too is left to that one.
+    A pair that an earlier long list holds too is left to that one, and one of a component needs no link.
     """
     b = a if b is None else b
-    (ca, na, sa, la), (cb, nb, sb, lb) = a, b
+    (ca, na, ga, sa, la), (cb, nb, gb, sb, lb) = a, b
     na, nb = na[:, None], nb[None, :]
     pa_, pb_ = prefix_size(na, percent), prefix_size(nb, percent)
     rest = np.minimum(pa_ - np.array(list(map(len, la)))[:, None], pb_ - np.array(list(map(len, lb)))[None, :])
-    todo = possible(na, nb, overlaps(la, lb) + rest, percent) & (ca[:, None] != cb[None, :])
+    todo = (ga[:, None] != gb[None, :]) & possible(na, nb, overlaps(la, lb) + rest, percent)
     todo &= overlaps([x[x < token] for x in la], [x[x < token] for x in lb]) == 0
-    for part in (lambda s, p: s[:p], lambda s, p: s[len(s) - p :], lambda s, p: s):  # orders 2 and 3, then whole sets
+    for part in (lambda s, p: s[:p], lambda s, p: s[len(s) - p :], None):  # orders 2 and 3, then whole sets
         i, j = np.flatnonzero(todo.any(axis=1)), np.flatnonzero(todo.any(axis=0))
         if not len(i):
             break
         n, m = na[i], nb[:, j]
-        shared = overlaps([part(sa[x], pa_[x, 0]) for x in i], [part(sb[x], pb_[0, x]) for x in j])
-        whole = part(sa[i[0]], pa_[i[0], 0]) is sa[i[0]]
-        ok = 100 * shared >= percent * (n + m - shared) if whole else possible(n, m, shared, percent)
+        if part is None:
+            shared = overlaps([sa[x] for x in i], [sb[x] for x in j])
+            ok = 100 * shared >= percent * (n + m - shared)
+        else:
+            ok = possible(n, m, overlaps([part(sa[x], pa_[x, 0]) for x in i], [part(sb[x], pb_[0, x]) for x in j]), percent)
         todo[np.ix_(i, j)] &= ok
     return forest(ca, cb, todo)
 
 
 def large_links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """(a, b): stars over what is linked in each pair of blocks of the long lists; rows has (token, block, cls, n)."""
-    blocks = rows.groupBy("token", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
-    other = blocks.select("token", F.col("block").alias("j"), F.col("low").alias("least"))
-    met = blocks.join(other, "token").where(f"block <= j AND 100 * high >= {percent} * least").select("token", F.col("block").alias("i"), "j")
+    """(a, b): stars over what is linked in each pair of blocks of the long lists; rows has (token, block, cls, n, label)."""
+    blocks = rows.groupBy("token", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.min("label").alias("g"), F.max("label").alias("h"))
+    other = blocks.select("token", F.col("block").alias("j"), *(F.col(c).alias(f"{c}2") for c in ("low", "high", "g", "h")))
+    met = blocks.join(other, "token").where(f"block <= j AND 100 * high >= {percent} * low2 AND 100 * high2 >= {percent} * low AND NOT (g = h AND h = g2 AND g2 = h2)")
+    met = met.select("token", F.col("block").alias("i"), "j")
     sides = met.select("token", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
     of = rows.groupBy("cls").agg(F.sort_array(F.collect_list("token")).alias("long"))  # at most a class's prefix
-    wide = sides.join(rows.select("token", "block", "cls"), ["token", "block"]).join(of, "cls").join(sets, "cls")
+    wide = sides.join(rows.select("token", "block", "cls", "label"), ["token", "block"]).join(of, "cls").join(sets, "cls")
     n = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def run(found: pa.Table) -> pa.Table:
         found = found.combine_chunks()
         token, i, j = (found[x][0].as_py() for x in ("token", "i", "j"))
-        block, cls, size = (found[x].to_numpy() for x in ("block", "cls", "n"))
+        block, cls, size, label = (found[x].to_numpy() for x in ("block", "cls", "n", "label"))
         lists = []
         for x in ("tokens", "long"):
             c = found[x].chunk(0)
@@ -436,7 +460,7 @@ def large_links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         sides = []
         for k in dict.fromkeys((i, j)):
             at = np.flatnonzero(block == k)
-            sides.append((cls[at], size[at].astype(np.int64), [lists[0][x] for x in at], [lists[1][x] for x in at]))
+            sides.append((cls[at], size[at].astype(np.int64), label[at], [lists[0][x] for x in at], [lists[1][x] for x in at]))
         a, b = block_links(sides[0], sides[1] if len(sides) > 1 else None, token, percent)
         return pa.table({"a": a, "b": b})
 
@@ -481,17 +505,28 @@ def links_of(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataF
     sent = context.broadcast(counts)
     lists = materialise(list_pass(prefixes(docs, sent, k, percent), percent), "lists")
     sent.destroy()
-    long = lists.where("token IS NOT NULL").select("token", "block", F.col("a").alias("cls"), F.col("na").alias("n"))
+    long = lists.where("token IS NOT NULL").select("token", F.col("a").alias("cls"), F.col("na").alias("n"))
     pairs = lists.where("token IS NULL").groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.count(F.lit(1)).alias("c"))
     many = long.groupBy("cls").agg(F.count(F.lit(1)).alias("m"))
     ma, mb = (many.select(F.col("cls").alias(x), F.col("m").alias(f"m{x}")) for x in "ab")
     near = pairs.join(ma, "a", "left").join(mb, "b", "left").where(possible_sql("c + least(coalesce(ma, 0), coalesce(mb, 0))", percent)).select("a", "b", "na", "nb")
-    near = materialise(near, "pairs")
+    for r in range(STARS):
+        near = near.unionByName(star_pairs(long, r, percent))
+    near = materialise(near.distinct(), "pairs")
     classes = near.select(F.col("a").alias("cls")).union(near.select("b")).union(long.select("cls")).distinct()
     sent = context.broadcast(candidate_filter(classes))
     sets = materialise(candidate_sets(docs, sent, k, percent), "candidates")
     sent.destroy()
-    found = materialise(small_links(near, sets, percent).unionByName(large_links(long, sets, percent)).distinct(), "links")
+    found = materialise(small_links(near, sets, percent), "links")
+    if not long.isEmpty():
+        known = long.join(components(found).withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
+        known = materialise(known, "known")
+        still = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open")).where("open").select("token")
+        rows = materialise(blocks_of(known.join(still, "token", "left_semi")), "blocks")
+        more = materialise(found.unionByName(large_links(rows, sets, percent)).distinct(), "links")
+        for x in (known, rows, found):
+            discard(x)
+        found = more
     for x in (lists, near, sets):
         discard(x)
     return found
