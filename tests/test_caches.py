@@ -208,3 +208,36 @@ def test_live_cache(spark, traced, tmp_path):
     live_cache(reads, CacheConfig(800)).writeStream.format("memory").queryName("live").outputMode("update").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start().awaitTermination()
     want = {r.part: (r.reads, r.hit) for r in cache.summarize(cache.replay(traced, CacheConfig(800))).collect()}
     assert {r.part: (r.reads, r.hits) for r in spark.table("live").collect()} == want
+
+
+def test_budgets_show_the_three_scenarios(spark):
+    g = graphs.rmat(spark, 8, 8)
+    rows = experiments.budgeted(g, (4, 16, 64)).collect()
+    assert [r.first_share for r in rows] == sorted(r.first_share for r in rows) and [r.gain for r in rows] == sorted((r.gain for r in rows), reverse=True)
+    assert rows[0].scenario == "cacheable" and rows[0].cached_s < rows[0].plain_s
+    assert {r.scenario for r in experiments.budgeted(g, (200,), 12).collect()} == {"compulsory"}
+    assert {r.scenario for r in experiments.budgeted(g, (4,), model=experiments.SLOW).collect()} == {"compute"}
+
+
+def test_sweep_against_the_replayed_degree_score(spark):
+    """Whole degrees held or not come within a few points of the replay, and larger caches never miss more."""
+    g = graphs.rmat(spark, 8, 8)
+    rows = experiments.sweep(g, "adj", (10, 25, 50, 100)).collect()
+    assert [r.miss_rate for r in rows] == sorted((r.miss_rate for r in rows), reverse=True) and rows[-1].miss_rate == rows[-1].first_share
+    t = trace.build(g, partition.block(g, 2))
+    cap = cache.capacity_for(t, 25)
+    replayed = cache.summarize(cache.replay(t, CacheConfig(cap, score="app"))).agg(F.sum("hit") / F.sum("reads")).first()[0]
+    assert abs((1 - rows[1].miss_rate) - replayed) < 0.06
+
+
+def test_knowing_the_future_beats_every_score(traced):
+    by = {r.score: r.hits for r in cache.compare_application_scores(traced, 25, window="offsets").collect()}
+    assert set(by) == {"recency", "deg", "deg_in", "deg_per_byte", "next_use"} and by["next_use"] == max(by.values()) > by["recency"]
+
+
+def test_read_times(spark):
+    g = graphs.rmat(spark, 7, 6)
+    for r in experiments.hot_read_times(g, (2, 8), 100).collect():
+        assert r.cached_us == r.once_us
+    rows = experiments.score_read_times(g, (2,)).collect()
+    assert {r.policy for r in rows} == {"lru", "lru_positional", "app"} and all(r.mean_us > 0 for r in rows)

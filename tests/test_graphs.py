@@ -261,3 +261,26 @@ def test_edge_list_sources(spark, tmp_path):
     assert tables.read_adjacency(spark, str(tmp_path / "adj")).count() == 3
     tables.write_scores(lcc.local_clustering(g), str(tmp_path / "s"), "json")
     assert spark.read.json(str(tmp_path / "s")).count() == 3
+
+
+@pytest.mark.parametrize("kernel", ["search", "merge", "hybrid"])
+def test_part_kernels(rmat, spark, kernel):
+    want = {(r.src, r.dst): r.common for r in triangles.edge_support(rmat).collect()}
+    assert {(r.src, r.dst): r.common for r in intersect.edge_support(rmat, kernel, parts=3).collect()} == want
+    assert {(r.src, r.dst): r.common for r in intersect.edge_support(rmat, kernel, chunk_cutoff=5).collect()} == want
+    d = Graph(spark.createDataFrame([(-3, 5), (5, 9), (-3, 9), (9, -3)], "src long, dst long"), directed=True)
+    assert {(r.src, r.dst): r.common for r in intersect.edge_support(d, kernel, parts=2).collect()} == {(-3, 5): 1, (5, 9): 0, (-3, 9): 0, (9, -3): 0}
+
+
+@pytest.mark.parametrize("plan", ["per_arc", "two_step", "halo", "hot", "relational"])
+def test_part_runs(rmat, plan):
+    want = {r.v: (r.deg, 2 * r.closed) for r in lcc.local_clustering(rmat).collect()}
+    got = fetch.run(rmat, 4, plan)
+    assert {r.v: (r.deg, r.closed) for r in got.collect()} == want and got.select("part").distinct().count() == 4
+
+
+def test_names_get_dense_ids_and_come_back(spark):
+    arcs = spark.createDataFrame([("a", "b"), ("b", "c"), ("a", "c"), ("c", "d")], "src string, dst string")
+    g = prep.symmetrize(Graph(arcs))
+    assert triangles.count(g).first()[0] == triangles.count(g, "relational").first()[0] == 1
+    assert {(r.v, r.triangles) for r in triangles.per_vertex(g).collect()} == {("a", 1), ("b", 1), ("c", 1)}

@@ -69,3 +69,32 @@ def common(a: pa.ListArray, b: pa.ListArray, kernel: str = "hybrid") -> np.ndarr
                 small, large = ((vb, ob), (va, oa)) if flipped else ((va, oa), (vb, ob))
                 out[rows] = (merge if merged else search)(*_take(*small, rows), *_take(*large, rows), len(rows))
     return out
+
+
+def common_rows(values: np.ndarray, offsets: np.ndarray, a: np.ndarray, b: np.ndarray, kernel: str = "hybrid") -> np.ndarray:
+    """Sizes of the intersections of the rows a and b of compressed sparse rows (each row ascending and distinct).
+
+    Every row is shifted into a range of its own, so the whole array ascends and keys are looked up in it as it stands: no list is copied
+    for being searched. Only rows that are merged are gathered.
+    """
+    size = np.diff(offsets)
+    n = len(a)
+    small, large = np.where(size[a] <= size[b], a, b), np.where(size[a] <= size[b], b, a)
+    live = size[small] > 0
+    merged = live & {"merge": np.ones(n, dtype=bool), "search": np.zeros(n, dtype=bool)}.get(kernel, use_merge(size[small], size[large]))
+    out = np.zeros(n, dtype=np.int64)
+    rows = np.flatnonzero(merged)
+    if len(rows):
+        out[rows] = merge(*_take(values, offsets, small[rows]), *_take(values, offsets, large[rows]), len(rows))
+    rows = np.flatnonzero(live & ~merged)
+    if len(rows):
+        low, span = int(values.min()), int(values.max()) - int(values.min()) + 1
+        whole = np.repeat(np.arange(len(size)) * span - low, size) + values
+        rows = rows[np.argsort(large[rows], kind="stable")]  # neighbouring keys then fall into the same list
+        for at in range(0, len(rows), 1 << 16):
+            own = rows[at : at + (1 << 16)]
+            key, of = _take(values, offsets, small[own])
+            key = large[own][of] * span - low + key
+            i = np.minimum(np.searchsorted(whole, key), len(whole) - 1)
+            out[own] = np.bincount(of[whole[i] == key], minlength=len(own))
+    return out

@@ -94,6 +94,26 @@ def capacity_for(trace: DataFrame, percent: int) -> int:
     return int((one or 0) * percent / 100)
 
 
+def with_scores(trace: DataFrame) -> DataFrame:
+    """The trace with further application scores: degree per byte, and minus the place of the target's next read (the bound that knows the future)."""
+    after = F.lead("seq").over(W.partitionBy("part", "dst").orderBy("seq"))
+    return trace.select("*", (F.col("deg") / F.greatest("adj_bytes", F.lit(1))).alias("deg_per_byte"), (-F.coalesce(after, F.lit(1 << 53))).cast("double").alias("next_use"))
+
+
+def compare_application_scores(trace: DataFrame, percent: int = 25, window: str = "adj", scores: tuple[str, ...] = ("deg", "deg_in", "deg_per_byte", "next_use")) -> DataFrame:
+    """score, reads, hits, miss_rate, bytes_read of caches that evict by each of these columns, and of recency, under the same capacity."""
+    size = "adj_bytes" if window == "adj" else "off_bytes"
+    known = with_scores(trace)
+    cap = int(known.select("part", "dst", size).distinct().groupBy("part").agg(F.sum(size).alias("b")).agg(F.avg("b")).first()[0] or 0) * percent // 100
+    out = None
+    for score in ("recency", *scores):
+        cfg = CacheConfig(cap, window=window, score="lru" if score == "recency" else "app")
+        s = summarize(replay(known, cfg, score_col="deg" if score == "recency" else score))
+        one = s.agg(F.sum("reads").alias("reads"), F.sum("hit").alias("hits"), F.sum("bytes_read").alias("bytes_read")).select(F.lit(score).alias("score"), "*", F.round(1 - F.col("hits") / F.col("reads"), 6).alias("miss_rate"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def compare_scores(trace: DataFrame, percent: int = 25, cfg: CacheConfig | None = None) -> DataFrame:
     """policy, reads, hits, miss_rate, bytes_read of recency, positional recency and the degree score under the same capacity."""
     cap = capacity_for(trace, percent)

@@ -58,8 +58,13 @@ def split_lists(g: Graph, cutoff: int, kernel: str = "hybrid") -> DataFrame:
     return small.unionByName(keys_cut.select("src", "dst", "a", "b")).unionByName(long_cut.select("src", "dst", "a", "b"))
 
 
-def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = None) -> DataFrame:
-    """src, dst, common by the named kernel: 'search', 'merge', 'hybrid' (Arrow), 'builtin' (array_intersect) or 'relational' (joins only)."""
+def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = None, parts: int | None = None) -> DataFrame:
+    """src, dst, common by the named kernel: 'search', 'merge', 'hybrid' (Arrow), 'builtin' (array_intersect) or 'relational' (joins only).
+
+    ``parts`` hands whole parts to the kernels, each list once to a part, instead of both lists to each arc; ids must be numbers.
+    """
+    if parts:
+        return part_common(*part_frames(g, parts), kernel)
     if kernel == "relational":
         other = g.arcs.select(F.col("src").alias("dst"), F.col("dst").alias("w"))
         mine = g.arcs.select("src", F.col("dst").alias("w"))
@@ -74,6 +79,34 @@ def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = No
     return arrow_common(rows, kernel)
 
 
+def part_frames(g: Graph, p: int) -> tuple[DataFrame, DataFrame]:
+    """(part, src, dst) and (part, v, nbrs): the arcs of each part, and each list that they need, once."""
+    arcs = g.arcs.select(F.pmod(F.xxhash64("src"), F.lit(p)).cast("int").alias("part"), "src", "dst")
+    needed = arcs.select("part", F.explode(F.array("src", "dst")).alias("v")).distinct()
+    return arcs, needed.join(adjacency(g).select("v", "nbrs"), "v").select("part", "v", "nbrs")
+
+
+def part_common(arcs: DataFrame, lists: DataFrame, kernel: str = "hybrid") -> DataFrame:
+    """src, dst, common: a part's lists become compressed sparse rows, on which the kernels work without copying a list for each arc."""
+
+    def run(own: pa.Table, known: pa.Table) -> pa.Table:
+        import numpy as np
+
+        from ..functions.kernels import _flat, common_rows
+
+        if not len(own):
+            return pa.table({"src": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "common": pa.array([], pa.int64())})
+        src, dst = own["src"].to_numpy(), own["dst"].to_numpy()
+        v = known["v"].to_numpy()
+        order = np.argsort(v)
+        values, offsets = _flat(known["nbrs"])
+        at = lambda x: (lambda i: np.where(v[order[i]] == x, order[i], len(v)))(np.minimum(np.searchsorted(v, x, sorter=order), len(v) - 1))
+        offsets = np.append(offsets, offsets[-1])  # the last row is empty, for vertices without a list
+        return pa.table({"src": own["src"], "dst": own["dst"], "common": common_rows(values, offsets, at(src), at(dst), kernel)})
+
+    return arcs.groupBy("part").cogroup(lists.groupBy("part")).applyInArrow(run, "src long, dst long, common long")
+
+
 def _degree_pairs(g: Graph) -> DataFrame:
     deg = g.arcs.groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("d"))
     return g.arcs.join(deg.select(F.col("v").alias("src"), F.col("d").alias("di")), "src").join(deg.select(F.col("v").alias("dst"), F.col("d").alias("dj")), "dst", "left").withColumn("dj", F.coalesce("dj", F.lit(0)))

@@ -6,16 +6,21 @@ import time
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import costs
 from ..operators import baselines, cache, csr, intersect, partition, prep, trace
-from ..operators.triangles import count
 from ..schema import CacheConfig, CostModel, Graph
 from ..sources.tables import settle
 
 STEPS = (4, 8, 16, 32, 64)
+LARGE = (128, 256, 512)
+#: A comparison costs what makes 79 % of the time communication on the generator graph with four parts, a look-up some reads of local
+#: memory, and a miss in a cache the cache's own work on top of the transfer. SLOW has 25 times slower cores.
+CACHED = CostModel(gamma=4e-9, lookup=2e-7, miss_extra=1e-6)
+SLOW = CostModel(gamma=1e-7, lookup=2e-7, miss_extra=1e-6)
 
 
 def stack(frames: list[DataFrame]) -> DataFrame:
@@ -78,6 +83,135 @@ def overall(g: Graph, steps: tuple[int, ...] = STEPS, model: CostModel = CostMod
     return stack(rows)
 
 
+def placed(g: Graph) -> tuple[DataFrame, int, int]:
+    """src, dst, di, dj (out-degrees), si, ti (dense indices), later (the source's neighbours after dst) of every arc, written once; n and the arcs' number.
+
+    The part of an index is an expression of p, so a table for many p needs no further join.
+    """
+    g = kept(g)
+    index = settle(prep.dense_index(prep.vertices(g)), "index")
+    deg = prep.degrees(g).select("v", "deg_out")
+    at = lambda rows, v, name, new: rows.select(F.col("v").alias(v), F.col(name).alias(new))
+    arcs = g.arcs
+    for v, i, d in (("src", "si", "di"), ("dst", "ti", "dj")):
+        arcs = arcs.join(at(index, v, "idx", i), v).join(at(deg, v, "deg_out", d), v)
+    later = F.col("di") - F.row_number().over(W.partitionBy("src").orderBy("dst"))
+    known = settle(arcs.withColumn("later", later), "placed")
+    return known, partition._n(index), known.count()
+
+
+def part_of(index: str, p: int, n: int):
+    return F.expr(f"int((({index} + 1) * {p} + {n} - 1) div {max(n, 1)} - 1)")
+
+
+def read_classes(known: DataFrame, p: int, n: int) -> DataFrame:
+    """part, d, k, c and running sums of k (vertices) and b (list bytes) from the largest degree on: far targets of each degree, and reads of them."""
+    far = known.select(part_of("si", p, n).alias("part"), part_of("ti", p, n).alias("at"), "dst", F.col("dj").alias("d")).where("part != at")
+    classes = far.groupBy("part", "dst", "d").agg(F.count(F.lit(1)).alias("c")).groupBy("part", "d").agg(F.count(F.lit(1)).alias("k"), F.sum("c").alias("c"))
+    w = W.partitionBy("part").orderBy(F.desc("d"))  # a row for each degree
+    return classes.select("*", F.sum("k").over(w).alias("held"), F.sum(F.expr("4 * d * k")).over(w).alias("bytes"))
+
+
+def hot_costs(classes: DataFrame, offsets_entries, adj_bytes, model: CostModel, windows: tuple[str, ...] = ("offsets", "adj")) -> DataFrame:
+    """The classes with the seconds of their reads: plain, cached (the largest degrees that fit are held after their first read) and once (no limits); and hits of each window.
+
+    This is the degree score in closed form: whole degrees are held or not, so it needs a histogram and no replay.
+    """
+    o, a = F.col("held") <= offsets_entries, F.col("bytes") <= adj_bytes
+    miss_o, miss_a = F.when(o, F.col("k")).otherwise(F.col("c")), F.when(a, F.col("k")).otherwise(F.col("c"))
+    step_o, step_a = F.lit(model.alpha + 8 * model.beta), F.lit(model.alpha) + F.expr("4 * d") * F.lit(model.beta)
+    extra, look = F.lit(model.miss_extra), F.lit(model.lookup)
+    window = {
+        "offsets": (miss_o * (step_o + extra) + F.col("c") * look, F.col("k") * (step_o + extra) + F.col("c") * look, F.col("c") * step_o),
+        "adj": (miss_a * (step_a + extra) + F.col("c") * look, F.col("k") * (step_a + extra) + F.col("c") * look, F.col("c") * step_a),
+    }
+    pick = lambda j: sum((window[w][j if w in windows else 2] for w in ("offsets", "adj")), F.lit(0.0))
+    return classes.select("*", pick(2).alias("plain"), pick(0).alias("cached"), pick(1).alias("once"), (F.col("c") - miss_o).alias("hit_o"), (F.col("c") - miss_a).alias("hit_a"))
+
+
+def budgeted(g: Graph, steps: tuple[int, ...] = STEPS, percent: int = 50, model: CostModel = CACHED, buffer_bytes: int = 1 << 16) -> DataFrame:
+    """One row for each p: modelled seconds of the slowest part without a cache, with both caches under a budget, and of the query-response baseline.
+
+    A part's caches have ``percent`` of the bytes of the graph's compressed rows: 0.8 n positions for offsets, the rest for lists, which
+    the degree score holds (``hot_costs``). Every read pays two look-ups, every miss the cache's own work. The baseline asks the owner of a
+    vertex's neighbour for each later neighbour: a message pair for each vertex and owner, or for each full buffer of a pair of parts;
+    everyone waits for the slowest to ask and for the slowest to answer. scenario: 'compute' (less than half of the time is
+    communication), 'cacheable' (caching saves 5 % at least) or 'compulsory'.
+    """
+    known, n, m = placed(g)
+    csr_bytes = 4 * (n + 1 + m)
+    cache_bytes = csr_bytes * percent // 100
+    split = costs.split_budget(cache_bytes, n)
+    r9 = lambda c: F.round(c, 9)
+    rows = []
+    for p in steps:
+        part, at = part_of("si", p, n), part_of("ti", p, n)
+        ops = F.expr(f"CASE WHEN {intersect.RULE} THEN di + dj ELSE least(di, dj) * log2(greatest(di, dj)) END")
+        work = known.where("dj > 0").groupBy(part.alias("part")).agg((F.sum(ops) * model.gamma).alias("comp"))
+        comm = hot_costs(read_classes(known, p, n), split["offsets_bytes"] // 8, split["adj_bytes"], model).groupBy("part").agg(*(F.sum(x).alias(x) for x in ("plain", "cached", "c", "k", "hit_o", "hit_a")))
+        both = work.join(comm, "part", "full").na.fill(0)
+        one = both.agg(
+            F.max(F.col("comp") + F.col("plain")).alias("plain_s"), F.max(F.col("comp") + F.col("cached")).alias("cached_s"), F.max("comp").alias("compute_s"), (F.sum("plain") / F.sum(F.col("plain") + F.col("comp"))).alias("comm_share"),
+            (F.sum("k") / F.sum("c")).alias("first_share"), (F.sum("hit_o") / F.sum("c")).alias("offsets_hit"), (F.sum("hit_a") / F.sum("c")).alias("adj_hit"),
+        )
+        asked = known.where("later > 0").groupBy(part.alias("asker"), at.alias("owner"), "src").agg(F.sum("later").alias("q"), (F.sum(F.col("later") * F.log2(F.greatest(F.col("dj"), F.lit(1)))) * model.gamma).alias("answer"))
+        pairs = asked.groupBy("asker", "owner").agg(F.count(F.lit(1)).alias("messages"), F.sum("q").alias("q"), F.sum("answer").alias("answer"))
+        away = F.col("asker") != F.col("owner")
+        sends = pairs.groupBy("asker").agg(
+            F.sum(F.when(away, 2 * model.alpha * F.col("messages") + 17 * model.beta * F.col("q")).otherwise(0.0)).alias("single"),
+            F.sum(F.when(away, 2 * model.alpha * F.ceil(16 * F.col("q") / F.lit(buffer_bytes)) + 17 * model.beta * F.col("q")).otherwise(0.0)).alias("buffered"),
+        )
+        sent = sends.agg(F.max("single").alias("single"), F.max("buffered").alias("buffered"))
+        answered = pairs.groupBy("owner").agg(F.sum("answer").alias("answer")).agg(F.max("answer").alias("answer"))
+        rows.append(one.join(sent, how="cross").join(answered, how="cross").select(
+            F.lit(p).alias("p"), F.lit(csr_bytes).cast("long").alias("csr_bytes"), F.lit(cache_bytes).cast("long").alias("cache_bytes"), r9("plain_s").alias("plain_s"), r9("cached_s").alias("cached_s"), r9("compute_s").alias("compute_s"),
+            r9(F.col("single") + F.col("answer")).alias("asking_s"), r9(F.col("buffered") + F.col("answer")).alias("asking_buffered_s"), *(F.round(x, 6).alias(x) for x in ("comm_share", "first_share", "offsets_hit", "adj_hit")),
+            F.round(1 - F.col("cached_s") / F.col("plain_s"), 6).alias("gain"), F.when(F.col("comm_share") < 0.5, "compute").when(F.col("cached_s") <= 0.95 * F.col("plain_s"), "cacheable").otherwise("compulsory").alias("scenario"),
+        ))
+    return stack(rows)
+
+
+def sweep(g: Graph, window: str, percents: tuple[int, ...] = tuple(range(5, 101, 5)), p: int = 2, model: CostModel = CACHED) -> DataFrame:
+    """percent, reads, hits, miss_rate, first_share, saved_share when one window is cached by the degree score, in closed form; sizes in percent of what the parts read of it."""
+    known, n, _ = placed(g)
+    classes = settle(read_classes(known, p, n), "classes")
+    full = classes.groupBy("part").agg(F.max("held").alias("all_held"), F.max("bytes").alias("all_bytes"))
+    both = classes.join(full, "part")
+    hit = "hit_o" if window == "offsets" else "hit_a"
+    rows = []
+    for q in percents:
+        one = hot_costs(both, F.expr(f"all_held * {q} / 100"), F.expr(f"all_bytes * {q} / 100"), model, (window,)).agg(F.sum("c").alias("reads"), F.sum(hit).alias("hits"), F.sum("k").alias("k"), F.sum("plain").alias("plain"), F.sum("cached").alias("cached"))
+        rows.append(one.select(F.lit(q).alias("percent"), "reads", "hits", F.round(1 - F.col("hits") / F.col("reads"), 6).alias("miss_rate"), F.round(F.col("k") / F.col("reads"), 6).alias("first_share"), F.round(1 - F.col("cached") / F.col("plain"), 6).alias("saved_share")))
+    return stack(rows)
+
+
+def hot_read_times(g: Graph, steps: tuple[int, ...] = STEPS, percent: int = 25, model: CostModel = CACHED) -> DataFrame:
+    """p, reads, plain_us, cached_us, once_us: mean microseconds of reading a remote vertex without a cache, with lists cached by the degree score under ``percent`` of what a part reads, and with first reads only."""
+    known, n, _ = placed(g)
+    rows = []
+    for p in steps:
+        classes = read_classes(known, p, n)
+        both = classes.join(classes.groupBy("part").agg(F.max("bytes").alias("all_bytes")), "part")
+        one = hot_costs(both, F.lit(0), F.expr(f"all_bytes * {percent} / 100"), model, ("adj",)).agg(F.sum("c").alias("reads"), *(F.sum(x).alias(x) for x in ("plain", "cached", "once")))
+        rows.append(one.select(F.lit(p).alias("p"), "reads", *(F.round(F.col(x) / F.col("reads") * 1e6, 6).alias(f"{x}_us") for x in ("plain", "cached", "once"))))
+    return stack(rows)
+
+
+def score_read_times(g: Graph, steps: tuple[int, ...] = (4, 16, 64), percent: int = 25, model: CostModel = CACHED) -> DataFrame:
+    """p, policy, reads, hits, mean_us: replayed reads of recency, positional recency and the degree score, lists cached under the same capacity."""
+    g = kept(g)
+    rows = []
+    for p in steps:
+        t = settle(trace.build(g, partition.block(g, p)), "trace")
+        cap = cache.capacity_for(t, percent)
+        for policy in ("lru", "lru_positional", "app"):
+            r = cache.replay(t, CacheConfig(cap, score=policy, fragmentation=policy == "lru_positional", window="adj"))
+            one = costs.replay_time(r, model).agg(F.sum("seconds").alias("s"), F.sum("n_reads").alias("reads")).join(r.agg(F.count_if(F.col("outcome") == "hit").alias("hits")), how="cross")
+            offsets = model.alpha + 8 * model.beta
+            rows.append(one.select(F.lit(p).alias("p"), F.lit(policy).alias("policy"), "reads", "hits", F.round((F.col("s") / F.col("reads") + offsets) * 1e6, 6).alias("mean_us")))
+    return stack(rows)
+
+
 def speedup(table: DataFrame, base: int, columns: tuple[str, ...] = ("plain_s", "cached_s")) -> DataFrame:
     """The table with each time's ratio to that of the smallest configuration."""
     ref = table.where(F.col("p") == base).select(*(F.col(c).alias(f"base_{c}") for c in columns))
@@ -139,28 +273,23 @@ def timed(run: Callable[[], object], least: int = 3, most: int = 10, within: flo
                 return {"median_s": mid, "low_s": float(lo), "high_s": float(hi), "runs": len(seconds)}
 
 
-def throughput(g: Graph, kernels: tuple[str, ...] = ("hybrid", "merge", "search"), repeats: int = 3) -> list[dict[str, float | str]]:
-    """Arcs per microsecond of each kernel on lists that are already beside their arcs."""
-    rows = intersect.arc_lists(g).persist()
-    n = rows.count()
+def throughput(g: Graph, kernels: tuple[str, ...] = ("hybrid", "merge", "search"), repeats: int = 3, tasks: int = 8) -> list[dict[str, float | str]]:
+    """Arcs per microsecond of each kernel on so many parallel tasks, each with its part's arcs and lists beside it."""
+    arcs, lists = (x.repartition(tasks, "part").persist() for x in intersect.part_frames(prep.compact(g)[0], 4 * tasks))
+    n = arcs.count()
+    lists.count()
     out = []
     for k in kernels:
-        t = timed(lambda k=k: intersect.arrow_common(rows, k).agg(F.sum("common")).collect(), repeats, repeats)
-        out.append({"graph": g.name, "kernel": k, "edges_per_us": n / t["median_s"] / 1e6, **t})
-    rows.unpersist()
+        t = timed(lambda k=k: intersect.part_common(arcs, lists, k).agg(F.sum("common")).collect(), repeats, repeats)
+        out.append({"graph": g.name, "kernel": k, "tasks": tasks, "edges_per_us": n / t["median_s"] / 1e6, **t})
+    for x in (arcs, lists):
+        x.unpersist()
     return out
 
 
-def scaling(make: Callable[[SparkSession], Graph], spark: SparkSession, parts: tuple[int, ...] = (1, 2, 4, 8)) -> list[dict[str, float]]:
-    """Seconds of the oriented count with so many shuffle partitions (parallel tasks)."""
-    before, out = spark.conf.get("spark.sql.shuffle.partitions"), []
-    try:
-        for p in parts:
-            spark.conf.set("spark.sql.shuffle.partitions", p)
-            out.append({"parts": p, **timed(lambda: count(make(spark)).collect(), 3, 3)})
-    finally:
-        spark.conf.set("spark.sql.shuffle.partitions", before)
-    return out
+def scaling(g: Graph, kernel: str = "hybrid", tasks: tuple[int, ...] = (1, 2, 4, 8), repeats: int = 3) -> list[dict[str, float | str]]:
+    """Throughput of one kernel as the parallel tasks grow."""
+    return [throughput(g, (kernel,), repeats, t)[0] for t in tasks]
 
 
 def cube(report: DataFrame, dims: list[str], value: str) -> DataFrame:

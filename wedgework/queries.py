@@ -157,9 +157,13 @@ for _k in ("search", "merge", "hybrid", "builtin", "relational"):
 add("kernel_search_succession_directed", lambda s, d: intersect.edge_support(build(s, d, "succession_directed"), "search"), _SUPPORT, "succession_directed")
 for _k in ("search", "merge", "hybrid"):
     add(f"kernel_split_{_k}_coactive", lambda s, d, k=_k: intersect.edge_support(build(s, d, "coactive"), k, chunk_cutoff=16), _SUPPORT, "coactive")
+for _k in ("search", "merge", "hybrid"):
+    add(f"kernel_parts_{_k}_coactive", lambda s, d, k=_k: intersect.edge_support(build(s, d, "coactive"), k, parts=8), _SUPPORT, "coactive")
+add("kernel_parts_hybrid_rmat", lambda s, d: intersect.edge_support(build(s, d, "rmat_s10_ef32"), "hybrid", parts=16), _SUPPORT, "rmat_s10_ef32")
+add("kernel_parts_hybrid_succession_directed", lambda s, d: intersect.edge_support(build(s, d, "succession_directed"), "hybrid", parts=4), _SUPPORT, "succession_directed")
 _RULE = "least(di, dj) > 0 AND least(di, dj) * (log2(greatest(di, dj)) - 1) >= greatest(di, dj)"
 _PAIRS = f"{DEG}, dp AS (SELECT x.d AS di, y.d AS dj FROM arcs a JOIN deg x ON x.v = a.src JOIN deg y ON y.v = a.dst)"
-for _g in ("rmat_s8_ef8", "rmat_s10_ef16", "bigram", "copurchase", "part_supp"):
+for _g in ("rmat_s8_ef8", "rmat_s10_ef8", "rmat_s10_ef16", "rmat_s10_ef32", "bigram", "copurchase", "part_supp"):
     add(f"kernel_ops_{_g}", on(_g)(intersect.op_counts),
         f"{_PAIRS} | SELECT sum(di + dj)::BIGINT AS merge_ops, round(sum(least(di, dj) * log2(greatest(di, dj))), 0)::BIGINT AS search_ops, round(sum(CASE WHEN {_RULE} THEN di + dj ELSE least(di, dj) * log2(greatest(di, dj)) END), 0)::BIGINT AS hybrid_ops FROM dp", _g)
     add(f"rule_share_{_g}", on(_g)(intersect.rule_share), f"{_PAIRS} | SELECT count(*) AS n_arcs, sum(({_RULE})::INT)::BIGINT AS n_merge FROM dp", _g)
@@ -279,6 +283,89 @@ def _overall_sql() -> str:
 for _g in ("rmat_s10_ef16", "bigram"):
     SQL[f"overall_{_g}"] = (lambda c, s: f"WITH {graphs.SQL[_g]}, {c} {s}")(*_overall_sql().split(" | ", 1))
 
+# --- budgets, sweeps and read times by the closed form of the degree score ----------------------------------------------------------------
+_C = experiments.CACHED
+_DG = "dg AS MATERIALIZED (SELECT vs.v, coalesce(deg.d, 0) AS d FROM vs LEFT JOIN deg ON deg.v = vs.v)"
+
+
+def _classes_sql(p: int) -> str:
+    return (
+        f"{part_sql(p, f'part{p}')}, {reads_sql(p, f'rd{p}', f'part{p}')}, "
+        f"hc{p} AS (SELECT part, d, count(*) AS k, sum(c)::BIGINT AS c FROM (SELECT part, dst, count(*) AS c FROM rd{p} GROUP BY part, dst) x JOIN dg ON dg.v = x.dst GROUP BY part, d), "
+        f"hr{p} AS MATERIALIZED (SELECT *, sum(k) OVER w AS held, sum(4 * d * k) OVER w AS bytes, sum(k) OVER (PARTITION BY part) AS all_held, sum(4 * d * k) OVER (PARTITION BY part) AS all_bytes FROM hc{p} WINDOW w AS (PARTITION BY part ORDER BY d DESC))"
+    )
+
+
+def _costs_sql(entries: str, size: str, windows: tuple[str, ...] = ("offsets", "adj")) -> str:
+    """Columns plain, cached, once, hit_o, hit_a of the classes."""
+    mo, ma = f"CASE WHEN held <= {entries} THEN k ELSE c END", f"CASE WHEN bytes <= {size} THEN k ELSE c END"
+    so, sa = f"({_C.alpha + 8 * _C.beta!r}::DOUBLE)", f"({_C.alpha!r}::DOUBLE + 4 * d * {_C.beta!r}::DOUBLE)"
+    pay = lambda m, s: f"({m}) * ({s} + {_C.miss_extra!r}::DOUBLE) + c * {_C.lookup!r}::DOUBLE"
+    cached = {"offsets": pay(mo, so), "adj": pay(ma, sa)}
+    once = {"offsets": pay("k", so), "adj": pay("k", sa)}
+    plain = {"offsets": f"c * {so}", "adj": f"c * {sa}"}
+    of = lambda x: " + ".join(x[w] if w in windows else plain[w] for w in plain)
+    return f"{' + '.join(plain.values())} AS plain, {of(cached)} AS cached, {of(once)} AS once, c - ({mo}) AS hit_o, c - ({ma}) AS hit_a"
+
+
+def _budgeted_sql(steps: tuple[int, ...], percent: int, buffer_bytes: int = 1 << 16, m: CostModel = _C) -> str:
+    ops = f"CASE WHEN {_RULE} THEN di + dj ELSE least(di, dj) * log2(greatest(di, dj)) END"
+    ctes = [
+        VERTICES, DEG, _DG, INDEX.replace(VERTICES + ", ", ""),
+        "ad AS MATERIALIZED (SELECT a.src, a.dst, x.d AS di, y.d AS dj, x.d - row_number() OVER (PARTITION BY a.src ORDER BY a.dst) AS later FROM arcs a JOIN dg x ON x.v = a.src JOIN dg y ON y.v = a.dst)",
+        f"bd AS (SELECT n, csr, csr * {percent} // 100 AS size, least(csr * {percent} // 100, floor(0.8 * n)::BIGINT * 4) AS o FROM (SELECT n, 4 * (n + 1 + m) AS csr FROM (SELECT count(*) AS n FROM vs), (SELECT count(*) AS m FROM arcs)))",
+    ]
+    out = []
+    for p in steps:
+        ctes += [
+            _classes_sql(p),
+            f"wk{p} AS (SELECT x.part, sum({ops}) * {m.gamma!r}::DOUBLE AS comp FROM ad JOIN part{p} x ON x.v = ad.src WHERE dj > 0 GROUP BY x.part)",
+            f"cm{p} AS (SELECT part, sum(plain) AS plain, sum(cached) AS cached, sum(c) AS c, sum(k) AS k, sum(hit_o) AS hit_o, sum(hit_a) AS hit_a FROM (SELECT part, c, k, {_costs_sql('bd.o // 8', '(bd.size - bd.o)')} FROM hr{p}, bd) GROUP BY part)",
+            f"al{p} AS (SELECT coalesce(comp, 0) AS comp, coalesce(plain, 0) AS plain, coalesce(cached, 0) AS cached, c, k, hit_o, hit_a FROM wk{p} FULL JOIN cm{p} USING (part))",
+            f"pr{p} AS MATERIALIZED (SELECT asker, owner, count(*) AS messages, sum(q) AS q, sum(answer) AS answer FROM (SELECT x.part AS asker, y.part AS owner, ad.src, sum(later) AS q, sum(later * log2(greatest(dj, 1))) * {m.gamma!r}::DOUBLE AS answer FROM ad JOIN part{p} x ON x.v = ad.src JOIN part{p} y ON y.v = ad.dst WHERE later > 0 GROUP BY 1, 2, 3) GROUP BY asker, owner)",
+            f"sn{p} AS (SELECT sum(CASE WHEN asker <> owner THEN {2 * m.alpha!r}::DOUBLE * messages + {17 * m.beta!r}::DOUBLE * q ELSE 0 END) AS single, sum(CASE WHEN asker <> owner THEN {2 * m.alpha!r}::DOUBLE * ceil(16 * q / {buffer_bytes}.0::DOUBLE) + {17 * m.beta!r}::DOUBLE * q ELSE 0 END) AS buffered FROM pr{p} GROUP BY asker)",
+        ]
+        out.append(
+            f"SELECT {p} AS p, csr AS csr_bytes, size AS cache_bytes, round(plain_s, 9) AS plain_s, round(cached_s, 9) AS cached_s, round(compute_s, 9) AS compute_s, round(single + answer, 9) AS asking_s, round(buffered + answer, 9) AS asking_buffered_s, round(comm_share, 6) AS comm_share, "
+            "round(first_share, 6) AS first_share, round(offsets_hit, 6) AS offsets_hit, round(adj_hit, 6) AS adj_hit, round(1 - cached_s / plain_s, 6) AS gain, CASE WHEN comm_share < 0.5 THEN 'compute' WHEN cached_s <= 0.95 * plain_s THEN 'cacheable' ELSE 'compulsory' END AS scenario FROM bd, "
+            f"(SELECT max(comp + plain) AS plain_s, max(comp + cached) AS cached_s, max(comp) AS compute_s, sum(plain) / sum(plain + comp) AS comm_share, sum(k) / sum(c) AS first_share, sum(hit_o) / sum(c) AS offsets_hit, sum(hit_a) / sum(c) AS adj_hit FROM al{p}), "
+            f"(SELECT max(single) AS single, max(buffered) AS buffered FROM sn{p}), (SELECT max(answer) AS answer FROM (SELECT sum(answer) AS answer FROM pr{p} GROUP BY owner))"
+        )
+    return ", ".join(ctes) + " | " + " UNION ALL ".join(out)
+
+
+_BUDGETED = {g: (experiments.STEPS, 50) for g in ("rmat_s10_ef16", "bigram", "copurchase", "succession_directed", "coactive")}
+for _g, (_st, _pc) in _BUDGETED.items():
+    add(f"budgeted_{_g}", lambda s, d, g=_g, st=_st, pc=_pc: experiments.budgeted(build(s, d, g), st, pc), _budgeted_sql(_st, _pc), _g)
+for _g in ("rmat_s12_ef16", "bigram"):  # at large scale the caches are small beside the graph
+    add(f"budgeted_large_{_g}", lambda s, d, g=_g: experiments.budgeted(build(s, d, g), experiments.LARGE, 12), _budgeted_sql(experiments.LARGE, 12), _g)
+add("budgeted_slow_cores_coactive", lambda s, d: experiments.budgeted(build(s, d, "coactive"), model=experiments.SLOW), _budgeted_sql(experiments.STEPS, 50, m=experiments.SLOW), "coactive")
+add("budgeted_speedup_rmat", lambda s, d: experiments.speedup(experiments.budgeted(build(s, d, "rmat_s10_ef16")), 4, ("plain_s", "cached_s", "asking_s")),
+    _budgeted_sql(experiments.STEPS, 50).replace(" | ", ", bt AS MATERIALIZED (", 1) + ") | SELECT bt.p, round(b.plain_s / bt.plain_s, 4) AS speedup_plain_s, round(b.cached_s / bt.cached_s, 4) AS speedup_cached_s, round(b.asking_s / bt.asking_s, 4) AS speedup_asking_s FROM bt, bt b WHERE b.p = 4", "rmat_s10_ef16")
+for _g in ("rmat_s10_ef16", "bigram"):
+    _ov = SQL[f"overall_{_g}"]
+    _cut = _ov.rindex(" SELECT 4 AS p,")
+    SQL[f"speedup_{_g}"] = _ov[:_cut] + ", ov AS MATERIALIZED (" + _ov[_cut:] + ") SELECT ov.p, round(b.plain_s / ov.plain_s, 4) AS speedup_plain_s, round(b.cached_s / ov.cached_s, 4) AS speedup_cached_s FROM ov, ov b WHERE b.p = 4"
+_BASE = ", ".join([VERTICES, DEG, _DG, INDEX.replace(VERTICES + ", ", "")])
+for _g in ("rmat_s12_ef16", "bigram"):
+    for _w, _hit in (("offsets", "hit_o"), ("adj", "hit_a")):
+        add(f"sweep_{_w}_{_g}", lambda s, d, g=_g, w=_w: experiments.sweep(build(s, d, g), w),
+            f"{_BASE}, {_classes_sql(2)} | SELECT q AS percent, sum(c)::BIGINT AS reads, sum({_hit})::BIGINT AS hits, round(1 - sum({_hit}) / sum(c), 6) AS miss_rate, round(sum(k) / sum(c), 6) AS first_share, round(1 - sum(cached) / sum(plain), 6) AS saved_share "
+            f"FROM (SELECT q, c, k, {_costs_sql('all_held * q / 100', 'all_bytes * q / 100', (_w,))} FROM hr2, (SELECT unnest(range(5, 101, 5))::INT AS q)) GROUP BY q", _g)
+for _g in ("rmat_s10_ef16", "bigram", "copurchase"):
+    add(f"hot_read_times_{_g}", on(_g)(experiments.hot_read_times), f"{_BASE}, {', '.join(map(_classes_sql, experiments.STEPS))} | " + " UNION ALL ".join(
+        f"SELECT {p} AS p, sum(c)::BIGINT AS reads, round(sum(plain) / sum(c) * 1e6, 6) AS plain_us, round(sum(cached) / sum(c) * 1e6, 6) AS cached_us, round(sum(once) / sum(c) * 1e6, 6) AS once_us FROM (SELECT c, {_costs_sql('0', 'all_bytes * 25 / 100', ('adj',))} FROM hr{p})" for p in experiments.STEPS), _g)
+for _g in ("rmat_s8_ef8", "succession_directed"):
+    add(f"score_read_times_{_g}", lambda s, d, g=_g: experiments.score_read_times(build(s, d, g)))
+add("score_bounds_rmat", lambda s, d: cache.compare_application_scores(_trace2(build(s, d, "rmat_s10_ef16"))))
+#: An index of one way: a slot holds the last key read that falls into it.
+_SLOT = "((dst::HUGEINT * 11400714819323198485::HUGEINT) % 18446744073709551616::HUGEINT // 1048576 % 64)"
+add("cache_direct_mapped_rmat", lambda s, d: cache.summarize(cache.replay(_trace2(build(s, d, "rmat_s8_ef8")), CacheConfig(1 << 40, slots=64))).select("part", "reads", "hit", "compulsory", "capacity", "conflict", "evicted"),
+    f"{_TRACED}, sl AS (SELECT part, seq, dst, lag(dst) OVER (PARTITION BY part, {_SLOT} ORDER BY seq) AS held, lag(seq) OVER (PARTITION BY part, dst ORDER BY seq) AS prev FROM tr) | "
+    "SELECT part, count(*) AS reads, count(*) FILTER (WHERE held = dst) AS hit, count(*) FILTER (WHERE prev IS NULL) AS compulsory, 0::BIGINT AS capacity, count(*) FILTER (WHERE prev IS NOT NULL AND held <> dst) AS conflict, count(*) FILTER (WHERE held <> dst)::BIGINT AS evicted FROM sl GROUP BY part", "rmat_s8_ef8")
+add("cache_recency_outcomes_rmat", lambda s, d: cache.summarize(cache.replay(_trace2(build(s, d, "rmat_s8_ef8")), CacheConfig(64 * 8, window="offsets"))).select("part", "reads", "hit", "compulsory", "capacity", "conflict"),
+    _REUSE_SQL.split(" | ")[0] + " | SELECT p.part, reads, hit, first AS compulsory, reads - hit - first AS capacity, 0::BIGINT AS conflict FROM (SELECT part, count(*) AS reads, count(DISTINCT dst) AS first FROM tr GROUP BY part) p JOIN (SELECT part, count(*) FILTER (WHERE dist < 64) AS hit FROM ds GROUP BY part) h USING (part)", "rmat_s8_ef8")
+
 # --- baselines ---------------------------------------------------------------------------------------------------------------------------
 _TV = f"{PER_VERTEX} | SELECT v, t AS triangles FROM tv"
 for _n, _f in {

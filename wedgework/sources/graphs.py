@@ -192,14 +192,15 @@ def rmat_sql(scale: int, edge_factor: int) -> str:
     )
 
 
-for _s, _f in ((8, 8), (10, 16)):
+RMATS = ((8, 8), (10, 8), (10, 16), (10, 32), (12, 16))
+for _s, _f in RMATS:
     SQL[f"rmat_s{_s}_ef{_f}"] = rmat_sql(_s, _f)
 
 BUILDERS = {
     "copurchase": copurchase, "cosupply": cosupply, "segment_cliques": segment_cliques, "coactive": coactive, "cobuyer": cobuyer,
     "part_supp": part_supp, "bigram": bigram, "bigram_directed": lambda s, d: bigram(s, d, True), "succession": lambda s, d: succession(s, d, False),
-    "succession_directed": succession, "knn": knn, "toy": lambda s, d: toy(s), "rmat_s8_ef8": lambda s, d: rmat(s, 8, 8), "rmat_s10_ef16": lambda s, d: rmat(s, 10, 16),
-}
+    "succession_directed": succession, "knn": knn, "toy": lambda s, d: toy(s),
+} | {f"rmat_s{x}_ef{y}": lambda s, d, x=x, y=y: rmat(s, x, y) for x, y in RMATS}
 
 
 def build(spark: SparkSession, d: str, name: str) -> Graph:
