@@ -160,7 +160,7 @@ def test_more_parts_mean_more_remote_and_first_reads(spark):
 def test_timed_and_throughput(spark):
     t = experiments.timed(lambda: sum(range(1000)), 3, 5)
     assert t["low_s"] <= t["median_s"] <= t["high_s"]
-    assert {x["kernel"] for x in experiments.throughput(graphs.rmat(spark, 6, 4), repeats=1)} == {"hybrid", "merge", "search"}
+    assert {x["kernel"] for x in experiments.throughput(graphs.rmat(spark, 6, 4), repeats=1)} == {"hybrid", "merge", "search", "tuned"}
 
 
 def test_functions(spark, traced):

@@ -209,6 +209,8 @@ def test_csr_round_trip(rmat):
     index = {r.v: r.idx for r in parts.collect()}
     back = {(r.src, r.dst) for r in csr.from_csr(csr.to_csr(rmat, parts)).collect()}
     assert back == {(index[r.src], index[r.dst]) for r in rmat.arcs.collect()}
+    small = csr.to_csr(rmat, parts, group=10)
+    assert small.count() > 3 and {(r.src, r.dst) for r in csr.from_csr(small).collect()} == back
     chunks = csr.adjacency(rmat, chunk=4)
     assert chunks.where(F.size("nbrs") > 4).count() == 0
     assert chunks.agg(F.sum(F.size("nbrs"))).first()[0] == rmat.arcs.count()
@@ -263,7 +265,7 @@ def test_edge_list_sources(spark, tmp_path):
     assert spark.read.json(str(tmp_path / "s")).count() == 3
 
 
-@pytest.mark.parametrize("kernel", ["search", "merge", "hybrid"])
+@pytest.mark.parametrize("kernel", ["search", "merge", "hybrid", "tuned"])
 def test_part_kernels(rmat, spark, kernel):
     want = {(r.src, r.dst): r.common for r in triangles.edge_support(rmat).collect()}
     assert {(r.src, r.dst): r.common for r in intersect.edge_support(rmat, kernel, parts=3).collect()} == want

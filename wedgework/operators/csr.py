@@ -25,18 +25,21 @@ def adjacency(g: Graph, chunk: int | None = None) -> DataFrame:
     return cut.groupBy("v", "deg", "chunk").agg(F.sort_array(F.collect_list("dst")).alias("nbrs")).select("v", "deg", "chunk", "nbrs")
 
 
-def to_csr(g: Graph, parts: DataFrame) -> DataFrame:
-    """part, first (its lowest index), offsets, adjacencies for vertices that have (v, idx, part); neighbours as indices."""
+#: Arcs of one row of compressed rows, about; a vertex isn't split.
+GROUP = 1 << 20
+
+
+def to_csr(g: Graph, parts: DataFrame, group: int = GROUP) -> DataFrame:
+    """part, first (its lowest index), offsets, adjacencies for vertices that have (v, idx, part); neighbours as indices. A part comes in groups of vertices of bounded size."""
     a = parts.select(F.col("v").alias("src"), F.col("idx").alias("i"), "part")
     b = parts.select(F.col("v").alias("dst"), F.col("idx").alias("j"))
     arcs = g.arcs.join(a, "src").join(b, "dst").select("part", "i", "j")
     rows = arcs.unionByName(parts.select("part", F.col("idx").alias("i"), F.lit(None).cast("long").alias("j")))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        part, at = None, []
+        part, i, j = None, np.zeros(0, dtype=np.int64), np.zeros(0)
 
-        def ended() -> pd.DataFrame:
-            i, j = np.concatenate([x[0] for x in at]), np.concatenate([x[1] for x in at])
+        def ended(i: np.ndarray, j: np.ndarray) -> pd.DataFrame:
             first, last = int(i.min()), int(i.max())
             real = ~np.isnan(j)
             counts = np.bincount((i[real] - first).astype(np.int64), minlength=last - first + 1)
@@ -45,12 +48,15 @@ def to_csr(g: Graph, parts: DataFrame) -> DataFrame:
         for b in batches:
             for p, rows in b.groupby("part", sort=True):
                 if part is not None and p != part:
-                    yield ended()
-                    at = []
+                    yield ended(i, j)
+                    i, j = i[:0], j[:0]
                 part = p
-                at.append((rows["i"].to_numpy(np.int64), rows["j"].to_numpy(np.float64)))
+                i, j = np.concatenate([i, rows["i"].to_numpy(np.int64)]), np.concatenate([j, rows["j"].to_numpy(np.float64)])
+                if len(i) > group and (whole := np.searchsorted(i, i[-1])):  # the last vertex may go on
+                    yield ended(i[:whole], j[:whole])
+                    i, j = i[whole:], j[whole:]
         if part is not None:
-            yield ended()
+            yield ended(i, j)
 
     return rows.repartition("part").sortWithinPartitions("part", "i", "j").mapInPandas(run, "part int, first long, offsets array<long>, adjacencies array<long>")
 

@@ -59,7 +59,7 @@ def split_lists(g: Graph, cutoff: int, kernel: str = "hybrid") -> DataFrame:
 
 
 def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = None, parts: int | None = None) -> DataFrame:
-    """src, dst, common by the named kernel: 'search', 'merge', 'hybrid' (Arrow), 'builtin' (array_intersect) or 'relational' (joins only).
+    """src, dst, common by the named kernel: 'search', 'merge', 'hybrid', 'tuned' (Arrow), 'builtin' (array_intersect) or 'relational' (joins only).
 
     ``parts`` hands whole parts to the kernels, each list once to a part, instead of both lists to each arc; ids must be numbers.
     """
@@ -80,10 +80,10 @@ def edge_support(g: Graph, kernel: str = "hybrid", chunk_cutoff: int | None = No
 
 
 def part_frames(g: Graph, p: int) -> tuple[DataFrame, DataFrame]:
-    """(part, src, dst) and (part, v, nbrs): the arcs of each part, and each list that they need, once."""
+    """(part, src, dst) and (of, v, nbrs): the arcs of each part, and each list that they need, once."""
     arcs = g.arcs.select(F.pmod(F.xxhash64("src"), F.lit(p)).cast("int").alias("part"), "src", "dst")
-    needed = arcs.select("part", F.explode(F.array("src", "dst")).alias("v")).distinct()
-    return arcs, needed.join(adjacency(g).select("v", "nbrs"), "v").select("part", "v", "nbrs")
+    needed = arcs.select(F.col("part").alias("of"), F.explode(F.array("src", "dst")).alias("v")).distinct()
+    return arcs, needed.join(adjacency(g).select("v", "nbrs"), "v").select("of", "v", "nbrs")
 
 
 def part_common(arcs: DataFrame, lists: DataFrame, kernel: str = "hybrid") -> DataFrame:
@@ -104,7 +104,7 @@ def part_common(arcs: DataFrame, lists: DataFrame, kernel: str = "hybrid") -> Da
         offsets = np.append(offsets, offsets[-1])  # the last row is empty, for vertices without a list
         return pa.table({"src": own["src"], "dst": own["dst"], "common": common_rows(values, offsets, at(src), at(dst), kernel)})
 
-    return arcs.groupBy("part").cogroup(lists.groupBy("part")).applyInArrow(run, "src long, dst long, common long")
+    return arcs.groupBy("part").cogroup(lists.groupBy("of")).applyInArrow(run, "src long, dst long, common long")
 
 
 def _degree_pairs(g: Graph) -> DataFrame:

@@ -273,9 +273,10 @@ def timed(run: Callable[[], object], least: int = 3, most: int = 10, within: flo
                 return {"median_s": mid, "low_s": float(lo), "high_s": float(hi), "runs": len(seconds)}
 
 
-def throughput(g: Graph, kernels: tuple[str, ...] = ("hybrid", "merge", "search"), repeats: int = 3, tasks: int = 8) -> list[dict[str, float | str]]:
+def throughput(g: Graph, kernels: tuple[str, ...] = ("hybrid", "merge", "search", "tuned"), repeats: int = 3, tasks: int = 8) -> list[dict[str, float | str]]:
     """Arcs per microsecond of each kernel on so many parallel tasks, each with its part's arcs and lists beside it."""
-    arcs, lists = (x.repartition(tasks, "part").persist() for x in intersect.part_frames(prep.compact(g)[0], 4 * tasks))
+    arcs, lists = intersect.part_frames(prep.compact(g)[0], 4 * tasks)
+    arcs, lists = arcs.repartition(tasks, "part").persist(), lists.repartition(tasks, "of").persist()
     n = arcs.count()
     lists.count()
     out = []
