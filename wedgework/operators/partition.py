@@ -52,7 +52,9 @@ def balanced(g: Graph, p: int, weight: str = "deg_out") -> DataFrame:
 
 
 def hashed(g: Graph, p: int) -> DataFrame:
-    return dense_index(vertices(g)).select("v", "idx", F.pmod(F.xxhash64("v"), F.lit(p)).cast("int").alias("part"))
+    """By the first 32 bits of md5 of the id, so that every engine deals alike."""
+    h = F.conv(F.substring(F.md5(F.col("v").cast("string")), 1, 8), 16, 10).cast("long")
+    return dense_index(vertices(g)).select("v", "idx", (h % p).cast("int").alias("part"))
 
 
 SCHEMES = {"block": block, "cyclic": cyclic, "balanced": balanced, "hashed": hashed}

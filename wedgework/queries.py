@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from .functions import costs
+from .functions import costs, udx
 from .operators import baselines, cache, csr, intersect, lcc, partition, prep, trace, triangles
 from .plans import experiments, fetch, sqlface
-from .schema import CacheConfig, CostModel
+from .schema import CacheConfig, CostModel, Graph
 from .sources import graphs
 from .sources.graphs import build
 from .sources.tables import load
@@ -134,8 +134,9 @@ def _subset(g):
 
 
 add("lcc_subset_copurchase", on("copurchase")(_subset), _LCC + " WHERE deg.v % 10 = 3", "copurchase")
-_PRUNED = f"{DEG.replace('deg AS', 'd0 AS')}, ar AS MATERIALIZED (SELECT a.src, a.dst FROM arcs a JOIN d0 x ON x.v = a.src JOIN d0 y ON y.v = a.dst WHERE x.d >= 2 AND y.d >= 2), "
-add("lcc_pruned_bigram", lambda s, d: lcc.local_clustering(prep.prune(build(s, d, "bigram"))), _PRUNED + _LCC.replace("FROM arcs", "FROM ar"), "bigram")
+#: Vertices of one neighbour lie in no triangle, so the twin counts triangles before pruning and degrees after it.
+_PRUNED = f"{PER_VERTEX}, dp AS (SELECT a.src AS v, count(*) AS d FROM arcs a JOIN deg x ON x.v = a.src JOIN deg y ON y.v = a.dst WHERE x.d >= 2 AND y.d >= 2 GROUP BY a.src) | " + _LCC.split(" | ")[1].replace("deg.", "dp.").replace("FROM deg", "FROM dp")
+add("lcc_pruned_bigram", lambda s, d: lcc.local_clustering(prep.prune(build(s, d, "bigram"))), _PRUNED, "bigram")
 add("lcc_pruned_original_degrees_bigram", lambda s, d: (lambda g: lcc.local_clustering(prep.prune(g), degrees_of=g))(build(s, d, "bigram")), _LCC, "bigram")
 _SUMMARY = (
     "SELECT count(*) FILTER (WHERE deg >= 2) AS n_vertices, round(avg(lcc), 6) AS mean_lcc, sum(closed)::BIGINT AS closed, sum(deg * (deg - 1) // 2)::BIGINT AS wedges, round(sum(closed) / sum(deg * (deg - 1) // 2), 6) AS transitivity FROM l"
@@ -251,8 +252,9 @@ add("hot_set_25_rmat", lambda s, d: cache.hot_set(_trace2(build(s, d, "rmat_s10_
 for _g in ("rmat_s10_ef16", "bigram"):
     add(f"static_hits_25_{_g}", lambda s, d, g=_g: cache.static_hits(_trace2(build(s, d, g)), 25),
         f"{_TRACED}, {_HOT}, ct AS (SELECT part, dst, count(*) AS c FROM tr GROUP BY part, dst), h AS (SELECT sum(c - 1)::BIGINT AS hits FROM ct JOIN hs USING (part, dst) WHERE 100 * run <= 25 * total) | SELECT reads, hits, round(1 - hits / reads, 6) AS miss_rate FROM (SELECT count(*) AS reads FROM tr), h", _g)
-add("hash_law_rmat", on("rmat_s10_ef16")(experiments.hash_law),
-    f"{_TRACED}, {_HOT}, nn AS (SELECT count(*) AS n FROM (SELECT DISTINCT part, dst FROM tr)) | SELECT q::INT AS percent, (SELECT count(*) FROM hs WHERE 100 * run <= q * total) AS held, round((SELECT n FROM nn) * (q / 100.0::DOUBLE) ** 2, 3) AS predicted FROM (SELECT unnest([10, 25, 50, 75]) AS q)", "rmat_s10_ef16")
+for _n, _g in (("rmat", "rmat_s10_ef16"), ("bigram", "bigram")):
+    add(f"hash_law_{_n}", on(_g)(experiments.hash_law),
+    f"{_TRACED}, {_HOT}, nn AS (SELECT count(*) AS n FROM (SELECT DISTINCT part, dst FROM tr)) | SELECT q::INT AS percent, (SELECT count(*) FROM hs WHERE 100 * run <= q * total) AS held, round((SELECT n FROM nn) * (q / 100.0::DOUBLE) ** 2, 3) AS predicted FROM (SELECT unnest([10, 25, 50, 75]) AS q)", _g)
 _M = CostModel()
 add("read_time_rmat", lambda s, d: costs.read_time(_trace2(build(s, d, "rmat_s10_ef16"))).select("part", "n_reads", "bytes", F.round("seconds", 9).alias("seconds")),
     f"{_TRACED} | SELECT part, count(*) AS n_reads, sum(8 + b)::BIGINT AS bytes, round(2 * count(*) * {_M.alpha!r} + sum(8 + b) * {_M.beta!r}, 9)::DOUBLE AS seconds FROM tr GROUP BY part", "rmat_s10_ef16")
@@ -380,9 +382,41 @@ for _n, _f in {
 _ASKED = f"{INDEX}, {part_sql(8)}, qs AS MATERIALIZED (SELECT x.part AS asker, y.part AS owner, count(*) AS questions FROM arcs a JOIN arcs b ON a.src = b.src AND a.dst < b.dst JOIN part x ON x.v = a.src JOIN part y ON y.v = a.dst WHERE x.part <> y.part GROUP BY 1, 2)"
 add("query_messages_rmat", lambda s, d: (lambda x: baselines.query_messages(x, partition.block(x, 8), 1 << 16))(build(s, d, "rmat_s10_ef16")), f"{_ASKED} | SELECT asker, owner, questions, questions * 16 AS bytes, (questions * 16 + 65535) // 65536 AS rounds FROM qs", "rmat_s10_ef16")
 add("query_rounds_rmat", lambda s, d: experiments.questions_by_parts(build(s, d, "rmat_s10_ef16"), (8,)), f"{_ASKED} | SELECT 8 AS p, sum(questions)::BIGINT AS questions, sum(questions * 16)::BIGINT AS bytes, max((questions * 16 + 65535) // 65536) AS rounds FROM qs", "rmat_s10_ef16")
+_ASK = lambda p: f"qs{p} AS MATERIALIZED (SELECT x.part AS asker, y.part AS owner, count(*) AS questions FROM arcs a JOIN arcs b ON a.src = b.src AND a.dst < b.dst JOIN part{p} x ON x.v = a.src JOIN part{p} y ON y.v = a.dst WHERE x.part <> y.part GROUP BY 1, 2)"
+add("query_rounds_by_parts_rmat", lambda s, d: experiments.questions_by_parts(build(s, d, "rmat_s10_ef16")), f"{INDEX}, " + ", ".join(f"{part_sql(p, f'part{p}')}, {_ASK(p)}" for p in (4, 8, 16)) + " | " + " UNION ALL ".join(
+    f"SELECT {p} AS p, sum(questions)::BIGINT AS questions, sum(questions * 16)::BIGINT AS bytes, max((questions * 16 + 65535) // 65536) AS rounds FROM qs{p}" for p in (4, 8, 16)), "rmat_s10_ef16")
 add("shadow_replication_rmat", lambda s, d: (lambda x: baselines.shadow_replication(x, partition.block(x, 4)))(build(s, d, "rmat_s10_ef16")),
     f"{INDEX}, {part_sql(4)}, ow AS MATERIALIZED (SELECT x.part, a.src, a.dst FROM arcs a JOIN part x ON x.v = a.src), nr AS MATERIALIZED (SELECT DISTINCT part, dst AS x FROM ow), hd AS (SELECT part, src, dst FROM ow UNION SELECT p.part, a.src, a.dst FROM arcs a JOIN nr p ON p.x = a.src JOIN nr q ON q.x = a.dst AND q.part = p.part) | SELECT n_held, n_arcs, round(n_held / n_arcs, 6) AS factor FROM (SELECT count(*) AS n_held FROM hd), (SELECT count(*) AS n_arcs FROM arcs)", "rmat_s10_ef16")
 
+# --- hash partitions, flushes, growing balance, set operations, functions ------------------------------------------------------------------
+_HASHED = f"{INDEX}, part AS MATERIALIZED (SELECT v, idx, (('0x' || substr(md5(v::VARCHAR), 1, 8))::BIGINT % 8)::INT AS part FROM ix)"
+for _g in ("rmat_s10_ef16", "bigram"):
+    add(f"hashed_partition_{_g}", lambda s, d, g=_g: partition.hashed(build(s, d, g), 8), f"{_HASHED} | SELECT v, idx, part FROM part", _g)
+    add(f"cut_hashed_p8_{_g}", lambda s, d, g=_g: (lambda x: partition.cut_stats(x, partition.hashed(x, 8)))(build(s, d, g)),
+        f"{_HASHED}, {reads_sql(8)} | SELECT n_arcs, n_cut, round(n_cut / n_arcs, 6) AS cut_share FROM (SELECT count(*) AS n_cut FROM rd), (SELECT count(*) AS n_arcs FROM arcs)", _g)
+#: Without limits, only flushes lose entries: a read hits if its target was read since the last one.
+_FLUSHED = "SELECT part, count(*) AS reads, count(*) - count(DISTINCT (dst, {0})) AS hit, count(DISTINCT dst) AS compulsory, count(DISTINCT (dst, {0})) - count(DISTINCT dst) AS capacity, 0::BIGINT AS conflict FROM tr GROUP BY part"
+for _n, _cfg, _flush in (("transparent", CacheConfig(1 << 40, mode="transparent", epoch_len=100), None), ("user", CacheConfig(1 << 40, mode="user"), "flush")):
+    add(f"cache_{_n}_flush_rmat", lambda s, d, c=_cfg, f=_flush: cache.summarize(cache.replay(_trace2(build(s, d, "rmat_s8_ef8")).withColumn("flush", F.col("seq") % 100 == 0), c, flush_col=f)).select("part", "reads", "hit", "compulsory", "capacity", "conflict"),
+        f"{_TRACED} | {_FLUSHED.format('seq // 100')}", "rmat_s8_ef8")
+#: A cache of one entry holds the last read target.
+add("cache_one_entry_rmat", lambda s, d: cache.summarize(cache.replay(_trace2(build(s, d, "rmat_s8_ef8")), CacheConfig(8, window="offsets", fragmentation=True))).select("part", "reads", "hit", "compulsory", "capacity", "conflict"),
+    f"{_TRACED}, pv AS (SELECT part, dst, lag(dst) OVER (PARTITION BY part ORDER BY seq) AS held FROM tr) | SELECT part, count(*) AS reads, count(*) FILTER (WHERE held = dst) AS hit, count(DISTINCT dst) AS compulsory, count(*) - count(DISTINCT dst) - count(*) FILTER (WHERE held = dst) AS capacity, 0::BIGINT AS conflict FROM pv GROUP BY part", "rmat_s8_ef8")
+_TWO = "WITH " + graphs.SQL["coactive"].replace("arcs AS", "ga AS") + ", " + graphs.SQL["succession"].replace("arcs AS", "gb AS")
+for _n, _f, _op in (("union", graphs.union, "UNION"), ("intersect", graphs.intersect, "INTERSECT"), ("difference", graphs.difference, "EXCEPT")):
+    add(f"graph_{_n}_coactive_succession", lambda s, d, f=_f: f(build(s, d, "coactive"), build(s, d, "succession")).arcs, f"{_TWO} SELECT src, dst FROM ga {_op} SELECT src, dst FROM gb")
+add("common_count_function_coactive", lambda s, d: intersect.arc_lists(build(s, d, "coactive")).select("src", "dst", udx.common_count("a", "b").alias("common")), _SUPPORT, "coactive")
+
+
+def _drawn_edges(spark, d):
+    udx.register(spark)
+    drawn = spark.sql("SELECT r.src, r.dst FROM range(0, 4) AS x, LATERAL rmat_edges(8, 8, int(x.id), 4) AS r")
+    return prep.symmetrize(Graph(prep.simplify(drawn))).arcs
+
+
+add("rmat_edges_function", _drawn_edges, "SELECT src, dst FROM arcs", "rmat_s8_ef8")
+add("adjacency_round_trip_coactive", lambda s, d: csr.adjacency(build(s, d, "coactive")).select(F.col("v").alias("src"), F.explode("nbrs").alias("dst")), "SELECT src, dst FROM arcs", "coactive")
+
 # --- events ------------------------------------------------------------------------------------------------------------------------------
 add("within_10_minutes", lambda s, d: graphs.within(s, d).arcs, "SELECT DISTINCT * FROM (SELECT a.user_id AS src, b.user_id AS dst FROM events a JOIN events b ON b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE AND a.user_id <> b.user_id UNION ALL SELECT b.user_id, a.user_id FROM events a JOIN events b ON b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE AND a.user_id <> b.user_id)")
 add("last_click_before_purchase", graphs.last_before, "SELECT event_id, user_id, before_id FROM (SELECT event_id, user_id, event_type, last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before_id FROM events) WHERE event_type = 'purchase'")
