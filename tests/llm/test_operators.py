@@ -290,7 +290,8 @@ def test_jaccard_join(spark, docs, texts, empty):
     assert jaccard.link_components(empty).count() == 0
 
 
-def test_jaccard_join_chains_and_hot_groups(spark, monkeypatch):
+@pytest.mark.parametrize("hot", [200_000, 3])
+def test_jaccard_join_chains_and_hot_groups(spark, monkeypatch, hot):
     """Chains whose ends aren't similar, and lists of several blocks."""
     rng = random.Random(6)
     base = [f"w{i}" for i in range(60)]
@@ -305,6 +306,7 @@ def test_jaccard_join_chains_and_hot_groups(spark, monkeypatch):
             w[rng.randrange(50)] = f"e{step}"
         rows.append(" ".join(w))
     rows += [rows[3]] * 5
+    monkeypatch.setattr(jaccard, "HOT_ROWS", hot)
     monkeypatch.setattr(jaccard, "SMALL", 3)
     monkeypatch.setattr(jaccard, "BLOCK", 7)
     want = brute_components(list(enumerate(rows)))

@@ -42,6 +42,8 @@ SMALL = 48
 BLOCK, BLOCK_TOKENS = 512, 1 << 18
 #: Rounds in which each class meets one pivot of its long lists.
 STARS = 2
+#: A token whose bucket holds so many more tokens than four times the mean is dealt over ``SALTS`` tasks, as is a long list's meeting with its pivot.
+HOT_ROWS, SALTS = 200_000, 64
 #: Bits of the filter of candidate classes at most (64 MB): beyond it more sets are sent, none is missed.
 FILTER_BITS = 29
 _K = np.uint64(0x9E3779B97F4A7C15)
@@ -192,13 +194,14 @@ def bucket_counts(first: DataFrame) -> np.ndarray:
 
 
 def prefixes(docs: DataFrame, sent, k: int, percent: int) -> DataFrame:
-    """(token, n, cls) for the prefix of each set under order 1; a class is sent once for each partition."""
+    """(token, salt, n, cls) for the prefix of each set under order 1; a class is sent once for each partition. The salt is -1 but for hot tokens."""
     least = least_size(percent)
+    hot = HOT_ROWS + 4 * float(sent.value.mean())
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         seen: set[int] = set()
         for b in batches:
-            tokens, cls, size = [], [], []
+            tokens, often, cls, size = [], [], [], []
             for t in b["text"]:
                 s = token_set(t, k)
                 n = len(s)
@@ -206,14 +209,17 @@ def prefixes(docs: DataFrame, sent, k: int, percent: int) -> DataFrame:
                     continue
                 if len(seen) < 500_000:  # beyond it a class may be sent again, which changes nothing
                     seen.add(c)
-                tokens.append(s[np.argsort(sent.value[bucket_of(s)], kind="stable")[: prefix_size(n, percent)]])
+                f = sent.value[bucket_of(s)]
+                first = np.argsort(f, kind="stable")[: prefix_size(n, percent)]
+                tokens.append(s[first])
+                often.append(np.where(f[first] > hot, c % SALTS, -1).astype(np.int32))
                 cls.append(c)
                 size.append(n)
             many = list(map(len, tokens))
-            yield pd.DataFrame({"token": np.concatenate(tokens or [np.zeros(0, dtype=np.uint64)]).view(np.int64), "n": np.repeat(np.array(size, dtype=np.int32), many), "cls": np.repeat(np.array(cls, dtype=np.int64), many)})
+            yield pd.DataFrame({"salt": np.concatenate([np.zeros(0, dtype=np.int32), *often]), "token": np.concatenate(tokens or [np.zeros(0, dtype=np.uint64)]).view(np.int64), "n": np.repeat(np.array(size, dtype=np.int32), many), "cls": np.repeat(np.array(cls, dtype=np.int64), many)})
         release()
 
-    return docs.select("text").mapInPandas(run, "token long, n int, cls long")
+    return docs.select("text").mapInPandas(run, "salt int, token long, n int, cls long")
 
 
 def possible(na, nb, shared, percent: int):
@@ -235,7 +241,7 @@ def possible_sql(shared: str, percent: int) -> str:
 def list_pass(entries: DataFrame, percent: int) -> DataFrame:
     """Rows of two kinds: pairs (a, b, na, nb) of the short lists, once for each list; rows (token, a, na) of the long ones.
 
-    Lists come sorted, so at most ``SMALL`` rows of a list are held.
+    Lists come sorted, so at most ``SMALL`` rows of a list are held. The lists of hot tokens come in pieces and are long.
     """
 
     def pairs(n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
@@ -258,8 +264,8 @@ def list_pass(entries: DataFrame, percent: int) -> DataFrame:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held, passing = None, None  # the rows of the last list, and the long list that is passing
 
-        def lists(t: np.ndarray, n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
-            large = (sizes > SMALL) | (t[starts] == passing if passing is not None else False)
+        def lists(t: np.ndarray, h: np.ndarray, n: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[pd.DataFrame]:
+            large = (sizes > SMALL) | (h[starts] >= 0) | (t[starts] == passing if passing is not None else False)
             yield from pairs(n, c, starts[~large], sizes[~large])
             rows = np.repeat(large, sizes)
             at = slice(starts[0], starts[-1] + sizes[-1]) if len(starts) else slice(0, 0)
@@ -267,51 +273,56 @@ def list_pass(entries: DataFrame, percent: int) -> DataFrame:
                 yield whole(t[at][rows], n[at][rows], c[at][rows])
 
         for b in batches:
-            t, n, c = b["token"].to_numpy(np.int64), b["n"].to_numpy(np.int32), b["cls"].to_numpy(np.int64)
+            t, h, n, c = b["token"].to_numpy(np.int64), b["salt"].to_numpy(np.int32), b["n"].to_numpy(np.int32), b["cls"].to_numpy(np.int64)
             if held is not None:
-                t, n, c = (np.concatenate([x, y]) for x, y in zip(held, (t, n, c), strict=True))
+                t, h, n, c = (np.concatenate([x, y]) for x, y in zip(held, (t, h, n, c), strict=True))
             if not len(t):
                 continue
             new = np.concatenate([[True], (t[1:] != t[:-1]) | (c[1:] != c[:-1])])
-            t, n, c = t[new], n[new], c[new]
+            t, h, n, c = t[new], h[new], n[new], c[new]
             starts = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]]))
             sizes = np.diff(np.append(starts, len(t)))
             last = starts[-1]
-            yield from lists(t, n, c, starts[:-1], sizes[:-1])
+            yield from lists(t, h, n, c, starts[:-1], sizes[:-1])
             if sizes[-1] > SMALL + 1 or t[last] == passing:  # all but its last row pass; that one tells repeated rows
                 yield whole(t[last:-1], n[last:-1], c[last:-1])
                 passing, last = t[last], len(t) - 1
-            held = (t[last:], n[last:], c[last:])
+            held = (t[last:], h[last:], n[last:], c[last:])
         if held is not None and len(held[0]):
             yield from lists(*held, np.array([0]), np.array([len(held[0])]))
 
-    return entries.repartition("token").sortWithinPartitions("token", "n", "cls").mapInPandas(run, "token long, a long, b long, na int, nb int")
+    return entries.repartition("token", "salt").sortWithinPartitions("token", "salt", "n", "cls").mapInPandas(run, "token long, a long, b long, na int, nb int")
 
 
 def star_pairs(rows: DataFrame, r: int, percent: int) -> DataFrame:
     """One pair (a, b, na, nb) for each class b at most: with the pivot that most of its lists have. Pivots are the lists' first classes by a hash of the round."""
     pivot = rows.groupBy("token").agg(F.min_by(F.struct("cls", "n"), F.xxhash64("cls", F.lit(r))).alias("p")).select("token", F.col("p.cls").alias("a"), F.col("p.n").alias("na"))
-    met = rows.join(pivot, "token").where(f"cls != a AND 100 * least(n, na) >= {percent} * greatest(n, na)")
+    salted = pivot.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS // 4 - 1))))
+    met = rows.withColumn("salt", F.pmod("cls", F.lit(SALTS // 4)).cast("int")).join(salted, ["token", "salt"]).where(f"cls != a AND 100 * least(n, na) >= {percent} * greatest(n, na)")
     best = met.groupBy("cls", "n", "a", "na").agg(F.count(F.lit(1)).alias("c")).groupBy(F.col("cls").alias("b"), F.col("n").alias("nb")).agg(F.max_by(F.struct("a", "na"), "c").alias("p"))
     return best.select(F.col("p.a").alias("a"), "b", F.col("p.na").alias("na"), "nb")
 
 
 def blocks_of(rows: DataFrame) -> DataFrame:
-    """Adds the block of each row (token, cls, n, label) in its list: runs of bounded size in the order of label and n, so most blocks have one label."""
+    """Adds the block of each row (token, cls, n, label) in its list: runs of bounded size in the order of label and n, so most blocks have one label.
+
+    Rows are dealt by range, so a long list goes over many tasks; a block ends with its task.
+    """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        token, block, many, size = None, 0, 0, 0
+        first = TaskContext.get().partitionId() << 32
+        token, block, many, size = None, first, 0, 0
         for b in batches:
-            of = np.empty(len(b), dtype=np.int32)
+            of = np.empty(len(b), dtype=np.int64)
             for i, (t, n) in enumerate(zip(b["token"].tolist(), b["n"].tolist(), strict=True)):
                 if t != token:
-                    token, block, many, size = t, 0, 0, 0
+                    token, block, many, size = t, first, 0, 0
                 elif many == BLOCK or size + n > BLOCK_TOKENS:
                     block, many, size = block + 1, 0, 0
                 many, size, of[i] = many + 1, size + n, block
             yield b.assign(block=of)
 
-    return rows.select("token", "cls", "n", "label").repartition("token").sortWithinPartitions("token", "label", "n", "cls").mapInPandas(run, "token long, cls long, n int, label long, block int")
+    return rows.select("token", "cls", "n", "label").repartitionByRange("token", "label", "n", "cls").sortWithinPartitions("token", "label", "n", "cls").mapInPandas(run, "token long, cls long, n int, label long, block long")
 
 
 def candidate_filter(classes: DataFrame) -> np.ndarray:
