@@ -341,9 +341,9 @@ def test_style_tree_removes_what_repeats(spark):
     rng = random.Random(8)
     pages = spark.createDataFrame([(i, f"http://h.example/{i}", f"<body><div class=x1>Always the same line</div><div class=x2>{prose(rng, 30)}</div></body>") for i in range(20)], "page_id long, url string, html string")
     assert not any("Always" in r.text or not r.text for r in htmltext.extract(pages).collect())
-    tree = {r.path: r for r in htmltext.style_tree(pages).collect()}
+    tree = {r.path: r for r in htmltext.importances(htmltext.statistics(pages)).collect()}
     low, high = tree["/body/div.x1"], tree["/body/div.x2"]
-    assert low.content == 0.0 and high.content == pytest.approx(1.0) and low.pages == 20
+    assert low.content == pytest.approx(0.0) and high.content == pytest.approx(1.0) and low.pages == 20 and low.importance < htmltext.IMPORTANCE < high.importance
 
 
 def test_toxicity(spark, empty):
@@ -394,3 +394,26 @@ def test_shards_are_written(spark, docs, tmp_path):
     docs = docs.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])
     placed = shards.write_shards(docs, str(tmp_path / "s"), 5000)
     assert spark.read.parquet(str(tmp_path / "s")).count() == placed.count() == docs.count()
+
+
+def test_license_keywords_leave_no_match_out():
+    """Every set of bigrams that reaches the threshold with a template holds a word that the expression finds."""
+    rng = random.Random(10)
+    split = lambda x: re.findall(r"[^\W_]+", x.lower())
+    grams = [list(dict.fromkeys(f"{a} {b}" for a, b in zip(w, w[1:], strict=False))) for w in (split(x) for _, x in licenses.TEMPLATES)]
+    words = licenses.keywords(grams, licenses.THRESHOLD)
+    find = re.compile("(?<![a-z0-9])" + licenses.alternatives(words)).search
+    assert all(find(f"-{w}.") for w in words) and not find("the river walks")
+    for own in grams:
+        pairs = sorted(own, key=lambda g: (sum(w in words for w in g.split()), rng.random()))  # those without keywords first
+        without = [g for g in pairs if not set(g.split()) & set(words)]
+        assert 2 * len(without) < licenses.THRESHOLD * (len(own) + len(without))
+
+
+def test_license_alternatives():
+    rng = random.Random(11)
+    for _ in range(50):
+        words = ["".join(rng.choice("ab1") for _ in range(rng.randrange(1, 6))) for _ in range(8)]
+        exact = re.compile(licenses.alternatives(words) + "$").match
+        assert all(exact(w) for w in words)
+        assert all(bool(exact(x)) == (x in words) for x in ("".join(rng.choice("ab1") for _ in range(rng.randrange(1, 6))) for _ in range(40)))

@@ -4,8 +4,8 @@ A document is scanned in units: lines, sentences (also those that run over lines
 consecutive paragraphs, and as a whole, so that a notice is found wherever it stands, wrapped, in parts or more than once. A unit is
 compared only with templates whose size lets the coefficient reach the threshold: 2 * min(a, b) >= t * (a + b), in distinct bigrams.
 
-Before a text is cut up it must hold one of the ``keywords``: words that lie in so many bigrams of each template that a unit without any
-of them can't reach the threshold. So nearly all texts cost one regular expression, and none is lost.
+Before a text is cut up it must hold (the beginning of a word that is) one of the ``keywords``: words that lie in so many bigrams of each
+template that a unit without any of them can't reach the threshold. So nearly all texts cost one regular expression, and none is lost.
 
 Defined results: null and empty texts match nothing (license null, dice 0.0); among equal coefficients the first template in the list
 wins; repeated rows give repeated rows; other columns are ignored. The scan is one narrow projection without a shuffle.
@@ -23,8 +23,8 @@ from .common import load
 THRESHOLD = 0.8
 #: Consecutive sentences and paragraphs that are taken together at most; a whole text is one more unit.
 SENTENCES, PARAGRAPHS = 8, 4
-#: Words that are in most English texts and therefore poor keywords.
-COMMON = frozenset("a above all an and any are as at be but by can do following for from has have in is it may more must no not of on one only or other out see shall that the this to under use used which with without work you your".split())
+#: Words that are in most texts of some language ("mit" in German ones) and therefore poor keywords; single digits are as poor.
+COMMON = frozenset("a above all an and any are as at be but by can do following for from has have in is it may mit more must no not of on one only or other out see shall that the this to under use used which with without work you your".split())
 _PERMIT = "to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:"
 _AS_IS = 'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.'
 #: Public licence notices and texts.
@@ -71,12 +71,24 @@ def keywords(templates: list[list[str]], threshold: float) -> list[str]:
         left = [p for p in pairs if not p & chosen]
         while len(pairs) - len(left) <= spare:
             words = {w for p in left for w in p}
-            best = max(sorted(words), key=lambda w: (w not in COMMON, sum(w in p for p in left), len(w)))
+            best = max(sorted(words), key=lambda w: (w not in COMMON and len(w) > 1, sum(w in p for p in left), len(w)))
             chosen.add(best)
             left = [p for p in left if best not in p]
     return sorted(chosen)
 
 
+def alternatives(words: list[str]) -> str:
+    """A regular expression of the words (letters and digits only) that shares their beginnings, so that few are tried at a place."""
+    ends = "" in words
+    by: dict[str, list[str]] = {}
+    for w in sorted(set(words) - {""}):
+        by.setdefault(w[0], []).append(w[1:])
+    if not by:
+        return ""
+    found = "(?:" + "|".join(c + alternatives(rest) for c, rest in by.items()) + ")"
+    return found + "?" if ends else found
+
+
 def units_sql(low: str) -> str:
     """SQL for the distinct units of a lower-cased string expression (a name, as it is used several times)."""
     let = lambda x, name, body: f"transform(array({x}), {name} -> {body})[0]"
@@ -95,7 +107,7 @@ def scan(docs: DataFrame, templates=TEMPLATES, threshold: float = THRESHOLD) ->
     sized = known.select("i", F.expr(f"transform(array({words_of('lower(x)')}), w -> {grams_sql('w')})[0]").alias("g")).orderBy("i").collect()  # constants: one row for each template
     least = min(len(r.g) for r in sized) * threshold / (2 - threshold)
     literal = "array(" + ", ".join(f"named_struct('i', {-r.i}, 'n', {len(r.g)}, 'g', array({', '.join(map(_quoted, r.g))}))" for r in sized) + ")"
-    pattern = _quoted(r"(?<![\p{L}\p{N}])(?:" + "|".join(keywords([list(r.g) for r in sized], threshold)) + r")(?![\p{L}\p{N}])").replace("\\\\", "\\")
+    pattern = _quoted("(?<![a-z0-9])" + alternatives(keywords([list(r.g) for r in sized], threshold)))
     dice = f"transform(filter(known, t -> 2 * least(t.n, size(g)) >= {threshold}D * (t.n + size(g))), t -> named_struct('d', 2.0D * size(array_intersect(t.g, g)) / (t.n + size(g)), 'i', t.i))"
     of_unit = f"transform(array({words_of('u')}), w -> CASE WHEN size(w) <= {least} THEN NULL ELSE transform(array({grams_sql('w')}), g -> array_max({dice}))[0] END)[0]"
     low = docs.select("doc_id", F.lower(F.coalesce("text", F.lit(""))).alias("low"), F.expr(literal).alias("known"))
