@@ -17,7 +17,8 @@ from ..schema import CacheConfig
 def replay(trace: DataFrame, cfg: CacheConfig, score_col: str = "deg", flush_col: str | None = None) -> DataFrame:
     """part, seq, window, outcome, bytes, evicted for every read. ``cfg.window``: 'adj', 'offsets' or 'both' (two independent caches).
 
-    A part is replayed in one task, in order, with only the cache in memory.
+    A part is replayed in one task, in order, with only the cache in memory: a sequential state machine has no other order. Few parts make
+    few tasks; the closed forms (``experiments.hot_costs``, ``static_hits``) have no such limit and are the way at scale.
     """
     windows = ("offsets", "adj") if cfg.window == "both" else (cfg.window,)
     size = {"offsets": "off_bytes", "adj": "adj_bytes"}

@@ -72,7 +72,10 @@ def core_frontier(g: Graph, low: float = 0.3, high: float = 0.7) -> DataFrame:
 
 
 def recommend_links(g: Graph, k: int = 3, most_degree: int | None = None) -> DataFrame:
-    """v, other, common, rank: the k vertices with most common neighbours that v isn't linked with (ties: smaller id). ``most_degree`` leaves hubs out as go-betweens."""
+    """v, other, common, rank: the k vertices with most common neighbours that v isn't linked with (ties: smaller id). ``most_degree`` leaves hubs out as go-betweens.
+
+    Without it the result is exact and forms every open wedge: a hub of degree d makes d^2 rows, so set it on graphs with hubs.
+    """
     arcs = g.arcs
     if most_degree:
         hubs = arcs.groupBy(F.col("src").alias("h")).count().where(F.col("count") > most_degree).select("h")

@@ -17,8 +17,12 @@ SQL: dict[str, str] = {}
 
 VERTICES = "vs AS MATERIALIZED (SELECT DISTINCT v FROM (SELECT src AS v FROM arcs UNION ALL SELECT dst FROM arcs))"
 DEG = "deg AS MATERIALIZED (SELECT src AS v, count(*) AS d FROM arcs GROUP BY src)"
-ORIENTED = "o AS MATERIALIZED (SELECT a.src AS u, a.dst AS v FROM arcs a JOIN deg x ON x.v = a.src JOIN deg y ON y.v = a.dst WHERE x.d < y.d OR (x.d = y.d AND a.src < a.dst))"
-CORNERS = f"{DEG}, {ORIENTED}, tri AS MATERIALIZED (SELECT x.u AS a, x.v AS b, z.v AS c FROM o x JOIN o y ON x.u = y.u JOIN o z ON z.u = x.v AND z.v = y.v)"
+ORIENTED = "o AS MATERIALIZED (SELECT a.src AS u, a.dst AS v, y.d AS dv FROM arcs a JOIN deg x ON x.v = a.src JOIN deg y ON y.v = a.dst WHERE x.d < y.d OR (x.d = y.d AND a.src < a.dst))"
+#: Wedges are written out before they are closed, so that no other join order can be picked.
+CORNERS = (
+    f"{DEG}, {ORIENTED}, wg AS MATERIALIZED (SELECT x.u, x.v, y.v AS w FROM o x JOIN o y ON x.u = y.u AND (x.dv < y.dv OR (x.dv = y.dv AND x.v < y.v))), "
+    "tri AS MATERIALIZED (SELECT wg.u AS a, wg.v AS b, wg.w AS c FROM wg JOIN o z ON z.u = wg.v AND z.v = wg.w)"
+)
 PER_VERTEX = f"{CORNERS}, tv AS MATERIALIZED (SELECT v, count(*)::BIGINT AS t FROM (SELECT unnest([a, b, c]) AS v FROM tri) GROUP BY v)"
 INDEX = f"{VERTICES}, ix AS MATERIALIZED (SELECT v, row_number() OVER (ORDER BY v) - 1 AS idx, count(*) OVER () AS n FROM vs)"
 _PERMUTED = "pm AS (SELECT t.* FROM tri, LATERAL (VALUES (a, b, c), (a, c, b), (b, a, c), (b, c, a), (c, a, b), (c, b, a)) AS t(i, j, k))"
