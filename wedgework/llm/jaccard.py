@@ -10,6 +10,7 @@ or more share a token among their first ``n - ceil(t n) + 1`` tokens under any g
    comparison a member. Lists that still hold several components are cut into blocks of bounded size, ordered by component and set size,
    and blocks that can hold similar sets of different components meet in one group each. A group emits a spanning forest of the links
    that it finds instead of pairs, so a large group of near copies makes rows in proportion to its members, and no group grows with a list.
+   Lists of hot tokens, and the meetings of long lists with their pivots, are dealt over many tasks, and blocks by range.
 3. The pairs of both ways must also share enough prefix tokens under orders 2 and 3 (hash ascending and descending), before whole sets
    meet. Then the intersection is counted exactly.
 4. Components come from contraction rounds over the links.

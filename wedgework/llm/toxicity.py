@@ -7,7 +7,7 @@ labelled rows that neither the models nor the held-out set use, turns these into
 
 Defined results: a null text is empty; an empty text gets the score of a text without any evidence; of several labels of one id the
 largest holds; label rows without a document, and null labels, teach nothing; with labels of one class only every score is that class's
-share; repeated rows give repeated rows; other columns are ignored.
+share; where the rows kept for the logistic function have one class only, it is fitted on all labelled rows that aren't held out; repeated rows give repeated rows; other columns are ignored.
 """
 
 from __future__ import annotations
