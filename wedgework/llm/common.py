@@ -32,10 +32,15 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Write df into the shared folder and read it back: cuts the lineage and outlives lost executors."""
+def materialise(df: DataFrame, label: str, light: bool = False) -> DataFrame:
+    """Write df into the shared folder and read it back: cuts the lineage and outlives lost executors.
+
+    ``light`` is for frames of few bytes behind a shuffle (edges and labels of components, keys): they go into a sixteenth of the shuffle's files.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    if light:
+        df = df.coalesce(max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // 16))
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -74,7 +79,7 @@ BROADCAST_ROWS = 4_000_000
 
 def without(docs: DataFrame, key: str, gone: DataFrame) -> DataFrame:
     """The rows whose key isn't among ``gone`` (a column of that name)."""
-    gone = materialise(gone.select(key), "gone")
+    gone = materialise(gone.select(key), "gone", light=True)
     small = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
     return docs.join(F.broadcast(gone) if small else gone, key, "left_anti")
 

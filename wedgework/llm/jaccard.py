@@ -10,7 +10,7 @@ or more share a token among their first ``n - ceil(t n) + 1`` tokens under any g
    comparison a member. Lists that still hold several components are cut into blocks of bounded size, ordered by component and set size,
    and blocks that can hold similar sets of different components meet in one group each. A group emits a spanning forest of the links
    that it finds instead of pairs, so a large group of near copies makes rows in proportion to its members, and no group grows with a list.
-   Lists of hot tokens, and the meetings of long lists with their pivots, are dealt over many tasks, and blocks by range.
+   Lists of hot tokens, and the meetings of long lists with their pivots, are dealt over many tasks, as are the blocks of very long lists.
 3. The pairs of both ways must also share enough prefix tokens under orders 2 and 3 (hash ascending and descending), before whole sets
    meet. Then the intersection is counted exactly.
 4. Components come from contraction rounds over the links.
@@ -305,25 +305,25 @@ def star_pairs(rows: DataFrame, r: int, percent: int) -> DataFrame:
 
 
 def blocks_of(rows: DataFrame) -> DataFrame:
-    """Adds the block of each row (token, cls, n, label) in its list: runs of bounded size in the order of label and n, so most blocks have one label.
+    """Adds the block of each row (token, cls, n, label, and many: its list's rows) in its list: runs of bounded size in the order of label and n, so most blocks have one label.
 
-    Rows are dealt by range, so a long list goes over many tasks; a block ends with its task.
+    A list of more rows than ``SALTS`` blocks hold is dealt over several tasks.
     """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        first = TaskContext.get().partitionId() << 32
-        token, block, many, size = None, first, 0, 0
+        token, block, many, size = None, 0, 0, 0
         for b in batches:
             of = np.empty(len(b), dtype=np.int64)
-            for i, (t, n) in enumerate(zip(b["token"].tolist(), b["n"].tolist(), strict=True)):
-                if t != token:
-                    token, block, many, size = t, first, 0, 0
+            for i, (t, h, n) in enumerate(zip(b["token"].tolist(), b["salt"].tolist(), b["n"].tolist(), strict=True)):
+                if (t, h) != token:
+                    token, block, many, size = (t, h), h << 32, 0, 0
                 elif many == BLOCK or size + n > BLOCK_TOKENS:
                     block, many, size = block + 1, 0, 0
                 many, size, of[i] = many + 1, size + n, block
-            yield b.assign(block=of)
+            yield b.drop(columns="salt").assign(block=of)
 
-    return rows.select("token", "cls", "n", "label").repartitionByRange("token", "label", "n", "cls").sortWithinPartitions("token", "label", "n", "cls").mapInPandas(run, "token long, cls long, n int, label long, block long")
+    dealt = rows.select("token", "cls", "n", "label", F.pmod("cls", F.expr(f"many div {BLOCK * SALTS} + 1")).alias("salt"))
+    return dealt.repartition("token", "salt").sortWithinPartitions("token", "salt", "label", "n", "cls").mapInPandas(run, "token long, cls long, n int, label long, block long")
 
 
 def candidate_filter(classes: DataFrame) -> np.ndarray:
@@ -487,21 +487,21 @@ def components(edges: DataFrame) -> DataFrame:
     are hashes that change with the round, so any graph, a rising path too, loses a share of its nodes in each. The rounds end when no
     edge is left.
     """
-    edges = materialise(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct(), "edges")
+    edges = materialise(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct(), "edges", light=True)
     labels, r = None, 0
     while not edges.isEmpty():
         ends = edges.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("b").alias("to")), F.struct(F.col("b").alias("node"), F.col("a").alias("to")))).alias("e")).select("e.*")
         first, own = (F.struct(F.xxhash64(c, F.lit(r)).alias("h"), F.col(c).alias("x")) for c in ("to", "node"))
-        parent = materialise(ends.groupBy("node").agg(F.min(first).alias("m")).select("node", F.least("m", own)["x"].alias("up")), "parent")
+        parent = materialise(ends.groupBy("node").agg(F.min(first).alias("m")).select("node", F.least("m", own)["x"].alias("up")), "parent", light=True)
         at = lambda c: parent.select(F.col("node").alias(c), F.col("up").alias(f"p{c}"))
         moved = edges.join(at("a"), "a").join(at("b"), "b").select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a != b").distinct()
-        edges, older = materialise(moved, "edges"), edges
+        edges, older = materialise(moved, "edges", light=True), edges
         discard(older)
         if labels is None:
             labels = parent.withColumnRenamed("up", "label")
         else:
             up = parent.withColumnRenamed("node", "label")
-            labels, older = materialise(labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label")), "labels"), labels
+            labels, older = materialise(labels.join(up, "label", "left").select("node", F.coalesce("up", "label").alias("label")), "labels", light=True), labels
             discard(older)
             discard(parent)
         r += 1
@@ -532,9 +532,9 @@ def links_of(docs: DataFrame, counts: np.ndarray, k: int, percent: int) -> DataF
     found = materialise(small_links(near, sets, percent), "links")
     if not long.isEmpty():
         known = long.join(components(found).withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
-        known = materialise(known, "known")
-        still = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open")).where("open").select("token")
-        rows = materialise(blocks_of(known.join(still, "token", "left_semi")), "blocks")
+        known = materialise(known, "known", light=True)
+        still = known.groupBy("token").agg((F.min("label") != F.max("label")).alias("open"), F.count(F.lit(1)).alias("many")).where("open").select("token", "many")
+        rows = materialise(blocks_of(known.join(still, "token")), "blocks")
         more = materialise(found.unionByName(large_links(rows, sets, percent)).distinct(), "links")
         for x in (known, rows, found):
             discard(x)
