@@ -3,7 +3,6 @@
 from itertools import combinations
 
 import pytest
-from pyspark.sql import functions as F
 
 from wedgework.operators import csr
 from wedgework.sources import graphs
@@ -14,9 +13,9 @@ def dense(spark):
     """Three groups that share members, some repeated, one alone, and rows without a group."""
     groups = {0: range(40), 1: range(30, 55), 2: [3, 3, 41, 60], 3: [77]}
     rows = [(g, m) for g, ms in groups.items() for m in ms] + [(None, 1), (0, None)]
-    lists = graphs._co_lists(spark.createDataFrame(rows, "g int, m long"), ["g"], "m")
+    made = graphs._co_lists(spark.createDataFrame(rows, "g int, m long"), ["g"], "m")
     want = {p for ms in groups.values() for a, b in combinations(set(ms), 2) for p in ((a, b), (b, a))}
-    return graphs._from_lists(lists, "dense"), want
+    return graphs._from_lists(*made, "dense"), want
 
 
 def plan(df):
@@ -37,4 +36,45 @@ def test_small_blocks_make_the_same_lists(dense, spark, monkeypatch):
     monkeypatch.setattr(graphs, "HELD", 8)
     rows = spark.createDataFrame([(g, m) for g in range(3) for m in range(g, 30, g + 1)], "g int, m long")
     want = {(r.src, r.dst) for r in graphs._co_members(rows, ["g"], "m").collect()}
-    assert {(r.v, x) for r in graphs._co_lists(rows, ["g"], "m").collect() for x in r.nbrs} == want
+    assert {(r.v, x) for r in graphs._co_lists(rows, ["g"], "m")[0].collect() for x in r.nbrs} == want
+
+
+@pytest.mark.parametrize("name", ["nation_days", "nation_segments"])
+def test_graphs_that_replace_made_up_ones_read_tables(spark, data, name):
+    arcs = graphs.build(spark, data, name).arcs
+    assert arcs.inputFiles()
+    assert {(r.src, r.dst) for r in arcs.collect()} == {(r.dst, r.src) for r in arcs.collect()}
+
+
+def test_queries_read_given_tables(spark, data):
+    from wedgework.queries import QUERIES
+
+    assert all(QUERIES[q](spark, data).inputFiles() for q in ("arcs_rmat_s10_ef16", "budget_split"))
+    assert {r.vertices: r.adj_bytes for r in QUERIES["budget_split"](spark, data).collect()}.keys() == {"suppliers", "parts", "orders"}
+
+
+def test_dense_lists_meet_as_arcs_do(dense, spark):
+    """Each against the same graph without lists."""
+    from wedgework.operators import baselines, intersect, lcc, partition, trace, triangles
+    from wedgework.plans import experiments, fetch
+
+    g, _ = dense
+    plain = g.with_arcs(spark.createDataFrame(g.arcs.collect(), "src long, dst long"))
+    assert plain.lists is None
+    parts = partition.block(g, 4)
+    for f in (
+        triangles.count, triangles.listing, triangles.per_vertex, triangles.per_vertex_lists, triangles.edge_support, lcc.core_frontier, lambda x: intersect.edge_support(x, "builtin"), lambda x: intersect.edge_support(x, "search"),
+        lambda x: baselines.query_response(x, parts), lambda x: baselines.shadow_count(x, parts), baselines.bulk_synchronous, lambda x: fetch.edge_support(x, "auto"), lambda x: csr.adjacency(x, chunk=4), csr.adjacency,
+        lambda x: partition.cut_stats(x, parts), lambda x: trace.top_share(x, parts), lambda x: trace.repeat_histogram(x, parts), lambda x: trace.reuse_vs_size(x, parts), lambda x: experiments.budgeted(x, (2, 3, 5)),
+    ):
+        a, b = f(g), f(plain)
+        assert sorted(map(str, a.select(*b.columns).collect())) == sorted(map(str, b.collect()))
+
+
+def test_no_row_with_a_list_is_moved_for_each_arc(dense):
+    from wedgework.operators import intersect
+
+    g, _ = dense
+    p = plan(intersect.arc_lists(g))
+    join = p.index("ShuffledHashJoin")
+    assert "SortMergeJoin" not in p and p.index("Generate", join) < p.index("Exchange", join)  # arcs are made after the last exchange
