@@ -78,3 +78,21 @@ def test_no_row_with_a_list_is_moved_for_each_arc(dense):
     p = plan(intersect.arc_lists(g))
     join = p.index("ShuffledHashJoin")
     assert "SortMergeJoin" not in p and p.index("Generate", join) < p.index("Exchange", join)  # arcs are made after the last exchange
+
+
+def test_cells_move_groups_alone(dense, spark, monkeypatch):
+    """Twins, several blocks, ids below zero and far apart; a plan without joins, in which no list and no arc is moved."""
+    from wedgework.operators import cells, triangles
+
+    monkeypatch.setattr(cells, "LEAST", 7)
+    groups = {0: range(-20, 20), 1: [*range(10, 30), 1 << 40], 2: [3, 1 << 40, -7], 3: range(100, 110)}
+    made = graphs._co_lists(spark.createDataFrame([(g, m) for g, ms in groups.items() for m in ms], "g int, m long"), ["g"], "m")
+    g = graphs._from_lists(*made, "far")
+    arcs = {p for ms in groups.values() for a, b in combinations(ms, 2) for p in ((a, b), (b, a))}
+    near = {v: {b for a, b in arcs if a == v} for v in {a for a, _ in arcs}}
+    want = {(a, b): len(near[a] & near[b]) for a, b in arcs}
+    assert {(r.src, r.dst): r.common for r in triangles.edge_support(g).collect()} == want
+    assert {r.v: r.triangles for r in triangles.per_vertex(g).collect()} == {v: sum(want[v, x] for x in near[v]) // 2 for v in near if any(want[v, x] for x in near[v])}
+    assert triangles.count(g).first().triangles == sum(want.values()) // 6
+    for f in (triangles.edge_support, triangles.per_vertex, triangles.count):
+        assert "Join" not in plan(f(g)) and "nbrs" not in plan(f(g))
