@@ -96,3 +96,31 @@ def test_cells_move_groups_alone(dense, spark, monkeypatch):
     assert triangles.count(g).first().triangles == sum(want.values()) // 6
     for f in (triangles.edge_support, triangles.per_vertex, triangles.count):
         assert "Join" not in plan(f(g)) and "nbrs" not in plan(f(g))
+
+
+def test_a_long_list_meets_its_partners_together():
+    import numpy as np
+
+    from wedgework.functions import kernels
+
+    rng = np.random.default_rng(3)
+    lists = [np.flatnonzero(rng.random(400) < share) - 7 for share in (0.5, 0.3, 0.2, 0.0, 0.9, 0.02)]
+    values, offsets = np.concatenate(lists), np.cumsum([0, *map(len, lists)])
+    a, b = (x.ravel() for x in np.meshgrid(range(6), range(6)))
+    want = [len(set(lists[i]) & set(lists[j])) for i, j in zip(a, b, strict=True)]
+    for kernel in ("search", "merge", "hybrid", "tuned"):
+        for cutoff in (None, 1, 16, 1000):
+            assert kernels.common_rows(values, offsets, a, b, kernel, cutoff).tolist() == want
+
+
+def test_pieces_and_rounds_in_cells(dense, spark):
+    """No question and no piece is a row; numbers of rounds as by ordering the questions."""
+    from wedgework.operators import baselines, intersect, partition
+
+    g, _ = dense
+    plain = g.with_arcs(spark.createDataFrame(g.arcs.collect(), "src long, dst long"))
+    parts = partition.block(g, 4)
+    for f in (lambda x: intersect.edge_support(x, "merge", chunk_cutoff=16), lambda x: baselines.query_response_buffered(x, parts, 1024)):
+        a, b = f(g), f(plain)
+        assert "Join" not in plan(a) and "Window" not in plan(a)
+        assert sorted(map(tuple, a.select(*b.columns).collect())) == sorted(map(tuple, b.collect()))
