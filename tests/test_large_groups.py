@@ -124,3 +124,49 @@ def test_pieces_and_rounds_in_cells(dense, spark):
         a, b = f(g), f(plain)
         assert "Join" not in plan(a) and "Window" not in plan(a)
         assert sorted(map(tuple, a.select(*b.columns).collect())) == sorted(map(tuple, b.collect()))
+
+
+@pytest.fixture(scope="module")
+def twinned(spark):
+    """A random graph of groups, each vertex four times over, and what its edges share."""
+    import random
+
+    rng = random.Random(5)
+    held = {(rng.randrange(25), rng.randrange(40)) for _ in range(140)}
+    rows = [(g, m + 1000 * k) for g, m in held for k in range(4)]
+    g = graphs._from_lists(*graphs._co_lists(spark.createDataFrame(rows, "g int, m long"), ["g"], "m"), "twinned")
+    groups = {}
+    for k, m in rows:
+        groups.setdefault(k, set()).add(m)
+    near = {m: set().union(*(ms for ms in groups.values() if m in ms)) - {m} for _, m in rows}
+    return g, {(a, b): len(near[a] & near[b]) for a in near for b in near[a]}, len(held)
+
+
+def sent(monkeypatch):
+    """Members of the groups that go to cells, of each call."""
+    from pyspark.sql import functions as F
+
+    from wedgework.operators import cells
+
+    over, seen = cells.over, []
+
+    def counted(groups, *args, **kwargs):
+        seen.append(groups.agg(F.sum(F.size("ms"))).first()[0])
+        return over(groups, *args, **kwargs)
+
+    monkeypatch.setattr(cells, "over", counted)
+    return seen
+
+
+@pytest.mark.parametrize("lists", [True, False])
+def test_triangles_of_twins_count_once(twinned, monkeypatch, lists):
+    from wedgework.operators import triangles
+
+    g, want, members = twinned
+    seen = sent(monkeypatch)
+    got = (triangles.per_vertex_lists if lists else triangles.per_vertex)(g)
+    each = {}
+    for (a, _), n in want.items():
+        each[a] = each.get(a, 0) + n
+    assert {r.v: r.triangles for r in got.collect()} == {v: n // 2 for v, n in each.items() if n}
+    assert seen[0] <= members and "Join" not in plan(got) and "nbrs" not in plan(got)
