@@ -170,3 +170,15 @@ def test_triangles_of_twins_count_once(twinned, monkeypatch, lists):
         each[a] = each.get(a, 0) + n
     assert {r.v: r.triangles for r in got.collect()} == {v: n // 2 for v, n in each.items() if n}
     assert seen[0] <= members and "Join" not in plan(got) and "nbrs" not in plan(got)
+
+
+def test_array_intersect_runs_once_for_twins(twinned, monkeypatch):
+    from wedgework.operators import cells, intersect
+
+    g, want, members = twinned
+    monkeypatch.setattr(cells, "TILE", 3)
+    seen = sent(monkeypatch)
+    got = intersect.edge_support(g, "builtin")
+    rows = got.collect()
+    assert len(rows) == len(want) and {(r.src, r.dst): r.common for r in rows} == want
+    assert seen[0] <= members and "Join" not in plan(got) and "nbrs" not in plan(got) and "array_intersect" in plan(got)
