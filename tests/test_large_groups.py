@@ -182,3 +182,19 @@ def test_array_intersect_runs_once_for_twins(twinned, monkeypatch):
     rows = got.collect()
     assert len(rows) == len(want) and {(r.src, r.dst): r.common for r in rows} == want
     assert seen[0] <= members and "Join" not in plan(got) and "nbrs" not in plan(got) and "array_intersect" in plan(got)
+
+
+def test_reads_of_twins_count_once(twinned, spark, monkeypatch):
+    """Against the same graph without groups; no list is made."""
+    from wedgework.operators import partition, trace
+
+    g, _, members = twinned
+    plain = g.with_arcs(spark.createDataFrame(g.arcs.collect(), "src long, dst long"))
+    for p in (2, 5):
+        parts = partition.block(g, p)
+        seen = sent(monkeypatch)
+        assert trace.reuse_correlation(g, parts).first() == trace.reuse_correlation(plain, parts).first()
+        assert seen[0] <= members
+        a, b = (sorted(map(tuple, trace._met(x, parts).select("part", "dst", "deg", "c").collect())) for x in (g, plain))
+        assert a == b
+        assert "Join" not in plan(trace.reuse_correlation(g, parts)) and "nbrs" not in plan(trace.reuse_correlation(g, parts))
