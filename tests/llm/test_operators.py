@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 import zlib
+from collections import Counter
 from itertools import combinations
 
 import numpy as np
@@ -139,6 +140,36 @@ def test_bpe_against_the_library(spark, docs, empty):
     assert bpe.tokenise(empty, path, tokenizers.PATTERN).count() == 0
 
 
+def test_bpe_work_is_not_repeated(monkeypatch):
+    """Pieces of a group are split together; words in use survive the cache's overflow and are contracted once."""
+    import public_tokenizers as tokenizers
+    import tiktoken
+
+    path = tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    library = tiktoken.Encoding("own", pat_str=tokenizers.PATTERN, mergeable_ranks=bpe.read_ranks(path), special_tokens={})
+    own, asked, splits = bpe.Codec(path, tokenizers.PATTERN), Counter(), []
+
+    class Ranks(dict):
+        def get(self, key, default=None):
+            asked[key] += 1
+            return super().get(key, default)
+
+    own.ranks, split = Ranks(own.ranks), own.split
+    own.split = lambda text: splits.append(text) or split(text)
+    monkeypatch.setattr(bpe, "CACHE", 2000)
+    rng = random.Random(4)
+    words = sorted({"".join(rng.choices(["tion", "heit", "ción", "qu", "x", "os"], k=5)) for _ in range(30_000)})[:6500]
+    rng.shuffle(words)
+    common = words[:500]
+    for k in range(6):
+        text = " " + " ".join([*common, *words[500 + 1000 * k : 1500 + 1000 * k]])
+        [(ids, back)] = own.encode([text])
+        assert np.frombuffer(ids, "<u4").tolist() == library.encode_ordinary(text) and back == text.encode()
+    assert len(words) == 6500 and len(splits) <= 12
+    assert {asked[(" " + w).encode()] for w in words} == {1}
+    assert list(own.encode([])) == [] and list(own.encode([""])) == [(b"", b"")]
+
+
 def _simhash(t):
     import xxhash
 
