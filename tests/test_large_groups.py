@@ -198,3 +198,20 @@ def test_reads_of_twins_count_once(twinned, spark, monkeypatch):
         a, b = (sorted(map(tuple, trace._met(x, parts).select("part", "dst", "deg", "c").collect())) for x in (g, plain))
         assert a == b
         assert "Join" not in plan(trace.reuse_correlation(g, parts)) and "nbrs" not in plan(trace.reuse_correlation(g, parts))
+
+
+def test_lists_are_exchanged_as_rows_of_bits(twinned, spark, monkeypatch):
+    """Several blocks and parts; against the same graph without lists. No list and no array_intersect is beside an arc."""
+    from wedgework.operators import baselines, bitrows, partition
+
+    g, _, _ = twinned
+    plain = g.with_arcs(spark.createDataFrame(g.arcs.collect(), "src long, dst long"))
+    want = sorted(map(tuple, baselines.wedge_mapreduce(plain).collect()))
+    parts = partition.block(g, 3)
+    monkeypatch.setattr(bitrows, "LEAST", 7)
+    monkeypatch.setattr(bitrows, "WORDS", 5)
+    for f in (baselines.bulk_synchronous,):
+        got = f(g)
+        assert sorted(map(tuple, got.collect())) == want
+        p = plan(got)
+        assert "array_intersect" not in p and "ShuffledHashJoin" not in p and "nbrs" not in p and "bits" in p
