@@ -210,7 +210,7 @@ def test_lists_are_exchanged_as_rows_of_bits(twinned, spark, monkeypatch):
     parts = partition.block(g, 3)
     monkeypatch.setattr(bitrows, "LEAST", 7)
     monkeypatch.setattr(bitrows, "WORDS", 5)
-    for f in (baselines.bulk_synchronous, lambda x: baselines.query_response(x, parts)):
+    for f in (baselines.bulk_synchronous, lambda x: baselines.query_response(x, parts), lambda x: baselines.shadow_count(x, parts)):
         got = f(g)
         assert sorted(map(tuple, got.collect())) == want
         p = plan(got)
