@@ -215,3 +215,19 @@ def test_lists_are_exchanged_as_rows_of_bits(twinned, spark, monkeypatch):
         assert sorted(map(tuple, got.collect())) == want
         p = plan(got)
         assert "array_intersect" not in p and "ShuffledHashJoin" not in p and "nbrs" not in p and "bits" in p
+
+
+def test_triangles_of_groups_are_listed_in_cells(twinned, spark, monkeypatch):
+    """Several cells, small batches, ids in another order than blocks; no list is moved or beside an arc."""
+    from wedgework.operators import cells, triangles
+
+    g, want, _ = twinned
+    monkeypatch.setattr(cells, "CORNERS", 50)
+    monkeypatch.setattr(cells, "SPREAD", 1 << 10)
+    near = {}
+    for a, b in want:
+        near.setdefault(a, set()).add(b)
+    got = triangles.listing(g)
+    rows = [tuple(r) for r in got.collect()]
+    assert len(rows) == len(set(rows)) and set(rows) == {(a, b, c) for a, b in want if a < b for c in near[a] & near[b] if c > b}
+    assert got.columns == ["a", "b", "c"] and "Join" not in plan(got) and "array_intersect" not in plan(got) and "nbrs" not in plan(got)
