@@ -231,3 +231,24 @@ def test_triangles_of_groups_are_listed_in_cells(twinned, spark, monkeypatch):
     rows = [tuple(r) for r in got.collect()]
     assert len(rows) == len(set(rows)) and set(rows) == {(a, b, c) for a, b in want if a < b for c in near[a] & near[b] if c > b}
     assert got.columns == ["a", "b", "c"] and "Join" not in plan(got) and "array_intersect" not in plan(got) and "nbrs" not in plan(got)
+
+
+@pytest.mark.parametrize("strip", [1, 3])
+def test_triangles_are_counted_in_strips(twinned, spark, monkeypatch, strip):
+    """Rows of several words, with and without twins; no count reads more than a strip of a row."""
+    import numpy as np
+
+    from wedgework.operators import cells, triangles
+
+    groups = [(k, m) for k in range(60) for m in range(k * 7 % 50, 300, 11 + k % 5)]
+    alone = graphs._from_lists(*graphs._co_lists(spark.createDataFrame(groups, "g int, m long"), ["g"], "m"), "alone")
+    monkeypatch.setattr(cells, "STRIP", strip)
+    monkeypatch.setattr(cells, "PIECE", 8)
+    for g in (alone, twinned[0]):
+        near = {r.v: set(r.nbrs) for r in g.lists.collect()}
+        want = {v: n for v, ns in near.items() if (n := sum(len(ns & near[x]) for x in ns) // 2)}
+        for f in (triangles.per_vertex, triangles.per_vertex_lists):
+            assert {r.v: r.triangles for r in f(g).collect()} == want
+    c = cells.cell(np.array(sorted({m for _, m in groups})), np.array([0, len({m for _, m in groups})]), 0, 0, 1)
+    count = cells.counter(c, np.ones(len(c.names), dtype=np.int64), 0, strip)
+    assert count(np.ascontiguousarray(c.bits[:, :strip]), np.array([1]), c.bits[0][:strip]).tolist() == [64 * strip - 2]
