@@ -252,3 +252,28 @@ def test_triangles_are_counted_in_strips(twinned, spark, monkeypatch, strip):
     c = cells.cell(np.array(sorted({m for _, m in groups})), np.array([0, len({m for _, m in groups})]), 0, 0, 1)
     count = cells.counter(c, np.ones(len(c.names), dtype=np.int64), 0, strip)
     assert count(np.ascontiguousarray(c.bits[:, :strip]), np.array([1]), c.bits[0][:strip]).tolist() == [64 * strip - 2]
+
+
+@pytest.mark.parametrize("kernel,cutoff", [("search", None), ("merge", 16), ("hybrid", 1), ("tuned", None)])
+def test_kernels_make_one_list_at_a_time(kernel, cutoff, monkeypatch):
+    """A dense cell, alone and with another block: each edge once, by its longer list, without all lists of the cell."""
+    import numpy as np
+
+    from wedgework.operators import cells
+
+    rng = np.random.default_rng(4)
+    groups = [np.flatnonzero(rng.random(150) < 0.2) * 3 for _ in range(9)] + [np.array([1, 4])]
+    values, ends = np.concatenate(groups), np.cumsum([0, *map(len, groups)])
+    near = {}
+    for ms in groups:
+        for m in ms.tolist():
+            near.setdefault(m, set()).update({*ms.tolist()} - {m})
+    monkeypatch.setattr(cells, "PIECE", 7)
+    for i, j, blocks in ((0, 0, 1), (0, 1, 2), (1, 1, 2)):
+        c = cells.cell(values, ends, i, j, blocks)
+        assert cells.dense(c) and not cells.dense(cells.cell(np.array([1, 2, 3, 5]), np.array([0, 2, 4]), 0, 0, 1))
+        monkeypatch.setattr(cells.Cell, "csr", None)
+        got = [r for b in cells.together(cells.by_longer(c, kernel, cutoff), c) for r in zip(*b.to_pydict().values(), strict=True)]
+        side = lambda v, k: v % cells.PRIME % blocks == k  # noqa: B023, E731
+        want = {(a, b, len(near[a] & near[b])) for a in near for b in near[a] if side(a, i) and side(b, j) or side(a, j) and side(b, i)}
+        assert len(got) == len(want) and set(got) == want
